@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-import os
+import gc
 import tempfile
 
 import numpy as np
@@ -37,6 +37,16 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def release(spark: SparkSession) -> None:
+    """Let Spark delete shuffle files of finished jobs that nothing refers to.
+
+    Its cleaner acts when the driver's garbage is collected, which in a long
+    job of several rounds may come after the disks are full.
+    """
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def fresh(df: DataFrame, name: str) -> str:
     """``name``, with underscores until no column of df has it."""
     taken = {c.lower() for c in df.columns}

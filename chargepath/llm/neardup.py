@@ -76,29 +76,25 @@ def similar(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
     return 100 * shared >= percent * (len(a) + len(b) - shared)
 
 
+def _sketch(texts: pd.Series, width: pd.Series) -> pd.DataFrame:
+    out, known = [], {}
+    for data, w in zip(encoded(texts), width, strict=True):
+        s = shingle_set(data, int(w))
+        if not len(s):
+            out.append((0, None, None))
+            continue
+        name = np.array([mix(s).sum(dtype=np.uint64), np.bitwise_xor.reduce(s * np.uint64(0xD6E8FEB86659FD93)) ^ np.uint64(len(s))], dtype=np.uint64).tobytes()
+        if name not in known:
+            known[name] = signature(s).tobytes()
+        out.append((len(s), name, known[name]))
+    return pd.DataFrame(out, columns=["n_shingles", "cls", "sig"])
+
+
 def sketches(docs: DataFrame, key: list[str], width: int) -> DataFrame:
     """key columns -> + n_shingles, cls (16 bytes that name the set; null if empty), sig."""
-    fields = [f for f in docs.schema.fields if f.name in key]
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in fields) + ", n_shingles long, cls binary, sig binary"
-
-    def sketched(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for pdf in batches:
-            counts, names, sigs, known = [], [], [], {}
-            for data in encoded(pdf.pop("_text")):
-                s = shingle_set(data, width)
-                counts.append(len(s))
-                if not len(s):
-                    names.append(None)
-                    sigs.append(None)
-                    continue
-                name = np.array([mix(s).sum(dtype=np.uint64), np.bitwise_xor.reduce(s * np.uint64(0xD6E8FEB86659FD93)) ^ np.uint64(len(s))], dtype=np.uint64).tobytes()
-                if name not in known:
-                    known[name] = signature(s).tobytes()
-                names.append(name)
-                sigs.append(known[name])
-            yield pdf.assign(n_shingles=np.array(counts, dtype=np.int64), cls=names, sig=sigs)
-
-    return docs.select(*[F.col(f.name) for f in fields], F.col("text").alias("_text")).mapInPandas(sketched, schema)
+    sketch = F.pandas_udf(_sketch, "n_shingles long, cls binary, sig binary")
+    rows = docs.select(*key, sketch(F.col("text"), F.lit(width)).alias("_s"))
+    return rows.select(*key, "_s.n_shingles", "_s.cls", "_s.sig")
 
 
 def _keys(classes: DataFrame) -> DataFrame:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from chargepath.llm import decontam, licenses, mixing, neardup, pii, quality, tokens, toxicity, urls
+from chargepath.llm import decontam, licenses, mixing, neardup, pii, quality, substrings, tokens, toxicity, urls
 from chargepath.llm.common import table
 
 
@@ -50,5 +50,10 @@ def op9_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licenses.scan(table(spark, sf_dir, "documents").select("doc_id", "text")).drop("text")
 
 
-QUERIES = {f.__name__: f for f in (op1_url_rules, op2_pii, op3_quality, op4_mix, op5_tokens, op6_toxicity, op7_near_duplicates, op8_decontamination, op9_licenses)}
+def op10_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substrings.remove_repeats(table(spark, sf_dir, "documents").select("doc_id", "text"), ["doc_id"])
+
+
+QUERIES = {f.__name__: f for f in (op1_url_rules, op2_pii, op3_quality, op4_mix, op5_tokens, op6_toxicity, op7_near_duplicates, op8_decontamination, op9_licenses, op10_substrings)}
 ORACLES = {"op9_licenses": licenses.scan_sql()}
+_WORDS_SQL = r"len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+'))::BIGINT"
