@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import gc
 import tempfile
+import time
 
 import numpy as np
 import pandas as pd
@@ -43,8 +44,10 @@ def release(spark: SparkSession) -> None:
     Its cleaner acts when the driver's garbage is collected, which in a long
     job of several rounds may come after the disks are full.
     """
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    for _ in range(2):  # first the driver's Python lets go, then its JVM
+        gc.collect()
+        time.sleep(0.3)
+        spark.sparkContext._jvm.System.gc()
 
 
 def fresh(df: DataFrame, name: str) -> str:

@@ -122,6 +122,17 @@ class Batch:
         return np.flatnonzero(ok)
 
 
+def _packed(values: np.ndarray) -> bytes:
+    """Ascending 64-bit values as compressed byte planes of their differences."""
+    steps = np.diff(values, prepend=np.uint64(0))
+    return zstandard.ZstdCompressor(1).compress(np.ascontiguousarray(steps.view(np.uint8).reshape(-1, 8).T).tobytes())
+
+
+def _unpacked(data: bytes) -> np.ndarray:
+    planes = np.frombuffer(zstandard.ZstdDecompressor().decompress(data), dtype=np.uint8)
+    return np.cumsum(np.ascontiguousarray(planes.reshape(8, -1).T).view(np.uint64).ravel(), dtype=np.uint64)
+
+
 def _dealt(values: np.ndarray, buckets: int) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
     """(bucket, its distinct values ascending, which of them come twice or more)."""
     own, count = np.unique(values, return_counts=True)
@@ -143,7 +154,7 @@ def _ties(sent: DataFrame) -> DataFrame:
     """
 
     def sort_bucket(pdf: pd.DataFrame) -> pd.DataFrame:
-        own = [np.frombuffer(v, dtype=np.uint64) for v in pdf["vals"]]
+        own = [_unpacked(v) for v in pdf["vals"]]
         every = np.concatenate([*own, *(v[np.unpackbits(np.frombuffer(t, dtype=np.uint8), count=len(v)).astype(bool)] for v, t in zip(own, pdf["twice"], strict=True))])
         every.sort()
         tied = np.unique(every[1:][every[1:] == every[:-1]])
@@ -175,7 +186,7 @@ def _tied(values: np.ndarray, masks: dict | None, buckets: int) -> np.ndarray:
 
 
 def _sent(rows: list[tuple[int, int, np.ndarray, np.ndarray]]) -> pd.DataFrame:
-    return pd.DataFrame([(b, batch, own.tobytes(), np.packbits(twice).tobytes()) for b, batch, own, twice in rows], columns=["bucket", "batch", "vals", "twice"])
+    return pd.DataFrame([(b, batch, _packed(own), np.packbits(twice).tobytes()) for b, batch, own, twice in rows], columns=["bucket", "batch", "vals", "twice"])
 
 
 def _roles(batch: Batch, firsts) -> tuple[np.ndarray, np.ndarray]:
