@@ -1,0 +1 @@
+"""Recharge-aware trip planning over road networks, for Spark."""
