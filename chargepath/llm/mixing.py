@@ -25,11 +25,8 @@ from chargepath.llm.common import SPACE
 
 def word_count(text):
     """Number of white-space separated words; null counts none."""
-    marked = F.regexp_replace(F.coalesce(text, F.lit("")), f"{SPACE}+", " ")
-    return (F.size(F.split(F.concat(F.lit(" "), marked, F.lit(" ")), " ")) - 2
-            - F.when(F.trim(marked) == "", F.length(marked)).otherwise(
-                F.when(marked.startswith(" "), 1).otherwise(0) + F.when(marked.endswith(" "), 1).otherwise(0))
-            - F.when(marked == "", 1).otherwise(0)).cast("long")
+    parts = F.split(F.coalesce(text, F.lit("")), f"{SPACE}+")
+    return F.size(F.filter(parts, lambda x: x != "")).cast("long")
 
 
 def budgets(sizes: DataFrame, weights=(3, 1, 2), share: float = 1.5, max_epochs: float = 2.0) -> DataFrame:
@@ -73,13 +70,3 @@ def mix_sources(docs: DataFrame, size, weights=(3, 1, 2), share: float = 1.5, ma
     rest = budget - whole * F.col("source_size")
     taken = whole * F.col("_size") + F.least(F.greatest(rest - F.col("_at0"), F.lit(0)), F.col("_size"))
     return joined.withColumn("_at0", at).select(*kept, F.col("_size").alias("size"), "source_size", "target", taken.cast("long").alias("taken"))
-
-
-MIX_SQL = r"""
-WITH d AS (SELECT doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+'))::BIGINT AS size FROM documents),
-s AS (SELECT source, sum(size)::BIGINT AS source_size FROM d GROUP BY source),
-w AS (SELECT *, ([3.0, 1.0, 2.0])[1 + (row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3]::DOUBLE AS w, 2.0::DOUBLE * source_size AS cap FROM s),
-l AS (SELECT *, (sum(source_size) OVER () * 1.5::DOUBLE - coalesce(sum(cap) OVER b, 0)) / (sum(w) OVER () - coalesce(sum(w) OVER b, 0)) AS lv FROM w
-      WINDOW b AS (ORDER BY cap / w, source NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
-t AS (SELECT source, source_size, least(cap, max(lv) OVER () * w) AS target FROM l)
-"""

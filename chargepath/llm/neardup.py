@@ -32,8 +32,11 @@ from pyspark.sql import functions as F
 
 from chargepath.llm.common import cut, encoded, mix, shingle_set
 
-SYMBOLS, CHUNKS, ERRORS = 64, 16, 1
+SYMBOLS, CHUNKS, ERRORS = 32, 8, 1
+#: Pairs up to this distance always share a key.
 MAX_DISTANCE = CHUNKS * (ERRORS + 1) - 1
+#: Pairs that share a key are compared on their sets up to this distance.
+NEAR = 20
 
 
 def _salts(n: int) -> np.ndarray:
@@ -183,12 +186,12 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     """docs -> (doc_id, n_shingles, component_id, kept), one row for each row of docs."""
     rows = cut(sketches(docs, ["doc_id"], width))
     # A class is named by its least doc_id; where it has none, by a negative hash of its set.
-    named = rows.where("cls IS NOT NULL").groupBy("cls").agg(F.min("doc_id").alias("least"), F.min("sig").alias("sig"))
-    named = cut(named.select("cls", F.coalesce("least", -F.abs(F.xxhash64("cls")) - 1).alias("id"), F.col("least").isNull().alias("unnamed"), "sig"))
+    named = rows.where("cls IS NOT NULL").groupBy("cls").agg(F.min("doc_id").alias("least"), F.min("sig").alias("sig"), F.min("n_shingles").alias("n"))
+    named = cut(named.select("cls", F.coalesce("least", -F.abs(F.xxhash64("cls")) - 1).alias("id"), F.col("least").isNull().alias("unnamed"), "sig", "n"))
     # One doc_id may stand for texts of several classes; a class id must be its own.
     order = Window.partitionBy("id").orderBy("cls")
     named = cut(named.withColumn("nth", F.row_number().over(order)).select(
-        "cls", F.col("id").alias("least"), "unnamed", "sig", F.when(F.col("nth") == 1, F.col("id")).otherwise(-F.abs(F.xxhash64("cls")) - 1).alias("id")))
+        "cls", F.col("id").alias("least"), "unnamed", "sig", "n", F.when(F.col("nth") == 1, F.col("id")).otherwise(-F.abs(F.xxhash64("cls")) - 1).alias("id")))
     keys = _keys(named.select("id", "sig"))
     lead = keys.groupBy("key").agg(F.min("id").alias("lead"), F.max("id").alias("last")).where("lead <> last").select("key", "lead")
     keys = cut(keys.join(lead, "key"))
@@ -199,7 +202,7 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     tried = cut(best)
     edges = cut(_verify(tried, texts, width, percent))
     labels = components(edges.select(F.col("lead").alias("u"), F.col("id").alias("v")), named.select("id"))
-    sigs = named.select("id", _longs(F.col("sig")).alias("s"))
+    sigs = named.select("id", "n", _longs(F.col("sig")).alias("s"))
     rest = _apart(shared.select("id", "lead"), labels, sigs).join(tried, ["lead", "id"], "left_anti")
     rest = cut(rest)
     if not rest.isEmpty():
@@ -211,9 +214,9 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     mixed = members.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("key")
     members = cut(members.join(mixed, "key").join(sigs, "id"))
     if not members.isEmpty():
-        a = members.select("key", F.col("id").alias("lead"), F.col("comp").alias("ca"), F.col("s").alias("sa"))
-        b = members.select("key", "id", F.col("comp").alias("cb"), F.col("s").alias("sb"))
-        across = a.join(b, (a["key"] == b["key"]) & (F.col("lead") < F.col("id")) & (F.col("ca") != F.col("cb")) & (_distance() <= MAX_DISTANCE)).select("lead", "id").distinct()
+        a = members.select("key", F.col("id").alias("lead"), F.col("comp").alias("ca"), F.col("s").alias("sa"), F.col("n").alias("na"))
+        b = members.select("key", "id", F.col("comp").alias("cb"), F.col("s").alias("sb"), F.col("n").alias("nb"))
+        across = a.join(b, (a["key"] == b["key"]) & (F.col("lead") < F.col("id")) & (F.col("ca") != F.col("cb")) & (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")) & (_distance() <= NEAR)).select("lead", "id").distinct()
         across = cut(across.join(tried.select("lead", "id"), ["lead", "id"], "left_anti"))
         if not across.isEmpty():
             edges = edges.union(_verify(across, texts, width, percent))
@@ -232,7 +235,7 @@ def _apart(pairs: DataFrame, labels: DataFrame, sigs: DataFrame) -> DataFrame:
     own = labels.join(sigs, "id")
     a = own.select(F.col("id").alias("lead"), F.col("comp").alias("ca"), F.col("s").alias("sa"))
     b = own.select("id", F.col("comp").alias("cb"), F.col("s").alias("sb"))
-    return pairs.join(a, "lead").join(b, "id").where((F.col("ca") != F.col("cb")) & (_distance() <= MAX_DISTANCE)).select("lead", "id")
+    return pairs.join(a, "lead").join(b, "id").where((F.col("ca") != F.col("cb")) & (_distance() <= NEAR)).select("lead", "id")
 
 
 def _texts(docs: DataFrame, named: DataFrame, width: int) -> DataFrame:

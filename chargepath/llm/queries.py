@@ -56,4 +56,3 @@ def op10_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {f.__name__: f for f in (op1_url_rules, op2_pii, op3_quality, op4_mix, op5_tokens, op6_toxicity, op7_near_duplicates, op8_decontamination, op9_licenses, op10_substrings)}
 ORACLES = {"op9_licenses": licenses.scan_sql()}
-_WORDS_SQL = r"len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+'))::BIGINT"

@@ -1,12 +1,12 @@
 """URL filters: explicit rules first, mined association rules for the rest.
 
 Explicit rules fit a host and its subdomains where the path starts with the
-rule's; the longest wins. The urls that they judge are the labels from which
-FP-growth mines token combinations of host labels, path words and query
-names. Rules that imply a verdict are kept above a support and a confidence,
-and matched through an inverted index from a token to the rules that hold it.
-A rule blocks only from ``confidence`` up; urls without a matching rule are
-allowed.
+rule's; the longest wins. Their verdicts are the labels from which FP-growth
+mines token combinations of host labels, path words and query names; urls that
+no rule judges take part without a label, so a combination that is common
+among them implies nothing. Combinations that imply a verdict are kept above a
+support and a confidence, and matched through an inverted index from a token
+to the rules that hold it. Urls without a matching rule are allowed.
 
 A null url, or one without ://, has empty host and path, matches no rule and
 is allowed. Repeated rows are judged as rows. An empty table mines no rule.
@@ -49,7 +49,7 @@ def tokens(host, path, url):
     return F.array_distinct(F.filter(F.concat(labels, words, names), lambda x: F.length(x) > 2))
 
 
-def mine(labelled: DataFrame, min_support: float = 0.002, confidence: float = 0.9, max_items: int = 4) -> list[tuple[tuple[str, ...], str, float]]:
+def mine(labelled: DataFrame, min_support: float = 0.01, confidence: float = 0.6, max_items: int = 4) -> list[tuple[tuple[str, ...], str, float]]:
     """labelled(tokens, verdict) -> [(antecedent tokens, verdict, confidence)].
 
     The number of rules is bounded by the support: of combinations of at most
@@ -59,7 +59,7 @@ def mine(labelled: DataFrame, min_support: float = 0.002, confidence: float = 0.
     rows = labelled.select(F.concat(F.col("tokens"), F.array(F.concat(F.lit("="), F.col("verdict")))).alias("items"))
     model = FPGrowth(itemsCol="items", minSupport=min_support, minConfidence=confidence).fit(rows)
     found = model.associationRules.where(
-        (F.size("consequent") == 1) & F.col("consequent")[0].startswith("=") & (F.size("antecedent") <= max_items)
+        (F.size("consequent") == 1) & F.col("consequent")[0].isin(*[f"={v}" for v in VERDICTS]) & (F.size("antecedent") <= max_items)
     ).select(F.array_sort("antecedent").alias("antecedent"), F.expr("substring(consequent[0], 2)").alias("verdict"), "confidence")
     best: dict[tuple[str, ...], tuple[str, float]] = {}
     for r in found.orderBy(F.size("antecedent"), F.col("antecedent")).toLocalIterator():
@@ -89,13 +89,13 @@ def matcher(rules: list[tuple[tuple[str, ...], str, float]]):
     return match
 
 
-def judge(pages: DataFrame, rules=RULES, min_support: float = 0.002, confidence: float = 0.9) -> DataFrame:
+def judge(pages: DataFrame, rules=RULES, min_support: float = 0.01, confidence: float = 0.6) -> DataFrame:
     """pages -> pages + host, path, rule, verdict, mined (the association rule that decided)."""
     kept = pages.columns
     host, path = parts(F.col("url"))
     rows = pages.withColumns({"_host": host, "_path": path})
     rows = rows.withColumns({"_explicit": explicit(F.col("_host"), F.col("_path"), rules), "_tokens": tokens(F.col("_host"), F.col("_path"), F.col("url"))})
-    labelled = rows.where(F.col("_explicit").isNotNull()).select(F.col("_tokens").alias("tokens"), F.col("_explicit.verdict").alias("verdict"))
+    labelled = rows.select(F.col("_tokens").alias("tokens"), F.coalesce("_explicit.verdict", F.lit("unlabelled")).alias("verdict"))
     mined = mine(labelled, min_support, confidence)
     rows = rows.withColumn("_mined", F.when(F.col("_explicit").isNull(), matcher(mined)(F.col("_tokens"))))
     return rows.select(
