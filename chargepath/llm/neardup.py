@@ -5,15 +5,18 @@ start. A class has a signature of ``symbols`` b-bit MinHash values, split into
 chunks. By the pigeonhole principle, two signatures that differ in at most
 ``chunks * (errors + 1) - 1`` symbols agree in some chunk up to ``errors``
 symbols; the allowed errors are enumerated by leaving each combination of
-symbols out, so such pairs always share a key. With 64 symbols, 16 chunks and
-one error that covers a distance of 31 of 64, where a pair of similarity 0.8
-lies at 12.8 on average with a deviation of 3.2.
+symbols out, so such pairs always share a key. With 32 symbols, 8 chunks and
+one error that covers a distance of 15 of 32, where a pair of similarity 0.8
+lies at 6.4 on average with a deviation of 2.3. Pairs that share a key must
+also be near in a longer signature of 128 four-bit symbols before their texts
+are read: texts that share one common passage agree in a key by chance, but
+not in that.
 
 Pairs inside a key are never all emitted. First each class is compared with
-the lowest class that shares most keys with it, then with the other leaders of
-its keys, and only where a key still holds different components are the pairs
-across them compared, behind the signature distance. Each comparison is made
-on the full shingle sets. Rounds are cut in the shared checkpoint folder.
+the nearest leader (lowest class) of its keys, then with the other leaders, and
+only where a key still holds different components are the pairs across them
+compared, behind the signature distance. Each comparison is made on the full
+shingle sets. Rounds are cut in the shared checkpoint folder.
 
 Null texts and texts without words have the empty set and are linked with
 nothing. A row without doc_id belongs to its class but cannot name it; if no
@@ -35,24 +38,31 @@ from chargepath.llm.common import cut, encoded, mix, shingle_set
 SYMBOLS, CHUNKS, ERRORS = 32, 8, 1
 #: Pairs up to this distance always share a key.
 MAX_DISTANCE = CHUNKS * (ERRORS + 1) - 1
-#: Pairs that share a key are compared on their sets up to this distance.
-NEAR = 20
+#: Four-bit symbols of the longer signature, and the most in which compared pairs differ.
+LONG = 128
+NEAR = 50  # at similarity 0.8 they differ in 24 on average, with a deviation of 4.4
 
 
 def _salts(n: int) -> np.ndarray:
     return mix(np.arange(1, n + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)) | np.uint64(1)
 
 
-def signature(shingles: np.ndarray, symbols: int = SYMBOLS) -> np.ndarray:
-    """16-bit MinHash symbols of a set of 64-bit hashes."""
+_FIRST = ((_salts(LONG) >> np.uint64(32)).astype(np.uint32) | np.uint32(1))[:, None]
+_SECOND = _FIRST ^ np.uint32(0x2C1B3C6C)
+
+
+def signature(shingles: np.ndarray, block: int = 1024) -> bytes:
+    """Signature of a set of 64-bit hashes: 32 MinHash symbols of 16 bits, then 128 of 4 bits."""
     small = (shingles >> np.uint64(32)).astype(np.uint32)
-    salts = (_salts(symbols) >> np.uint64(32)).astype(np.uint32) | np.uint32(1)
-    out = np.empty(symbols, dtype=np.uint32)
-    for k, s in enumerate(salts):
-        x = small * s
+    low = np.full(LONG, np.uint32(0xFFFFFFFF))
+    for k in range(0, len(small), block):
+        x = _FIRST * small[None, k : k + block]
         x ^= x >> np.uint32(15)
-        out[k] = (x * (s ^ np.uint32(0x2C1B3C6D))).min()
-    return (mix(out.astype(np.uint64)) & np.uint64(0xFFFF)).astype(np.uint16)
+        x *= _SECOND
+        np.minimum(low, x.min(axis=1), out=low)
+    symbols = mix(low.astype(np.uint64))
+    nibbles = ((symbols >> np.uint64(20)) & np.uint64(15)).astype(np.uint8)
+    return (symbols[:SYMBOLS] & np.uint64(0xFFFF)).astype("<u2").tobytes() + (nibbles[::2] << 4 | nibbles[1::2]).tobytes()
 
 
 def chunk_keys(signatures: np.ndarray, chunks: int = CHUNKS, errors: int = ERRORS) -> np.ndarray:
@@ -88,7 +98,7 @@ def _sketch(texts: pd.Series, width: pd.Series) -> pd.DataFrame:
             continue
         name = np.array([mix(s).sum(dtype=np.uint64), np.bitwise_xor.reduce(s * np.uint64(0xD6E8FEB86659FD93)) ^ np.uint64(len(s))], dtype=np.uint64).tobytes()
         if name not in known:
-            known[name] = signature(s).tobytes()
+            known[name] = signature(s)
         out.append((len(s), name, known[name]))
     return pd.DataFrame(out, columns=["n_shingles", "cls", "sig"])
 
@@ -106,7 +116,7 @@ def _keys(classes: DataFrame) -> DataFrame:
     def keyed(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in batches:
             if len(pdf):
-                keys = chunk_keys(np.frombuffer(b"".join(pdf["sig"]), dtype=np.uint16).reshape(len(pdf), -1))
+                keys = chunk_keys(np.frombuffer(b"".join(x[: 2 * SYMBOLS] for x in pdf["sig"]), dtype="<u2").reshape(len(pdf), -1))
                 yield pd.DataFrame({"key": keys.ravel(), "id": np.repeat(pdf["id"].to_numpy(), keys.shape[1])})
 
     return classes.mapInPandas(keyed, "key long, id long")
@@ -166,20 +176,25 @@ def components(edges: DataFrame, nodes: DataFrame) -> DataFrame:
 
 
 def _distance():
-    """Differing symbols of the columns sa and sb (arrays of longs, four symbols each)."""
+    """Differing four-bit symbols of the columns sa and sb (arrays of longs, 16 symbols each)."""
     out = F.lit(0)
-    for k in range(SYMBOLS // 4):
+    for k in range(LONG // 16):
         x = F.get("sa", F.lit(k)).bitwiseXOR(F.get("sb", F.lit(k)))
-        # The low bit of each 16-bit field tells whether any bit of the field is set.
-        for s in (8, 4, 2, 1):
+        # The low bit of each field tells whether any bit of the field is set.
+        for s in (2, 1):
             x = x.bitwiseOR(F.shiftrightunsigned(x, s))
-        out = out + F.bit_count(x.bitwiseAND(F.lit(0x0001000100010001)))
+        out = out + F.bit_count(x.bitwiseAND(F.lit(0x1111111111111111)))
     return out
 
 
 def _longs(sig):
-    """A 128-byte signature as 16 longs."""
-    return F.array(*[F.conv(F.hex(F.substring(sig, 8 * k + 1, 8)), 16, -10).cast("long") for k in range(SYMBOLS // 4)])
+    """The four-bit symbols of a signature as longs."""
+    return F.array(*[F.conv(F.hex(F.substring(sig, 2 * SYMBOLS + 8 * k + 1, 8)), 16, -10).cast("long") for k in range(LONG // 16)])
+
+
+def _near(percent: int):
+    """Whether rows with sizes na, nb and signatures sa, sb may be similar."""
+    return (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")) & (_distance() <= NEAR)
 
 
 def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
@@ -196,15 +211,15 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     lead = keys.groupBy("key").agg(F.min("id").alias("lead"), F.max("id").alias("last")).where("lead <> last").select("key", "lead")
     keys = cut(keys.join(lead, "key"))
     texts = _texts(docs, named, width)
-    # First the leader that shares most keys with a class, then the others.
-    shared = cut(keys.where("lead <> id").groupBy("id", "lead").agg(F.count("*").alias("n")))
-    best = shared.groupBy("id").agg(F.max(F.struct("n", (-F.col("lead")).alias("m"))).alias("x")).select("id", (-F.col("x.m")).alias("lead"))
-    tried = cut(best)
+    sigs = cut(named.select("id", "n", _longs(F.col("sig")).alias("s")))
+    # First the nearest leader of a class, then the others.
+    one, other = sigs.select("id", F.col("n").alias("na"), F.col("s").alias("sa")), sigs.select(F.col("id").alias("lead"), F.col("n").alias("nb"), F.col("s").alias("sb"))
+    shared = keys.where("lead <> id").select("id", "lead").distinct().join(one, "id").join(other, "lead").where(_near(percent))
+    shared = cut(shared.select("id", "lead", _distance().alias("far")))
+    tried = cut(shared.groupBy("id").agg(F.min(F.struct("far", "lead")).alias("x")).select("id", F.col("x.lead").alias("lead")))
     edges = cut(_verify(tried, texts, width, percent))
     labels = components(edges.select(F.col("lead").alias("u"), F.col("id").alias("v")), named.select("id"))
-    sigs = named.select("id", "n", _longs(F.col("sig")).alias("s"))
-    rest = _apart(shared.select("id", "lead"), labels, sigs).join(tried, ["lead", "id"], "left_anti")
-    rest = cut(rest)
+    rest = cut(_apart(shared.select("id", "lead"), labels).join(tried, ["lead", "id"], "left_anti"))
     if not rest.isEmpty():
         more = cut(_verify(rest, texts, width, percent))
         edges, tried = edges.union(more), tried.select("lead", "id").union(rest.select("lead", "id"))
@@ -216,7 +231,7 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     if not members.isEmpty():
         a = members.select("key", F.col("id").alias("lead"), F.col("comp").alias("ca"), F.col("s").alias("sa"), F.col("n").alias("na"))
         b = members.select("key", "id", F.col("comp").alias("cb"), F.col("s").alias("sb"), F.col("n").alias("nb"))
-        across = a.join(b, (a["key"] == b["key"]) & (F.col("lead") < F.col("id")) & (F.col("ca") != F.col("cb")) & (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")) & (_distance() <= NEAR)).select("lead", "id").distinct()
+        across = a.join(b, (a["key"] == b["key"]) & (F.col("lead") < F.col("id")) & (F.col("ca") != F.col("cb")) & _near(percent)).select("lead", "id").distinct()
         across = cut(across.join(tried.select("lead", "id"), ["lead", "id"], "left_anti"))
         if not across.isEmpty():
             edges = edges.union(_verify(across, texts, width, percent))
@@ -230,12 +245,11 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, component.isNull()).alias("kept"))
 
 
-def _apart(pairs: DataFrame, labels: DataFrame, sigs: DataFrame) -> DataFrame:
-    """pairs(lead, id) whose ends lie in different components and within the signature distance."""
-    own = labels.join(sigs, "id")
-    a = own.select(F.col("id").alias("lead"), F.col("comp").alias("ca"), F.col("s").alias("sa"))
-    b = own.select("id", F.col("comp").alias("cb"), F.col("s").alias("sb"))
-    return pairs.join(a, "lead").join(b, "id").where((F.col("ca") != F.col("cb")) & (_distance() <= NEAR)).select("lead", "id")
+def _apart(pairs: DataFrame, labels: DataFrame) -> DataFrame:
+    """pairs(lead, id) whose ends lie in different components."""
+    a = labels.select(F.col("id").alias("lead"), F.col("comp").alias("ca"))
+    b = labels.select("id", F.col("comp").alias("cb"))
+    return pairs.join(a, "lead").join(b, "id").where("ca <> cb").select("lead", "id")
 
 
 def _texts(docs: DataFrame, named: DataFrame, width: int) -> DataFrame:
