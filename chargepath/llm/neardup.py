@@ -8,15 +8,15 @@ symbols; the allowed errors are enumerated by leaving each combination of
 symbols out, so such pairs always share a key. With 32 symbols, 8 chunks and
 one error that covers a distance of 15 of 32, where a pair of similarity 0.8
 lies at 6.4 on average with a deviation of 2.3. Pairs that share a key must
-also be near in a longer signature of 128 four-bit symbols before their texts
-are read: texts that share one common passage agree in a key by chance, but
-not in that.
+also be near in a longer signature of 512 four-bit symbols, whose first 128
+are looked at first, before their texts are read: texts that share one common
+passage agree in a key by chance, but not in that.
 
 Pairs inside a key are never all emitted. First each class is compared with
 the nearest leader (lowest class) of its keys, then with the other leaders, and
 only where a key still holds different components are the pairs across them
-compared, behind the signature distance. Each comparison is made on the full
-shingle sets. Rounds are cut in the shared checkpoint folder.
+compared, behind the signature distance and each pair only in the first key
+that it shares. Each comparison is made on the full shingle sets. Rounds are cut in the shared checkpoint folder.
 
 Null texts and texts without words have the empty set and are linked with
 nothing. A row without doc_id belongs to its class but cannot name it; if no
@@ -38,9 +38,9 @@ from chargepath.llm.common import cut, encoded, mix, shingle_set
 SYMBOLS, CHUNKS, ERRORS = 32, 8, 1
 #: Pairs up to this distance always share a key.
 MAX_DISTANCE = CHUNKS * (ERRORS + 1) - 1
-#: Four-bit symbols of the longer signature, and the most in which compared pairs differ.
-LONG = 128
-NEAR = 50  # at similarity 0.8 they differ in 24 on average, with a deviation of 4.4
+#: Four-bit symbols of the longer signature, those looked at first, and the most in which compared pairs differ.
+LONG, SHORT = 512, 128
+NEAR_LONG, NEAR = 144, 50  # at similarity 0.8 they differ in 96 and 24 on average, with a deviation of 8.8 and 4.4
 
 
 def _salts(n: int) -> np.ndarray:
@@ -51,8 +51,8 @@ _FIRST = ((_salts(LONG) >> np.uint64(32)).astype(np.uint32) | np.uint32(1))[:, N
 _SECOND = _FIRST ^ np.uint32(0x2C1B3C6C)
 
 
-def signature(shingles: np.ndarray, block: int = 1024) -> bytes:
-    """Signature of a set of 64-bit hashes: 32 MinHash symbols of 16 bits, then 128 of 4 bits."""
+def signature(shingles: np.ndarray, block: int = 256) -> bytes:
+    """Signature of a set of 64-bit hashes: 32 MinHash symbols of 16 bits, then 512 of 4 bits."""
     small = (shingles >> np.uint64(32)).astype(np.uint32)
     low = np.full(LONG, np.uint32(0xFFFFFFFF))
     for k in range(0, len(small), block):
@@ -111,15 +111,15 @@ def sketches(docs: DataFrame, key: list[str], width: int) -> DataFrame:
 
 
 def _keys(classes: DataFrame) -> DataFrame:
-    """classes(id, sig) -> (key, id)."""
+    """classes(id, sig) -> (key, id, nth), nth the number of the key within its class."""
 
     def keyed(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in batches:
             if len(pdf):
                 keys = chunk_keys(np.frombuffer(b"".join(x[: 2 * SYMBOLS] for x in pdf["sig"]), dtype="<u2").reshape(len(pdf), -1))
-                yield pd.DataFrame({"key": keys.ravel(), "id": np.repeat(pdf["id"].to_numpy(), keys.shape[1])})
+                yield pd.DataFrame({"key": keys.ravel(), "id": np.repeat(pdf["id"].to_numpy(), keys.shape[1]), "nth": np.tile(np.arange(keys.shape[1], dtype=np.int32), len(pdf))})
 
-    return classes.mapInPandas(keyed, "key long, id long")
+    return classes.mapInPandas(keyed, "key long, id long, nth int")
 
 
 def _verify(pairs: DataFrame, texts: DataFrame, width: int, percent: int, chunk: int = 200) -> DataFrame:
@@ -175,11 +175,11 @@ def components(edges: DataFrame, nodes: DataFrame) -> DataFrame:
     return labels
 
 
-def _distance():
-    """Differing four-bit symbols of the columns sa and sb (arrays of longs, 16 symbols each)."""
+def _distance(a: str = "sa", b: str = "sb", symbols: int = SHORT):
+    """Differing four-bit symbols of two array columns of longs, 16 symbols each."""
     out = F.lit(0)
-    for k in range(LONG // 16):
-        x = F.get("sa", F.lit(k)).bitwiseXOR(F.get("sb", F.lit(k)))
+    for k in range(symbols // 16):
+        x = F.get(a, F.lit(k)).bitwiseXOR(F.get(b, F.lit(k)))
         # The low bit of each field tells whether any bit of the field is set.
         for s in (2, 1):
             x = x.bitwiseOR(F.shiftrightunsigned(x, s))
@@ -187,9 +187,9 @@ def _distance():
     return out
 
 
-def _longs(sig):
-    """The four-bit symbols of a signature as longs."""
-    return F.array(*[F.conv(F.hex(F.substring(sig, 2 * SYMBOLS + 8 * k + 1, 8)), 16, -10).cast("long") for k in range(LONG // 16)])
+def _longs(sig, start: int, count: int):
+    """``count`` longs of a binary column from byte ``start`` on."""
+    return F.array(*[F.conv(F.hex(F.substring(sig, start + 8 * k + 1, 8)), 16, -10).cast("long") for k in range(count)])
 
 
 def _near(percent: int):
@@ -197,6 +197,19 @@ def _near(percent: int):
     return (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")) & (_distance() <= NEAR)
 
 
+def _first_shared():
+    """The number of the first key that the key symbols qa and qb share."""
+    width, terms = SYMBOLS // CHUNKS, []
+    for n, left_out in enumerate(combinations(range(width), ERRORS)):
+        # Symbol k of a chunk is the k-th field of 16 bits from the top of a long.
+        used = sum(0xFFFF << 16 * (width - 1 - k) for k in range(width) if k not in left_out)
+        mask = F.lit(used - (1 << 64) if used >> 63 else used)
+        for c in range(CHUNKS):
+            differs = F.get("qa", F.lit(c)).bitwiseXOR(F.get("qb", F.lit(c))).bitwiseAND(mask)
+            terms.append(F.when(differs == 0, n * CHUNKS + c))
+    return F.coalesce(*terms)
+
+
 def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     """docs -> (doc_id, n_shingles, component_id, kept), one row for each row of docs."""
     rows = cut(sketches(docs, ["doc_id"], width))
@@ -211,7 +224,7 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     lead = keys.groupBy("key").agg(F.min("id").alias("lead"), F.max("id").alias("last")).where("lead <> last").select("key", "lead")
     keys = cut(keys.join(lead, "key"))
     texts = _texts(docs, named, width)
-    sigs = cut(named.select("id", "n", _longs(F.col("sig")).alias("s")))
+    sigs = cut(named.select("id", "n", _longs(F.col("sig"), 2 * SYMBOLS, SHORT // 16).alias("s")))
     # First the nearest leader of a class, then the others.
     one, other = sigs.select("id", F.col("n").alias("na"), F.col("s").alias("sa")), sigs.select(F.col("id").alias("lead"), F.col("n").alias("nb"), F.col("s").alias("sb"))
     shared = keys.where("lead <> id").select("id", "lead").distinct().join(one, "id").join(other, "lead").where(_near(percent))
@@ -225,13 +238,20 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
         edges, tried = edges.union(more), tried.select("lead", "id").union(rest.select("lead", "id"))
         labels = components(edges.select(F.col("lead").alias("u"), F.col("id").alias("v")), named.select("id"))
     # Keys that still hold several components: compare across them.
-    members = keys.select("key", "id").join(labels, "id")
+    members = keys.select("key", "id", "nth").join(labels, "id")
     mixed = members.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("key")
     members = cut(members.join(mixed, "key").join(sigs, "id"))
     if not members.isEmpty():
-        a = members.select("key", F.col("id").alias("lead"), F.col("comp").alias("ca"), F.col("s").alias("sa"), F.col("n").alias("na"))
-        b = members.select("key", "id", F.col("comp").alias("cb"), F.col("s").alias("sb"), F.col("n").alias("nb"))
-        across = a.join(b, (a["key"] == b["key"]) & (F.col("lead") < F.col("id")) & (F.col("ca") != F.col("cb")) & _near(percent)).select("lead", "id").distinct()
+        a = members.select("key", "id", F.col("comp").alias("ca"), F.col("s").alias("sa"), F.col("n").alias("na"))
+        b = members.select(F.col("key").alias("_key"), F.col("comp").alias("cb"), F.col("s").alias("sb"), F.col("n").alias("nb"))
+        # Those with any partner go on with their whole signatures.
+        active = a.join(b, (F.col("key") == F.col("_key")) & (F.col("ca") != F.col("cb")) & _near(percent), "left_semi").select("id").distinct()
+        whole = named.select("id", _longs(F.col("sig"), 0, CHUNKS).alias("q"), _longs(F.col("sig"), 2 * SYMBOLS + SHORT // 2, (LONG - SHORT) // 16).alias("t"))
+        members = cut(members.join(whole.join(active, "id"), "id"))
+        a = members.select("key", "nth", F.col("id").alias("lead"), *[F.col(c).alias(f"{c[0]}a") for c in ("comp", "s", "n", "q", "t")])
+        b = members.select(F.col("key").alias("_key"), "id", *[F.col(c).alias(f"{c[0]}b") for c in ("comp", "s", "n", "q", "t")])
+        near = _near(percent) & (_distance() + _distance("ta", "tb", LONG - SHORT) <= NEAR_LONG)
+        across = a.join(b, (F.col("key") == F.col("_key")) & (F.col("lead") < F.col("id")) & (F.col("ca") != F.col("cb")) & near & (_first_shared() == F.col("nth"))).select("lead", "id")
         across = cut(across.join(tried.select("lead", "id"), ["lead", "id"], "left_anti"))
         if not across.isEmpty():
             edges = edges.union(_verify(across, texts, width, percent))

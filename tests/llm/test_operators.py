@@ -3,6 +3,7 @@ import hashlib
 import random
 import re
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -187,3 +188,15 @@ def test_empty_tables(spark):
     assert mixing.mix_sources(none, mixing.word_count(none["text"])).count() == 0
     assert urls.judge(spark.createDataFrame([], "page_id long, url string")).count() == 0
     assert decontam.contamination(none, spark.createDataFrame([], "item_id long, text string")).count() == 0
+
+
+def test_first_shared_key_is_the_first_equal_key(spark):
+    rng = np.random.default_rng(5)
+    a = rng.integers(0, 1 << 16, (200, neardup.SYMBOLS), dtype=np.uint16)
+    b = np.where(rng.random(a.shape) < 0.5, a, rng.integers(0, 1 << 16, a.shape, dtype=np.uint16)).astype("<u2")
+    same = neardup.chunk_keys(a) == neardup.chunk_keys(b)
+    want = {k: int(row.argmax()) if row.any() else None for k, row in enumerate(same)}
+    rows = spark.createDataFrame([(k, bytearray(x.astype("<u2").tobytes()), bytearray(y.tobytes())) for k, (x, y) in enumerate(zip(a, b, strict=True))], "k int, x binary, y binary")
+    rows = rows.select("k", neardup._longs(F.col("x"), 0, neardup.CHUNKS).alias("qa"), neardup._longs(F.col("y"), 0, neardup.CHUNKS).alias("qb"))
+    assert {r.k: r.first for r in rows.select("k", neardup._first_shared().alias("first")).collect()} == want
+    assert len(set(want.values())) > 8
