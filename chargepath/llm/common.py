@@ -38,6 +38,17 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def cut_size(df: DataFrame) -> DataFrame:
+    """Like ``cut``, but Spark's estimate of the size is dropped too.
+
+    A checkpoint keeps the estimate of its plan, which every join multiplies:
+    in a loop of joins the number itself outgrows the driver.
+    """
+    spark, kept = df.sparkSession, cut(df)
+    rows = kept._jdf.toJavaRDD()
+    return DataFrame(spark._jsparkSession.createDataFrame(rows, kept._jdf.schema()), spark)
+
+
 def release(spark: SparkSession) -> None:
     """Let Spark delete shuffle files of finished jobs that nothing refers to.
 

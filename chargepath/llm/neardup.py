@@ -33,7 +33,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from chargepath.llm.common import cut, encoded, mix, shingle_set
+from chargepath.llm.common import cut, cut_size, encoded, mix, shingle_set
 
 SYMBOLS, CHUNKS, ERRORS = 32, 8, 1
 #: Pairs up to this distance always share a key.
@@ -159,19 +159,19 @@ def components(edges: DataFrame, nodes: DataFrame) -> DataFrame:
     geometrically.
     """
     labels = nodes.select("id", F.col("id").alias("comp"))
-    edges = cut(edges.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).where("u <> v").distinct())
+    edges = cut_size(edges.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).where("u <> v").distinct())
     while not edges.isEmpty():
-        up = cut(edges.groupBy(F.col("v").alias("c")).agg(F.min("u").alias("p")))
+        up = cut_size(edges.groupBy(F.col("v").alias("c")).agg(F.min("u").alias("p")))
         while True:
             a, b = up.alias("a"), up.alias("b")
-            jumped = cut(a.join(b, F.col("a.p") == F.col("b.c"), "left").select(F.col("a.c"), F.coalesce("b.p", "a.p").alias("p"), F.col("b.p").isNotNull().alias("moved")))
+            jumped = cut_size(a.join(b, F.col("a.p") == F.col("b.c"), "left").select(F.col("a.c"), F.coalesce("b.p", "a.p").alias("p"), F.col("b.p").isNotNull().alias("moved")))
             up = jumped.drop("moved")
             if jumped.where("moved").isEmpty():
                 break
-        labels = cut(labels.join(up, F.col("comp") == F.col("c"), "left").select("id", F.coalesce("p", "comp").alias("comp")))
+        labels = cut_size(labels.join(up, F.col("comp") == F.col("c"), "left").select("id", F.coalesce("p", "comp").alias("comp")))
         for end in ("u", "v"):
             edges = edges.join(up, F.col(end) == F.col("c"), "left").withColumn(end, F.coalesce("p", end)).select("u", "v")
-        edges = cut(edges.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).where("u <> v").distinct())
+        edges = cut_size(edges.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).where("u <> v").distinct())
     return labels
 
 
