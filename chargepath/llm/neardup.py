@@ -14,9 +14,9 @@ passage agree in a key by chance, but not in that.
 
 Pairs inside a key are never all emitted. First each class is compared with
 the nearest leader (lowest class) of its keys, then with the other leaders, and
-only where a key still holds different components are the pairs across them
-compared, behind the signature distance and each pair only in the first key
-that it shares. Each comparison is made on the full shingle sets. Rounds are cut in the shared checkpoint folder.
+only where a key still holds different components are the signatures across
+them compared, block by block; near pairs, each in the first key that it shares,
+leave a block as a list of leaders for each class, never as rows. Each comparison is made on the full shingle sets. Rounds are cut in the shared checkpoint folder.
 
 Null texts and texts without words have the empty set and are linked with
 nothing. A row without doc_id belongs to its class but cannot name it; if no
@@ -41,6 +41,8 @@ MAX_DISTANCE = CHUNKS * (ERRORS + 1) - 1
 #: Four-bit symbols of the longer signature, those looked at first, and the most in which compared pairs differ.
 LONG, SHORT = 512, 128
 NEAR_LONG, NEAR = 144, 50  # at similarity 0.8 they differ in 96 and 24 on average, with a deviation of 8.8 and 4.4
+#: Classes in a block of a key, and leaders and shingles of leaders that a task holds at a time.
+BLOCK, GROUP_LEADS, GROUP_SHINGLES = 512, 64, 4_000_000
 
 
 def _salts(n: int) -> np.ndarray:
@@ -122,33 +124,44 @@ def _keys(classes: DataFrame) -> DataFrame:
     return classes.mapInPandas(keyed, "key long, id long, nth int")
 
 
-def _verify(pairs: DataFrame, texts: DataFrame, width: int, percent: int, chunk: int = 200) -> DataFrame:
-    """pairs(lead, id), lead != id, and texts(id, text) -> those pairs that are similar.
+def _compare(wanted: DataFrame, texts: DataFrame, width: int, percent: int) -> DataFrame:
+    """wanted(home, salt, member, id, leads) and texts(id, text) -> similar pairs (lead, id).
 
-    Both texts of a pair meet by a sort: each leader goes first in its group,
-    its members stream after it, and large groups are dealt over several
-    tasks with a copy of the leader each.
+    A group is all rows of a (home, salt). Its leaders come first (member 0)
+    and their sets stay while the members stream past; ``leads`` names the
+    leaders of the group with which a member is compared.
     """
-    pairs = pairs.withColumn("salt", F.pmod(F.xxhash64("id"), F.ceil(F.count("*").over(Window.partitionBy("lead", F.pmod("id", F.lit(64)))) / chunk)) * 64 + F.pmod("id", F.lit(64)))
-    small = pairs.groupBy("lead").agg(F.count("*").alias("n"))
-    pairs = pairs.join(small, "lead").withColumn("salt", F.when(F.col("n") <= chunk, F.lit(0).cast("long")).otherwise(F.col("salt"))).drop("n")
-    leaders = pairs.select("lead", "salt").distinct().select("lead", "salt", F.lit(0).alias("member"), F.col("lead").alias("id"))
-    wanted = leaders.union(pairs.select("lead", "salt", F.lit(1).alias("member"), "id"))
-    rows = wanted.join(texts, "id").repartition("lead", "salt").sortWithinPartitions("lead", "salt", "member")
+    rows = wanted.join(texts, "id").repartition("home", "salt").sortWithinPartitions("home", "salt", "member")
 
     def compared(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        group, own = None, None
+        group, own = None, {}
         for pdf in batches:
             found = []
-            for lead, salt, member, i, data in zip(pdf["lead"], pdf["salt"], pdf["member"], pdf["id"], encoded(pdf["text"]), strict=True):
+            for home, salt, member, i, leads, data in zip(pdf["home"], pdf["salt"], pdf["member"], pdf["id"], pdf["leads"], encoded(pdf["text"]), strict=True):
+                if group != (home, salt):
+                    group, own = (home, salt), {}
                 s = shingle_set(data, width)
                 if not member:
-                    group, own = (lead, salt), s
-                elif group == (lead, salt) and similar(own, s, percent):
-                    found.append((lead, i))
+                    own[i] = s
+                else:
+                    found += [(lead, i) for lead in leads if lead in own and similar(own[lead], s, percent)]
             yield pd.DataFrame(found, columns=["lead", "id"], dtype="int64")
 
-    return rows.select("lead", "salt", "member", "id", "text").mapInPandas(compared, "lead long, id long")
+    return rows.select("home", "salt", "member", "id", "leads", "text").mapInPandas(compared, "lead long, id long")
+
+
+def _verify(pairs: DataFrame, texts: DataFrame, width: int, percent: int, chunk: int = 200) -> DataFrame:
+    """pairs(lead, id), lead != id, and texts(id, text) -> those pairs that are similar.
+
+    A leader and its members are a group; large groups are dealt over several
+    tasks with a copy of the leader each.
+    """
+    pairs = pairs.withColumn("salt", F.pmod(F.xxhash64("id"), F.ceil(F.count("*").over(Window.partitionBy("lead", F.pmod("id", F.lit(64)))) / chunk)) * 64 + F.pmod("id", F.lit(64)))
+    small = pairs.groupBy("lead").agg(F.count("*").alias("n"))
+    pairs = pairs.join(small, "lead").withColumn("salt", F.when(F.col("n") <= chunk, F.lit(0).cast("long")).otherwise(F.col("salt"))).drop("n")
+    leaders = pairs.select("lead", "salt").distinct().select(F.col("lead").alias("home"), "salt", F.lit(0).alias("member"), F.col("lead").alias("id"), F.array().cast("array<long>").alias("leads"))
+    members = pairs.select(F.col("lead").alias("home"), "salt", F.lit(1).alias("member"), "id", F.array("lead").alias("leads"))
+    return _compare(leaders.union(members), texts, width, percent)
 
 
 def components(edges: DataFrame, nodes: DataFrame) -> DataFrame:
@@ -197,17 +210,95 @@ def _near(percent: int):
     return (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")) & (_distance() <= NEAR)
 
 
-def _first_shared():
-    """The number of the first key that the key symbols qa and qb share."""
-    width, terms = SYMBOLS // CHUNKS, []
-    for n, left_out in enumerate(combinations(range(width), ERRORS)):
-        # Symbol k of a chunk is the k-th field of 16 bits from the top of a long.
-        used = sum(0xFFFF << 16 * (width - 1 - k) for k in range(width) if k not in left_out)
-        mask = F.lit(used - (1 << 64) if used >> 63 else used)
-        for c in range(CHUNKS):
-            differs = F.get("qa", F.lit(c)).bitwiseXOR(F.get("qb", F.lit(c))).bitwiseAND(mask)
-            terms.append(F.when(differs == 0, n * CHUNKS + c))
-    return F.coalesce(*terms)
+def _differing(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Differing four-bit symbols of each row of two arrays of unsigned longs."""
+    x = a ^ b
+    x |= x >> np.uint64(2)
+    x |= x >> np.uint64(1)
+    return np.bitwise_count(x & np.uint64(0x1111111111111111)).sum(axis=1)
+
+
+def first_shared(a: np.ndarray, b: np.ndarray, chunks: int = CHUNKS, errors: int = ERRORS) -> np.ndarray:
+    """For rows of two arrays of key symbols, the number of the first key that both have; -1 without any."""
+    width = a.shape[1] // chunks
+    same = (a == b).reshape(len(a), chunks, width)
+    agree = []
+    for left_out in combinations(range(width), errors):
+        used = [k for k in range(width) if k not in left_out]
+        agree.append(same[:, :, used].all(axis=2))
+    agree = np.concatenate(agree, axis=1)
+    return np.where(agree.any(axis=1), agree.argmax(axis=1), -1)
+
+
+def _whole_groups(batches: Iterator[pd.DataFrame], by: list[str]) -> Iterator[pd.DataFrame]:
+    """The rows of ``batches``, those of equal ``by``, which adjoin, in one frame."""
+    rest = None
+    for pdf in batches:
+        pdf = pdf if rest is None else pd.concat((rest, pdf), ignore_index=True)
+        if len(pdf):
+            names = pdf[by].to_numpy()
+            other = np.flatnonzero((names != names[-1]).any(axis=1))
+            start = other[-1] + 1 if len(other) else 0
+            if start:
+                yield pdf[:start]
+            rest = pdf[start:]
+    if rest is not None:
+        yield rest
+
+
+def _ahead(group: np.ndarray, rows: int = 1 << 16) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """All index pairs i < j of equal group (equal groups adjoin), a bounded number at a time."""
+    starts = np.flatnonzero(np.r_[True, group[1:] != group[:-1]])
+    sizes = np.diff(np.r_[starts, len(group)])
+    behind = np.repeat(starts + sizes, sizes) - np.arange(len(group)) - 1
+    at, step = np.flatnonzero(behind), 1
+    while len(at):
+        for k in range(0, len(at), rows):
+            yield at[k : k + rows], at[k : k + rows] + step
+        step += 1
+        at = at[behind[at] >= step]
+
+
+def _across(members: DataFrame, percent: int) -> DataFrame:
+    """Near pairs of different components, as rows (home, salt, member, id, leads) for ``_compare``.
+
+    members(key, lo, hi, block, nth, first, id, comp, n, sig, home, salt): the
+    classes of a key are dealt into blocks, and a row goes to each pair of
+    blocks (lo, hi) with its own. A pair is taken in the first key that it
+    shares, unless its lower class leads that key: then it was tried before.
+    """
+    by, short = ["key", "lo", "hi"], 2 * SYMBOLS + SHORT // 2
+
+    def found(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in _whole_groups(batches, by):
+            sig = np.frombuffer(b"".join(pdf["sig"]), dtype=np.uint8).reshape(len(pdf), -1)
+            keys = np.ascontiguousarray(sig[:, : 2 * SYMBOLS]).view("<u2")
+            front, back = np.ascontiguousarray(sig[:, 2 * SYMBOLS : short]).view(np.uint64), np.ascontiguousarray(sig[:, short:]).view(np.uint64)
+            block, nth, first, ids, comp, n, home, salt = (pdf[c].to_numpy() for c in ("block", "nth", "first", "id", "comp", "n", "home", "salt"))
+            names = pdf[by].to_numpy()
+            within = names[:, 1] == names[:, 2]
+            group = np.cumsum(np.r_[True, (names[1:] != names[:-1]).any(axis=1)])
+            out = []
+            for i, j in _ahead(group):
+                for test in (
+                    lambda i, j: (comp[i] != comp[j]) & ~(first[i] | first[j]) & (within[i] | (block[i] != block[j])) & (100 * np.minimum(n[i], n[j]) >= percent * np.maximum(n[i], n[j])),
+                    lambda i, j: _differing(front[i], front[j]) <= NEAR,
+                    lambda i, j: _differing(front[i], front[j]) + _differing(back[i], back[j]) <= NEAR_LONG,
+                    lambda i, j: first_shared(keys[i], keys[j]) == nth[i],
+                ):
+                    ok = test(i, j)
+                    i, j = i[ok], j[ok]
+                if len(i):
+                    out.append((np.where(ids[i] < ids[j], i, j), np.where(ids[i] < ids[j], j, i)))
+            if out:
+                i, j = (np.concatenate(x) for x in zip(*out, strict=True))
+                pairs = pd.DataFrame({"home": home[i], "salt": salt[i], "member": np.int32(1), "id": ids[j], "leads": ids[i]})
+                yield pairs.groupby(["home", "salt", "member", "id"], as_index=False).agg({"leads": list})
+                alone = np.unique(i)
+                yield pd.DataFrame({"home": home[alone], "salt": salt[alone], "member": np.int32(0), "id": ids[alone], "leads": [[]] * len(alone)})
+
+    near = members.repartition(*by).sortWithinPartitions(*by).mapInPandas(found, "home long, salt long, member int, id long, leads array<long>")
+    return near.groupBy("home", "salt", "member", "id").agg(F.array_distinct(F.flatten(F.collect_list("leads"))).alias("leads"))
 
 
 def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
@@ -235,26 +326,23 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     rest = cut(_apart(shared.select("id", "lead"), labels).join(tried, ["lead", "id"], "left_anti"))
     if not rest.isEmpty():
         more = cut(_verify(rest, texts, width, percent))
-        edges, tried = edges.union(more), tried.select("lead", "id").union(rest.select("lead", "id"))
+        edges = edges.union(more)
         labels = components(edges.select(F.col("lead").alias("u"), F.col("id").alias("v")), named.select("id"))
     # Keys that still hold several components: compare across them.
-    members = keys.select("key", "id", "nth").join(labels, "id")
-    mixed = members.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("key")
-    members = cut(members.join(mixed, "key").join(sigs, "id"))
+    members = keys.select("key", "id", "nth", (F.col("id") == F.col("lead")).alias("first")).join(labels.join(named.select("id", "n"), "id"), "id")
+    mixed = members.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("many"), F.sum("n").alias("all_n")).where("lo <> hi")
+    members = cut(members.join(mixed.drop("lo", "hi"), "key"))
     if not members.isEmpty():
-        a = members.select("key", "id", F.col("comp").alias("ca"), F.col("s").alias("sa"), F.col("n").alias("na"))
-        b = members.select(F.col("key").alias("_key"), F.col("comp").alias("cb"), F.col("s").alias("sb"), F.col("n").alias("nb"))
-        # Those with any partner go on with their whole signatures.
-        active = a.join(b, (F.col("key") == F.col("_key")) & (F.col("ca") != F.col("cb")) & _near(percent), "left_semi").select("id").distinct()
-        whole = named.select("id", _longs(F.col("sig"), 0, CHUNKS).alias("q"), _longs(F.col("sig"), 2 * SYMBOLS + SHORT // 2, (LONG - SHORT) // 16).alias("t"))
-        members = cut(members.join(whole.join(active, "id"), "id"))
-        a = members.select("key", "nth", F.col("id").alias("lead"), *[F.col(c).alias(f"{c[0]}a") for c in ("comp", "s", "n", "q", "t")])
-        b = members.select(F.col("key").alias("_key"), "id", *[F.col(c).alias(f"{c[0]}b") for c in ("comp", "s", "n", "q", "t")])
-        near = _near(percent) & (_distance() + _distance("ta", "tb", LONG - SHORT) <= NEAR_LONG)
-        across = a.join(b, (F.col("key") == F.col("_key")) & (F.col("lead") < F.col("id")) & (F.col("ca") != F.col("cb")) & near & (_first_shared() == F.col("nth"))).select("lead", "id")
-        across = cut(across.join(tried.select("lead", "id"), ["lead", "id"], "left_anti"))
+        # Compared texts meet at the largest key of their leader, so that few copies of them are sent.
+        parts = F.ceil(F.greatest(F.col("many") / GROUP_LEADS, F.col("all_n") / GROUP_SHINGLES))
+        homes = members.groupBy("id").agg(F.max(F.struct("many", "key", parts.alias("parts"))).alias("x"))
+        whole = named.select("id", "sig").join(homes.select("id", F.col("x.key").alias("home"), F.pmod(F.xxhash64("id", F.lit(1)), F.col("x.parts")).alias("salt")), "id")
+        blocks = F.ceil(F.col("many") / BLOCK)
+        dealt = members.withColumns({"block": F.pmod(F.xxhash64("id"), blocks), "other": F.explode(F.sequence(F.lit(0).cast("long"), blocks - 1))})
+        dealt = dealt.select("key", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"), "block", "nth", "first", "id", "comp", "n").join(whole, "id")
+        across = cut(_across(dealt, percent))
         if not across.isEmpty():
-            edges = edges.union(_verify(across, texts, width, percent))
+            edges = edges.union(_compare(across, texts, width, percent))
             labels = components(edges.select(F.col("lead").alias("u"), F.col("id").alias("v")), named.select("id"))
     # The least doc_id of the whole component.
     classes = named.join(labels, "id").select("cls", "comp", F.when(~F.col("unnamed"), F.col("least")).alias("least"))

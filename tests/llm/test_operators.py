@@ -190,13 +190,47 @@ def test_empty_tables(spark):
     assert decontam.contamination(none, spark.createDataFrame([], "item_id long, text string")).count() == 0
 
 
-def test_first_shared_key_is_the_first_equal_key(spark):
+def test_first_shared_key_is_the_first_equal_key():
     rng = np.random.default_rng(5)
     a = rng.integers(0, 1 << 16, (200, neardup.SYMBOLS), dtype=np.uint16)
-    b = np.where(rng.random(a.shape) < 0.5, a, rng.integers(0, 1 << 16, a.shape, dtype=np.uint16)).astype("<u2")
+    b = np.where(rng.random(a.shape) < 0.5, a, rng.integers(0, 1 << 16, a.shape, dtype=np.uint16))
     same = neardup.chunk_keys(a) == neardup.chunk_keys(b)
-    want = {k: int(row.argmax()) if row.any() else None for k, row in enumerate(same)}
-    rows = spark.createDataFrame([(k, bytearray(x.astype("<u2").tobytes()), bytearray(y.tobytes())) for k, (x, y) in enumerate(zip(a, b, strict=True))], "k int, x binary, y binary")
-    rows = rows.select("k", neardup._longs(F.col("x"), 0, neardup.CHUNKS).alias("qa"), neardup._longs(F.col("y"), 0, neardup.CHUNKS).alias("qb"))
-    assert {r.k: r.first for r in rows.select("k", neardup._first_shared().alias("first")).collect()} == want
+    want = {k: int(row.argmax()) if row.any() else -1 for k, row in enumerate(same)}
+    assert dict(enumerate(neardup.first_shared(a, b).tolist())) == want
     assert len(set(want.values())) > 8
+
+
+def test_pairs_ahead_are_all_pairs_of_a_group():
+    group = np.array([1, 1, 1, 2, 3, 3, 4, 4, 4, 4])
+    got = sorted((int(a), int(b)) for i, j in neardup._ahead(group, 3) for a, b in zip(i, j, strict=True))
+    assert got == [(a, b) for a in range(10) for b in range(a + 1, 10) if group[a] == group[b]]
+
+
+def test_near_duplicates_in_a_dense_group_of_near_misses(spark, monkeypatch):
+    monkeypatch.setattr(neardup, "BLOCK", 7)
+    monkeypatch.setattr(neardup, "GROUP_LEADS", 3)
+    rng = np.random.default_rng(11)
+    # Half of the texts are chained copies, half keep about 0.75 to 0.85 of a common text.
+    base = [f"w{k}" for k in range(120)]
+    texts, last = [], base
+    for k in range(120):
+        words = list(last if k % 2 else base)
+        for at in rng.choice(len(words), 2 if k % 2 else 3 + k % 3, replace=False):
+            words[at] = f"x{k}_{at}"
+        last = words if k % 2 else last
+        texts.append(" ".join(words))
+    sets = [{tuple(t.split()[k : k + 4]) for k in range(117)} for t in texts]
+    comp, links = list(range(120)), 0
+    changed = True
+    while changed:
+        changed = False
+        for a in range(120):
+            for b in range(a):
+                if 100 * len(sets[a] & sets[b]) >= 80 * len(sets[a] | sets[b]):
+                    links += 1
+                    if comp[a] != comp[b]:
+                        comp[a] = comp[b] = min(comp[a], comp[b])
+                        changed = True
+    got = {r.doc_id: r.component_id for r in neardup.link(make(spark, texts), 4).collect()}
+    assert links and 1 < len(set(comp)) < 120
+    assert got == dict(enumerate(comp))
