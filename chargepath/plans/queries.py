@@ -156,25 +156,47 @@ def ring_layers(spark, sf_dir):
 _PAIRS = "SELECT c.node AS point, s.station AS item, (c.x - s.x) * (c.x - s.x) + (c.y - s.y) * (c.y - s.y) AS d2 FROM nodes c, stations s WHERE c.node % 10 = 0"
 
 
-def _points(spark, sf_dir):
+def _points(spark, sf_dir, some: str = "true"):
     g = net(spark, sf_dir)
-    return g, g.nodes.where("node % 10 = 0").withColumnRenamed("node", "point"), g.stations.withColumnRenamed("station", "item")
+    return g, g.nodes.where(some).withColumnRenamed("node", "point"), g.stations.withColumnRenamed("station", "item")
+
+
+#: The nodes and clicks that the SQL of four queries keeps; their forms named _all take every one.
+_TENTH, _TENTH_CLICK = "node % 10 = 0", "event_id % 10 = 0"
 
 
 @query(f"{_G1}, p AS ({_PAIRS}) SELECT * FROM p WHERE d2 <= 36")
 def bins_within(spark, sf_dir):
-    g, points, items = _points(spark, sf_dir)
+    g, points, items = _points(spark, sf_dir, _TENTH)
     return bins.within(points, items, g.grid, 6.0)
 
 
 @query(f"{_G1}, p AS ({_PAIRS}) SELECT * FROM p WHERE d2 <= 36")
 def within_no_index(spark, sf_dir):
-    _, points, items = _points(spark, sf_dir)
+    _, points, items = _points(spark, sf_dir, _TENTH)
     return bins.within_scan(points, items, 6.0)
 
 
 @query(f"{_G1}, p AS ({_PAIRS}) SELECT point, item, d2, rank FROM (SELECT *, (row_number() OVER (PARTITION BY point ORDER BY d2, item))::INTEGER AS rank FROM p) WHERE rank <= 3")
 def bins_knn(spark, sf_dir):
+    g, points, items = _points(spark, sf_dir, _TENTH)
+    return bins.nearest(points, items, g.grid, 3)
+
+
+@query()
+def bins_within_all(spark, sf_dir):
+    g, points, items = _points(spark, sf_dir)
+    return bins.within(points, items, g.grid, 6.0)
+
+
+@query()
+def within_no_index_all(spark, sf_dir):
+    _, points, items = _points(spark, sf_dir)
+    return bins.within_scan(points, items, 6.0)
+
+
+@query()
+def bins_knn_all(spark, sf_dir):
     g, points, items = _points(spark, sf_dir)
     return bins.nearest(points, items, g.grid, 3)
 
@@ -439,13 +461,22 @@ def request_sessions(spark, sf_dir):
     return traffic.request_sessions(fixtures.table(spark, sf_dir, "events")).withColumn("start", F.col("start").cast("timestamp_ntz"))
 
 
-@query(f"SELECT c.event_id AS id, c.user_id * 613 % (SELECT count(*) FROM customer) AS node, (SELECT p.slowdown FROM {_EVENTS} p WHERE p.node = c.user_id * 613 % (SELECT count(*) FROM customer) AND p.ts <= c.ts ORDER BY p.ts DESC, p.event_id DESC LIMIT 1) AS slowdown FROM events c WHERE event_type = 'click' AND event_id % 10 = 0")
-def traffic_asof(spark, sf_dir):
-    events = fixtures.table(spark, sf_dir, "events").where("event_type = 'click' AND event_id % 10 = 0")
+def _clicks_asof(spark, sf_dir, some: str = "true"):
+    events = fixtures.table(spark, sf_dir, "events").where("event_type = 'click'").where(some)
     n = fixtures.size(spark, sf_dir)[0]
     return traffic.as_of(events.select(F.col("event_id").alias("id"), F.col("ts").cast("timestamp").alias("ts"), (F.col("user_id") * 613 % n).alias("node")), _probes(spark, sf_dir))
 
 
+@query(f"SELECT c.event_id AS id, c.user_id * 613 % (SELECT count(*) FROM customer) AS node, (SELECT p.slowdown FROM {_EVENTS} p WHERE p.node = c.user_id * 613 % (SELECT count(*) FROM customer) AND p.ts <= c.ts ORDER BY p.ts DESC, p.event_id DESC LIMIT 1) AS slowdown FROM events c WHERE event_type = 'click' AND event_id % 10 = 0")
+def traffic_asof(spark, sf_dir):
+    return _clicks_asof(spark, sf_dir, _TENTH_CLICK)
+
+
+@query()
+def traffic_asof_all(spark, sf_dir):
+    return _clicks_asof(spark, sf_dir)
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The corner trip on the smallest tables: Q = 5000, three candidates."""
     return corner(spark, sf_dir, TripOptions(capacity=5000, n=3)).solution.drop("path")
