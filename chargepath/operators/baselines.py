@@ -1,6 +1,7 @@
 """Baselines and exact answers that the planner is measured against."""
 
 from collections.abc import Iterator
+from functools import reduce
 
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -8,7 +9,7 @@ from pyspark.sql import functions as F
 
 from chargepath.operators import search
 from chargepath.operators.planner import SOURCE, TARGET, Net
-from chargepath.operators.search import cut
+from chargepath.operators.search import cut, cut_size
 
 
 def exact_optimum(net: Net, trips: DataFrame, capacity: int) -> DataFrame:
@@ -69,27 +70,30 @@ def enumerate_chains(edges: DataFrame) -> DataFrame:
     return done.groupBy("trip").agg(F.min("cost").alias("cost"))
 
 
-def greedy_trip(net: Net, trips: DataFrame, capacity: int, max_stops: int = 64) -> DataFrame:
-    """trip, cost, stops: always on to the reachable station nearest to the target, if that comes nearer."""
+def greedy_trip(net: Net, trips: DataFrame, capacity: int) -> DataFrame:
+    """trip, cost, stops: always on to the reachable station nearest to the target, if that comes nearer.
+
+    What is left falls with every stop, so each trip arrives or finds no nearer
+    station, and the rounds end.
+    """
     back = search.reach(net.edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "weight"), trips.select(F.col("target").alias("run"), F.col("target").alias("source"), F.lit(None).cast("long").alias("radius")).distinct())
     left = cut(back.select(F.col("run").alias("target"), "node", F.col("dist").alias("rest")))
     sites = net.stations.groupBy("node").agg(F.min("station").alias("station"))
     state = trips.select("trip", "source", "target", F.col("source").alias("at"), F.lit(0).cast("long").alias("cost"), F.lit(0).alias("stops"))
-    done = None
-    for _ in range(max_stops):
-        state = cut(state)
-        if state.isEmpty():
-            break
+    done = []
+    while True:
+        state = cut_size(state)
+        if state.isEmpty() and done:
+            return reduce(DataFrame.unionByName, done)
         here = state.join(left.withColumnRenamed("node", "at"), ["target", "at"])
         arrived = here.where(F.col("rest") <= capacity).select("trip", (F.col("cost") + F.col("rest")).alias("cost"), "stops")
-        done = arrived if done is None else done.unionByName(arrived)
+        done.append(cut(arrived))
         far = here.where(F.col("rest") > capacity)
         runs = far.select(F.col("at").alias("run"), F.col("at").alias("source"), F.lit(capacity).alias("radius")).distinct()
         hops = search.reach(net.edges, runs, net=net.load()).join(sites, "node").select(F.col("run").alias("at"), F.col("node").alias("to"), "dist", "station")
         nxt = far.join(hops, "at").join(left.select("target", F.col("node").alias("to"), F.col("rest").alias("after")), ["target", "to"]).where("after < rest")
         pick = nxt.groupBy("trip", "source", "target").agg(F.min(F.struct("after", "station", "to", (F.col("cost") + F.col("dist")).alias("c"), "stops")).alias("m"))
         state = pick.select("trip", "source", "target", F.col("m.to").alias("at"), F.col("m.c").alias("cost"), (F.col("m.stops") + 1).alias("stops"))
-    return done
 
 
 __all__ = ["SOURCE", "TARGET", "enumerate_chains", "exact_optimum", "greedy_trip"]

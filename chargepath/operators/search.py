@@ -31,6 +31,13 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def cut_size(df: DataFrame) -> DataFrame:
+    """Like ``cut``, but without Spark's estimate of the size, which every join
+    of a loop multiplies until the number itself outgrows the driver."""
+    spark, kept = df.sparkSession, cut(df)
+    return DataFrame(spark._jsparkSession.createDataFrame(kept._jdf.toJavaRDD(), kept._jdf.schema()), spark)
+
+
 class Network:
     """Adjacency in three arrays: sorted sources, targets, weights."""
 
@@ -251,7 +258,7 @@ def _frontier_reach(edges: DataFrame, runs: DataFrame, every: int = 4) -> DataFr
         new = new.select("run", F.col("dst").alias("node"), (F.col("dist") + F.col("weight")).alias("dist"), "radius").where("radius IS NULL OR dist <= radius")
         new = new.groupBy("run", "node").agg(F.min("dist").alias("dist")).select("run", "node", "dist", F.lit(k + 1).alias("born"))
         merged = state.unionByName(new).groupBy("run", "node").agg(F.min(F.struct("dist", "born")).alias("s"))
-        state = cut(merged.select("run", "node", "s.dist", "s.born"))
+        state = cut_size(merged.select("run", "node", "s.dist", "s.born"))
         k += 1
         if state.where(F.col("born") == k).isEmpty():
             break
