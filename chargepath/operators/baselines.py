@@ -25,7 +25,7 @@ def exact_optimum(net: Net, trips: DataFrame, capacity: int) -> DataFrame:
     own = net.stations.select(F.col("node").alias("src")).distinct()
     between = search.load(arcs.join(own, "src").select("src", "dst", "weight"))
     if between is None:
-        raise ValueError("too many arcs for the exact model")
+        return _frontier_optimum(arcs, own, trips)
     starts = arcs.select(F.col("src").alias("source"), F.struct("dst", "weight").alias("a")).groupBy("source").agg(F.collect_list("a").alias("starts"))
     rows = trips.join(starts, "source", "left")
 
@@ -57,6 +57,22 @@ def exact_optimum(net: Net, trips: DataFrame, capacity: int) -> DataFrame:
     return rows.select("trip", "source", "target", "starts").mapInPandas(solved, "trip long, cost long")
 
 
+def _frontier_optimum(arcs: DataFrame, own: DataFrame, trips: DataFrame) -> DataFrame:
+    """The same by frontier rounds, for arcs over the broadcast bound.
+
+    Nodes are doubled; a source gets an odd name of its own, so that its first
+    arcs are open to its trips only.
+    """
+    twice = arcs.select("src", (2 * F.col("dst")).alias("dst"), "weight")
+    between = twice.join(own, "src").select((2 * F.col("src")).alias("src"), "dst", "weight")
+    first = twice.join(trips.select(F.col("source").alias("src")).distinct(), "src").select((2 * F.col("src") + 1).alias("src"), "dst", "weight")
+    far = trips.where("source <> target").select("trip", (2 * F.col("source") + 1).alias("source"), (2 * F.col("target")).alias("node"))
+    runs = far.select(F.col("source").alias("run"), "source", F.lit(None).cast("long").alias("radius")).distinct()
+    found = search.reach(between.unionByName(first), runs, "frontier").select(F.col("run").alias("source"), "node", "dist")
+    there = far.join(found, ["source", "node"]).select("trip", F.col("dist").alias("cost"))
+    return there.unionByName(trips.where("source = target").select("trip", F.lit(0).cast("long").alias("cost")))
+
+
 def enumerate_chains(edges: DataFrame) -> DataFrame:
     """trip, cost of the best of all station combinations; what the process graph
     saves. For small n and m only: rows grow as n to the power of m."""
