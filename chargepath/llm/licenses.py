@@ -63,11 +63,11 @@ def scan(docs: DataFrame, known: dict[str, str] = KNOWN) -> DataFrame:
     facts = known_digests(spark, known)
     heads = [canonical(F.lit(body)) for body in known.values()]
     prefix = spark.range(1).select(*[F.substring(h, 1, 12).alias(f"c{k}") for k, h in enumerate(heads)]).first()
-    # A line can only be known if it holds the first letters of a known text.
+    # A canonical line can only be known if it starts with the first letters of a known one.
     hint = "|".join(sorted({p.split(" ")[0] for p in prefix}))
     text = F.coalesce(F.col("text"), F.lit(""))
-    lines = F.array_distinct(F.filter(F.split(text, "\n"), lambda x: F.lower(x).rlike(f"^[^a-z0-9]*({hint})")))
-    marked = docs.withColumns({"_digest": F.sha2(canonical(F.col("text")), 256), "_lines": F.array_distinct(F.transform(lines, lambda x: F.sha2(canonical(x), 256)))})
+    lines = F.filter(F.transform(F.array_distinct(F.split(text, "\n")), canonical), lambda x: x.rlike(f"^({hint})"))
+    marked = docs.withColumns({"_digest": F.sha2(canonical(F.col("text")), 256), "_lines": F.array_distinct(F.transform(lines, lambda x: F.sha2(x, 256)))})
     # The known list is a constant of a few rows, so it rides along as a map.
     pairs = facts.collect()
     lookup = F.create_map(*[F.lit(v) for r in pairs for v in (r.digest, r.license)])

@@ -173,6 +173,12 @@ def test_licenses(spark):
     assert got[0][0] == "MIT" and got[1][0] == "ISC" and got[2] == (None, "notice:MIT") and got[3] == got[4] == (None, "")
 
 
+def test_notices_in_other_spellings(spark):
+    lines = ["Licenced under the Apache License, Version 2.0.", "  * LICENCED under CC BY 4.0.", "é Licensed under CC BY 4.0."]
+    got = [r.notices for r in licenses.scan(make(spark, [f"text\n{x}\nmore" for x in lines])).orderBy("doc_id").collect()]
+    assert got == ["notice:Apache-2.0", "notice:CC-BY-4.0", ""]
+
+
 def test_toxicity_learns_stems():
     rows = [(f"the day is fine {k}", 0) for k in range(60)] + [(f"you are such an idiot {k}", 1) for k in range(20)]
     g = toxicity.fit(rows)
