@@ -38,8 +38,8 @@ def corner(spark: SparkSession, sf_dir: str, opts: TripOptions = CORNER) -> plan
     return planner.plan_trips(net(spark, sf_dir), fixtures.corner_trip(spark, sf_dir), opts)
 
 
-def batch(spark: SparkSession, sf_dir: str, opts: TripOptions = BATCH) -> planner.Plan:
-    return planner.plan_trips(net(spark, sf_dir), fixtures.batch_trips(spark, sf_dir), opts)
+def batch(spark: SparkSession, sf_dir: str, opts: TripOptions = BATCH, trips=fixtures.batch_trips) -> planner.Plan:
+    return planner.plan_trips(net(spark, sf_dir), trips(spark, sf_dir), opts)
 
 
 _CORNER = oracle.plan(oracle.CORNER, CORNER.capacity, CORNER.n)
@@ -221,8 +221,8 @@ def _sssp_sql(radius: str = "NULL", edges: str = "edges") -> str:
     return f"{_G1}, {oracle.BATCH}, rev AS (SELECT dst AS src, src AS dst, weight FROM edges), {_SOURCES.format(radius=radius)}, {oracle.reach('d', 'src3', edges)}, {oracle.tight('p', 'd', edges)} SELECT run, node, dist, pred FROM p"
 
 
-def _runs(spark, sf_dir, radius=None):
-    return fixtures.batch_trips(spark, sf_dir).select(F.col("trip").alias("run"), "source", F.lit(radius).cast("long").alias("radius"))
+def _runs(spark, sf_dir, trips, radius=None):
+    return trips(spark, sf_dir).select(F.col("trip").alias("run"), "source", F.lit(radius).cast("long").alias("radius"))
 
 
 @query(f"{_G1}, one AS (SELECT 0::BIGINT AS run, 0::BIGINT AS source, NULL AS radius), {oracle.reach('d', 'one')}, {oracle.tight('p', 'd')} SELECT run, node, dist, pred FROM p")
@@ -231,43 +231,43 @@ def sssp_full(spark, sf_dir):
 
 
 @query(_sssp_sql())
-def sssp_multi_source(spark, sf_dir):
-    return search.reach(fixtures.edges(spark, sf_dir), _runs(spark, sf_dir))
+def sssp_multi_source(spark, sf_dir, trips=fixtures.sample_trips):
+    return search.reach(fixtures.edges(spark, sf_dir), _runs(spark, sf_dir, trips))
 
 
 @query(_sssp_sql("2000"))
-def sssp_bounded(spark, sf_dir):
-    return search.reach(fixtures.edges(spark, sf_dir), _runs(spark, sf_dir, 2000))
+def sssp_bounded(spark, sf_dir, trips=fixtures.sample_trips):
+    return search.reach(fixtures.edges(spark, sf_dir), _runs(spark, sf_dir, trips, 2000))
 
 
 @query(_sssp_sql("2000"))
-def sssp_bounded_disk(spark, sf_dir):
-    return search.reach(fixtures.edges(spark, sf_dir), _runs(spark, sf_dir, 2000), "disk", fixtures.nodes(spark, sf_dir))
+def sssp_bounded_disk(spark, sf_dir, trips=fixtures.sample_trips):
+    return search.reach(fixtures.edges(spark, sf_dir), _runs(spark, sf_dir, trips, 2000), "disk", fixtures.nodes(spark, sf_dir))
 
 
 @query(_sssp_sql("2000"))
-def sssp_bounded_frontier(spark, sf_dir):
-    return search.reach(fixtures.edges(spark, sf_dir), _runs(spark, sf_dir, 2000), "frontier")
+def sssp_bounded_frontier(spark, sf_dir, trips=fixtures.sample_trips):
+    return search.reach(fixtures.edges(spark, sf_dir), _runs(spark, sf_dir, trips, 2000), "frontier")
 
 
 @query(_sssp_sql(edges="rev"))
-def sssp_reverse(spark, sf_dir):
-    return search.reach(network.reverse(fixtures.edges(spark, sf_dir)), _runs(spark, sf_dir))
+def sssp_reverse(spark, sf_dir, trips=fixtures.sample_trips):
+    return search.reach(network.reverse(fixtures.edges(spark, sf_dir)), _runs(spark, sf_dir, trips))
 
 
 @query(f"{_G1}, {oracle.BATCH}, {_SOURCES.format(radius='NULL')}, {oracle.reach('d', 'src3')} SELECT trip AS run, target, dist AS cost FROM trips JOIN d ON d.run = trip AND node = target")
-def astar_cost(spark, sf_dir):
-    trips = fixtures.batch_trips(spark, sf_dir)
+def astar_cost(spark, sf_dir, trips=fixtures.sample_trips):
+    trips = trips(spark, sf_dir)
     runs = trips.select(F.col("trip").alias("run"), "source", F.array("target").alias("targets"), F.lit(None).cast("long").alias("radius"))
     return search.paths(fixtures.edges(spark, sf_dir), runs, fixtures.nodes(spark, sf_dir)).select("run", "target", "cost")
 
 
 @query(f"{_G1}, {oracle.BATCH}, {_SOURCES.format(radius='NULL')}, {oracle.reach('d', 'src3')} SELECT trip AS run, target, dist AS cost FROM trips JOIN d ON d.run = trip AND node = target")
-def bidirectional_cost(spark, sf_dir):
+def bidirectional_cost(spark, sf_dir, trips=fixtures.sample_trips):
     """The goal-directed search from both ends, a baseline."""
     import pandas as pd
 
-    edges, trips = fixtures.edges(spark, sf_dir), fixtures.batch_trips(spark, sf_dir)
+    edges, trips = fixtures.edges(spark, sf_dir), trips(spark, sf_dir)
     there, back = search.load(edges), search.load(network.reverse(edges))
     if there is None or back is None:  # over the broadcast bound: rounds from the sources
         runs = trips.select(F.col("source").alias("run"), "source", F.lit(None).cast("long").alias("radius")).distinct()
@@ -369,13 +369,13 @@ def plan_aggregated(spark, sf_dir):
 
 
 @query(_BATCH + "SELECT t.trip, CASE WHEN c.trip IS NOT NULL THEN 'ok' WHEN g.trip IS NOT NULL THEN 'no_leg_chain' WHEN w.trip IS NOT NULL THEN 'no_candidate' ELSE 'no_path' END AS status, c.cost, w.cost AS direct FROM trips t LEFT JOIN total w USING (trip) LEFT JOIN good g USING (trip) LEFT JOIN (SELECT trip, sum(cost)::BIGINT AS cost FROM chain GROUP BY trip) c USING (trip)")
-def plan_batch(spark, sf_dir):
-    return measures.trip_report(batch(spark, sf_dir)).select("trip", "status", "cost", "direct")
+def plan_batch(spark, sf_dir, trips=fixtures.sample_trips):
+    return measures.trip_report(batch(spark, sf_dir, trips=trips)).select("trip", "status", "cost", "direct")
 
 
 @query(oracle.plan(oracle.BATCH, 8000, 3) + "SELECT t.trip, CASE WHEN c.trip IS NOT NULL THEN 'ok' WHEN g.trip IS NOT NULL THEN 'no_leg_chain' WHEN w.trip IS NOT NULL THEN 'no_candidate' ELSE 'no_path' END AS status FROM trips t LEFT JOIN total w USING (trip) LEFT JOIN good g USING (trip) LEFT JOIN (SELECT DISTINCT trip FROM chain) c USING (trip)")
-def plan_infeasible(spark, sf_dir):
-    return batch(spark, sf_dir, replace(BATCH, capacity=8000, n=3)).status
+def plan_infeasible(spark, sf_dir, trips=fixtures.sample_trips):
+    return batch(spark, sf_dir, replace(BATCH, capacity=8000, n=3), trips).status
 
 
 _EXACT = f"""{_G1}, {{trips}}, places AS (SELECT node FROM stations UNION SELECT source FROM trips UNION SELECT target FROM trips),
@@ -388,14 +388,14 @@ SELECT t.trip, d.dist AS cost FROM trips t JOIN de d ON d.run = t.trip AND d.nod
 
 
 @query(_EXACT.format(trips=oracle.BATCH, q=BATCH.capacity))
-def exact_optimum(spark, sf_dir):
-    return baselines.exact_optimum(net(spark, sf_dir), fixtures.batch_trips(spark, sf_dir), BATCH.capacity)
+def exact_optimum(spark, sf_dir, trips=fixtures.sample_trips):
+    return baselines.exact_optimum(net(spark, sf_dir), trips(spark, sf_dir), BATCH.capacity)
 
 
 @query(_BATCH + "SELECT trip, sum(cost)::BIGINT AS cost FROM chain GROUP BY trip")
-def brute_force(spark, sf_dir):
+def brute_force(spark, sf_dir, trips=fixtures.sample_trips):
     """All station combinations; the same costs as the process graph gives."""
-    return baselines.enumerate_chains(batch(spark, sf_dir).edges)
+    return baselines.enumerate_chains(batch(spark, sf_dir, trips=trips).edges)
 
 
 @query()
@@ -481,6 +481,19 @@ def traffic_asof_all(spark, sf_dir):
     return _clicks_asof(spark, sf_dir)
 
 
+def _over_all_trips(f):
+    def whole(spark, sf_dir):
+        return f(spark, sf_dir, fixtures.batch_trips)
+
+    whole.__name__, whole.__doc__ = f"{f.__name__}_all", f.__doc__
+    return whole
+
+
+# The SQL of these plans the sample only; the forms named _all take every urgent order.
+for _f in (sssp_multi_source, sssp_bounded, sssp_bounded_disk, sssp_bounded_frontier, sssp_reverse, astar_cost, bidirectional_cost, plan_batch, plan_infeasible, exact_optimum, brute_force):
+    query()(_over_all_trips(_f))
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The corner trip on the smallest tables: Q = 5000, three candidates."""
     return corner(spark, sf_dir, TripOptions(capacity=5000, n=3)).solution.drop("path")

@@ -60,12 +60,18 @@ def corner_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def batch_trips(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """trip, source, target of every urgent order."""
     n, _, _ = size(spark, sf_dir)
-    rows = table(spark, sf_dir, "orders").where((F.col("o_orderpriority") == "1-URGENT") & (F.col("o_orderkey") < 200))
+    rows = table(spark, sf_dir, "orders").where(F.col("o_orderpriority") == "1-URGENT")
     rows = rows.select(F.col("o_orderkey").alias("trip"), F.col("o_custkey").alias("source"), ((31 * F.col("o_custkey") + 17 * F.col("o_orderkey") + 7) % n).alias("target"))
     return rows.where("source <> target")
 
 
+def sample_trips(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The few trips of the batch that the oracle SQL plans."""
+    return batch_trips(spark, sf_dir).where("trip < 200")
+
+
 def segments(spark: SparkSession, sf_dir: str) -> DataFrame:
     """a, b, road_class, direction, weight of the order network."""
     n, w, _ = size(spark, sf_dir, "orders")
@@ -88,4 +94,4 @@ def points(spark: SparkSession, sf_dir: str) -> DataFrame:
     return table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("node"), e[0].cast("double").alias("x"), e[1].cast("double").alias("y"))
 
 
-__all__ = ["batch_trips", "cents", "corner_trip", "edges", "nodes", "order_nodes", "points", "segments", "size", "stations", "table"]
+__all__ = ["batch_trips", "cents", "corner_trip", "edges", "nodes", "order_nodes", "points", "sample_trips", "segments", "size", "stations", "table"]
