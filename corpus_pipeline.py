@@ -27,15 +27,18 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near copies: shingles of five words, similarity 0.8 or more."""
-    linked = neardup.link(docs.select("doc_id", "text"), width=5, percent=80)
-    kept = linked.where("kept").select("doc_id").distinct()
-    once = docs.join(kept, docs["doc_id"].eqNullSafe(kept["doc_id"]), "left_semi")
-    repeated = cut(once.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1 AND doc_id IS NOT NULL").select("doc_id"))
-    if repeated.isEmpty():
-        return once
-    # Rows that repeat an id: one row stays of those with that id.
-    rest = once.join(repeated, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return once.join(repeated, "doc_id", "left_anti").unionByName(rest)
+    odd = docs.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1 OR doc_id IS NULL")
+    if odd.isEmpty():
+        return _kept_rows(docs, "doc_id")
+    # Ids that are missing or repeated: rows are numbered in the order of ids, those without one last.
+    rows = cut(docs.orderBy(F.col("doc_id").asc_nulls_last(), "text").withColumn("_row", F.monotonically_increasing_id()))
+    return _kept_rows(rows, "_row").select(*docs.columns)
+
+
+def _kept_rows(docs: DataFrame, key: str) -> DataFrame:
+    """The rows that stay; each has its own key."""
+    linked = neardup.link(docs.select(F.col(key).alias("doc_id"), "text"), width=5, percent=80)
+    return docs.join(linked.where("kept").select(F.col("doc_id").alias(key)), key, "left_semi").select(*docs.columns)
 
 
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -7,6 +7,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+import corpus_pipeline
 from chargepath.llm import decontam, licenses, mixing, neardup, pii, quality, substrings, tokens, toxicity, urls
 
 WORDS = re.compile("[^\x20\x09-\x0d]+")
@@ -240,3 +241,11 @@ def test_near_duplicates_in_a_dense_group_of_near_misses(spark, monkeypatch):
     got = {r.doc_id: r.component_id for r in neardup.link(make(spark, texts), 4).collect()}
     assert links and 1 < len(set(comp)) < 120
     assert got == dict(enumerate(comp))
+
+
+def test_near_duplicate_stage_keeps_one_row_of_each_group(spark):
+    a, b, c, d = (" ".join(f"{x}{k}" for k in range(60)) for x in "abcd")
+    rows = [(1, a), (1, b), (1, b + " more"), (2, c), (3, c), (None, a), (None, d), (None, d), (None, None), (4, "")]
+    docs = spark.createDataFrame([(k, t, "en", "s", len(t or "")) for k, t in rows], SCHEMA)
+    got = sorted(((r.doc_id, r.text) for r in corpus_pipeline.near_duplicate_stage(spark, docs, "").collect()), key=repr)
+    assert got == sorted([(1, a), (1, b), (2, c), (None, d), (None, None), (4, "")], key=repr)
