@@ -302,7 +302,13 @@ def _across(members: DataFrame, percent: int) -> DataFrame:
 
 
 def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
-    """docs -> (doc_id, n_shingles, component_id, kept), one row for each row of docs."""
+    """docs -> (doc_id, n_shingles, component_id, kept), one row for each row of docs.
+
+    The keys and the limits of the longer signature are made for a similarity of
+    80 percent; below it they would drop similar pairs.
+    """
+    if percent < 80:
+        raise ValueError("percent must be 80 or more")
     rows = cut(sketches(docs, ["doc_id"], width))
     # A class is named by its least doc_id; where it has none, by a negative hash of its set.
     named = rows.where("cls IS NOT NULL").groupBy("cls").agg(F.min("doc_id").alias("least"), F.min("sig").alias("sig"), F.min("n_shingles").alias("n"))

@@ -58,6 +58,11 @@ def test_near_duplicates_with_missing_and_repeated_ids(spark):
     assert len(got) == 5 and (4, 4, True) in got and got.count((None, 4, False)) == 2 and (None, None, True) in got
 
 
+def test_near_duplicates_refuse_a_similarity_they_would_miss(spark):
+    with pytest.raises(ValueError):
+        neardup.link(make(spark, ["a b c d e"]), 4, percent=79)
+
+
 def test_substrings_equal_brute_force(spark, texts):
     data = [(t or "").encode() for t in texts]
     seen = collections.Counter(d[k : k + 200] for d in data for k in range(len(d) - 199))
