@@ -66,7 +66,7 @@ STAGES = [
     ("personal data", pii_stage),
     ("mixing", mix_stage),
 ]
-#: MinHash joins and masked spans have no SQL form; tests/llm has the brute-force version.
+#: MinHash joins and masked spans have no SQL form.
 ORACLE_SQL = None
 
 
