@@ -10,13 +10,12 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from xxhash import xxh3_64_intdigest
 
 #: Java and RE2 class of the white space that parts words.
 SPACE = "[\\x20\\x09-\\x0D]"
 #: ASCII upper case to lower case, all other bytes as they are.
 LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
-_BLANK = np.zeros(256, dtype=bool)
-_BLANK[[9, 10, 11, 12, 13, 32]] = True
 _BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
 
 
@@ -28,12 +27,14 @@ def cut(df: DataFrame) -> DataFrame:
     """The same rows, written to the shared checkpoint folder, with no lineage.
 
     The folder is the session's ``spark.checkpoint.dir``; only where that is
-    unset (tests on one machine) is a temporary folder taken.
+    unset on one machine (tests) is a temporary folder taken.
     """
     spark = df.sparkSession
     context = spark.sparkContext
     if context._jsc.sc().getCheckpointDir().isEmpty():
         folder = spark.conf.get("spark.checkpoint.dir", None)
+        if folder is None and not context.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         context.setCheckpointDir(folder or tempfile.mkdtemp(prefix="chargepath-"))
     return df.checkpoint(eager=True)
 
@@ -61,12 +62,16 @@ def release(spark: SparkSession) -> None:
         spark.sparkContext._jvm.System.gc()
 
 
-def fresh(df: DataFrame, name: str) -> str:
-    """``name``, with underscores until no column of df has it."""
-    taken = {c.lower() for c in df.columns}
-    while name.lower() in taken:
-        name = f"_{name}"
-    return name
+def boxed(df: DataFrame, **columns) -> DataFrame:
+    """Each row as a struct named ``row``, beside the given columns: no name of df can clash with theirs."""
+    return df.select(F.struct(*[F.col(f"`{c}`") for c in df.columns]).alias("row"), *[c.alias(name) for name, c in columns.items()])
+
+
+def unboxed(df: DataFrame, **outputs) -> DataFrame:
+    """The columns of ``row`` and the outputs; an output replaces a column of its name."""
+    taken = {name.lower() for name in outputs}
+    own = [f.name for f in df.schema["row"].dataType.fields if f.name.lower() not in taken]
+    return df.select(*[F.col(f"row.`{c}`").alias(c) for c in own], *[c.alias(name) for name, c in outputs.items()])
 
 
 def encoded(texts: pd.Series) -> list[bytes]:
@@ -113,12 +118,7 @@ def span_hash(prefix: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nd
 
 def word_hashes(data: bytes) -> np.ndarray:
     """One 64-bit hash for each white-space separated word of data."""
-    raw = np.frombuffer(data, dtype=np.uint8)
-    if not len(raw):
-        return np.zeros(0, dtype=np.uint64)
-    inside = np.r_[False, ~_BLANK[raw], False]
-    edges = np.flatnonzero(inside[1:] != inside[:-1])
-    return span_hash(prefix_hash(raw), edges[::2], edges[1::2])
+    return np.fromiter(map(xxh3_64_intdigest, data.split()), dtype=np.uint64)
 
 
 def shingle_set(data: bytes, width: int) -> np.ndarray:
@@ -143,8 +143,3 @@ def worker_cache() -> dict:
 
 
 _CACHE: dict = {}
-
-
-def digest_columns(text):
-    """Two 64-bit hashes of a string column, to be used together."""
-    return F.xxhash64(text, F.lit(1)).alias("h1"), F.xxhash64(text, F.lit("z")).alias("h2")

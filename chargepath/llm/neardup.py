@@ -1,30 +1,36 @@
 """Near-duplicate classes by a multi-index Hamming join over MinHash signatures.
 
-A text becomes a set of word shingles; equal sets are one class from the
-start. A class has a signature of ``symbols`` b-bit MinHash values, split into
-chunks. By the pigeonhole principle, two signatures that differ in at most
-``chunks * (errors + 1) - 1`` symbols agree in some chunk up to ``errors``
-symbols; the allowed errors are enumerated by leaving each combination of
-symbols out, so such pairs always share a key. With 32 symbols, 8 chunks and
-one error that covers a distance of 15 of 32, where a pair of similarity 0.8
-lies at 6.4 on average with a deviation of 2.3. Pairs that share a key must
-also be near in a longer signature of 512 four-bit symbols, whose first 128
-are looked at first, before their texts are read: texts that share one common
-passage agree in a key by chance, but not in that.
+A text becomes a set of word shingles; texts of equal word sequences are one
+class from the start. A class has a signature of ``symbols`` b-bit MinHash
+values, split into chunks. By the pigeonhole principle, two signatures that
+differ in at most ``chunks * (errors + 1) - 1`` symbols agree in some chunk up
+to ``errors`` symbols; the allowed errors are enumerated by leaving each
+combination of symbols out, so such pairs always share a key. With 32 symbols,
+8 chunks and one error that covers a distance of 15 of 32, where a pair of
+similarity 0.8 lies at 6.4 on average with a deviation of 2.3. Every pair
+within that distance is compared. A pair beyond it that shares a key all the
+same is compared too if it is near in a longer signature of 512 four-bit
+symbols, whose first 128 are looked at first; that finds pairs of similarity
+0.8 which the distance alone would miss, about one in seven thousand.
 
 Pairs inside a key are never all emitted. First each class is compared with
 the nearest leader (lowest class) of its keys, then with the other leaders, and
 only where a key still holds different components are the signatures across
 them compared, block by block; near pairs, each in the first key that it shares,
-leave a block as a list of leaders for each class, never as rows. Each comparison is made on the full shingle sets. Rounds are cut in the shared checkpoint folder.
+leave a block as a list of leaders for each class, never as rows. Texts are
+compared by the hashes of their shingles, and what these call similar is
+confirmed on the words themselves. Rounds are cut in the shared checkpoint
+folder.
 
 Null texts and texts without words have the empty set and are linked with
 nothing. A row without doc_id belongs to its class but cannot name it; if no
 row of a component has one, component_id is null and all its rows are kept.
 Repeated rows and ids are in one class or two as their texts say. Very long
-texts are read whole; tables without rows give no rows.
+texts are read whole; tables without rows give no rows. Only doc_id and text
+are read, so other columns can't clash.
 """
 
+import hashlib
 from collections.abc import Iterator
 from itertools import combinations
 
@@ -33,16 +39,18 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from chargepath.llm.common import cut, cut_size, encoded, mix, shingle_set
+from chargepath.llm.common import LOWER, cut, cut_size, encoded, mix, shingle_set
 
 SYMBOLS, CHUNKS, ERRORS = 32, 8, 1
 #: Pairs up to this distance always share a key.
 MAX_DISTANCE = CHUNKS * (ERRORS + 1) - 1
-#: Four-bit symbols of the longer signature, those looked at first, and the most in which compared pairs differ.
+#: Four-bit symbols of the longer signature, those looked at first, and the most in which pairs beyond that distance may differ.
 LONG, SHORT = 512, 128
 NEAR_LONG, NEAR = 144, 50  # at similarity 0.8 they differ in 96 and 24 on average, with a deviation of 8.8 and 4.4
-#: Classes in a block of a key, and leaders and shingles of leaders that a task holds at a time.
-BLOCK, GROUP_LEADS, GROUP_SHINGLES = 512, 64, 4_000_000
+#: Classes in a block of a key; leaders, their shingles and members of a group that a task compares.
+BLOCK, GROUP_LEADS, GROUP_SHINGLES, GROUP_MEMBERS = 512, 64, 1_000_000, 512
+#: Words of confirmed texts that are held at a time.
+CONFIRM_WORDS = 2_000_000
 
 
 def _salts(n: int) -> np.ndarray:
@@ -81,14 +89,68 @@ def chunk_keys(signatures: np.ndarray, chunks: int = CHUNKS, errors: int = ERROR
     return np.concatenate(out, axis=1).view(np.int64)
 
 
-def similar(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
-    """Whether 100 * |a & b| >= percent * |a | b| for sorted distinct arrays."""
-    if not len(a) or not len(b) or 100 * min(len(a), len(b)) < percent * max(len(a), len(b)):
-        return False
-    both = np.concatenate((a, b))
-    both.sort(kind="stable")
-    shared = int((both[1:] == both[:-1]).sum())
-    return 100 * shared >= percent * (len(a) + len(b) - shared)
+def shingles_of(data: bytes, width: int) -> frozenset:
+    """The word shingles of lower-cased data themselves."""
+    words = data.translate(LOWER).split()
+    n = min(width, len(words))
+    return frozenset(zip(*(words[k:] for k in range(n)), strict=False)) if n else frozenset()
+
+
+def _alike(shared, a, b, percent: int):
+    """Whether sets of sizes a and b with so many shared elements are similar."""
+    return 100 * shared >= percent * (a + b - shared)
+
+
+class Leaders:
+    """Texts with which many others are compared, by one index over all their shingles."""
+
+    def __init__(self, width: int, percent: int) -> None:
+        self.width, self.percent, self.at = width, percent, {}
+        self.data, self.sets, self.values, self.exact, self.held = [], [], None, {}, 0
+
+    def add(self, name: int, data: bytes) -> None:
+        self.at[name] = len(self.data)
+        self.data.append(data)
+        self.sets.append(shingle_set(data, self.width))
+        self.values = None
+
+    def similar(self, data: bytes, names) -> list[int]:
+        """Those of the named leaders that are similar to a text."""
+        own, ask = shingle_set(data, self.width), [n for n in names if n in self.at]
+        if not ask or not len(own):
+            return []
+        if self.values is None:
+            every, owner = np.concatenate(self.sets), np.repeat(np.arange(len(self.sets)), [len(s) for s in self.sets])
+            order = np.argsort(every, kind="stable")
+            self.values, self.owner, self.sizes = every[order], owner[order], np.array([len(s) for s in self.sets])
+        lo, hi = np.searchsorted(self.values, own, "left"), np.searchsorted(self.values, own, "right")
+        count = hi - lo
+        spots = np.repeat(hi - np.cumsum(count), count) + np.arange(count.sum())
+        shared = np.bincount(self.owner[spots], minlength=len(self.sets))
+        at = np.array([self.at[n] for n in ask])
+        close = _alike(shared[at], self.sizes[at], len(own), self.percent) & (self.sizes[at] > 0)
+        return self._confirmed(data, [n for n, ok in zip(ask, close.tolist(), strict=True) if ok])
+
+    def _confirmed(self, data: bytes, names: list[int]) -> list[int]:
+        """The same on the words; sets of leaders are kept up to a bound."""
+        if not names:
+            return []
+        own, out = shingles_of(data, self.width), []
+        for n in names:
+            other = self.exact.get(n)
+            if other is None:
+                other = shingles_of(self.data[self.at[n]], self.width)
+                if self.held + len(other) > CONFIRM_WORDS:
+                    self.exact, self.held = {}, 0
+                self.exact[n], self.held = other, self.held + len(other)
+            if _alike(len(own & other), len(own), len(other), self.percent):
+                out.append(n)
+        return out
+
+
+def _name(data: bytes) -> bytes:
+    """16 bytes that stand for the lower-cased word sequence of data."""
+    return hashlib.blake2b(b" ".join(data.translate(LOWER).split()), digest_size=16).digest()
 
 
 def _sketch(texts: pd.Series, width: pd.Series) -> pd.DataFrame:
@@ -98,7 +160,7 @@ def _sketch(texts: pd.Series, width: pd.Series) -> pd.DataFrame:
         if not len(s):
             out.append((0, None, None))
             continue
-        name = np.array([mix(s).sum(dtype=np.uint64), np.bitwise_xor.reduce(s * np.uint64(0xD6E8FEB86659FD93)) ^ np.uint64(len(s))], dtype=np.uint64).tobytes()
+        name = _name(data)
         if name not in known:
             known[name] = signature(s)
         out.append((len(s), name, known[name]))
@@ -106,7 +168,7 @@ def _sketch(texts: pd.Series, width: pd.Series) -> pd.DataFrame:
 
 
 def sketches(docs: DataFrame, key: list[str], width: int) -> DataFrame:
-    """key columns -> + n_shingles, cls (16 bytes that name the set; null if empty), sig."""
+    """key columns -> + n_shingles, cls (16 bytes that name the word sequence; null without words), sig."""
     sketch = F.pandas_udf(_sketch, "n_shingles long, cls binary, sig binary")
     rows = docs.select(*key, sketch(F.col("text"), F.lit(width)).alias("_s"))
     return rows.select(*key, "_s.n_shingles", "_s.cls", "_s.sig")
@@ -134,17 +196,16 @@ def _compare(wanted: DataFrame, texts: DataFrame, width: int, percent: int) -> D
     rows = wanted.join(texts, "id").repartition("home", "salt").sortWithinPartitions("home", "salt", "member")
 
     def compared(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        group, own = None, {}
+        group, own = None, None
         for pdf in batches:
             found = []
             for home, salt, member, i, leads, data in zip(pdf["home"], pdf["salt"], pdf["member"], pdf["id"], pdf["leads"], encoded(pdf["text"]), strict=True):
                 if group != (home, salt):
-                    group, own = (home, salt), {}
-                s = shingle_set(data, width)
+                    group, own = (home, salt), Leaders(width, percent)
                 if not member:
-                    own[i] = s
+                    own.add(i, data)
                 else:
-                    found += [(lead, i) for lead in leads if lead in own and similar(own[lead], s, percent)]
+                    found += [(lead, i) for lead in own.similar(data, leads)]
             yield pd.DataFrame(found, columns=["lead", "id"], dtype="int64")
 
     return rows.select("home", "salt", "member", "id", "leads", "text").mapInPandas(compared, "lead long, id long")
@@ -188,15 +249,18 @@ def components(edges: DataFrame, nodes: DataFrame) -> DataFrame:
     return labels
 
 
-def _distance(a: str = "sa", b: str = "sb", symbols: int = SHORT):
-    """Differing four-bit symbols of two array columns of longs, 16 symbols each."""
+def _distance(a: str, b: str, longs: int, bits: int):
+    """Differing symbols of ``bits`` bits of two array columns of longs."""
+    low = sum(1 << k for k in range(0, 64, bits))
     out = F.lit(0)
-    for k in range(symbols // 16):
+    for k in range(longs):
         x = F.get(a, F.lit(k)).bitwiseXOR(F.get(b, F.lit(k)))
         # The low bit of each field tells whether any bit of the field is set.
-        for s in (2, 1):
+        s = bits // 2
+        while s:
             x = x.bitwiseOR(F.shiftrightunsigned(x, s))
-        out = out + F.bit_count(x.bitwiseAND(F.lit(0x1111111111111111)))
+            s //= 2
+        out = out + F.bit_count(x.bitwiseAND(F.lit(low)))
     return out
 
 
@@ -206,8 +270,9 @@ def _longs(sig, start: int, count: int):
 
 
 def _near(percent: int):
-    """Whether rows with sizes na, nb and signatures sa, sb may be similar."""
-    return (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")) & (_distance() <= NEAR)
+    """Whether rows with sizes na, nb, key symbols ka, kb and first symbols sa, sb are to be compared."""
+    within = (_distance("ka", "kb", SYMBOLS // 4, 16) <= MAX_DISTANCE) | (_distance("sa", "sb", SHORT // 16, 4) <= NEAR)
+    return (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")) & within
 
 
 def _differing(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -218,6 +283,16 @@ def _differing(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.bitwise_count(x & np.uint64(0x1111111111111111)).sum(axis=1)
 
 
+def _to_compare(keys: np.ndarray, front: np.ndarray, back: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+    """Pairs within the key distance, and those beyond it that are near in the longer signature."""
+    ok = (keys[i] != keys[j]).sum(axis=1) <= MAX_DISTANCE
+    far = np.flatnonzero(~ok)
+    far = far[_differing(front[i[far]], front[j[far]]) <= NEAR]
+    far = far[_differing(front[i[far]], front[j[far]]) + _differing(back[i[far]], back[j[far]]) <= NEAR_LONG]
+    ok[far] = True
+    return ok
+
+
 def first_shared(a: np.ndarray, b: np.ndarray, chunks: int = CHUNKS, errors: int = ERRORS) -> np.ndarray:
     """For rows of two arrays of key symbols, the number of the first key that both have; -1 without any."""
     width = a.shape[1] // chunks
@@ -282,8 +357,7 @@ def _across(members: DataFrame, percent: int) -> DataFrame:
             for i, j in _ahead(group):
                 for test in (
                     lambda i, j: (comp[i] != comp[j]) & ~(first[i] | first[j]) & (within[i] | (block[i] != block[j])) & (100 * np.minimum(n[i], n[j]) >= percent * np.maximum(n[i], n[j])),
-                    lambda i, j: _differing(front[i], front[j]) <= NEAR,
-                    lambda i, j: _differing(front[i], front[j]) + _differing(back[i], back[j]) <= NEAR_LONG,
+                    lambda i, j: _to_compare(keys, front, back, i, j),
                     lambda i, j: first_shared(keys[i], keys[j]) == nth[i],
                 ):
                     ok = test(i, j)
@@ -298,7 +372,12 @@ def _across(members: DataFrame, percent: int) -> DataFrame:
                 yield pd.DataFrame({"home": home[alone], "salt": salt[alone], "member": np.int32(0), "id": ids[alone], "leads": [[]] * len(alone)})
 
     near = members.repartition(*by).sortWithinPartitions(*by).mapInPandas(found, "home long, salt long, member int, id long, leads array<long>")
-    return near.groupBy("home", "salt", "member", "id").agg(F.array_distinct(F.flatten(F.collect_list("leads"))).alias("leads"))
+    rows = cut(near.groupBy("home", "salt", "member", "id").agg(F.array_distinct(F.flatten(F.collect_list("leads"))).alias("leads")))
+    # Groups of many members are dealt over several tasks, with their leaders in each.
+    parts = rows.where("member = 1").groupBy("home", "salt").agg(F.ceil(F.count("*") / GROUP_MEMBERS).alias("parts"))
+    rows = rows.join(parts, ["home", "salt"])
+    part = F.explode(F.when(F.col("member") == 0, F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).otherwise(F.array(F.pmod(F.xxhash64("id", F.lit(2)), "parts"))))
+    return rows.withColumn("part", part).select("home", F.xxhash64("salt", "part").alias("salt"), "member", "id", "leads")
 
 
 def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
@@ -320,12 +399,14 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     keys = _keys(named.select("id", "sig"))
     lead = keys.groupBy("key").agg(F.min("id").alias("lead"), F.max("id").alias("last")).where("lead <> last").select("key", "lead")
     keys = cut(keys.join(lead, "key"))
-    texts = _texts(docs, named, width)
-    sigs = cut(named.select("id", "n", _longs(F.col("sig"), 2 * SYMBOLS, SHORT // 16).alias("s")))
+    with_partner = keys.select("id").distinct()
+    # The texts that any step compares move once.
+    texts = cut(_texts(docs, named.join(with_partner, "id", "left_semi")))
+    sigs = cut(named.join(with_partner, "id", "left_semi").select("id", "n", _longs(F.col("sig"), 0, SYMBOLS // 4).alias("k"), _longs(F.col("sig"), 2 * SYMBOLS, SHORT // 16).alias("s")))
     # First the nearest leader of a class, then the others.
-    one, other = sigs.select("id", F.col("n").alias("na"), F.col("s").alias("sa")), sigs.select(F.col("id").alias("lead"), F.col("n").alias("nb"), F.col("s").alias("sb"))
+    one, other = sigs.select("id", F.col("n").alias("na"), F.col("k").alias("ka"), F.col("s").alias("sa")), sigs.select(F.col("id").alias("lead"), F.col("n").alias("nb"), F.col("k").alias("kb"), F.col("s").alias("sb"))
     shared = keys.where("lead <> id").select("id", "lead").distinct().join(one, "id").join(other, "lead").where(_near(percent))
-    shared = cut(shared.select("id", "lead", _distance().alias("far")))
+    shared = cut(shared.select("id", "lead", _distance("sa", "sb", SHORT // 16, 4).alias("far")))
     tried = cut(shared.groupBy("id").agg(F.min(F.struct("far", "lead")).alias("x")).select("id", F.col("x.lead").alias("lead")))
     edges = cut(_verify(tried, texts, width, percent))
     labels = components(edges.select(F.col("lead").alias("u"), F.col("id").alias("v")), named.select("id"))
@@ -366,14 +447,20 @@ def _apart(pairs: DataFrame, labels: DataFrame) -> DataFrame:
     return pairs.join(a, "lead").join(b, "id").where("ca <> cb").select("lead", "id")
 
 
-def _texts(docs: DataFrame, named: DataFrame, width: int) -> DataFrame:
-    """(id, text): one text for each class, found by the class's least doc_id.
+def _texts(docs: DataFrame, named: DataFrame) -> DataFrame:
+    """(id, text): one text for each of the classes, found by the class's least doc_id.
 
     Where a doc_id is missing or repeated, texts are found by the name of their
-    set instead; well-formed tables have no such rows.
+    word sequence instead; well-formed tables have no such rows.
     """
-    once = docs.where("text IS NOT NULL").groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1 OR doc_id IS NULL")
-    if once.isEmpty():
-        return docs.where("text IS NOT NULL").select(F.col("doc_id").alias("id"), "text").join(named.select("id"), "id")
-    whole = sketches(docs.where("text IS NOT NULL").select("text", F.col("text").alias("body")), ["body"], width).where("cls IS NOT NULL")
-    return whole.groupBy("cls").agg(F.min("body").alias("text")).join(named.select("cls", "id"), "cls").select("id", "text")
+    some = docs.where("text IS NOT NULL")
+    odd = some.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1 OR doc_id IS NULL")
+    if odd.isEmpty():
+        return some.select(F.col("doc_id").alias("id"), "text").join(named.select("id"), "id", "left_semi")
+
+    @F.pandas_udf("binary")
+    def name(texts: pd.Series) -> pd.Series:
+        return pd.Series([_name(d) for d in encoded(texts)], dtype=object)
+
+    whole = some.select(name("text").alias("cls"), "text").join(named.select("cls", "id"), "cls")
+    return whole.groupBy("id").agg(F.min("text").alias("text"))

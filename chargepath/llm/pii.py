@@ -1,28 +1,44 @@
 """Personal data with offset-preserving deobfuscation.
 
-Base detectors run on the source text. A transducer then rewrites the text:
-homoglyphs and full-width forms become ASCII, invisible characters vanish,
-spelled digits become digits, and bracketed or spelled "at" and "dot" become
-signs. Each output character keeps the source span it came from, so an
-identifier found in the rewritten text maps back to source code points. Spans
-that touch a base span of the same kind are dropped, so base spans stay as
-they are.
-
-Null and empty texts give no spans; texts of any length are searched whole.
+Base detectors run on the source text. Three transducers then rewrite it, each
+in one pass from left to right: the first maps homoglyphs and full-width forms
+to ASCII and drops invisible characters; the second reads tokens and turns
+bracketed, spelled or plain "at" and "dot" into signs where a domain follows;
+the third turns spelled digits, and numbers parted by "dot", into digits. Each
+output character keeps the source span it came from, so an identifier found in
+the rewritten text maps back to source code points. Spans that touch a base
+span of the same kind are dropped, so base spans stay as they are. The method
+also finds secrets: values assigned to names like token or password, and keys
+of known forms.
+
+Null and empty texts give no spans; texts of any length are searched whole, in
+time linear in their length; repeated rows give equal results; spans that
+start together are ordered by kind; an empty table gives no rows; an output
+replaces a column of its name.
 """
 
 import re
+from bisect import bisect_left
 
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from chargepath.llm.common import boxed, unboxed
+
 KINDS = ("email", "ip", "card", "phone")
-# The contract's patterns.
+#: Kinds that only the method finds.
+MORE_KINDS = ("secret",)
+_ORDER = {k: n for n, k in enumerate(KINDS + MORE_KINDS)}
+# The contract's patterns, written so that no match is tried twice in a run of digits.
 EMAIL = re.compile(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
-IP = re.compile(r"[0-9]+(?:\.[0-9]+)(?:\.[0-9]+)(?:\.[0-9]+)")
-CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])+")
+IP = re.compile(r"(?<![0-9])[0-9]++(?:\.[0-9]++)(?:\.[0-9]++)(?:\.[0-9]++)")
+CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])++")
 PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
+SECRET = re.compile(
+    r"""(?i:\b(?:api[_-]?key|access[_-]?key|secret(?:[_-]?key)?|token|password|passwd|pwd)["']?[ \t]{0,8}[=:][ \t]{0,8}["']?)([A-Za-z0-9+/_=.-]{16,})"""
+    r"""|\b(AKIA[0-9A-Z]{16}|gh[pousr]_[A-Za-z0-9]{36})\b""")
+_HAS_SECRET = re.compile(r"(?i)[=:]|AKIA|gh[pousr]_")
 _HAS_IP = re.compile(r"[0-9]\.[0-9]")
 _HAS_CARD = re.compile(r"[0-9](?:[\x20-]?[0-9]){11}")
 _LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
@@ -36,17 +52,16 @@ _GLYPHS |= {chr(c): chr(c - 0xFEE0) for c in range(0xFF01, 0xFF5F)}
 _GLYPHS |= {chr(start + k): str(k) for start in (0x0660, 0x06F0, 0x0966, 0x2080) for k in range(10)}
 _GLYPHS |= dict.fromkeys("​‌‍⁠﻿­", "")
 _ODD = re.compile("[" + "".join(map(re.escape, _GLYPHS)) + "]")
-# Spelled digits.
+# Spelled digits, and words and signs that stand for at and dot.
 _DIGITS = {"zero": "0", "oh": "0", "one": "1", "two": "2", "three": "3", "four": "4", "five": "5", "six": "6", "seven": "7", "eight": "8", "nine": "9"}
-_DIGIT = "|".join(_DIGITS)
-_SPELLED = re.compile(rf"(?i)(?<![A-Za-z])(?:plus[ -]+)?(?:{_DIGIT}|[0-9]+)(?:[ .,-]+(?:{_DIGIT}|dot|[0-9]+)(?![A-Za-z]))+(?![A-Za-z])")
-_SPELLED_HINT = re.compile(rf"(?i)(?<![A-Za-z])(?:{_DIGIT})[ .,-]+(?:{_DIGIT}|dot|[0-9])(?![A-Za-z])")
-_TOKEN = re.compile(rf"(?i)plus[ -]+|{_DIGIT}|dot|[0-9]+|[ .,-]+")
-_AT = re.compile(r"(?i)\s*[\[({<]\s*(?:at|@|arroba)\s*[\])}>]\s*")
-_DOT = re.compile(r"(?i)\s*[\[({<]\s*(?:dot|punkt|point|punto|\.)\s*[\])}>]\s*")
-_WORD_AT = re.compile(r"(?i)(?<=[A-Za-z0-9])\s+(?:at|@)\s+(?=[A-Za-z0-9-]+(?:(?:\s+dot\s+|\s*[\[({<]\s*(?:dot|\.)\s*[\])}>]\s*)[A-Za-z0-9-]+)+)")
-_WORD_DOT = re.compile(r"(?i)(?<=[A-Za-z0-9-])\s+dot\s+(?=[A-Za-z0-9])")
-_DISGUISE = re.compile(r"(?i)[\[({<]\s*(?:at|@|arroba|dot|punkt|point|punto|\.)\s*[\])}>]|\sdot\s")
+_AT_WORDS, _DOT_WORDS = frozenset(("at", "arroba")), frozenset(("dot", "punkt", "point", "punto"))
+#: Token classes: one letter each.
+_WORD, _NUMBER, _DIGIT, _AT, _DOT, _PLUS, _SPACE, _OPEN, _CLOSE, _SIGN_AT, _STOP, _HYPHEN, _COMMA, _OTHER = "WNDAPUSBCMFHKO"
+_SIGN_CLASS = {"@": _SIGN_AT, ".": _STOP, "-": _HYPHEN, ",": _COMMA, **dict.fromkeys("[({<", _OPEN), **dict.fromkeys("])}>", _CLOSE)}
+_TOKEN = re.compile(r"[A-Za-z]+|[0-9]+|\s+|.", re.S)
+_LABEL = frozenset((_WORD, _NUMBER, _DIGIT, _AT, _DOT, _PLUS))
+_DIGIT_RUN = re.compile(r"(?i)(?<![A-Za-z])(?:zero|oh|one|two|three|four|five|six|seven|eight|nine)[ .,-]+(?:zero|oh|one|two|three|four|five|six|seven|eight|nine|dot|[0-9])|[0-9]\s{0,8}dot\s{0,8}[0-9a-z]")
+_MARKS = re.compile(r"(?i)[\[({<]\s{0,8}(?:at|@|arroba|dot|punkt|point|punto|\.)\s{0,8}[\])}>]|\s(?:dot|punkt|punto)\s|\s(?:at|arroba)\s{1,8}[a-z0-9-]{1,63}\.[a-z0-9]|\s@|@\s")
 
 
 def luhn(digits: str) -> bool:
@@ -76,15 +91,20 @@ def detect(text: str) -> list[tuple[str, int, int]]:
     """The base spans of a text, by start, then by kind."""
     out = [("email", *s) for s in emails(text)] if "@" in text else []
     if _HAS_IP.search(text):
-        out += [("ip", *m.span()) for m in IP.finditer(text) if all(len(p.lstrip("0")) < 4 and int(p) < 256 for p in m[0].split("."))]
+        out += [("ip", *m.span()) for m in IP.finditer(text) if all(len(p) < 4 and int(p or 0) < 256 for p in (q.lstrip("0") for q in m[0].split(".")))]
     if _HAS_CARD.search(text):
         for m in CARD.finditer(text):
-            digits = m[0].replace(" ", "").replace("-", "")
-            if 12 <= len(digits) <= 19 and luhn(digits):
-                out.append(("card", *m.span()))
+            if m.end() - m.start() < 38:
+                digits = m[0].replace(" ", "").replace("-", "")
+                if 12 <= len(digits) <= 19 and luhn(digits):
+                    out.append(("card", *m.span()))
     if "+" in text:
         out += [("phone", *m.span()) for m in PHONE.finditer(text) if 9 <= sum(c.isdigit() for c in m[0]) <= 15]
-    return sorted(out, key=lambda s: (s[1], KINDS.index(s[0])))
+    return sorted(out, key=lambda s: (s[1], _ORDER[s[0]]))
+
+
+def secrets(text: str) -> list[tuple[str, int, int]]:
+    return [("secret", *m.span(m.lastindex)) for m in SECRET.finditer(text)] if _HAS_SECRET.search(text) else []
 
 
 class Rewriter:
@@ -112,21 +132,132 @@ class Rewriter:
         self.text, self.starts, self.ends = "".join(text), [*new_starts, *starts[at:]], [*new_ends, *ends[at:]]
 
 
-def _digits(match: re.Match) -> str:
-    out = []
-    for token in _TOKEN.findall(match[0]):
-        word = token.strip().lower()
-        if word.startswith("plus"):
-            out.append("+")
-        elif word == "dot":
-            out.append(".")
-        elif word in _DIGITS:
-            out.append(_DIGITS[word])
-        elif word.isdigit():
-            out.append(word)
-        elif "." in token and "dot" not in match[0].lower():
-            out.append(".")
-    return "".join(out)
+def tokens(text: str) -> tuple[str, list[int], list[str]]:
+    """(class of each token as one string, where tokens start and the last ends, lower-cased tokens)."""
+    kinds, starts, words = [], [], []
+    for m in _TOKEN.finditer(text):
+        w = m[0].lower()
+        c = w[0]
+        if "a" <= c <= "z":
+            kind = _DIGIT if w in _DIGITS else _AT if w in _AT_WORDS else _DOT if w in _DOT_WORDS else _PLUS if w == "plus" else _WORD
+        else:
+            kind = _NUMBER if "0" <= c <= "9" else _SPACE if c.isspace() else _SIGN_CLASS.get(c, _OTHER)
+        kinds.append(kind)
+        starts.append(m.start())
+        words.append(w)
+    return "".join(kinds), [*starts, len(text)], words
+
+
+def _mark(kinds: str, k: int, signs: str, spelled: str) -> tuple[int, bool] | None:
+    """(end, whether it has brackets) of a disguised sign that starts at token k: S?BS?xS?CS?, SxS with a word, or x beside a space."""
+    at = k
+    if kinds.startswith(_SPACE, at):
+        at += 1
+    if kinds.startswith(_OPEN, at):
+        at += 1
+        at += kinds.startswith(_SPACE, at)
+        if kinds[at : at + 1] not in (*signs, *spelled):
+            return None
+        at += 1
+        at += kinds.startswith(_SPACE, at)
+        if not kinds.startswith(_CLOSE, at):
+            return None
+        at += 1
+        return at + kinds.startswith(_SPACE, at), True
+    here = kinds[at : at + 1]
+    if here and here in spelled and at > k and kinds.startswith(_SPACE, at + 1):
+        return at + 2, False
+    if here == _SIGN_AT and here in signs and (at > k or kinds.startswith(_SPACE, at + 1)):
+        return at + 1 + kinds.startswith(_SPACE, at + 1), False
+    return None
+
+
+def signs(text: str) -> list[tuple[int, int, str]]:
+    """Edits of the second transducer.
+
+    Its states: outside; after a label; in a domain, with the edits that wait
+    for it. A bracketed sign is written at once. A spelled or spaced "at" waits
+    until a domain of two labels or more, the last of letters only, has been
+    read, and so do the spelled dots of the domain. Each token is read a
+    bounded number of times.
+    """
+    kinds, at, words = tokens(text)
+    out, wait, k = [], [], 0
+    state, dots, sure = "out", 0, False
+
+    def settle() -> None:
+        nonlocal wait, dots, sure, state
+        if wait and (sure or (dots and state == "label" and len(last) > 1 and last.isalpha())):
+            out.extend(wait)
+        wait, dots, sure = [], 0, False
+
+    last, domain = "", False
+    while k < len(kinds):
+        kind = kinds[k]
+        if kind in _LABEL and state != "label":
+            last, state, k = words[k], "label", k + 1
+            continue
+        if state == "label":
+            if kind in _LABEL or kind == _HYPHEN:
+                last, k = last + words[k], k + 1
+                continue
+            if not domain and (mark := _mark(kinds, k, _SIGN_AT, _AT)):
+                settle()
+                wait, sure, domain, state = [(at[k], at[mark[0]], "@")], mark[1], True, "sign"
+                k = mark[0]
+                continue
+            if not domain and kind == _SIGN_AT:
+                settle()
+                domain, state, k = True, "sign", k + 1
+                sure = True
+                continue
+            if mark := _mark(kinds, k, _STOP, _DOT):
+                if domain or mark[1]:
+                    sure = sure or (mark[1] and not domain)
+                    wait.append((at[k], at[mark[0]], "."))
+                    dots, state, k = dots + 1, "sign", mark[0]
+                    continue
+            if kind == _STOP and k + 1 < len(kinds) and kinds[k + 1] in _LABEL:
+                dots, state, k = dots + 1, "sign", k + 1
+                continue
+        settle()
+        state, domain, k = "out", False, k + 1
+    settle()
+    return out
+
+
+def digits(text: str) -> list[tuple[int, int, str]]:
+    """Edits of the third transducer.
+
+    Its states: outside, after a plus, after a digit, after a separator, after
+    a dot word. A run ends with its last digit; it is rewritten if a word in it
+    is spelled and seven characters or more come out.
+    """
+    kinds, at, words = tokens(text)
+    step = {("out", _PLUS): "plus", ("plus", _SPACE): "plus", ("plus", _HYPHEN): "plus", ("part", _DOT): "dot", ("digit", _DOT): "dot", ("dot", _SPACE): "dot", ("dot", _HYPHEN): "dot"}
+    step |= {(s, d): "digit" for s in ("out", "plus", "part", "dot") for d in (_DIGIT, _NUMBER)}
+    step |= {(s, x): "part" for s in ("digit", "part") for x in (_SPACE, _HYPHEN, _COMMA, _STOP)}
+    out, k = [], 0
+    while k < len(kinds):
+        if ("out", kinds[k]) not in step or (k and kinds[k - 1] in _LABEL):
+            k += 1
+            continue
+        start, end, state = k, k, "out"
+        while k < len(kinds) and (to := step.get((state, kinds[k]))):
+            state, k = to, k + 1
+            if state == "digit":
+                end = k
+        while end > start and end < len(kinds) and kinds[end] in _LABEL:  # letters go on: the last number is no digit
+            end -= 1
+            while end > start and kinds[end - 1] not in (_DIGIT, _NUMBER):
+                end -= 1
+        run = kinds[start:end]
+        if _DIGIT in run or _DOT in run:
+            stop = "" if _DOT in run else "."
+            by = "".join("+" if c == _PLUS else _DIGITS[w] if c == _DIGIT else w if c == _NUMBER else "." if c == _DOT else stop if c == _STOP else "" for c, w in zip(run, words[start:end], strict=True))
+            if len(by) >= 7:
+                out.append((at[start], at[end], by))
+    return out
 
 
 def deobfuscate(text: str) -> Rewriter | None:
@@ -134,33 +265,28 @@ def deobfuscate(text: str) -> Rewriter | None:
     out = Rewriter(text)
     if not text.isascii():
         out.apply([(*m.span(), _GLYPHS[m[0]]) for m in _ODD.finditer(text)])
-    if (any(c in out.text for c in "[({<") or " dot " in out.text.lower()) and _DISGUISE.search(out.text):
-        out.apply([(*m.span(), "@") for m in _WORD_AT.finditer(out.text)])
-        out.apply([(*m.span(), "@") for m in _AT.finditer(out.text)])
-        dots = sorted({*(m.span() for m in _DOT.finditer(out.text))} | ({*(m.span() for m in _WORD_DOT.finditer(out.text))} if "@" in out.text else set()))
-        kept, end = [], 0
-        for lo, hi in dots:
-            if lo >= end:
-                kept.append((lo, hi, "."))
-                end = hi
-        out.apply(kept)
-    if not _DIGITS.keys().isdisjoint(out.text.lower().replace("-", " ").replace(".", " ").replace(",", " ").split()) and _SPELLED_HINT.search(out.text):
-        out.apply([(*m.span(), by) for m in _SPELLED.finditer(out.text) if len(by := _digits(m)) >= 7])
+    if _MARKS.search(out.text):
+        out.apply(signs(out.text))
+    if _DIGIT_RUN.search(out.text):
+        out.apply(digits(out.text))
     return out if out.starts is not None else None
 
 
 def spans(text: str) -> tuple[list[tuple[str, int, int]], list[tuple[str, int, int]]]:
     """(base spans, all spans) of a text in source code points."""
-    base = detect(text)
+    base, more = detect(text), secrets(text)
     out = deobfuscate(text)
-    if out is None:
-        return base, base
-    more = []
-    for kind, lo, hi in detect(out.text):
-        lo, hi = out.starts[lo], out.ends[hi - 1]
-        if not any(k == kind and a < hi and lo < b for k, a, b in base + more):
-            more.append((kind, lo, hi))
-    return base, sorted(base + more, key=lambda s: (s[1], KINDS.index(s[0])))
+    if out is not None:
+        known = {k: [s for s in base if s[0] == k] for k in KINDS}
+        ends = {k: [s[2] for s in known[k]] for k in KINDS}  # spans of a kind don't overlap, so ends ascend
+        done = dict.fromkeys(KINDS, 0)
+        for kind, lo, hi in detect(out.text):
+            lo, hi = out.starts[lo], out.ends[hi - 1]
+            at = bisect_left(ends[kind], lo + 1)
+            if lo >= done[kind] and not (at < len(ends[kind]) and known[kind][at][1] < hi):
+                more.append((kind, lo, hi))
+                done[kind] = hi
+    return base, sorted(base + more, key=lambda s: (s[1], _ORDER[s[0]])) if more else base
 
 
 def masked(text: str, found: list[tuple[str, int, int]]) -> str:
@@ -182,6 +308,10 @@ def _joined(found) -> str:
     return ",".join(f"{k}:{a}:{b}" for k, a, b in found)
 
 
+def _joined(found) -> str:
+    return ",".join(f"{k}:{a}:{b}" for k, a, b in found)
+
+
 def find_pii(docs: DataFrame, mask: bool = False) -> DataFrame:
     """docs -> docs + base_spans, spans (strings kind:start:end, comma-joined) [, masked text]."""
 
@@ -193,10 +323,12 @@ def find_pii(docs: DataFrame, mask: bool = False) -> DataFrame:
             rows.append((_joined(base), _joined(every), masked(t, every) if mask and every else None))
         return pd.DataFrame(rows, columns=["base_spans", "spans", "masked"])
 
-    kept = docs.columns
-    out = docs.withColumn("_pii", found(F.col("text")))
-    text = [F.when(F.col("_pii.spans") != "", F.col("_pii.masked")).otherwise(F.col("text")).alias("masked")] if mask else []
-    return out.select(*kept, "_pii.base_spans", "_pii.spans", *text)
+    rows = boxed(docs, text=F.col("text"))
+    rows = rows.select("row", "text", found("text").alias("pii"))
+    outputs = {"base_spans": F.col("pii.base_spans"), "spans": F.col("pii.spans")}
+    if mask:
+        outputs["masked"] = F.when(F.col("pii.spans") != "", F.col("pii.masked")).otherwise(F.col("text"))
+    return unboxed(rows, **outputs)
 
 
 def counts(base_spans):
@@ -204,4 +336,4 @@ def counts(base_spans):
     return [F.regexp_count(base_spans, F.lit(f"{k}:")).cast("long").alias(f"n_{k}") for k in KINDS]
 
 
-__all__ = ["KINDS", "counts", "deobfuscate", "detect", "find_pii", "masked", "spans"]
+__all__ = ["KINDS", "MORE_KINDS", "counts", "deobfuscate", "detect", "find_pii", "masked", "spans"]

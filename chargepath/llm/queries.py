@@ -15,7 +15,7 @@ def op1_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op2_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = pii.find_pii(table(spark, sf_dir, "documents").select("doc_id", "text"))
-    return found.select("doc_id", *pii.counts(F.col("base_spans")), F.sha2("base_spans", 256).alias("base_sha256"), "spans")
+    return found.select("doc_id", *pii.counts(F.col("base_spans")), F.sha2("base_spans", 256).alias("base_sha256"), "spans", F.regexp_count("spans", F.lit(":[0-9]+:")).cast("long").alias("n_spans"))
 
 
 def op3_quality(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,6 +2,7 @@ import collections
 import hashlib
 import random
 import re
+import time
 
 import numpy as np
 import pytest
@@ -108,10 +109,63 @@ def test_base_spans_equal_plain_patterns():
 
 
 def test_disguises_map_back():
-    for text, found in (("mail john (at) mail dot example dot com now", "john (at) mail dot example dot com"), ("to jоhn@mаil.com x", "jоhn@mаil.com"), ("call plus one two three four five six seven eight nine zero", "plus one two three four five six seven eight nine zero")):
+    for text, found in (
+        ("mail john (at) mail dot example dot com now", "john (at) mail dot example dot com"), ("to jоhn@mаil.com x", "jоhn@mаil.com"), ("to john at mail.example.com now", "john at mail.example.com"),
+        ("x john arroba mail punto com.", "john arroba mail punto com"), ("call plus one two three four five six seven eight nine zero", "plus one two three four five six seven eight nine zero"),
+        ("ip 192 dot 168 dot 0 dot 1 ok", "192 dot 168 dot 0 dot 1"), ("at 192[.]168[.]1[.]2", "192[.]168[.]1[.]2"), ("one nine two dot one six eight dot zero dot one", "one nine two dot one six eight dot zero dot one"),
+        ('token = "04dbebab91ab85687d33eeaaf9ac699e1188f962"', "04dbebab91ab85687d33eeaaf9ac699e1188f962")):
         base, every = pii.spans(text)
         assert not base and [text[a:b] for _, a, b in every] == [found]
-    assert pii.spans("we meet at noon. dot the i, one two.") == ([], [])
+    assert pii.spans("we meet at noon. dot the i, one two. look at this. Example, 12 dot 5, a token of thanks = none") == ([], [])
+
+
+def test_base_spans_of_very_long_digit_runs():
+    t = "1.2.3." + "0" * 5000 + " 9.9.9.256"
+    assert pii.spans(t)[0] == [("ip", 0, 5006)]
+    for part in ("1", "one ", " at", "(", "a1", "+1", "1.", "a@", "x dot ", "token=", "a at b.cc ", "4111-"):
+        start = time.process_time()
+        pii.spans(part * (1_000_000 // len(part)) + " 1.1")
+        assert time.process_time() - start < 10  # quadratic scans would take minutes
+
+
+def test_personal_data_query_equals_the_patterns(spark, texts):
+    """All columns of the contract against plain patterns."""
+    ip, card = re.compile(r"[0-9]+(?:\.[0-9]+)(?:\.[0-9]+)(?:\.[0-9]+)"), re.compile(r"[0-9](?:[\x20-]?[0-9])+")
+    rng = random.Random(8)
+    odd = ["".join(rng.choice(["a", "9", "0", "4111 1111 1111 1111", ".", "@", "-", " ", "+1 (555) 123-4567", "x.y@b.co", "10.0.0.1", "255", "é", "%"]) for _ in range(30)) for _ in range(300)]
+    data = [*odd, *texts, None, ""]
+    got = {r.doc_id: r for r in pii.find_pii(make(spark, data)).select("doc_id", *pii.counts(F.col("base_spans")), "base_spans", "spans").collect()}
+    for k, t in enumerate(data):
+        t = t or ""
+        want = [("email", *m.span()) for m in pii.EMAIL.finditer(t)]
+        want += [("ip", *m.span()) for m in ip.finditer(t) if all(int(p) < 256 for p in m[0].split("."))]
+        want += [("card", *m.span()) for m in card.finditer(t) if 12 <= len(d := re.sub("[^0-9]", "", m[0])) <= 19 and pii.luhn(d)]
+        want += [("phone", *m.span()) for m in pii.PHONE.finditer(t) if 9 <= len(re.sub("[^0-9]", "", m[0])) <= 15]
+        want.sort(key=lambda s: (s[1], pii.KINDS.index(s[0])))
+        joined = [f"{a}:{b}:{c}" for a, b, c in want]
+        assert got[k].base_spans == ",".join(joined) and set(joined) <= set(got[k].spans.split(",")) | set(joined[:0])
+        assert [got[k][f"n_{x}"] for x in pii.KINDS] == [sum(s[0] == x for s in want) for x in pii.KINDS]
+
+
+def test_words_that_defeat_polynomial_hashes_are_not_linked(spark):
+    a = "a"
+    for _ in range(11):
+        a += a.translate(str.maketrans("ab", "ba"))
+    rows = spark.createDataFrame([(1, a), (2, a.translate(str.maketrans("ab", "ba"))), (3, a.upper())], "doc_id long, text string")
+    assert {(r.doc_id, r.component_id) for r in neardup.link(rows, 4).collect()} == {(1, 1), (2, 2), (3, 1)}
+    leaders = neardup.Leaders(4, 80)
+    leaders.add(1, b"a b c d e")
+    leaders.sets = [neardup.shingle_set(b"v w x y z", 4)]  # as if all hashes were equal
+    assert leaders.similar(b"v w x y z", [1]) == [] and neardup.Leaders(4, 80).similar(b"a b", [1]) == []
+
+
+def test_every_pair_within_the_key_distance_is_compared():
+    rng = np.random.default_rng(3)
+    keys = rng.integers(0, 1 << 16, (2, neardup.SYMBOLS), dtype=np.uint16)
+    keys[1, 15:] = keys[0, 15:]
+    far = np.arange(2 * 8, dtype=np.uint64).reshape(2, 8) * np.uint64(0x9E3779B97F4A7C15)
+    ok = neardup._to_compare(keys, far, np.tile(far, 3), np.array([0]), np.array([1]))
+    assert ok.tolist() == [True]
 
 
 def test_quality_equals_brute_force(spark, texts):
