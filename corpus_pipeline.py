@@ -19,10 +19,9 @@ COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the quality rules keep."""
-    hashed = docs.withColumns({"_h": F.xxhash64("doc_id", "text", "lang"), "_k": F.xxhash64("text", "lang", "doc_id", F.lit(1))})
-    judged = quality.judge(hashed, ["_h", "_k"]).where("kept").select("_h", "_k").distinct()
-    return hashed.join(judged, ["_h", "_k"], "left_semi").select(*docs.columns)
+    """Documents that the quality rules keep; the rows ride along, so no text is joined back."""
+    judged = quality.judge(docs, docs.columns)
+    return judged.where("kept").select(*docs.columns)
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
