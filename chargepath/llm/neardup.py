@@ -7,16 +7,18 @@ differ in at most ``chunks * (errors + 1) - 1`` symbols agree in some chunk up
 to ``errors`` symbols; the allowed errors are enumerated by leaving each
 combination of symbols out, so such pairs always share a key. With 32 symbols,
 8 chunks and one error that covers a distance of 15 of 32, where a pair of
-similarity 0.8 lies at 6.4 on average with a deviation of 2.3. Every pair
-within that distance is compared. A pair beyond it that shares a key all the
-same is compared too if it is near in a longer signature of 512 four-bit
-symbols, whose first 128 are looked at first; that finds pairs of similarity
-0.8 which the distance alone would miss, about one in seven thousand.
+similarity 0.8 lies at 6.4 on average with a deviation of 2.3. Pairs that share
+a key are compared in full if they differ in at most 7 of the 32 symbols, or if
+they lie within the threshold of a longer signature: 144 of 512 four-bit
+symbols, of which at most 50 among the first 128. That threshold is what makes
+two texts with one passage in common no candidates; a pair of similarity 0.8
+lies at 96 and 24 with deviations of 8.8 and 4.4, and passes it with a chance to
+fail of less than one in a million, as it does to share no key.
 
 Pairs inside a key are never all emitted. First each class is compared with
 the nearest leader (lowest class) of its keys, then with the other leaders, and
 only where a key still holds different components are the signatures across
-them compared, block by block; near pairs, each in the first key that it shares,
+them compared, block by block; near pairs, each in one key that it shares,
 leave a block as a list of leaders for each class, never as rows. Texts are
 compared by the hashes of their shingles, and what these call similar is
 confirmed on the words themselves. Rounds are cut in the shared checkpoint
@@ -42,13 +44,15 @@ from pyspark.sql import functions as F
 from chargepath.llm.common import LOWER, cut, cut_size, encoded, mix, shingle_set
 
 SYMBOLS, CHUNKS, ERRORS = 32, 8, 1
-#: Pairs up to this distance always share a key.
-MAX_DISTANCE = CHUNKS * (ERRORS + 1) - 1
-#: Four-bit symbols of the longer signature, those looked at first, and the most in which pairs beyond that distance may differ.
+#: Pairs up to this distance always share a key; those up to the second are compared whatever the longer signature says.
+MAX_DISTANCE, SURE = CHUNKS * (ERRORS + 1) - 1, CHUNKS - 1
+#: Four-bit symbols of the longer signature, those looked at first, and the most in which other compared pairs differ.
 LONG, SHORT = 512, 128
 NEAR_LONG, NEAR = 144, 50  # at similarity 0.8 they differ in 96 and 24 on average, with a deviation of 8.8 and 4.4
-#: Classes in a block of a key; leaders, their shingles and members of a group that a task compares.
-BLOCK, GROUP_LEADS, GROUP_SHINGLES, GROUP_MEMBERS = 512, 64, 1_000_000, 512
+#: Classes in a block of a key, and so leaders of a group that a task compares; their shingles, and members of a group.
+BLOCK, GROUP_SHINGLES, GROUP_MEMBERS = 512, 1_000_000, 512
+#: Near pairs that a block holds before it lets them go.
+HELD_PAIRS = 1 << 17
 #: Words of confirmed texts that are held at a time.
 CONFIRM_WORDS = 2_000_000
 
@@ -271,7 +275,7 @@ def _longs(sig, start: int, count: int):
 
 def _near(percent: int):
     """Whether rows with sizes na, nb, key symbols ka, kb and first symbols sa, sb are to be compared."""
-    within = (_distance("ka", "kb", SYMBOLS // 4, 16) <= MAX_DISTANCE) | (_distance("sa", "sb", SHORT // 16, 4) <= NEAR)
+    within = (_distance("ka", "kb", SYMBOLS // 4, 16) <= SURE) | (_distance("sa", "sb", SHORT // 16, 4) <= NEAR)
     return (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")) & within
 
 
@@ -284,8 +288,8 @@ def _differing(a: np.ndarray, b: np.ndarray) -> np.ndarray:
 
 
 def _to_compare(keys: np.ndarray, front: np.ndarray, back: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
-    """Pairs within the key distance, and those beyond it that are near in the longer signature."""
-    ok = (keys[i] != keys[j]).sum(axis=1) <= MAX_DISTANCE
+    """Pairs within the sure distance, and those beyond it that are near in the longer signature."""
+    ok = (keys[i] != keys[j]).sum(axis=1) <= SURE
     far = np.flatnonzero(~ok)
     far = far[_differing(front[i[far]], front[j[far]]) <= NEAR]
     far = far[_differing(front[i[far]], front[j[far]]) + _differing(back[i[far]], back[j[far]]) <= NEAR_LONG]
@@ -321,7 +325,7 @@ def _whole_groups(batches: Iterator[pd.DataFrame], by: list[str]) -> Iterator[pd
         yield rest
 
 
-def _ahead(group: np.ndarray, rows: int = 1 << 16) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+def _ahead(group: np.ndarray, rows: int = 1 << 15) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """All index pairs i < j of equal group (equal groups adjoin), a bounded number at a time."""
     starts = np.flatnonzero(np.r_[True, group[1:] != group[:-1]])
     sizes = np.diff(np.r_[starts, len(group)])
@@ -339,8 +343,9 @@ def _across(members: DataFrame, percent: int) -> DataFrame:
 
     members(key, lo, hi, block, nth, first, id, comp, n, sig, home, salt): the
     classes of a key are dealt into blocks, and a row goes to each pair of
-    blocks (lo, hi) with its own. A pair is taken in the first key that it
-    shares, unless its lower class leads that key: then it was tried before.
+    blocks (lo, hi) with its own. A pair of one home, the largest key of both,
+    is taken there; any other in the first key that it shares. Where a class
+    leads that key the pair was tried before.
     """
     by, short = ["key", "lo", "hi"], 2 * SYMBOLS + SHORT // 2
 
@@ -353,23 +358,36 @@ def _across(members: DataFrame, percent: int) -> DataFrame:
             names = pdf[by].to_numpy()
             within = names[:, 1] == names[:, 2]
             group = np.cumsum(np.r_[True, (names[1:] != names[:-1]).any(axis=1)])
-            out = []
+            out, held = [], 0
+
+            def rows() -> pd.DataFrame:
+                """The held pairs: each higher class with the lower ones that lead its groups, and those themselves."""
+                i, j = (np.concatenate(x) for x in zip(*out, strict=True))
+                order = np.lexsort((i, ids[j], salt[i], home[i]))
+                i, j = i[order], j[order]
+                names = np.stack((home[i], salt[i], ids[j]))
+                starts = np.flatnonzero(np.r_[True, (names[:, 1:] != names[:, :-1]).any(axis=0)])
+                alone = np.unique(i)
+                return pd.DataFrame({
+                    "home": np.r_[home[i[starts]], home[alone]], "salt": np.r_[salt[i[starts]], salt[alone]], "member": np.r_[np.ones(len(starts), np.int32), np.zeros(len(alone), np.int32)],
+                    "id": np.r_[ids[j[starts]], ids[alone]], "leads": [*np.split(ids[i], starts[1:]), *[ids[:0]] * len(alone)]})
+
             for i, j in _ahead(group):
                 for test in (
                     lambda i, j: (comp[i] != comp[j]) & ~(first[i] | first[j]) & (within[i] | (block[i] != block[j])) & (100 * np.minimum(n[i], n[j]) >= percent * np.maximum(n[i], n[j])),
                     lambda i, j: _to_compare(keys, front, back, i, j),
-                    lambda i, j: first_shared(keys[i], keys[j]) == nth[i],
+                    lambda i, j: np.where(home[i] == home[j], names[i, 0] == home[i], first_shared(keys[i], keys[j]) == nth[i]),
                 ):
                     ok = test(i, j)
                     i, j = i[ok], j[ok]
                 if len(i):
                     out.append((np.where(ids[i] < ids[j], i, j), np.where(ids[i] < ids[j], j, i)))
+                    held += len(i)
+                if held > HELD_PAIRS:
+                    yield rows()
+                    out, held = [], 0
             if out:
-                i, j = (np.concatenate(x) for x in zip(*out, strict=True))
-                pairs = pd.DataFrame({"home": home[i], "salt": salt[i], "member": np.int32(1), "id": ids[j], "leads": ids[i]})
-                yield pairs.groupby(["home", "salt", "member", "id"], as_index=False).agg({"leads": list})
-                alone = np.unique(i)
-                yield pd.DataFrame({"home": home[alone], "salt": salt[alone], "member": np.int32(0), "id": ids[alone], "leads": [[]] * len(alone)})
+                yield rows()
 
     near = members.repartition(*by).sortWithinPartitions(*by).mapInPandas(found, "home long, salt long, member int, id long, leads array<long>")
     rows = cut(near.groupBy("home", "salt", "member", "id").agg(F.array_distinct(F.flatten(F.collect_list("leads"))).alias("leads")))
@@ -421,9 +439,9 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     members = cut(members.join(mixed.drop("lo", "hi"), "key"))
     if not members.isEmpty():
         # Compared texts meet at the largest key of their leader, so that few copies of them are sent.
-        parts = F.ceil(F.greatest(F.col("many") / GROUP_LEADS, F.col("all_n") / GROUP_SHINGLES))
+        parts = F.ceil(F.greatest(F.col("many") / BLOCK, F.col("all_n") / GROUP_SHINGLES))
         homes = members.groupBy("id").agg(F.max(F.struct("many", "key", parts.alias("parts"))).alias("x"))
-        whole = named.select("id", "sig").join(homes.select("id", F.col("x.key").alias("home"), F.pmod(F.xxhash64("id", F.lit(1)), F.col("x.parts")).alias("salt")), "id")
+        whole = named.select("id", "sig").join(homes.select("id", F.col("x.key").alias("home"), F.pmod(F.xxhash64("id"), F.col("x.parts")).alias("salt")), "id")
         blocks = F.ceil(F.col("many") / BLOCK)
         dealt = members.withColumns({"block": F.pmod(F.xxhash64("id"), blocks), "other": F.explode(F.sequence(F.lit(0).cast("long"), blocks - 1))})
         dealt = dealt.select("key", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"), "block", "nth", "first", "id", "comp", "n").join(whole, "id")

@@ -159,10 +159,10 @@ def test_words_that_defeat_polynomial_hashes_are_not_linked(spark):
     assert leaders.similar(b"v w x y z", [1]) == [] and neardup.Leaders(4, 80).similar(b"a b", [1]) == []
 
 
-def test_every_pair_within_the_key_distance_is_compared():
+def test_every_pair_within_the_sure_distance_is_compared():
     rng = np.random.default_rng(3)
     keys = rng.integers(0, 1 << 16, (2, neardup.SYMBOLS), dtype=np.uint16)
-    keys[1, 15:] = keys[0, 15:]
+    keys[1, neardup.SURE :] = keys[0, neardup.SURE :]
     far = np.arange(2 * 8, dtype=np.uint64).reshape(2, 8) * np.uint64(0x9E3779B97F4A7C15)
     ok = neardup._to_compare(keys, far, np.tile(far, 3), np.array([0]), np.array([1]))
     assert ok.tolist() == [True]
@@ -274,7 +274,8 @@ def test_pairs_ahead_are_all_pairs_of_a_group():
 
 def test_near_duplicates_in_a_dense_group_of_near_misses(spark, monkeypatch):
     monkeypatch.setattr(neardup, "BLOCK", 7)
-    monkeypatch.setattr(neardup, "GROUP_LEADS", 3)
+    monkeypatch.setattr(neardup, "GROUP_MEMBERS", 3)
+    monkeypatch.setattr(neardup, "HELD_PAIRS", 5)
     rng = np.random.default_rng(11)
     # Half of the texts are chained copies, half keep about 0.75 to 0.85 of a common text.
     base = [f"w{k}" for k in range(120)]
