@@ -1,9 +1,12 @@
 """SQL surface: functions and table functions usable from spark.sql."""
 
-from __future__ import annotations
+import re
 
-from pyspark.sql import SparkSession
+import numpy as np
+import pandas as pd
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType
 
 
 def register(spark: SparkSession) -> None:
@@ -28,3 +31,42 @@ def path_wkt(path, nodes_xy):
     """WKT of a path column (array of nodes) through a map column node -> struct(x, y)."""
     point = lambda n: F.concat_ws(" ", nodes_xy[n]["x"].cast("string"), nodes_xy[n]["y"].cast("string"))
     return F.concat(F.lit("LINESTRING("), F.array_join(F.transform(path, point), ", "), F.lit(")"))
+
+
+def routes_wkt(rows: DataFrame, nodes: DataFrame) -> DataFrame:
+    """rows(trip, path) + wkt; coordinates are joined by node, so no map of the network is needed."""
+    steps = rows.select("trip", F.posexplode("path").alias("pos", "node")).join(nodes.select("node", "x", "y"), "node")
+    point = F.concat_ws(" ", F.col("x").cast("string"), F.col("y").cast("string"))
+    lines = steps.groupBy("trip").agg(F.array_sort(F.collect_list(F.struct("pos", point.alias("p")))).alias("s"))
+    return rows.join(lines.select("trip", F.concat(F.lit("LINESTRING("), F.array_join(F.col("s.p"), ", "), F.lit(")")).alias("wkt")), "trip", "left")
+
+
+def parse_linestring(wkt):
+    """array<struct<x,y>> of a LINESTRING text column; null for anything else."""
+    body = F.regexp_extract(wkt, "(?i)^\\s*LINESTRING\\s*\\((.*)\\)\\s*$", 1)
+    points = F.transform(F.split(body, ","), lambda p: F.split(F.trim(p), "\\s+"))
+    xy = F.transform(points, lambda p: F.struct(p[0].cast("double").alias("x"), p[1].cast("double").alias("y")))
+    return F.when(body != "", xy)
+
+
+def parse_ring(wkt: str) -> list[tuple[float, float]]:
+    """The outer ring of a POLYGON text."""
+    found = re.fullmatch(r"(?i)\s*POLYGON\s*\(\s*\(([^()]*)\)\s*\)\s*", wkt)
+    if not found:
+        raise ValueError("a POLYGON with one ring is wanted")
+    ring = [tuple(map(float, p.split())) for p in found[1].split(",")]
+    return ring[:-1] if len(ring) > 1 and ring[0] == ring[-1] else ring
+
+
+@F.pandas_udf(DoubleType())
+def polyline_length(x: pd.Series, y: pd.Series) -> float:
+    """A grouped aggregate: the length of a line whose points come in order."""
+    return float(np.hypot(np.diff(x), np.diff(y)).sum())
+
+
+@F.pandas_udf(DoubleType())
+def haversine_km(lon1: pd.Series, lat1: pd.Series, lon2: pd.Series, lat2: pd.Series) -> pd.Series:
+    """Great-circle distance in kilometres of coordinates in degrees."""
+    a1, o1, a2, o2 = (np.radians(v) for v in (lat1, lon1, lat2, lon2))
+    h = np.sin((a2 - a1) / 2) ** 2 + np.cos(a1) * np.cos(a2) * np.sin((o2 - o1) / 2) ** 2
+    return 2 * 6371.0088 * np.arcsin(np.sqrt(h.clip(0, 1)))

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from chargepath.operators import search
+from chargepath.operators.network import reverse
 from chargepath.operators.planner import SOURCE, TARGET, Net
 from chargepath.operators.search import cut, cut_size
 
@@ -20,7 +21,7 @@ def exact_optimum(net: Net, trips: DataFrame, capacity: int) -> DataFrame:
     """
     places = net.stations.select("node").union(trips.select("source")).union(trips.select("target")).distinct()
     runs = places.select(F.col("node").alias("run"), F.col("node").alias("source"), F.lit(capacity).alias("radius"))
-    arcs = search.reach(net.edges, runs, net=net.load()).select(F.col("run").alias("src"), F.col("node").alias("dst"), F.col("dist").alias("weight"))
+    arcs = search.reach(net.edges, runs, "auto", net.nodes, net.load(), history=False).select(F.col("run").alias("src"), F.col("node").alias("dst"), F.col("dist").alias("weight"))
     arcs = cut(arcs.join(places.select(F.col("node").alias("dst")), "dst").where("src <> dst"))
     own = net.stations.select(F.col("node").alias("src")).distinct()
     between = search.load(arcs.join(own, "src").select("src", "dst", "weight"))
@@ -92,7 +93,8 @@ def greedy_trip(net: Net, trips: DataFrame, capacity: int) -> DataFrame:
     What is left falls with every stop, so each trip arrives or finds no nearer
     station, and the rounds end.
     """
-    back = search.reach(net.edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "weight"), trips.select(F.col("target").alias("run"), F.col("target").alias("source"), F.lit(None).cast("long").alias("radius")).distinct())
+    runs = trips.select(F.col("target").alias("run"), F.col("target").alias("source"), F.lit(None).cast("long").alias("radius")).distinct()
+    back = search.reach(reverse(net.edges), runs, "auto", net.nodes, net.load_back(), history=False)
     left = cut(back.select(F.col("run").alias("target"), "node", F.col("dist").alias("rest")))
     sites = net.stations.groupBy("node").agg(F.min("station").alias("station"))
     state = trips.select("trip", "source", "target", F.col("source").alias("at"), F.lit(0).cast("long").alias("cost"), F.lit(0).alias("stops"))
@@ -106,7 +108,7 @@ def greedy_trip(net: Net, trips: DataFrame, capacity: int) -> DataFrame:
         done.append(cut(arrived))
         far = here.where(F.col("rest") > capacity)
         runs = far.select(F.col("at").alias("run"), F.col("at").alias("source"), F.lit(capacity).alias("radius")).distinct()
-        hops = search.reach(net.edges, runs, net=net.load()).join(sites, "node").select(F.col("run").alias("at"), F.col("node").alias("to"), "dist", "station")
+        hops = search.reach(net.edges, runs, "auto", net.nodes, net.load(), history=False).join(sites, "node").select(F.col("run").alias("at"), F.col("node").alias("to"), "dist", "station")
         nxt = far.join(hops, "at").join(left.select("target", F.col("node").alias("to"), F.col("rest").alias("after")), ["target", "to"]).where("after < rest")
         pick = nxt.groupBy("trip", "source", "target").agg(F.min(F.struct("after", "station", "to", (F.col("cost") + F.col("dist")).alias("c"), "stops")).alias("m"))
         state = pick.select("trip", "source", "target", F.col("m.to").alias("at"), F.col("m.c").alias("cost"), (F.col("m.stops") + 1).alias("stops"))

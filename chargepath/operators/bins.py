@@ -3,10 +3,14 @@
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import reduce
+from math import ceil, floor, log2, pi, sqrt
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from chargepath.operators.search import cut
+
 
 @dataclass(frozen=True)
 class BinGrid:
@@ -35,6 +39,14 @@ class BinGrid:
     def bin(self, x="x", y="y"):
         return self.j(y) * self.ni + self.i(x)
 
+    def bin_at(self, x: float, y: float) -> int:
+        return floor((y - self.ymin) / self.cell) * self.ni + floor((x - self.xmin) / self.cell)
+
+    def block(self, cell: int, k: int) -> list[int]:
+        """The cells within k of a cell, clipped to the grid."""
+        i, j = cell % self.ni, cell // self.ni
+        return [b * self.ni + a for b in range(max(0, j - k), min(self.nj, j + k + 1)) for a in range(max(0, i - k), min(self.ni, i + k + 1))]
+
 
 def cell_from_km(km: float, latitude: float = 0.0) -> float:
     """Degrees of longitude that km are at a latitude."""
@@ -85,19 +97,42 @@ def within_scan(points: DataFrame, items: DataFrame, radius: float) -> DataFrame
 
 def nearest(points: DataFrame, items: DataFrame, grid: BinGrid, n: int = 1) -> DataFrame:
     """The n nearest items of each point (by distance, then item), growing rings
-    until the n-th is no further than the rings reach."""
-    left, out, k, last = points, None, 1, max(grid.ni, grid.nj)
+    until the n-th is no further than the rings reach.
+
+    The first block of rings is as wide as the items' density asks for, so that
+    most points need one round; each round is cut, and only points without
+    enough items go on.
+    """
+    last = max(grid.ni, grid.nj)
+    density = items.count() / (grid.ni * grid.nj)
+    k = min(last, max(1, ceil(sqrt(2 * n / (pi * density))))) if density else last
+    left, parts = points, []
     while True:
         reach = k * grid.cell
         found = within(left, items, grid, reach if k < last else reach * 2)
-        rank = F.row_number().over(Window.partitionBy("point").orderBy("d2", "item"))
-        found = found.withColumn("rank", rank).where(F.col("rank") <= n)
-        done = found.withColumn("_n", F.count("*").over(Window.partitionBy("point"))).where(F.col("_n") == n).drop("_n") if k < last else found
-        out = done if out is None else out.unionByName(done)
-        left = left.join(done.select("point"), "point", "left_anti")
-        if k >= last or left.isEmpty():
-            return out
+        window = Window.partitionBy("point")
+        found = found.withColumns({"rank": F.row_number().over(window.orderBy("d2", "item")), "_n": F.count("*").over(window)})
+        enough = F.col("_n") >= n if k < last else F.lit(True)
+        parts.append(cut(found.where((F.col("rank") <= n) & enough).drop("_n")))
+        if k >= last:
+            break
+        left = cut(left.join(parts[-1].select("point").distinct(), "point", "left_anti"))
+        if left.isEmpty():
+            break
         k = min(last, 2 * k)
+    return reduce(DataFrame.unionByName, parts)
+
+
+def bin_stats(points: DataFrame, items: DataFrame, grid: BinGrid, radius: float) -> DataFrame:
+    """One row: items, integers of the lists, heads, bins visited, items looked at and returned by a radius search."""
+    k = int(-(-radius // grid.cell))
+    near = around(with_bin(points, grid), grid, k).select("point", F.col("x").alias("px"), F.col("y").alias("py"), "near")
+    held = with_bin(items, grid)
+    pairs = near.join(held.select("item", "x", "y", F.col("bin").alias("near")), "near")
+    d2 = (F.col("x") - F.col("px")) * (F.col("x") - F.col("px")) + (F.col("y") - F.col("py")) * (F.col("y") - F.col("py"))
+    size = held.agg(F.count("*").alias("items"), (3 * F.count("*")).alias("list_integers"), F.count_distinct("bin").alias("heads"))
+    scans = pairs.agg(F.count("*").alias("scanned"), F.coalesce(F.sum((d2 <= radius * radius).cast("long")), F.lit(0)).alias("returned"))
+    return size.crossJoin(near.agg(F.count("*").alias("bins_visited"))).crossJoin(scans)  # three rows of one
 
 
 def quad_keys(items: DataFrame, levels: int, box: tuple[float, float, float, float]) -> DataFrame:
@@ -119,3 +154,31 @@ def quad_tree(items: DataFrame, levels: int, box: tuple[float, float, float, flo
     joined = counts.join(parent, F.expr("substring(leaf, 1, length(leaf) - 1) = up"), "left")
     small = (F.col("items") <= capacity) | (F.length("leaf") == levels)
     return joined.where(small & (F.coalesce("above", F.lit(capacity + 1)) > capacity)).select("leaf", "items")
+
+
+def within_quadtree(points: DataFrame, items: DataFrame, levels: int, box: tuple[float, float, float, float], capacity: int, radius: float) -> DataFrame:
+    """points x items -> point, item, d2 within radius, through the leaves of the tree.
+
+    A circle touches at most nine quads of the deepest level whose quads are as
+    wide as the radius; leaves above that level are found by the quads' own
+    prefixes, leaves below it by the leaf's.
+    """
+    x0, y0, x1, y1 = box
+    level = max(1, min(levels, floor(-log2(radius / min(x1 - x0, y1 - y0))) if radius > 0 else levels))
+    n = 1 << level
+    leaves = quad_tree(items, levels, box, capacity).select("leaf")
+    keyed = quad_keys(items, levels, box)
+    prefixes = keyed.select("item", "x", "y", F.explode(F.transform(F.sequence(F.lit(1), F.lit(levels)), lambda k: F.substring("quad", F.lit(1), k))).alias("leaf"))
+    held = prefixes.join(leaves, "leaf").withColumn("near", F.substring("leaf", 1, level))
+    wide, high = (x1 - x0) / n, (y1 - y0) / n
+    cell = lambda c, start, size, k: F.greatest(F.lit(0), F.least(F.floor((F.col(c) + k * radius - start) / size), F.lit(n - 1))).cast("long")
+    own = points.select("point", F.col("x").alias("px"), F.col("y").alias("py"))
+    i = F.explode(F.sequence(cell("px", x0, wide, -1), cell("px", x0, wide, 1)))
+    j = F.explode(F.sequence(cell("py", y0, high, -1), cell("py", y0, high, 1)))
+    quads = own.withColumn("i", i).withColumn("j", j)
+    digits = [F.shiftright("i", k).bitwiseAND(F.lit(1)) + 2 * F.shiftright("j", k).bitwiseAND(F.lit(1)) for k in range(level - 1, -1, -1)]
+    quads = quads.withColumn("quad", F.concat(*[d.cast("string") for d in digits]))
+    above = quads.select("point", "px", "py", F.explode(F.transform(F.sequence(F.lit(1), F.lit(level)), lambda k: F.substring("quad", F.lit(1), k))).alias("near")).distinct()
+    d2 = (F.col("x") - F.col("px")) * (F.col("x") - F.col("px")) + (F.col("y") - F.col("py")) * (F.col("y") - F.col("py"))
+    return above.join(held, "near").select("point", "item", d2.alias("d2")).where(F.col("d2") <= radius * radius)
+

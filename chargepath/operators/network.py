@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+from dataclasses import dataclass
 from functools import reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from chargepath.operators.search import cut
+
 
 def filter_road_classes(segs: DataFrame, drop=("R",)) -> DataFrame:
     return segs.where(~F.col("road_class").isin(*drop)) if drop else segs
@@ -107,4 +110,148 @@ def shared_nodes(assigned: DataFrame) -> DataFrame:
     return ends.groupBy("node").agg(F.count_distinct("tile").alias("tiles")).where("tiles > 1")
 
 
-__all__ = ["assemble", "assign_segments", "clip_region", "expand_direction", "filter_road_classes", "min_parallel", "plan_tiles", "reverse", "shared_nodes", "validate"]
+def tile_adaptive(nodes: DataFrame, max_nodes: int) -> DataFrame:
+    """nodes(node, x, y) -> node, x, y, tile: each tile over the threshold is cut at the exact median
+    of its longer side, until none is; the exact form beside the histogram.
+
+    A tile is a number whose bits are the sides taken. Nodes at one point stay
+    together, so a point with more nodes than the threshold is a tile.
+    """
+    state = cut(nodes.select("node", "x", "y", F.lit(1).cast("long").alias("tile"), F.lit(True).alias("open")))
+    while True:
+        size = state.where("open").groupBy("tile").agg(
+            F.count("*").alias("n"), (F.max("x") - F.min("x")).alias("w"), (F.max("y") - F.min("y")).alias("h"),
+            F.percentile("x", 0.5).alias("mx"), F.percentile("y", 0.5).alias("my"), F.min("x").alias("x0"), F.min("y").alias("y0"))
+        size = cut(size.withColumn("split", (F.col("n") > max_nodes) & ((F.col("w") > 0) | (F.col("h") > 0))))
+        if size.where("split").isEmpty():
+            return state.select("node", "x", "y", "tile")
+        over = size.where("split").select("tile", (F.col("w") >= F.col("h")).alias("wide"), "mx", "my", "x0", "y0")
+        rows = state.join(over, "tile", "left")
+        # At the median, unless all of the lower half lies on the border itself.
+        at = lambda c, m, lo: F.when(F.col(m) > F.col(lo), F.col(c) >= F.col(m)).otherwise(F.col(c) > F.col(lo))
+        right = F.when(F.col("wide"), at("x", "mx", "x0")).otherwise(at("y", "my", "y0"))
+        state = cut(rows.select("node", "x", "y", F.when(right.isNull(), F.col("tile")).otherwise(2 * F.col("tile") + right.cast("long")).alias("tile"), right.isNotNull().alias("open")))
+
+
+def tile_contract(assigned: DataFrame) -> DataFrame:
+    """problem, n: segments that lie in two tiles or in none; nothing where tiles share nodes only."""
+    twice = assigned.groupBy("seg_id").agg(F.count_distinct("tile").alias("t")).where("t > 1").select(F.lit("segment in two tiles").alias("problem"))
+    none = assigned.where("tile IS NULL").select(F.lit("segment without a tile").alias("problem"))
+    return twice.union(none).groupBy("problem").agg(F.count("*").alias("n"))
+
+
+def dense_ids(rows: DataFrame, order: list[str], name: str) -> DataFrame:
+    """rows + name: 0, 1, ... in the order of columns, by range partitions and their counts; no single task sorts all."""
+    parts = cut(rows.repartitionByRange(*order).sortWithinPartitions(*order).select("*", F.spark_partition_id().alias("_part"), F.monotonically_increasing_id().alias("_row")))
+    sizes = parts.groupBy("_part").agg(F.count("*").alias("_n"), F.min("_row").alias("_first"))  # one row a partition
+    starts = sizes.select("_part", "_first", (F.coalesce(F.sum("_n").over(Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).alias("_start"))
+    return parts.join(F.broadcast(starts), "_part").withColumn(name, F.col("_start") + F.col("_row") - F.col("_first")).drop("_part", "_row", "_first", "_start")
+
+
+def index_endpoints(segs: DataFrame, digits: int = 6) -> tuple[DataFrame, DataFrame]:
+    """segs(ax, ay, bx, by, ...) -> (nodes(node, x, y), segs with a and b).
+
+    Ends whose coordinates agree to ``digits`` decimals are one node, which is
+    all that joins tiles; nodes are numbered in the order of x, y.
+    """
+    r = lambda c: (F.round(F.col(c), digits) + F.lit(0.0)).alias(c)  # noqa: E731  (adding 0.0 turns -0.0 round)
+    rows = segs.select(*[c for c in segs.columns if c not in ("ax", "ay", "bx", "by")], r("ax"), r("ay"), r("bx"), r("by"))
+    ends = rows.select(F.col("ax").alias("x"), F.col("ay").alias("y")).union(rows.select("bx", "by")).distinct()
+    nodes = dense_ids(ends, ["x", "y"], "node").select("node", "x", "y")
+    a, b = nodes.select(F.col("node").alias("a"), F.col("x").alias("ax"), F.col("y").alias("ay")), nodes.select(F.col("node").alias("b"), F.col("x").alias("bx"), F.col("y").alias("by"))
+    return nodes, rows.join(a, ["ax", "ay"]).join(b, ["bx", "by"]).drop("ax", "ay", "bx", "by")
+
+
+def write_network(edges: DataFrame, path: str) -> None:
+    """edges(tile, src, dst, weight) as Parquet, a folder a tile, sorted by src: a fixed topology that is read tile by tile."""
+    edges.repartition("tile").sortWithinPartitions("tile", "src", "dst").write.mode("overwrite").partitionBy("tile").parquet(path)
+
+
+def read_network(spark: SparkSession, path: str, tiles: list[int] | None = None) -> DataFrame:
+    """One scan of the stored tiles; only the folders of ``tiles`` are read where they are named."""
+    rows = spark.read.schema("src long, dst long, weight long, tile long").parquet(path)
+    return rows if tiles is None else rows.where(F.col("tile").isin(*tiles))
+
+
+def bucket_network(edges: DataFrame, name: str, buckets: int) -> None:
+    """The same as a table bucketed by src, so that joins of a frontier on src move only the frontier."""
+    edges.write.mode("overwrite").bucketBy(buckets, "src").sortBy("src", "dst").saveAsTable(name)
+
+
+@dataclass(frozen=True)
+class ColumnRoles:
+    """Which columns of a segment table play which part; ends by number or by coordinates."""
+
+    weight: str = "weight"
+    direction: str | None = "direction"
+    road_class: str | None = "road_class"
+    ends: tuple[str, ...] = ("a", "b")  # or four coordinate columns
+    wkt: str | None = None  # a LINESTRING column instead of ends
+
+
+@dataclass(frozen=True)
+class NetworkSpec:
+    """What a network is built from; the region is a ring of (x, y) or a POLYGON text."""
+
+    roles: ColumnRoles = ColumnRoles()
+    drop: tuple[str, ...] = ("R",)
+    region: object = None
+    max_nodes: int | None = None  # of a tile; None leaves the network whole
+    view: str | None = None  # name of SQL views <view>_edges and <view>_nodes
+
+
+@dataclass
+class Built:
+    nodes: DataFrame
+    segments: DataFrame
+    edges: DataFrame
+    tiles: DataFrame | None
+
+
+def build_network(segs: DataFrame, spec: NetworkSpec, nodes: DataFrame | None = None) -> Built:
+    """One call from segment rows to a checked network.
+
+    Columns are read by their roles, classes dropped, ends made nodes where they
+    are coordinates, the region clipped, tiles cut and put together again, and
+    the result is validated. With ``view`` it can be queried in SQL.
+    """
+    from chargepath.functions.sql import parse_linestring, parse_ring
+
+    roles = spec.roles
+    direction = F.col(roles.direction) if roles.direction else F.lit("F")
+    road = F.col(roles.road_class) if roles.road_class else F.lit("")
+    base = [direction.alias("direction"), road.alias("road_class"), F.col(roles.weight).cast("long").alias("weight")]
+    if roles.wkt is not None:
+        line = parse_linestring(F.col(roles.wkt))
+        ends = [line[0]["x"].alias("ax"), line[0]["y"].alias("ay"), F.element_at(line, -1)["x"].alias("bx"), F.element_at(line, -1)["y"].alias("by")]
+    else:
+        names = ("a", "b") if len(roles.ends) == 2 else ("ax", "ay", "bx", "by")
+        ends = [F.col(c).alias(n) for c, n in zip(roles.ends, names, strict=True)]
+    rows = filter_road_classes(segs.select(*ends, *base), spec.drop)
+    if roles.wkt is not None or len(roles.ends) == 4:
+        nodes, rows = index_endpoints(rows)
+        nodes, rows = cut(nodes), cut(rows)
+    if nodes is None:
+        raise ValueError("segments with numbered ends need a table of nodes")
+    if spec.region is not None:
+        ring = parse_ring(spec.region) if isinstance(spec.region, str) else spec.region
+        rows = clip_region(rows, nodes, ring)
+    tiles = None
+    if spec.max_nodes is not None:
+        tiles = plan_tiles(nodes, spec.max_nodes)
+        rows = assign_segments(rows, nodes, tiles)
+    edges = assemble([rows])
+    problems = validate(edges, nodes).collect()  # four kinds at most
+    if problems:
+        raise ValueError(f"the network is not sound: {[tuple(p) for p in problems]}")
+    if spec.view:
+        edges.createOrReplaceTempView(f"{spec.view}_edges")
+        nodes.createOrReplaceTempView(f"{spec.view}_nodes")
+    return Built(nodes, rows, edges, tiles)
+
+
+def network_stats(nodes: DataFrame, edges: DataFrame, tiles: DataFrame | None = None) -> DataFrame:
+    """One row: nodes, edges, tiles, most nodes of a tile, bytes of the compact form (24 an edge, 24 a node)."""
+    out = nodes.agg(F.count("*").alias("nodes")).crossJoin(edges.agg(F.count("*").alias("edges")))
+    of = tiles.agg(F.count("*").alias("tiles"), F.max("nodes").alias("most_nodes")) if tiles is not None else nodes.sparkSession.sql("SELECT 0L AS tiles, 0L AS most_nodes")
+    return out.crossJoin(of).withColumn("bytes", 24 * F.col("nodes") + 24 * F.col("edges"))  # rows of one

@@ -1,45 +1,97 @@
 """The trip planner: initial path, bases, candidate stations, legs, the process
 graph, its shortest path and the stitched solution. All trips of a batch go
-through each step together."""
+through each step together.
+
+A network and stations of a checked size are shipped whole, and each step is
+one pass of kernels over its runs (trips, bases, places of a stop, trips again).
+Larger ones go through the searches over tables; both forms give equal rows.
+"""
 
 from __future__ import annotations
 
-from dataclasses import dataclass, replace
+from collections.abc import Iterator
+from dataclasses import dataclass, field, replace
 from functools import reduce
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from chargepath.config import TripOptions
 from chargepath.operators import bins, search
-from chargepath.operators.network import reverse
+from chargepath.operators.network import reverse, validate
 from chargepath.operators.search import cut
 
 SOURCE, TARGET = -1, -2
+#: Stations up to which they are shipped whole: 48 bytes each.
+MAX_BROADCAST_STATIONS = 2_000_000
+#: Targets of one search run.
+RUN_TARGETS = 4096
 
 
 @dataclass
 class Net:
-    """A network with its nodes, stations and bin grid."""
+    """A network with its nodes, stations and bin grid. What is loaded stays, also that it was too large."""
 
     edges: DataFrame
     nodes: DataFrame
     stations: DataFrame
     grid: bins.BinGrid
-    loaded: object = None
+    _kept: dict = field(default_factory=dict, repr=False)
 
     def load(self):
-        self.loaded = self.loaded or search.load(self.edges)
-        return self.loaded
+        return self._once("there", lambda: search.load(self.edges, self.nodes))
+
+    def load_back(self):
+        """The loaded network with all edges turned round."""
+        there = self.load()
+        return None if there is None else self._once("back", lambda: self.edges.sparkSession.sparkContext.broadcast(there.value.flipped()))
+
+    def load_stations(self):
+        """Broadcast arrays (station, node, x, y, plug) in the order of stations, or None if there are too many."""
+        def read():
+            if self.stations.count() > MAX_BROADCAST_STATIONS:
+                return None
+            rows = self.stations.select("station", "node", F.col("x").cast("double").alias("x"), F.col("y").cast("double").alias("y"), *["plug"] * ("plug" in self.stations.columns)).toPandas()
+            return self.edges.sparkSession.sparkContext.broadcast(rows.sort_values("station", ignore_index=True))
+
+        return self._once("stations", read)
+
+    def _once(self, name: str, make):
+        if name not in self._kept:
+            self._kept[name] = make()
+        return self._kept[name]
+
+    def validate(self) -> DataFrame:
+        return validate(self.edges, self.nodes)
 
 
 def initial_path(net: Net, trips: DataFrame) -> DataFrame:
     """trips(trip, source, target) -> trip, cost, path, cum (running cost by node), settled."""
+    loaded = net.load()
+    if loaded is None:
+        return _initial_path_tables(net, trips)
+
+    def solved(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in batches:
+            own, out = loaded.value, []
+            for trip, s, t in zip(pdf["trip"], pdf["source"], pdf["target"], strict=True):
+                found = search.bounded(own, int(s), None, [int(t)], own.goal(int(t)))
+                if t in found.dist:
+                    path = search.trace(found.pred, int(t))
+                    out.append((trip, found.dist[t], path, [found.dist[v] for v in path], found.settled))
+            yield pd.DataFrame(out, columns=["trip", "cost", "path", "cum", "settled"])
+
+    return trips.select("trip", "source", "target").repartition("trip").mapInPandas(solved, "trip long, cost long, path array<long>, cum array<long>, settled long")
+
+
+def _initial_path_tables(net: Net, trips: DataFrame) -> DataFrame:
     runs = trips.select(F.col("trip").alias("run"), "source", F.array("target").alias("targets"), F.lit(None).cast("long").alias("radius"))
-    found = search.paths(net.edges, runs, net.nodes, net.load())
+    found = search._frontier_paths(net.edges, runs, net.nodes)
     steps = found.select(F.col("run").alias("trip"), "cost", "settled", F.posexplode("path").alias("pos", "node"))
     before = Window.partitionBy("trip").orderBy("pos")
-    steps = steps.withColumn("prev", F.lag("node").over(before)).join(net.edges.select(F.col("src").alias("prev"), F.col("dst").alias("node"), "weight"), ["prev", "node"], "left")
+    steps = steps.withColumn("prev", F.lag("node").over(before)).join(net.edges.select(F.col("src").alias("prev"), F.col("dst").alias("node"), "weight").groupBy("prev", "node").agg(F.min("weight").alias("weight")), ["prev", "node"], "left")
     run = Window.partitionBy("trip").orderBy("pos").rowsBetween(Window.unboundedPreceding, 0)
     steps = steps.withColumn("cum", F.coalesce(F.sum("weight").over(run), F.lit(0)))
     rows = steps.groupBy("trip").agg(F.first("cost").alias("cost"), F.first("settled").alias("settled"), F.array_sort(F.collect_list(F.struct("pos", "node", "cum"))).alias("s"))
@@ -73,26 +125,99 @@ def split_bases(path: DataFrame, opts: TripOptions) -> DataFrame:
     return rows.select("trip", stop.alias("stop"), F.col("m.pos").cast("int").alias("pos"), F.col("m.node").alias("node"), F.col("m.cum").alias("cum"))
 
 
+def usable(stations: DataFrame, opts: TripOptions) -> DataFrame:
+    """Stations with a plug that fits; all where no plugs are named."""
+    return stations if opts.plugs is None else stations.where(F.col("plug").isin(*opts.plugs))
+
+
 def _disk(net: Net, runs: DataFrame, direction: str) -> DataFrame:
-    """run, node, dist of the disk around each run's source."""
-    out = search.reach(net.edges, runs, net=net.load()).select("run", "node", "dist") if direction != "in" else None
+    """run, node, dist of the disk around each run's source, by searches over tables."""
+    out = search.reach(net.edges, runs, "auto", net.nodes, net.load(), history=False) if direction != "in" else None
     if direction == "out":
         return out
-    back = search.reach(reverse(net.edges), runs).select("run", "node", "dist")
+    back = search.reach(net._once("reversed", lambda: cut(reverse(net.edges))), runs, "auto", net.nodes, net.load_back(), history=False)
     if direction == "in":
         return back
     return out.unionByName(back).groupBy("run", "node").agg(F.max("dist").alias("dist"), F.count("*").alias("n")).where("n = 2").drop("n")
 
 
-def find_candidates(net: Net, bases: DataFrame, opts: TripOptions) -> DataFrame:
+_CANDIDATES = "trip long, stop int, station long, node long, dist long, widen_round int"
+_VISITS = "settled long, bins_visited long, scanned long"
+
+
+class Gatherer:
+    """Candidate stations of a base: bins of the reached disk and one ring more, then the n best."""
+
+    def __init__(self, net: search.Network, back: search.Network | None, stations: pd.DataFrame, grid: bins.BinGrid, opts: TripOptions) -> None:
+        self.net, self.back, self.grid, self.opts = net, back, grid, opts
+        if opts.plugs is not None:
+            stations = stations[stations["plug"].isin(opts.plugs)]
+        self.by_bin: dict[int, list] = {}
+        for row in zip(stations["station"].tolist(), stations["node"].tolist(), stations["x"].tolist(), stations["y"].tolist(), strict=True):
+            self.by_bin.setdefault(grid.bin_at(row[2], row[3]), []).append(row)
+
+    def disk(self, base: int, radius: int) -> tuple[dict, int]:
+        there = search.bounded(self.net, base, radius, history=False) if self.opts.direction != "in" else None
+        if self.opts.direction == "out":
+            return there.dist, there.settled
+        back = search.bounded(self.back, base, radius, history=False)
+        if self.opts.direction == "in":
+            return back.dist, back.settled
+        return {v: max(d, back.dist[v]) for v, d in there.dist.items() if v in back.dist}, there.settled + back.settled
+
+    def gather(self, base: int) -> tuple[list, int, int, int, int]:
+        """((station, node, dist) of the n best, round, settled, bins visited, stations looked at)."""
+        opts, best, k = self.opts, [], 0
+        settled = visited = scanned = 0
+        for k in range(opts.max_widen + 1):
+            dist, n = self.disk(base, opts.radius(k))
+            cells = {self.grid.bin_at(*xy) for v in dist if (xy := self.net.spot(v)) is not None}
+            near = {c for cell in cells for c in self.grid.block(cell, 1)}
+            found = [(dist.get(r[1]), c, r) for c in near for r in self.by_bin.get(c, ())]
+            settled, visited, scanned = settled + n, visited + len(near), scanned + len(found)
+            if opts.order == "bins":
+                best = sorted(found, key=lambda f: (f[1], f[2][0]))
+            else:
+                at = self.net.spot(base) if opts.order == "straight" else None
+                best = sorted((f for f in found if f[0] is not None), key=lambda f: ((f[2][2] - at[0]) ** 2 + (f[2][3] - at[1]) ** 2 if at else f[0], f[2][0]))
+            best = best[: opts.n]
+            if len(best) >= opts.n:
+                break
+        return [(f[2][0], f[2][1], f[0]) for f in best], k, settled, visited, scanned
+
+
+def find_candidates(net: Net, bases: DataFrame, opts: TripOptions, visits: bool = False) -> DataFrame:
     """bases(trip, stop, node) -> trip, stop, station, node, dist, widen_round.
 
-    A bounded search from each base gives the reached nodes; their bins and one
-    more ring around them give the stations. Bases with fewer than n stations
-    search again in a wider disk.
+    A bounded search from each base, without history, gives the reached nodes;
+    their bins and one more ring around them give the stations. Bases with fewer
+    than n stations search again in a wider disk. ``visits`` adds what the search
+    and the bins cost at each base (for loaded networks).
     """
+    loaded, stations = net.load(), net.load_stations()
+    if loaded is None or stations is None:
+        return _candidates_tables(net, bases, opts)
+    back, grid = net.load_back() if opts.direction != "out" else None, net.grid
+
+    def gathered(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        own = Gatherer(loaded.value, back.value if back else None, stations.value, grid, opts)
+        for pdf in batches:
+            out, known = [], {}
+            for trip, stop, node in zip(pdf["trip"], pdf["stop"], pdf["node"], strict=True):
+                if node not in known:
+                    known[node] = own.gather(int(node))
+                best, k, *cost = known[node]
+                out += [(trip, stop, s, at, d, k, *cost) for s, at, d in best]
+            yield pd.DataFrame(out, columns=["trip", "stop", "station", "node", "dist", "widen_round", "settled", "bins_visited", "scanned"]).astype({"dist": "Int64"})
+
+    # Bases at one node share their search.
+    rows = bases.select("trip", "stop", "node").repartition("node").mapInPandas(gathered, f"{_CANDIDATES}, {_VISITS}")
+    return rows if visits else rows.drop("settled", "bins_visited", "scanned")
+
+
+def _candidates_tables(net: Net, bases: DataFrame, opts: TripOptions) -> DataFrame:
     left = cut(bases.select("trip", "stop", F.col("node").alias("base"), F.abs(F.xxhash64("trip", "stop")).alias("run")))
-    items = bins.with_bin(net.stations, net.grid).select("station", F.col("node").alias("at"), "x", "y", F.col("bin").alias("near"))
+    items = bins.with_bin(usable(net.stations, opts), net.grid).select("station", F.col("node").alias("at"), "x", "y", F.col("bin").alias("near"))
     spots = bins.with_bin(net.nodes, net.grid).select("node", "bin")
     out = None
     for k in range(opts.max_widen + 1):
@@ -128,9 +253,9 @@ def slide(net: Net, path: DataFrame, bases: DataFrame, candidates: DataFrame, op
     steps = [s for d in range(1, opts.slide_steps + 1) for s in (-d, d)]
     moved = empty.withColumn("try", F.explode(F.array(*[F.struct(F.lit(k).alias("k"), F.lit(s).alias("s")) for k, s in enumerate(steps)])))
     moved = moved.join(path.select("trip", "path"), "trip").withColumn("i", F.col("pos") + F.col("try.s")).where("i >= 0 AND i < size(path)")
-    moved = moved.select("trip", (F.col("stop") * 64 + F.col("try.k")).alias("stop"), F.col("path")[F.col("i")].alias("node"))
+    moved = moved.select("trip", (F.col("stop") * len(steps) + F.col("try.k")).cast("int").alias("stop"), F.col("path")[F.col("i")].alias("node"))
     found = find_candidates(net, moved, replace(opts, max_widen=0))
-    first = found.groupBy("trip", F.floor(F.col("stop") / 64).alias("s")).agg(F.min("stop").alias("stop"))
+    first = found.groupBy("trip", F.floor(F.col("stop") / len(steps)).alias("s")).agg(F.min("stop").alias("stop"))
     return found.join(first, ["trip", "stop"]).select("trip", F.col("s").cast("int").alias("stop"), "station", "node", "dist", "widen_round")
 
 
@@ -145,24 +270,41 @@ def layers(trips: DataFrame, bases: DataFrame, candidates: DataFrame) -> DataFra
             .unionByName(ends.select("trip", (F.col("m") + 1).alias("layer"), F.lit(TARGET).cast("long").alias("id"), F.col("target").alias("node"))))
 
 
-def legs(net: Net, stops: DataFrame, opts: TripOptions) -> DataFrame:
-    """layers -> trip, layer, u, v, u_node, v_node, cost, path, run: all legs between consecutive layers within the limit.
+def legs(net: Net, stops: DataFrame, opts: TripOptions, cache: DataFrame | None = None) -> DataFrame:
+    """layers -> trip, layer, u, v, u_node, v_node, cost, path, settled, run: all legs between consecutive layers within the limit.
 
-    one_to_many starts one search at each place and stops when all of the next
-    layer are settled; pairwise starts one for each pair. Places of several
-    trips that start alike with the same targets share a search.
+    one_to_many starts one search at each place and stops when all that any trip
+    wants from there are settled; pairwise starts one for each pair. Trips share
+    searches; legs that ``cache`` (see ``leg_cache``) holds are not searched again.
     """
     a = stops.select("trip", "layer", F.col("id").alias("u"), F.col("node").alias("u_node"))
     b = stops.select("trip", (F.col("layer") - 1).alias("layer"), F.col("id").alias("v"), F.col("node").alias("v_node"))
     pairs = cut(a.join(b, ["trip", "layer"]).where("u <> v"))
-    wanted = pairs.groupBy("u_node", *(["v_node"] if opts.leg_mode == "pairwise" else ["trip", "layer", "u"])).agg(F.array_sort(F.collect_set("v_node")).alias("targets"))
-    wanted = wanted.select("u_node", "targets").distinct()
-    wanted = cut(wanted.select("u_node", "targets", F.abs(F.xxhash64("u_node", "targets")).alias("run")))
-    found = search.paths(net.edges, wanted.select("run", F.col("u_node").alias("source"), "targets", F.lit(opts.limit).alias("radius")), net=net.load())
-    found = found.join(wanted.select("run", "u_node"), "run").select("u_node", F.col("target").alias("v_node"), "cost", "path", "settled", "run").dropDuplicates(["u_node", "v_node"])
+    wanted = pairs if cache is None else pairs.join(cache.where(F.col("limit") >= opts.limit).select("u_node", "v_node"), ["u_node", "v_node"], "left_anti")
+    wanted = wanted.select("u_node", "v_node").distinct()
+    part = F.col("v_node")
+    if opts.leg_mode == "one_to_many":  # a place with very many targets is dealt over several runs
+        wanted = wanted.withColumn("many", F.count("*").over(Window.partitionBy("u_node")))
+        part = F.pmod(F.xxhash64("v_node"), F.ceil(F.col("many") / RUN_TARGETS))
+    wanted = wanted.groupBy("u_node", part.alias("part")).agg(F.array_sort(F.collect_list("v_node")).alias("targets"))
+    runs = wanted.select(F.abs(F.xxhash64("u_node", "targets")).alias("run"), F.col("u_node").alias("source"), "targets", F.lit(opts.limit).alias("radius"))
+    found = search.paths(net.edges, runs, net.nodes, net.load()).withColumn("u_node", F.col("path")[0]).withColumnRenamed("target", "v_node")
+    if cache is not None:
+        held = cache.where((F.col("limit") >= opts.limit) & F.col("cost").isNotNull())
+        found = found.unionByName(held.select("u_node", "v_node", "cost", "path", "settled", F.lit(None).cast("long").alias("run")))
+    found = found.groupBy("u_node", "v_node").agg(F.min(F.struct("cost", "settled", "run", "path")).alias("m")).select("u_node", "v_node", "m.cost", "m.path", "m.settled", "m.run")
     return pairs.join(found, ["u_node", "v_node"]).where(F.col("cost") <= opts.limit).select("trip", "layer", "u", "v", "u_node", "v_node", "cost", "path", "settled", "run")
 
 
+def leg_cache(stops: DataFrame, found: DataFrame, opts: TripOptions) -> DataFrame:
+    """u_node, v_node, limit, cost, path, settled of every pair that was asked for; cost is null where no leg is within the limit."""
+    a = stops.select("trip", "layer", F.col("id").alias("u"), F.col("node").alias("u_node"))
+    b = stops.select("trip", (F.col("layer") - 1).alias("layer"), F.col("id").alias("v"), F.col("node").alias("v_node"))
+    asked = a.join(b, ["trip", "layer"]).where("u <> v").select("u_node", "v_node").distinct()
+    known = found.groupBy("u_node", "v_node").agg(F.min(F.struct("cost", "path", "settled")).alias("m")).select("u_node", "v_node", "m.cost", "m.path", "m.settled")
+    return asked.join(known, ["u_node", "v_node"], "left").select("u_node", "v_node", F.lit(opts.limit).cast("long").alias("limit"), "cost", "path", "settled")
+
+
 def adjusted(cost, last, opts: TripOptions):
     """An edge's cost with charging; last tells whether it ends at the target."""
     part = cost * (opts.capacity + opts.penalty) / opts.capacity
@@ -180,12 +322,90 @@ def process_edges(found: DataFrame, opts: TripOptions) -> DataFrame:
     return found.select("trip", "layer", "u", "v", F.col("cost").alias("weight"), adjusted(F.col("cost"), F.col("v") == TARGET, opts).alias("weight_adj"))
 
 
-def final_path(edges: DataFrame, by: str = "weight") -> DataFrame:
-    """process edges -> trip, layer, u, v, weight, weight_adj of the best chain.
-
-    A dynamic program over layers for all trips at once; ties go to the smaller
-    station. Later layers are joined to the best costs of the earlier ones.
+_CHAIN = "trip long, layer int, u long, v long, weight long, weight_adj double"
+
+
+def _best_chain(pdf: pd.DataFrame, by: str) -> pd.DataFrame:
+    """The cheapest chain of one trip's process edges, layer by layer; ties go to the smaller station."""
+    best, came = {(0, SOURCE): 0}, {}
+    for row in pdf.sort_values(["layer", "u", "v"]).itertuples():
+        before = best.get((row.layer, row.u))
+        if before is None:
+            continue
+        at, total = (row.layer + 1, row.v), before + getattr(row, by)
+        if at not in best or total < best[at]:
+            best[at], came[at] = total, row
+    ends = [at for at in came if at[1] == TARGET]
+    rows = []
+    for at in ends:
+        while at in came:
+            row = came[at]
+            rows.append(row)
+            at = (row.layer, row.u)
+    return pd.DataFrame([(r.trip, r.layer, r.u, r.v, r.weight, r.weight_adj) for r in rows], columns=["trip", "layer", "u", "v", "weight", "weight_adj"])
+
+
+def final_path(edges: DataFrame, by: str = "weight", mode: str = "group") -> DataFrame:
+    """process edges -> trip, layer, u, v, weight, weight_adj of the best chain; ties go to the smaller station.
+
+    ``group`` solves each trip's process graph (n * n * m edges at most) in one
+    call; ``layers`` is the same dynamic program as joins, all trips at once;
+    ``sssp`` is a plain shortest path over the process graph by the frontier
+    search; ``udtf`` a table function over trips in SQL.
     """
+    if mode == "layers":
+        return _final_layers(edges, by)
+    if mode == "sssp":
+        return _final_sssp(edges, by)
+    if mode == "udtf":
+        return _final_udtf(edges, by)
+    return edges.groupBy("trip").applyInPandas(lambda pdf: _best_chain(pdf, by), _CHAIN)
+
+
+def _final_udtf(edges: DataFrame, by: str) -> DataFrame:
+    spark = edges.sparkSession
+
+    @F.udtf(returnType=_CHAIN)
+    class SolveProcess:
+        def __init__(self) -> None:
+            self.rows = []
+
+        def eval(self, row) -> None:
+            self.rows.append((row["trip"], row["layer"], row["u"], row["v"], row["weight"], row["weight_adj"]))
+
+        def terminate(self):
+            pdf = pd.DataFrame(self.rows, columns=["trip", "layer", "u", "v", "weight", "weight_adj"])
+            for row in _best_chain(pdf, by).itertuples(index=False):
+                yield tuple(x.item() if isinstance(x, np.generic) else x for x in row)
+
+    spark.udtf.register("solve_process", SolveProcess)
+    edges.createOrReplaceTempView("process_edges_of_trips")
+    return spark.sql("SELECT * FROM solve_process(TABLE(process_edges_of_trips) PARTITION BY trip ORDER BY (layer, u, v))")
+
+
+def _final_sssp(edges: DataFrame, by: str) -> DataFrame:
+    """Places are numbered in the order of trip, layer and station, so that the least predecessor is the smaller station."""
+    if by != "weight":
+        raise ValueError("the plain search takes whole weights")
+    edges = cut(edges)
+    ends = edges.select("trip", "layer", F.col("u").alias("id")).union(edges.select("trip", F.col("layer") + 1, "v")).distinct()
+    ends = cut(ends.withColumn("at", F.row_number().over(Window.partitionBy("trip").orderBy("layer", "id")).cast("long")))
+    a, b = ends.select("trip", "layer", F.col("id").alias("u"), F.col("at").alias("a")), ends.select("trip", (F.col("layer") - 1).alias("layer"), F.col("id").alias("v"), F.col("at").alias("b"))
+    # A trip's places get a range of their own: its number times the most places of any trip.
+    most = ends.agg(F.max("at")).first()[0] or 1
+    trips = ends.select("trip").distinct().withColumn("nth", F.row_number().over(Window.orderBy("trip")).cast("long"))
+    arcs = cut(edges.join(a, ["trip", "layer", "u"]).join(b, ["trip", "layer", "v"]).join(trips, "trip").withColumns({"src": F.col("nth") * (most + 1) + F.col("a"), "dst": F.col("nth") * (most + 1) + F.col("b")}))
+    runs = arcs.where(F.col("u") == SOURCE).select(F.col("trip").alias("run"), F.col("src").alias("source"), F.lit(None).cast("long").alias("radius")).distinct()
+    goal = arcs.where(F.col("v") == TARGET).select(F.col("trip").alias("run"), F.col("dst").alias("target")).distinct()
+    found = search._frontier_reach(arcs.select("src", "dst", "weight"), runs)
+    walk = search.backtrace(found, goal.join(found.select("run", F.col("node").alias("target")), ["run", "target"]))
+    order = Window.partitionBy("run").orderBy("cum")
+    hops = walk.select(F.col("run").alias("trip"), F.lag("node").over(order).alias("src"), F.col("node").alias("dst")).where("src IS NOT NULL")
+    return hops.join(arcs, ["trip", "src", "dst"]).select("trip", "layer", "u", "v", "weight", "weight_adj")
+
+
+def _final_layers(edges: DataFrame, by: str) -> DataFrame:
+    """Later layers are joined to the best costs of the earlier ones, all trips at once."""
     edges = cut(edges)
     last = edges.agg(F.max("layer")).first()[0]
     if last is None:
@@ -240,23 +460,59 @@ class Plan:
     status: DataFrame
 
 
-def plan_trips(net: Net, trips: DataFrame, opts: TripOptions) -> Plan:
-    trips = cut(trips)
+def plan_trips(net: Net, trips: DataFrame, opts: TripOptions, clock=None, cache: DataFrame | None = None) -> Plan:
+    """Plans of trips(trip, source, target). Each step is cut, as several later ones read it.
+
+    ``clock(name)`` is called when a step is done; ``cache`` holds legs of earlier batches.
+    """
+    tick = clock or (lambda name: None)
+    trips = cut(trips.select("trip", "source", "target"))
+    net.load(), net.load_stations()
+    tick("load")
     path = cut(initial_path(net, trips))
+    tick("initial path")
     bases = cut(split_bases(path, opts))
+    tick("cut")
     candidates = cut(find_candidates(net, bases, opts))
     if opts.mitigation == "slide":
         candidates = cut(candidates.unionByName(slide(net, path, bases, candidates, opts)))
-    known = trips.join(path.select("trip"), "trip", "left_semi")
-    stops = cut(layers(known, bases, candidates))
-    found = cut(legs(net, stops, opts))
+    tick("candidates")
+    stops = cut(layers(trips.join(path.select("trip"), "trip", "left_semi"), bases, candidates))
+    found = cut(legs(net, stops, opts, cache))
+    tick("legs")
     edges = process_edges(found, opts)
-    chain = cut(final_path(edges, "weight_adj" if opts.penalty_mode == "proportional_no_last" else "weight"))
-    legs_of = solution(chain, found, opts)
+    chain = cut(final_path(edges, "weight_adj" if opts.penalty_mode == "proportional_no_last" else "weight", opts.final))
+    tick("final path")
+    return Plan(path, bases, candidates, stops, found, edges, chain, solution(chain, found, opts), status(trips, path, stops, chain, opts))
+
+
+def status(trips: DataFrame, path: DataFrame, stops: DataFrame, chain: DataFrame, opts: TripOptions) -> DataFrame:
+    """trip, status: ok, no_path, edge_exceeds_capacity, no_candidate or no_leg_chain."""
+    steep = F.exists(F.transform("cum", lambda c, i: c - F.coalesce(F.get("cum", i - 1), F.lit(0))), lambda w: w > opts.limit)
+    known = path.select("trip", F.lit(True).alias("p"), steep.alias("steep"))
     ok = chain.where(F.col("v") == TARGET).select("trip", F.lit(True).alias("ok"))
-    status = trips.select("trip").join(path.select("trip", F.lit(True).alias("p")), "trip", "left").join(stops.select("trip", F.lit(True).alias("c")).distinct(), "trip", "left").join(ok, "trip", "left")
-    status = status.select("trip", F.when(F.col("ok"), "ok").when(F.col("c"), "no_leg_chain").when(F.col("p"), "no_candidate").otherwise("no_path").alias("status"))
-    return Plan(path, bases, candidates, stops, found, edges, chain, legs_of, status)
+    rows = trips.select("trip").join(known, "trip", "left").join(stops.select("trip", F.lit(True).alias("c")).distinct(), "trip", "left").join(ok, "trip", "left")
+    name = F.when(F.col("ok"), "ok").when(F.col("p").isNull(), "no_path").when(F.col("steep"), "edge_exceeds_capacity").when(F.col("c"), "no_leg_chain").otherwise("no_candidate")
+    return rows.select("trip", name.alias("status"))
+
+
+def plan_mixed(net: Net, trips: DataFrame, opts: TripOptions, most: int = 200) -> Plan:
+    """Plans of trips with options of their own: columns capacity, penalty, n or alpha override ``opts``.
+
+    Trips of equal options go together; there may be ``most`` different ones.
+    """
+    own = [c for c in ("capacity", "penalty", "n", "alpha") if c in trips.columns]
+    kinds = trips.select(*own).distinct().limit(most + 1).collect() if own else [None]
+    if len(kinds) > most:
+        raise ValueError(f"more than {most} different options")
+    plans = []
+    for kind in kinds:
+        some = trips if kind is None else trips.where(" AND ".join(f"{c} <=> {kind[c]!r}" if kind[c] is not None else f"{c} IS NULL" for c in own))
+        given = {c: kind[c] for c in own if kind[c] is not None} if kind is not None else {}
+        plans.append(plan_trips(net, some, replace(opts, **given)))
+    if not plans:
+        return plan_trips(net, trips, opts)
+    return Plan(*(reduce(DataFrame.unionByName, parts) for parts in zip(*(vars(p).values() for p in plans), strict=True)))
 
 
 def edge_budget_published(n: int, m: int) -> int:

@@ -1,10 +1,12 @@
 """Shortest-path searches: many runs over one network.
 
-A run has a source and may have a radius and targets. Three strategies give
-the same rows: ``broadcast`` ships a compact copy of a network of a checked
-size to every task and solves runs side by side; ``disk`` ships each run only
-the edges of the bins that its radius can touch; ``frontier`` keeps the state
-in a table and relaxes it in rounds, for networks of any size.
+A run has a source and may have a radius and targets. All strategies give the
+same rows: ``broadcast`` ships a compact copy of a network of a checked size to
+every task and solves runs side by side; ``disk`` ships each run only the edges
+of the bins that its radius can touch; ``frontier`` keeps the state in a table
+and relaxes it in rounds, for networks of any size; ``delta`` does so bucket by
+bucket, which relaxes fewer nodes twice. A frontier may stop at targets and may
+be pruned towards a goal.
 
 Weights are positive integers. The predecessor of a node is the least node on
 any shortest path, so paths do not depend on the strategy.
@@ -13,13 +15,14 @@ any shortest path, so paths do not depend on the strategy.
 import heapq
 import tempfile
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-#: Edges up to which a network is shipped whole: 20 bytes each, 160 MB.
+#: Edges up to which a network is shipped whole: 24 bytes each, 192 MB.
 MAX_BROADCAST_EDGES = 8_000_000
 
 
@@ -27,7 +30,10 @@ def cut(df: DataFrame) -> DataFrame:
     """df from the shared checkpoint folder, without lineage."""
     spark, context = df.sparkSession, df.sparkSession.sparkContext
     if context._jsc.sc().getCheckpointDir().isEmpty():
-        context.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="chargepath-"))
+        folder = spark.conf.get("spark.checkpoint.dir", None)
+        if folder is None and not context.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        context.setCheckpointDir(folder or tempfile.mkdtemp(prefix="chargepath-"))
     return df.checkpoint(eager=True)
 
 
@@ -39,61 +45,122 @@ def cut_size(df: DataFrame) -> DataFrame:
 
 
 class Network:
-    """Adjacency in three arrays: sorted sources, targets, weights."""
+    """Adjacency in three arrays: sorted sources, targets, weights; coordinates where they are known."""
 
-    def __init__(self, src: np.ndarray, dst: np.ndarray, weight: np.ndarray) -> None:
+    def __init__(self, src: np.ndarray, dst: np.ndarray, weight: np.ndarray, places: tuple[np.ndarray, np.ndarray, np.ndarray] | None = None) -> None:
         order = np.lexsort((weight, dst, src))
         self.ids, first = np.unique(src[order], return_index=True)
         self.lo, self.hi = first, np.r_[first[1:], len(src)].astype(np.int64)
         self.dst, self.weight = dst[order], weight[order]
+        self.places, self.speed = None, 1.0
+        if places is not None:
+            node, x, y = places
+            by = np.argsort(node)
+            self.places = node[by], x[by], y[by]
+            self.speed = self._top_speed(src, dst, weight)
         self._at: dict[int, int] | None = None
+        self._spot: dict[int, int] | None = None
+
+    def _top_speed(self, src: np.ndarray, dst: np.ndarray, weight: np.ndarray) -> float:
+        """The most straight-line length that a unit of weight covers."""
+        node, x, y = self.places
+        if not len(node) or not len(src):
+            return 1.0
+        a, b = np.minimum(np.searchsorted(node, src), len(node) - 1), np.minimum(np.searchsorted(node, dst), len(node) - 1)
+        known = (node[a] == src) & (node[b] == dst)
+        speed = np.hypot(x[a] - x[b], y[a] - y[b])[known] / weight[known]
+        return float(speed.max(initial=0.0)) * (1 + 1e-9) or 1.0
 
     def out(self, node: int):
         """(target, weight) pairs of a node."""
         if self._at is None:
-            self._at = {int(v): k for k, v in enumerate(self.ids)}
+            self._at = {v: k for k, v in enumerate(self.ids.tolist())}
         k = self._at.get(node)
         if k is None:
             return ()
         lo, hi = self.lo[k], self.hi[k]
         return zip(self.dst[lo:hi].tolist(), self.weight[lo:hi].tolist(), strict=True)
 
+    def spot(self, node: int) -> tuple[float, float] | None:
+        """(x, y) of a node; None where it is unknown."""
+        if self.places is None:
+            return None
+        if self._spot is None:
+            self._spot = {v: k for k, v in enumerate(self.places[0].tolist())}
+        k = self._spot.get(node)
+        return None if k is None else (float(self.places[1][k]), float(self.places[2][k]))
+
+    def goal(self, target: int):
+        """A lower bound of the cost between a node and target, or None without coordinates."""
+        to = self.spot(target)
+        if to is None:
+            return None
+
+        def bound(node: int) -> int:
+            at = self.spot(node)
+            return int(((at[0] - to[0]) ** 2 + (at[1] - to[1]) ** 2) ** 0.5 / self.speed) if at else 0
+
+        return bound
+
     def flipped(self) -> "Network":
-        return Network(self.dst, np.repeat(self.ids, self.hi - self.lo), self.weight)
+        return Network(self.dst, np.repeat(self.ids, self.hi - self.lo), self.weight, self.places)
 
 
-def bounded(net: Network, source: int, radius: int | None = None, targets=None, bound=None) -> tuple[dict, dict, int]:
-    """(dist, pred, settled): Dijkstra that keeps only what it reaches.
+@dataclass
+class Found:
+    """What a search settled, and what it cost."""
+
+    dist: dict
+    pred: dict
+    settled: int
+    pushes: int
+
+
+def bounded(net: Network, source: int, radius: int | None = None, targets=None, bound=None, history: bool = True) -> Found:
+    """Dijkstra in maps of what it reaches only.
 
     It stops at the radius or once all targets are settled. ``bound`` gives a
-    lower bound of what is left from a node and makes it goal-directed.
+    lower bound of what is left from a node and makes the search goal-directed;
+    it then goes on through the ties of the target, so predecessors do not
+    depend on the order in which equal keys leave the heap. Without ``history``
+    no predecessors are kept.
     """
     dist, pred, done = {source: 0}, {source: None}, {}
     left = set(targets) if targets is not None else None
-    heap = [(bound(source) if bound else 0, source)]
-    while heap and (left is None or left):
-        _, u = heapq.heappop(heap)
+    heap, pushes, last = [(bound(source) if bound else 0, source)], 1, None
+    while heap:
+        key, u = heap[0]
+        if left is not None and not left:
+            if bound is None or key > last:
+                break
+        heapq.heappop(heap)
         if u in done:
             continue
         done[u] = d = dist[u]
-        if left is not None:
+        if left:
             left.discard(u)
+            if not left:
+                last = key
         for v, w in net.out(u):
             nd = d + w
             if radius is not None and nd > radius:
                 continue
             old = dist.get(v)
             if old is None or nd < old:
-                dist[v], pred[v] = nd, u
+                dist[v] = nd
+                if history:
+                    pred[v] = u
                 heapq.heappush(heap, (nd + (bound(v) if bound else 0), v))
-            elif nd == old and v != source and u < pred[v]:
+                pushes += 1
+            elif history and nd == old and v != source and u < pred[v]:
                 pred[v] = u
-    return done, pred, len(done)
+    return Found(done, pred, len(done), pushes)
 
 
-def dense(net: Network, source: int, n: int) -> tuple[np.ndarray, int]:
-    """The baseline that allots a vector over all n nodes for each run."""
-    dist, settled = np.full(n, np.iinfo(np.int64).max), np.zeros(n, dtype=bool)
+def dense(net: Network, source: int, n: int, radius: int | None = None) -> tuple[np.ndarray, int]:
+    """The baseline that allots a vector over all nodes 0..n-1 for each run."""
+    far = np.iinfo(np.int64).max
+    dist, settled = np.full(n, far), np.zeros(n, dtype=bool)
     dist[source], heap = 0, [(0, source)]
     while heap:
         d, u = heapq.heappop(heap)
@@ -101,7 +168,7 @@ def dense(net: Network, source: int, n: int) -> tuple[np.ndarray, int]:
             continue
         settled[u] = True
         for v, w in net.out(u):
-            if d + w < dist[v]:
+            if d + w < dist[v] and (radius is None or d + w <= radius):
                 dist[v] = d + w
                 heapq.heappush(heap, (d + w, v))
     return dist, int(settled.sum())
@@ -144,20 +211,21 @@ def trace(pred: dict, end: int) -> list[int]:
     return out[::-1]
 
 
-def load(edges: DataFrame, max_edges: int = MAX_BROADCAST_EDGES):
-    """A broadcast Network of edges, or None if there are more than max_edges."""
-    rows = edges.select("src", "dst", "weight").limit(max_edges + 1).toPandas()
-    if len(rows) > max_edges:
+def load(edges: DataFrame, nodes: DataFrame | None = None, max_edges: int | None = None):
+    """A broadcast Network of edges, or None if there are more than max_edges: they are counted first."""
+    most = MAX_BROADCAST_EDGES if max_edges is None else max_edges
+    if edges.count() > most:
         return None
-    net = Network(*(rows[c].to_numpy(dtype=np.int64) for c in ("src", "dst", "weight")))
+    rows, places = edges.select("src", "dst", "weight").toPandas(), None
+    if nodes is not None:
+        if nodes.count() > most:
+            return None
+        spots = nodes.select("node", F.col("x").cast("double").alias("x"), F.col("y").cast("double").alias("y")).toPandas()
+        places = spots["node"].to_numpy(dtype=np.int64), spots["x"].to_numpy(), spots["y"].to_numpy()
+    net = Network(*(rows[c].to_numpy(dtype=np.int64) for c in ("src", "dst", "weight")), places)
     return edges.sparkSession.sparkContext.broadcast(net)
 
 
-def _goal(xy: dict, speed: float, target: int):
-    tx, ty = xy[target]
-    return lambda v: int((((xy[v][0] - tx) ** 2 + (xy[v][1] - ty) ** 2) ** 0.5) / speed) if v in xy else 0
-
-
 def top_speed(edges: DataFrame, nodes: DataFrame) -> float:
     """The most straight-line length that a unit of weight covers, over all edges."""
     a = nodes.select(F.col("node").alias("src"), F.col("x").alias("ax"), F.col("y").alias("ay"))
@@ -166,119 +234,174 @@ def top_speed(edges: DataFrame, nodes: DataFrame) -> float:
     return edges.join(a, "src").join(b, "dst").agg(F.max(d / F.col("weight"))).first()[0] or 1.0
 
 
+_PATHS = "run long, target long, cost long, path array<long>, settled long"
+_REACH = "run long, node long, dist long, pred long"
+
+
 def paths(edges: DataFrame, runs: DataFrame, nodes: DataFrame | None = None, net=None) -> DataFrame:
     """runs(run, source, targets array, radius) -> run, target, cost, path, settled.
 
     A single target with node coordinates makes the run goal-directed. Targets
-    out of reach give no row. For networks over the broadcast bound the costs
-    come from the frontier and the paths from its predecessors.
+    out of reach give no row. Over the broadcast bound, runs with a radius go
+    by disks where coordinates are known, others by the frontier.
     """
-    net = net or load(edges)
+    net = net or load(edges, nodes)
+    own = runs.select("run", "source", "targets", F.col("radius").cast("double").alias("radius"))
     if net is None:
-        return _frontier_paths(edges, runs)
-    context = edges.sparkSession.sparkContext
-    xy, speed = None, 1.0
-    if nodes is not None:
-        rows = nodes.select("node", "x", "y").toPandas()  # as many as the checked network has nodes
-        xy = context.broadcast(dict(zip(rows["node"].tolist(), zip(rows["x"].tolist(), rows["y"].tolist(), strict=True), strict=True)))
-        speed = top_speed(edges, nodes) * (1 + 1e-9)
+        if nodes is not None and not _unbounded(runs):
+            return _by_disk(edges, own, nodes, _path_rows, _PATHS)
+        return _frontier_paths(edges, runs, nodes)
 
     def solved(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in batches:
-            out = []
             for run, source, targets, radius in zip(pdf["run"], pdf["source"], pdf["targets"], pdf["radius"], strict=True):
-                goals = [int(t) for t in targets]
-                bound = _goal(xy.value, speed, goals[0]) if xy is not None and len(goals) == 1 and goals[0] in xy.value else None
-                dist, pred, settled = bounded(net.value, int(source), None if pd.isna(radius) else int(radius), goals, bound)
-                out += [(run, t, dist[t], trace(pred, t), settled) for t in goals if t in dist]
-            yield pd.DataFrame(out, columns=["run", "target", "cost", "path", "settled"])
+                yield _path_rows(net.value, run, source, radius, targets)
 
-    return runs.select("run", "source", "targets", F.col("radius").cast("double").alias("radius")).repartition("run").mapInPandas(solved, "run long, target long, cost long, path array<long>, settled long")
+    return own.repartition("run").mapInPandas(solved, _PATHS)
 
 
-def reach(edges: DataFrame, runs: DataFrame, strategy: str = "auto", nodes: DataFrame | None = None, net=None) -> DataFrame:
-    """runs(run, source, radius) -> run, node, dist, pred of everything within the radius."""
-    if strategy in ("auto", "broadcast"):
-        net = net or load(edges)
-        if net is not None:
-            return _broadcast_reach(net, runs)
-        if strategy == "broadcast":
-            raise ValueError("the network passes the broadcast bound")
-    if strategy == "disk":
-        return _disk_reach(edges, runs, nodes)
-    return _frontier_reach(edges, runs)
+def _path_rows(net: Network, run, source, radius, targets) -> pd.DataFrame:
+    goals = sorted({int(t) for t in targets})
+    bound = net.goal(goals[0]) if len(goals) == 1 else None
+    found = bounded(net, int(source), None if pd.isna(radius) else int(radius), goals, bound)
+    out = [(run, t, found.dist[t], trace(found.pred, t), found.settled) for t in goals if t in found.dist]
+    return pd.DataFrame(out, columns=["run", "target", "cost", "path", "settled"])
 
 
-_REACH = "run long, node long, dist long, pred long"
+def _unbounded(runs: DataFrame) -> bool:
+    return not runs.where("radius IS NULL").isEmpty()
 
 
-def _rows(run, net, source, radius) -> pd.DataFrame:
-    dist, pred, _ = bounded(net, int(source), None if pd.isna(radius) else int(radius))
-    keys = list(dist)
-    return pd.DataFrame({"run": np.full(len(keys), run), "node": keys, "dist": list(dist.values()), "pred": pd.array([pred[k] for k in keys], dtype="Int64")})
+def reach(edges: DataFrame, runs: DataFrame, strategy: str = "auto", nodes: DataFrame | None = None, net=None, history: bool = True, delta: int = 2_000, tasks: int | None = None) -> DataFrame:
+    """runs(run, source, radius) -> run, node, dist, pred of everything within the radius, by ``tasks`` tasks if given.
 
+    ``auto`` takes broadcast for a network within the bound, else disk if all
+    runs have a radius and coordinates are known, else the frontier. Without
+    ``history`` predecessors are neither kept nor returned.
+    """
+    if strategy in ("auto", "broadcast"):
+        net = net or load(edges)
+        if net is None and strategy == "broadcast":
+            raise ValueError("the network passes the broadcast bound")
+        strategy = "broadcast" if net is not None else "disk" if nodes is not None and not _unbounded(runs) else "frontier"
+    own = runs.select("run", "source", F.col("radius").cast("double").alias("radius"))
+
+    def rows(net: Network, run, source, radius, _) -> pd.DataFrame:
+        found = bounded(net, int(source), None if pd.isna(radius) else int(radius), history=history)
+        keys = list(found.dist)
+        out = pd.DataFrame({"run": np.full(len(keys), run), "node": keys, "dist": list(found.dist.values())})
+        return out.assign(pred=pd.array([found.pred[k] for k in keys], dtype="Int64")) if history else out
+
+    schema = _REACH if history else "run long, node long, dist long"
+    if strategy == "disk":
+        return _by_disk(edges, own.withColumn("targets", F.array().cast("array<long>")), nodes, rows, schema)
+    if strategy in ("frontier", "delta"):
+        out = _frontier_reach(edges, runs, delta=delta if strategy == "delta" else None, history=history)
+        return out if history else out.drop("pred")
 
-def _broadcast_reach(net, runs: DataFrame) -> DataFrame:
     def solved(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in batches:
             for run, source, radius in zip(pdf["run"], pdf["source"], pdf["radius"], strict=True):
-                yield _rows(run, net.value, source, radius)
+                yield rows(net.value, run, source, radius, None)
 
-    return runs.select("run", "source", F.col("radius").cast("double").alias("radius")).repartition("run").mapInPandas(solved, _REACH)
+    return own.repartition(*([tasks] if tasks else []), "run").mapInPandas(solved, schema)
 
 
-def _disk_reach(edges: DataFrame, runs: DataFrame, nodes: DataFrame, cells: int = 32) -> DataFrame:
+def _by_disk(edges: DataFrame, runs: DataFrame, nodes: DataFrame, solve, schema: str, cells: int = 32) -> DataFrame:
     """Each run with the edges of the bins its circle can touch: a node within
-    cost r lies within speed * r of the source, so the bins hold its whole disk."""
+    cost r lies within speed * r of the source, so the bins hold its whole disk.
+    A run without any edge is solved all the same."""
     speed = top_speed(edges, nodes)
     box = nodes.agg(F.min("x").alias("x"), F.min("y").alias("y"), F.greatest(F.max("x") - F.min("x"), F.max("y") - F.min("y")).alias("w")).first()
     cell = (box.w or 1.0) / cells or 1.0
-    spot = nodes.select("node", F.floor((F.col("x") - box.x) / cell).alias("i"), F.floor((F.col("y") - box.y) / cell).alias("j"))
-    at = runs.select("run", "source", "radius").join(spot, F.col("source") == F.col("node")).drop("node")
-    k = F.when(F.col("radius").isNull(), F.lit(cells)).otherwise(F.least(F.ceil(F.col("radius") * speed / cell) + 1, F.lit(cells + 1)))
-    wide = at.select("run", "source", "radius", F.explode(F.sequence(F.col("i") - k, F.col("i") + k)).alias("i"), "j", k.alias("k"))
-    wide = wide.select("run", "source", "radius", "i", F.explode(F.sequence(F.col("j") - F.col("k"), F.col("j") + F.col("k"))).alias("j"))
+    spot = nodes.select("node", F.floor((F.col("x") - (box.x or 0.0)) / cell).alias("i"), F.floor((F.col("y") - (box.y or 0.0)) / cell).alias("j"))
+    at = runs.join(spot, F.col("source") == F.col("node")).drop("node")
+    k = F.when(F.col("radius").isNull(), F.lit(cells + 1)).otherwise(F.least(F.ceil(F.col("radius") * speed / cell) + 1, F.lit(cells + 1)))
+    keep = ["run", "source", "radius", "targets"]
+    wide = at.select(*keep, F.explode(F.sequence(F.greatest(F.col("i") - k, F.lit(0)), F.least(F.col("i") + k, F.lit(cells)))).alias("i"), "j", k.alias("k"))
+    wide = wide.select(*keep, "i", F.explode(F.sequence(F.greatest(F.col("j") - F.col("k"), F.lit(0)), F.least(F.col("j") + F.col("k"), F.lit(cells)))).alias("j"))
     placed = edges.join(spot.withColumnRenamed("node", "src"), "src")
-    rows = wide.join(placed, ["i", "j"]).select("run", "source", F.col("radius").cast("double").alias("radius"), "src", "dst", "weight")
+    none = F.lit(None).cast("long")
+    rows = wide.join(placed, ["i", "j"]).select(*keep, "src", "dst", "weight").unionByName(runs.select(*keep, none.alias("src"), none.alias("dst"), none.alias("weight")))
 
     def one(pdf: pd.DataFrame) -> pd.DataFrame:
-        net = Network(*(pdf[c].to_numpy(dtype=np.int64) for c in ("src", "dst", "weight")))
-        return _rows(pdf["run"].iloc[0], net, pdf["source"].iloc[0], pdf["radius"].iloc[0])
+        own = pdf[pdf["src"].notna()]
+        net = Network(*(own[c].to_numpy(dtype=np.int64) for c in ("src", "dst", "weight")))
+        return solve(net, *(pdf[c].iloc[0] for c in ("run", "source", "radius", "targets")))
+
+    return rows.groupBy("run").applyInPandas(one, schema)
 
-    return rows.groupBy("run").applyInPandas(one, _REACH)
 
+def _frontier_reach(edges: DataFrame, runs: DataFrame, targets: DataFrame | None = None, nodes: DataFrame | None = None, delta: int | None = None, history: bool = True) -> DataFrame:
+    """Rounds of relaxation over state(run, node, dist, open); open nodes were improved since they were last relaxed.
 
-def _frontier_reach(edges: DataFrame, runs: DataFrame, every: int = 4) -> DataFrame:
-    """Rounds of relaxation; state is (run, node, dist), the frontier is what improved last."""
-    radius = runs.select("run", F.col("radius").cast("long").alias("radius"))
-    state = runs.select("run", F.col("source").alias("node"), F.lit(0).cast("long").alias("dist"), F.lit(0).alias("born"))
-    edges, k = cut(edges.select("src", "dst", "weight")), 0
+    ``targets(run, target)`` stop a run: once all of its targets are reached,
+    nothing over the dearest of them is relaxed. With one target a run and
+    coordinates, nodes whose lower bound passes that cost are pruned as well.
+    ``delta`` relaxes only the lowest bucket of each run.
+    """
+    spark = edges.sparkSession
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    # Dealt once by source; the rounds only move the state to them.
+    edges = cut(edges.select("src", "dst", "weight")).repartition(parts, "src").persist()
+    state = runs.select("run", F.col("source").alias("node"), F.lit(0).cast("long").alias("dist"), F.lit(1).alias("open"))
+    radius, limit, lower = runs.select("run", F.col("radius").cast("long").alias("radius")), None, None
+    if targets is not None:
+        wanted = cut(targets.select("run", "target").distinct())
+        total = wanted.groupBy("run").agg(F.count("*").alias("wanted"))
+        if nodes is not None and total.where("wanted > 1").isEmpty():
+            speed = top_speed(edges, nodes) * (1 + 1e-9)
+            goal = wanted.join(nodes.select(F.col("node").alias("target"), F.col("x").alias("gx"), F.col("y").alias("gy")), "target").select("run", "gx", "gy")
+            lower = cut(goal), nodes.select("node", "x", "y"), speed
     while True:
-        new = state.where(F.col("born") == k).join(edges, F.col("node") == F.col("src")).join(radius, "run")
-        new = new.select("run", F.col("dst").alias("node"), (F.col("dist") + F.col("weight")).alias("dist"), "radius").where("radius IS NULL OR dist <= radius")
-        new = new.groupBy("run", "node").agg(F.min("dist").alias("dist")).select("run", "node", "dist", F.lit(k + 1).alias("born"))
-        merged = state.unionByName(new).groupBy("run", "node").agg(F.min(F.struct("dist", "born")).alias("s"))
-        state = cut_size(merged.select("run", "node", "s.dist", "s.born"))
-        k += 1
-        if state.where(F.col("born") == k).isEmpty():
+        act = state.where("open = 1")
+        if delta is not None:
+            low = act.groupBy("run").agg(F.floor(F.min("dist") / delta).alias("low"))
+            act = act.join(low, "run").where(F.floor(F.col("dist") / delta) == F.col("low")).drop("low")
+        if limit is not None:
+            act = act.join(limit, "run", "left").where("limit IS NULL OR dist <= limit")
+            if lower is not None:
+                goal, spots, speed = lower
+                act = act.join(spots, "node", "left").join(goal, "run", "left")
+                ahead = F.floor(F.sqrt((F.col("x") - F.col("gx")) ** 2 + (F.col("y") - F.col("gy")) ** 2) / speed)
+                act = act.where(F.col("limit").isNull() | (F.col("dist") + F.coalesce(ahead, F.lit(0)) <= F.col("limit")))
+        act = act.select("run", "node", "dist")
+        if delta is not None or limit is not None:
+            act = cut_size(act)
+        if act.isEmpty():
             break
+        new = act.join(edges, F.col("node") == F.col("src")).join(radius, "run")
+        new = new.select("run", F.col("dst").alias("node"), (F.col("dist") + F.col("weight")).alias("dist"), "radius").where("radius IS NULL OR dist <= radius")
+        new = new.groupBy("run", "node").agg(F.min("dist").alias("dist")).withColumn("open", F.lit(1))
+        # On equal costs the closed entry stays: it was relaxed already.
+        rows = state.unionByName(act.withColumn("open", F.lit(0))).unionByName(new.select("run", "node", "dist", "open"))
+        merged = rows.groupBy("run", "node").agg(F.min(F.struct("dist", "open")).alias("s"))
+        state = cut_size(merged.select("run", "node", "s.dist", "s.open"))
+        if targets is not None:
+            got = state.join(wanted.withColumnRenamed("target", "node"), ["run", "node"]).groupBy("run").agg(F.count("*").alias("got"), F.max("dist").alias("limit"))
+            limit = got.join(total, "run").where("got = wanted").select("run", "limit")
+    if not history:
+        edges.unpersist()
+        return state.select("run", "node", "dist", F.lit(None).cast("long").alias("pred"))
     a, b = state.alias("a"), state.alias("b")
     tight = a.join(edges, F.col("a.node") == F.col("src")).join(b, (F.col("a.run") == F.col("b.run")) & (F.col("dst") == F.col("b.node")) & (F.col("a.dist") + F.col("weight") == F.col("b.dist")))
     pred = tight.groupBy(F.col("b.run").alias("run"), F.col("b.node").alias("node")).agg(F.min("a.node").alias("pred"))
-    return state.join(pred, ["run", "node"], "left").select("run", "node", "dist", "pred")
+    out = cut_size(state.join(pred, ["run", "node"], "left").select("run", "node", "dist", "pred"))
+    edges.unpersist()
+    return out
 
 
 def backtrace(found: DataFrame, ends: DataFrame) -> DataFrame:
     """reach rows and ends(run, target) -> run, target, pos, node; links double each round."""
-    hop = cut(found.select("run", "node", F.coalesce("pred", "node").alias("up"), "dist"))
-    steps = ends.select("run", "target", F.col("target").alias("node"), F.lit(0).cast("long").alias("back"))
+    hop = cut_size(found.select("run", "node", F.coalesce("pred", "node").alias("up"), "dist"))
+    steps = cut_size(ends.select("run", "target", F.col("target").alias("node"), F.lit(0).cast("long").alias("back")))
     jump, size = hop.select("run", "node", "up", "dist"), 1
     out = steps
     while True:
         more = out.join(jump, ["run", "node"]).where("up <> node").select("run", "target", F.col("up").alias("node"), (F.col("back") + size).alias("back"))
-        merged = cut(out.unionByName(more).dropDuplicates(["run", "target", "node"]))
+        merged = cut_size(out.unionByName(more).dropDuplicates(["run", "target", "node"]))
         a, b = jump.alias("a"), jump.alias("b")
-        jump = cut(a.join(b, (F.col("a.run") == F.col("b.run")) & (F.col("a.up") == F.col("b.node"))).select(F.col("a.run"), F.col("a.node"), F.col("b.up"), F.col("a.dist")))
+        jump = cut_size(a.join(b, (F.col("a.run") == F.col("b.run")) & (F.col("a.up") == F.col("b.node"))).select(F.col("a.run"), F.col("a.node"), F.col("b.up"), F.col("a.dist")))
         done = jump.join(hop.where("dist > 0").select("run", F.col("node").alias("up")), ["run", "up"], "left_semi").isEmpty()
         out, size = merged, size * 2
         if done:
@@ -286,10 +409,10 @@ def backtrace(found: DataFrame, ends: DataFrame) -> DataFrame:
             return out.unionByName(last).dropDuplicates(["run", "target", "node"]).join(hop.select("run", "node", "dist"), ["run", "node"]).select("run", "target", "node", F.col("dist").alias("cum"))
 
 
-def _frontier_paths(edges: DataFrame, runs: DataFrame) -> DataFrame:
-    found = cut(_frontier_reach(edges, runs))
-    ends = runs.select("run", F.explode("targets").alias("target"))
+def _frontier_paths(edges: DataFrame, runs: DataFrame, nodes: DataFrame | None = None) -> DataFrame:
+    ends = runs.select("run", F.explode("targets").alias("target")).distinct()
+    found = _frontier_reach(edges, runs, ends, nodes)
     ends = ends.join(found.select("run", F.col("node").alias("target"), F.col("dist").alias("cost")), ["run", "target"])
-    nodes = backtrace(found, ends.select("run", "target")).groupBy("run", "target").agg(F.transform(F.array_sort(F.collect_list(F.struct("cum", "node"))), lambda s: s["node"]).alias("path"))
+    walk = backtrace(found, ends.select("run", "target")).groupBy("run", "target").agg(F.transform(F.array_sort(F.collect_list(F.struct("cum", "node"))), lambda s: s["node"]).alias("path"))
     settled = found.groupBy("run").agg(F.count("*").alias("settled"))
-    return ends.join(nodes, ["run", "target"]).join(settled, "run").select("run", "target", "cost", "path", "settled")
+    return ends.join(walk, ["run", "target"]).join(settled, "run").select("run", "target", "cost", "path", "settled")

@@ -2,21 +2,26 @@
 
 from __future__ import annotations
 
+import uuid
 from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from chargepath.config import TripOptions
-from chargepath.operators import baselines, bins, measures, network, planner, search
+from chargepath.functions import sql as functions
+from chargepath.operators import baselines, bins, measures, network, overlay, planner, search
 from chargepath.plans import oracle
 from chargepath.sources import fixtures
-from chargepath.streaming import traffic
+from chargepath.streaming import requests, stations, traffic
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
-#: The corner trip's options, and those of the batch.
+#: The corner trip's options, and those of batches of trips.
 CORNER, BATCH = TripOptions(capacity=8000, n=3), TripOptions(capacity=10_000, n=5)
+#: The long trip with ten candidates, and the trip with a 40-minute charge.
+LONG, FIVE = TripOptions(capacity=10_000, n=10), TripOptions(capacity=20_000, n=5, penalty=2400)
+TIGHT = TripOptions(capacity=8000, n=3)
 
 
 def query(sql: str | None = None):
@@ -34,19 +39,34 @@ def net(spark: SparkSession, sf_dir: str, dense: bool = False) -> planner.Net:
     return planner.Net(fixtures.edges(spark, sf_dir), fixtures.nodes(spark, sf_dir), fixtures.stations(spark, sf_dir, dense), bins.BinGrid(4.0, 0.0, 0.0, float(w), float(h + 1)))
 
 
-def corner(spark: SparkSession, sf_dir: str, opts: TripOptions = CORNER) -> planner.Plan:
-    return planner.plan_trips(net(spark, sf_dir), fixtures.corner_trip(spark, sf_dir), opts)
+def corner(spark: SparkSession, sf_dir: str, opts: TripOptions = CORNER, clock=None) -> planner.Plan:
+    return planner.plan_trips(net(spark, sf_dir), fixtures.corner_trip(spark, sf_dir), opts, clock)
 
 
 def batch(spark: SparkSession, sf_dir: str, opts: TripOptions = BATCH, trips=fixtures.batch_trips) -> planner.Plan:
     return planner.plan_trips(net(spark, sf_dir), trips(spark, sf_dir), opts)
 
 
-_CORNER = oracle.plan(oracle.CORNER, CORNER.capacity, CORNER.n)
-_BATCH = oracle.plan(oracle.BATCH, BATCH.capacity, BATCH.n)
+def shared_folder(spark: SparkSession) -> str:
+    """A new folder below the shared checkpoint folder."""
+    search.cut(spark.range(1))  # sets the folder where the session has none
+    return f"{spark.sparkContext._jsc.sc().getCheckpointDir().get()}/{uuid.uuid4().hex}"
+
+
+def _plan_sql(opts: TripOptions, trips: str = oracle.CORNER, **more) -> str:
+    return oracle.plan(trips, opts, **more)
+
+
+_CORNER = _plan_sql(CORNER)
+_BATCH = _plan_sql(BATCH, oracle.BATCH)
+_PAIRS_OF = _plan_sql(BATCH, oracle.PAIRS)
 _G1 = f"WITH RECURSIVE {oracle.G1}"
 _G2 = f"WITH {oracle.G2}"
 _GRID = "b AS (SELECT *, floor(y / 4)::BIGINT * (w // 4 + 1) + floor(x / 4)::BIGINT AS bin FROM stations, n)"
+_CANDS = "SELECT trip, stop, station, node, dist, widen_round FROM cands"
+_LEGS = "SELECT trip, layer, u, v, u_node, v_node, cost FROM legs"
+_CHAIN = "SELECT trip, layer, u, v, cost AS weight, cost * {total} / {q} AS weight_adj FROM chain"
+_SOLUTION = "SELECT trip, layer AS leg_index, CASE WHEN v >= 0 THEN v END AS station, cost AS leg_cost, (sum(cost) OVER (PARTITION BY trip ORDER BY layer))::BIGINT AS cum_cost FROM chain"
 
 
 @query(f"{_G1} SELECT node, x, y FROM nodes")
@@ -82,25 +102,102 @@ def net_stats(spark, sf_dir):
     return one("all", segs).unionByName(one("kept", kept)).unionByName(one("edges", network.assemble([kept])))
 
 
-@query(f"{_G2}, inside AS (SELECT o_orderkey AS node FROM orders, n2 WHERE o_orderkey % w > 9.5 AND o_orderkey % w < 40.5 AND o_orderkey // w > 4.5 AND o_orderkey // w < 30.5) SELECT a, b, weight FROM segs WHERE a IN (FROM inside) AND b IN (FROM inside)")
+@query(f"{_G2} SELECT (SELECT count(*) FROM orders) AS nodes, count(*) AS edges, 24 * (SELECT count(*) FROM orders) + 24 * count(*) AS bytes, true AS fits FROM edges2")
+def net_memory(spark, sf_dir):
+    """Nodes, edges and bytes of the network in memory, and whether its tiles keep to a fourth of the nodes."""
+    nodes, tiles, assigned = _tiled(spark, sf_dir, 4)
+    rows = network.network_stats(nodes, network.assemble([assigned.drop("tile")]), tiles)
+    return rows.select("nodes", "edges", "bytes", (F.col("most_nodes") <= F.floor(F.col("nodes") / 4)).alias("fits"))
+
+
+_INSIDE = "inside AS (SELECT o_orderkey AS node FROM orders, n2 WHERE o_orderkey % w > 9.5 AND o_orderkey % w < 40.5 AND o_orderkey // w > 4.5 AND o_orderkey // w < 30.5)"
+
+
+@query(f"{_G2}, {_INSIDE} SELECT a, b, weight FROM segs WHERE a IN (FROM inside) AND b IN (FROM inside)")
 def net_clip_region(spark, sf_dir):
     ring = [(9.5, 4.5), (40.5, 4.5), (40.5, 30.5), (9.5, 30.5)]
     return network.clip_region(fixtures.segments(spark, sf_dir), fixtures.order_nodes(spark, sf_dir), ring).select("a", "b", "weight")
 
 
+@query(f"{_G2}, {_INSIDE} SELECT src, dst, min(weight) AS weight FROM directed WHERE src <> dst AND src IN (FROM inside) AND dst IN (FROM inside) GROUP BY src, dst")
+def net_build(spark, sf_dir):
+    """One call: classes dropped, a WKT region clipped, tiles cut and joined, the result validated and queried in SQL."""
+    view = f"built_{uuid.uuid4().hex[:8]}"
+    total = fixtures.size(spark, sf_dir, "orders")[0]
+    spec = network.NetworkSpec(region="POLYGON((9.5 4.5, 40.5 4.5, 40.5 30.5, 9.5 30.5, 9.5 4.5))", max_nodes=max(1, total // 4), view=view)
+    network.build_network(fixtures.segments(spark, sf_dir), spec, fixtures.order_nodes(spark, sf_dir))
+    return spark.sql(f"SELECT src, dst, weight FROM {view}_edges")
+
+
+@query(f"{_G2}, ends AS (SELECT a AS node FROM segs WHERE road_class <> 'R' UNION SELECT b FROM segs WHERE road_class <> 'R'), ids AS (SELECT node, row_number() OVER (ORDER BY node % w, node // w) - 1 AS id FROM ends, n2) SELECT s.id AS src, d.id AS dst, weight FROM edges2 e JOIN ids s ON s.node = e.src JOIN ids d ON d.node = e.dst")
+def net_by_coordinate(spark, sf_dir):
+    """Nodes from the ends of WKT lines: equal coordinates are one node."""
+    roles = network.ColumnRoles(wkt="wkt")
+    return network.build_network(fixtures.lines(spark, sf_dir), network.NetworkSpec(roles=roles)).edges
+
+
+@query(f"WITH {oracle.G3} SELECT src, dst, weight FROM edges3")
+def net_irregular(spark, sf_dir):
+    """Points joined to their six nearest others."""
+    return irregular(spark, sf_dir)[0]
+
+
+def irregular(spark, sf_dir):
+    """(edges, nodes) of the irregular network."""
+    spots = search.cut(fixtures.points(spark, sf_dir))
+    box = spots.agg(F.min("x").alias("x0"), F.min("y").alias("y0"), F.max("x").alias("x1"), F.max("y").alias("y1"), F.count("*").alias("n")).first()
+    cell = max(box.x1 - box.x0, box.y1 - box.y0) / max(1.0, box.n**0.5 / 2)
+    grid = bins.BinGrid(cell, box.x0, box.y0, box.x1, box.y1)
+    near = bins.nearest(spots.withColumnRenamed("node", "point"), spots.withColumnRenamed("node", "item"), grid, 7).where("point <> item")
+    six = near.withColumn("rank", F.row_number().over(search_order("point", "d2", "item"))).where("rank <= 6")
+    weight = (1 + F.floor(100_000 * F.sqrt("d2"))).cast("long").alias("weight")
+    return six.select(F.col("point").alias("src"), F.col("item").alias("dst"), weight).union(six.select("item", "point", weight)).distinct(), spots
+
+
+def search_order(by, *order):
+    from pyspark.sql import Window
+
+    return Window.partitionBy(by).orderBy(*order)
+
+
+@query(f"{_G2} SELECT src, dst, weight FROM edges2")
+def net_store(spark, sf_dir):
+    """The network written tile by tile and read again."""
+    folder = shared_folder(spark)
+    network.write_network(overlay.tiled_edges(_tiled(spark, sf_dir, 4)[2]), folder)
+    return network.read_network(spark, folder).groupBy("src", "dst").agg(F.min("weight").alias("weight"))
+
+
 def _tiled(spark, sf_dir, share):
     nodes = fixtures.order_nodes(spark, sf_dir)
-    tiles = network.plan_tiles(nodes, nodes.count() // share)
+    tiles = network.plan_tiles(nodes, fixtures.size(spark, sf_dir, "orders")[0] // share)
     return nodes, tiles, network.assign_segments(network.filter_road_classes(fixtures.segments(spark, sf_dir)), nodes, tiles)
 
 
+_SHARES = "SELECT share, count(*) AS nodes, true AS fits FROM orders, (SELECT unnest([8, 4, 2]) AS share) GROUP BY share"
+
+
 @query()
 def tile_counts_3(spark, sf_dir):
     """Tiles at three thresholds (an eighth, a fourth and a half of the nodes)."""
     nodes = fixtures.order_nodes(spark, sf_dir)
-    total = nodes.count()
-    parts = [network.plan_tiles(nodes, total // k).select(F.lit(k).alias("share"), "tile", "nodes") for k in (8, 4, 2)]
-    return parts[0].unionByName(parts[1]).unionByName(parts[2])
+    total = fixtures.size(spark, sf_dir, "orders")[0]
+    return measures.stacked({k: network.plan_tiles(nodes, total // k).select("tile", "nodes") for k in (8, 4, 2)}, "share").select("share", "tile", "nodes")
+
+
+@query(_SHARES)
+def tile_thresholds(spark, sf_dir):
+    """Whether all tiles of the histogram tiling keep to the threshold and cover every node."""
+    total = fixtures.size(spark, sf_dir, "orders")[0]
+    return tile_counts_3(spark, sf_dir).groupBy("share").agg(F.sum("nodes").alias("nodes"), (F.max("nodes") <= F.floor(F.lit(total) / F.first("share"))).alias("fits"))
+
+
+@query(_SHARES)
+def tile_exact(spark, sf_dir):
+    """The same of the tiling by exact medians."""
+    total = fixtures.size(spark, sf_dir, "orders")[0]
+    parts = {k: network.tile_adaptive(fixtures.order_nodes(spark, sf_dir), total // k).groupBy("tile").agg(F.count("*").alias("n")) for k in (8, 4, 2)}
+    return measures.stacked(parts, "share").groupBy("share").agg(F.sum("n").alias("nodes"), (F.max("n") <= F.floor(F.lit(total) / F.first("share"))).alias("fits"))
 
 
 @query()
@@ -108,6 +205,17 @@ def tile_shared_nodes(spark, sf_dir):
     return network.shared_nodes(_tiled(spark, sf_dir, 8)[2])
 
 
+@query(f"{_G2} SELECT count(*) AS segments, 0::BIGINT AS problems, true AS joined FROM segs WHERE road_class <> 'R'")
+def tile_contract(spark, sf_dir):
+    """All segments lie in one tile each, and tiles meet in shared nodes."""
+    segs = network.filter_road_classes(fixtures.segments(spark, sf_dir)).withColumn("seg_id", F.monotonically_increasing_id())
+    nodes = fixtures.order_nodes(spark, sf_dir)
+    assigned = search.cut(network.assign_segments(search.cut(segs), nodes, network.plan_tiles(nodes, fixtures.size(spark, sf_dir, "orders")[0] // 8)))
+    bad = network.tile_contract(assigned).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("problems"))
+    joined = network.shared_nodes(assigned).agg((F.count("*") > 0).alias("joined"))
+    return assigned.agg(F.count("*").alias("segments")).crossJoin(bad).crossJoin(joined)  # rows of one
+
+
 @query(f"{_G2} SELECT src, dst, weight FROM edges2")
 def tile_union_equal(spark, sf_dir):
     """The network put together again from its tiles."""
@@ -116,7 +224,7 @@ def tile_union_equal(spark, sf_dir):
     return network.assemble([assigned.where(F.col("tile") == k).drop("tile") for k in ids])
 
 
-@query(f"{_G1} SELECT station, node AS point_node, node, 0.13 AS d2 FROM stations")
+@query(f"{_G1} SELECT station, node AS point_node, node, 0.13::DOUBLE AS d2 FROM stations")
 def station_snap(spark, sf_dir):
     """Stations moved a little off their node find it again."""
     g = net(spark, sf_dir)
@@ -153,52 +261,55 @@ def ring_layers(spark, sf_dir):
     return parts[0].unionByName(parts[1]).unionByName(parts[2]).groupBy("k").agg(F.count("*").alias("cells"))
 
 
-_PAIRS = "SELECT c.node AS point, s.station AS item, (c.x - s.x) * (c.x - s.x) + (c.y - s.y) * (c.y - s.y) AS d2 FROM nodes c, stations s WHERE c.node % 10 = 0"
+_PAIRS = "SELECT c.node AS point, s.station AS item, (c.x - s.x) * (c.x - s.x) + (c.y - s.y) * (c.y - s.y) AS d2 FROM nodes c, stations s"
 
 
-def _points(spark, sf_dir, some: str = "true"):
+def _points(spark, sf_dir):
     g = net(spark, sf_dir)
-    return g, g.nodes.where(some).withColumnRenamed("node", "point"), g.stations.withColumnRenamed("station", "item")
-
-
-#: The nodes and clicks that the SQL of four queries keeps; their forms named _all take every one.
-_TENTH, _TENTH_CLICK = "node % 10 = 0", "event_id % 10 = 0"
+    return g, g.nodes.withColumnRenamed("node", "point"), g.stations.withColumnRenamed("station", "item")
 
 
 @query(f"{_G1}, p AS ({_PAIRS}) SELECT * FROM p WHERE d2 <= 36")
 def bins_within(spark, sf_dir):
-    g, points, items = _points(spark, sf_dir, _TENTH)
+    g, points, items = _points(spark, sf_dir)
     return bins.within(points, items, g.grid, 6.0)
 
 
 @query(f"{_G1}, p AS ({_PAIRS}) SELECT * FROM p WHERE d2 <= 36")
 def within_no_index(spark, sf_dir):
-    _, points, items = _points(spark, sf_dir, _TENTH)
+    _, points, items = _points(spark, sf_dir)
     return bins.within_scan(points, items, 6.0)
 
 
+@query(f"{_G1}, p AS ({_PAIRS}) SELECT * FROM p WHERE d2 <= 36")
+def quadtree_within(spark, sf_dir):
+    """The same radius search through the leaves of a quadtree."""
+    g, points, items = _points(spark, sf_dir)
+    return bins.within_quadtree(points, items, 6, (0.0, 0.0, g.grid.xmax, g.grid.ymax), 8, 6.0)
+
+
 @query(f"{_G1}, p AS ({_PAIRS}) SELECT point, item, d2, rank FROM (SELECT *, (row_number() OVER (PARTITION BY point ORDER BY d2, item))::INTEGER AS rank FROM p) WHERE rank <= 3")
 def bins_knn(spark, sf_dir):
-    g, points, items = _points(spark, sf_dir, _TENTH)
+    g, points, items = _points(spark, sf_dir)
     return bins.nearest(points, items, g.grid, 3)
 
 
-@query()
-def bins_within_all(spark, sf_dir):
+@query(f"{_G1}, {_GRID}, c AS (SELECT floor(x / 4)::BIGINT AS ci, floor(y / 4)::BIGINT AS cj, x, y FROM nodes), p AS (SELECT (c.x - b.x) * (c.x - b.x) + (c.y - b.y) * (c.y - b.y) AS d2 FROM c JOIN b ON abs(floor(b.x / 4) - ci) <= 2 AND abs(floor(b.y / 4) - cj) <= 2), "
+       "v AS (SELECT sum((least(ci + 2, w // 4) - greatest(ci - 2, 0) + 1) * (least(cj + 2, (h + 1) // 4) - greatest(cj - 2, 0) + 1))::BIGINT AS v FROM c, n) "
+       "SELECT (SELECT count(*) FROM b) AS items, (SELECT 3 * count(*) FROM b) AS list_integers, (SELECT count(DISTINCT bin) FROM b) AS heads, (SELECT v FROM v) AS bins_visited, (SELECT count(*) FROM p) AS scanned, (SELECT count(*) FROM p WHERE d2 <= 36) AS returned")
+def bins_stats(spark, sf_dir):
+    """Size of the bin index, and what a radius search around every node looks at."""
     g, points, items = _points(spark, sf_dir)
-    return bins.within(points, items, g.grid, 6.0)
-
-
-@query()
-def within_no_index_all(spark, sf_dir):
-    _, points, items = _points(spark, sf_dir)
-    return bins.within_scan(points, items, 6.0)
+    return bins.bin_stats(points, items, g.grid, 6.0)
 
 
-@query()
-def bins_knn_all(spark, sf_dir):
-    g, points, items = _points(spark, sf_dir)
-    return bins.nearest(points, items, g.grid, 3)
+@query(f"{_G1}, one AS (SELECT 0::BIGINT AS run, 0::BIGINT AS source, 2000::BIGINT AS radius), {oracle.reach('d', 'one')}, cells AS (SELECT DISTINCT floor(x / 4)::BIGINT AS i, floor(y / 4)::BIGINT AS j FROM d JOIN nodes USING (node)), "
+       "wide AS (SELECT DISTINCT i + a AS i, j + b AS j FROM cells, (SELECT unnest([-1, 0, 1]) AS a), (SELECT unnest([-1, 0, 1]) AS b)) SELECT j * (w // 4 + 1) + i AS near FROM wide, n WHERE i BETWEEN 0 AND w // 4 AND j BETWEEN 0 AND (h + 1) // 4")
+def bins_disk_cover(spark, sf_dir):
+    """Cells of the disk around the first node, and one layer more."""
+    g = net(spark, sf_dir)
+    disk = search.reach(g.edges, spark.createDataFrame([(0, 0, 2000)], "run long, source long, radius long"), net=g.load(), history=False)
+    return bins.around(bins.with_bin(disk.join(g.nodes, "node"), g.grid).select("bin").distinct(), g.grid, 1).select("near").distinct()
 
 
 @query()
@@ -214,15 +325,29 @@ def stations_by_plug_rollup(spark, sf_dir):
     return rows.select(F.col("r_name").alias("plug"), F.col("n_name").alias("nation")).rollup("plug", "nation").agg(F.count("*").alias("stations"))
 
 
-_SOURCES = "src3 AS (SELECT trip AS run, source, {radius} AS radius FROM trips)"
+@query("SELECT 5 AS i, 7 AS j, 2::BIGINT * 10 + 1 AS bin, 5.0::DOUBLE AS line, 150.0::DOUBLE AS adjusted, 1020::BIGINT AS budget, 16::BIGINT AS cells")
+def sql_functions(spark, sf_dir):
+    """The functions and the table function of the SQL surface."""
+    functions.register(spark)
+    return spark.sql("""SELECT 5 AS i, 7 AS j, bin_of(5.5D, 8.5D, 0D, 0D, 4D, 10L) AS bin, straight_line(0D, 0D, 3D, 4D) AS line, charge_adjusted(100L, 25L, 50L) AS adjusted, edge_budget(10L, 10L) AS budget,
+        (SELECT count(*) FROM ring_cells(5, 7, 2)) AS cells""")
+
+
+#: Runs from the depot of each nation, and from each place where an urgent trip starts.
+_DEPOTS_RUN = f"{oracle.DEPOTS}, runs AS (SELECT nation::BIGINT AS run, node AS source, NULL AS radius FROM depots)"
+_STARTS_RUN = f"{oracle.BATCH}, runs AS (SELECT DISTINCT source AS run, source, 2000 AS radius FROM trips)"
+
+
+def _sssp_sql(runs: str, edges: str = "edges", pred: str = ", pred") -> str:
+    return f"{_G1}, {runs}, {oracle.REVERSED}, {oracle.reach('d', 'runs', edges)}, {oracle.tight('p', 'd', edges)} SELECT run, node, dist{pred} FROM p"
 
 
-def _sssp_sql(radius: str = "NULL", edges: str = "edges") -> str:
-    return f"{_G1}, {oracle.BATCH}, rev AS (SELECT dst AS src, src AS dst, weight FROM edges), {_SOURCES.format(radius=radius)}, {oracle.reach('d', 'src3', edges)}, {oracle.tight('p', 'd', edges)} SELECT run, node, dist, pred FROM p"
+def _depot_runs(spark, sf_dir):
+    return fixtures.depots(spark, sf_dir).select(F.col("nation").cast("long").alias("run"), F.col("node").alias("source"), F.lit(None).cast("long").alias("radius"))
 
 
-def _runs(spark, sf_dir, trips, radius=None):
-    return trips(spark, sf_dir).select(F.col("trip").alias("run"), "source", F.lit(radius).cast("long").alias("radius"))
+def _start_runs(spark, sf_dir):
+    return fixtures.batch_trips(spark, sf_dir).select(F.col("source").alias("run"), "source", F.lit(2000).cast("long").alias("radius")).distinct()
 
 
 @query(f"{_G1}, one AS (SELECT 0::BIGINT AS run, 0::BIGINT AS source, NULL AS radius), {oracle.reach('d', 'one')}, {oracle.tight('p', 'd')} SELECT run, node, dist, pred FROM p")
@@ -230,55 +355,122 @@ def sssp_full(spark, sf_dir):
     return search.reach(fixtures.edges(spark, sf_dir), spark.createDataFrame([(0, 0, None)], "run long, source long, radius long"))
 
 
-@query(_sssp_sql())
-def sssp_multi_source(spark, sf_dir, trips=fixtures.sample_trips):
-    return search.reach(fixtures.edges(spark, sf_dir), _runs(spark, sf_dir, trips))
+@query(_sssp_sql(_DEPOTS_RUN))
+def sssp_multi_source(spark, sf_dir):
+    """From the depot of every nation to everywhere."""
+    return search.reach(fixtures.edges(spark, sf_dir), _depot_runs(spark, sf_dir))
+
+
+@query(_sssp_sql(_DEPOTS_RUN, "rev"))
+def sssp_reverse(spark, sf_dir):
+    """From everywhere to the depot of every nation."""
+    return search.reach(network.reverse(fixtures.edges(spark, sf_dir)), _depot_runs(spark, sf_dir))
+
+
+@query(_sssp_sql(_STARTS_RUN))
+def sssp_bounded(spark, sf_dir):
+    """Around every place where an urgent trip starts."""
+    return search.reach(fixtures.edges(spark, sf_dir), _start_runs(spark, sf_dir))
+
 
+@query(_sssp_sql(_STARTS_RUN))
+def sssp_bounded_disk(spark, sf_dir):
+    return search.reach(fixtures.edges(spark, sf_dir), _start_runs(spark, sf_dir), "disk", fixtures.nodes(spark, sf_dir))
 
-@query(_sssp_sql("2000"))
-def sssp_bounded(spark, sf_dir, trips=fixtures.sample_trips):
-    return search.reach(fixtures.edges(spark, sf_dir), _runs(spark, sf_dir, trips, 2000))
 
+@query(_sssp_sql(_STARTS_RUN))
+def sssp_bounded_frontier(spark, sf_dir):
+    return search.reach(fixtures.edges(spark, sf_dir), _start_runs(spark, sf_dir), "frontier")
 
-@query(_sssp_sql("2000"))
-def sssp_bounded_disk(spark, sf_dir, trips=fixtures.sample_trips):
-    return search.reach(fixtures.edges(spark, sf_dir), _runs(spark, sf_dir, trips, 2000), "disk", fixtures.nodes(spark, sf_dir))
 
+@query(_sssp_sql(_STARTS_RUN))
+def sssp_delta(spark, sf_dir):
+    """The frontier, bucket by bucket."""
+    return search.reach(fixtures.edges(spark, sf_dir), _start_runs(spark, sf_dir), "delta", delta=900)
 
-@query(_sssp_sql("2000"))
-def sssp_bounded_frontier(spark, sf_dir, trips=fixtures.sample_trips):
-    return search.reach(fixtures.edges(spark, sf_dir), _runs(spark, sf_dir, trips, 2000), "frontier")
 
+@query(_sssp_sql(_STARTS_RUN, pred=""))
+def sssp_no_history(spark, sf_dir):
+    """Isochrones: distances alone, no predecessors kept."""
+    return search.reach(fixtures.edges(spark, sf_dir), _start_runs(spark, sf_dir), history=False)
 
-@query(_sssp_sql(edges="rev"))
-def sssp_reverse(spark, sf_dir, trips=fixtures.sample_trips):
-    return search.reach(network.reverse(fixtures.edges(spark, sf_dir)), _runs(spark, sf_dir, trips))
 
+_WAYS = "r AS (SELECT DISTINCT source AS run, source, NULL AS radius FROM trips), " + oracle.reach("d", "r")
+_COSTS = "SELECT trip AS run, target, dist AS cost FROM trips JOIN d ON d.run = source AND node = target"
 
-@query(f"{_G1}, {oracle.BATCH}, {_SOURCES.format(radius='NULL')}, {oracle.reach('d', 'src3')} SELECT trip AS run, target, dist AS cost FROM trips JOIN d ON d.run = trip AND node = target")
-def astar_cost(spark, sf_dir, trips=fixtures.sample_trips):
-    trips = trips(spark, sf_dir)
+
+@query(f"{_G1}, {oracle.BATCH}, {_WAYS} {_COSTS}")
+def astar_cost(spark, sf_dir):
+    """Goal-directed searches of all urgent trips."""
+    trips = fixtures.batch_trips(spark, sf_dir)
     runs = trips.select(F.col("trip").alias("run"), "source", F.array("target").alias("targets"), F.lit(None).cast("long").alias("radius"))
     return search.paths(fixtures.edges(spark, sf_dir), runs, fixtures.nodes(spark, sf_dir)).select("run", "target", "cost")
 
 
-@query(f"{_G1}, {oracle.BATCH}, {_SOURCES.format(radius='NULL')}, {oracle.reach('d', 'src3')} SELECT trip AS run, target, dist AS cost FROM trips JOIN d ON d.run = trip AND node = target")
-def bidirectional_cost(spark, sf_dir, trips=fixtures.sample_trips):
-    """The goal-directed search from both ends, a baseline."""
+@query(_CORNER + "SELECT node, row_number() OVER (ORDER BY dist) - 1 AS pos FROM way")
+def astar_path(spark, sf_dir):
+    """The goal-directed path itself."""
+    runs = fixtures.corner_trip(spark, sf_dir).select(F.col("trip").alias("run"), "source", F.array("target").alias("targets"), F.lit(None).cast("long").alias("radius"))
+    found = search.paths(fixtures.edges(spark, sf_dir), runs, fixtures.nodes(spark, sf_dir))
+    return found.select(F.posexplode("path").alias("pos", "node")).select("node", F.col("pos").cast("long").alias("pos"))
+
+
+@query(f"{_G1}, {oracle.CORNER}, {_WAYS} {_COSTS}")
+def sssp_point_to_point(spark, sf_dir):
+    """The frontier with its stop at the target and the bound towards it."""
+    runs = fixtures.corner_trip(spark, sf_dir).select(F.col("trip").alias("run"), "source", F.array("target").alias("targets"), F.lit(None).cast("long").alias("radius"))
+    found = search._frontier_paths(fixtures.edges(spark, sf_dir), runs, fixtures.nodes(spark, sf_dir))
+    return found.select("run", "target", "cost")
+
+
+@query(f"{_G1}, {oracle.DEPOTS}, trips AS (SELECT 0::BIGINT AS trip, 0::BIGINT AS source, node AS target FROM depots), {_WAYS} {_COSTS}")
+def sssp_one_to_many(spark, sf_dir):
+    """One run that stops when all depots are settled."""
+    goals = fixtures.depots(spark, sf_dir).agg(F.array_sort(F.collect_set("node")).alias("targets"))
+    runs = goals.select(F.lit(0).cast("long").alias("run"), F.lit(0).cast("long").alias("source"), "targets", F.lit(None).cast("long").alias("radius"))
+    return search.paths(fixtures.edges(spark, sf_dir), runs).select("run", "target", "cost")
+
+
+@query(f"WITH RECURSIVE {oracle.G3}, edges AS (SELECT src, dst, weight FROM edges3), r AS (SELECT min(node) AS run, min(node) AS source, NULL AS radius FROM q), {oracle.reach('d', 'r')} SELECT run, node AS target, dist AS cost FROM d WHERE node <> run")
+def astar_irregular(spark, sf_dir):
+    """Goal-directed searches from the first point to every other of the irregular network."""
+    edges, nodes = irregular(spark, sf_dir)
+    edges = search.cut(edges)
+    first = nodes.agg(F.min("node").alias("source"))
+    runs = nodes.crossJoin(F.broadcast(first)).where("node <> source").select(F.col("node").alias("run"), "source", F.array("node").alias("targets"), F.lit(None).cast("long").alias("radius"))  # one source
+    found = search.paths(edges, runs, nodes)
+    return found.crossJoin(F.broadcast(first)).select(F.col("source").alias("run"), "target", "cost")
+
+
+@query(f"{_G1}, {oracle.BATCH}, {_WAYS} {_COSTS}")
+def bidirectional_cost(spark, sf_dir):
+    """Goal-directed searches from both ends, a baseline."""
     import pandas as pd
 
-    edges, trips = fixtures.edges(spark, sf_dir), trips(spark, sf_dir)
-    there, back = search.load(edges), search.load(network.reverse(edges))
-    if there is None or back is None:  # over the broadcast bound: rounds from the sources
-        runs = trips.select(F.col("source").alias("run"), "source", F.lit(None).cast("long").alias("radius")).distinct()
-        found = search.reach(edges, runs, "frontier").select(F.col("run").alias("source"), F.col("node").alias("target"), F.col("dist").alias("cost"))
+    edges, nodes, trips = fixtures.edges(spark, sf_dir), fixtures.nodes(spark, sf_dir), fixtures.batch_trips(spark, sf_dir)
+    there = search.load(edges, nodes)
+    if there is None:  # over the broadcast bound: rounds from the sources
+        runs = trips.groupBy(F.col("source").alias("run")).agg(F.collect_set("target").alias("targets")).select("run", F.col("run").alias("source"), "targets", F.lit(None).cast("long").alias("radius"))
+        found = search._frontier_paths(edges, runs).select(F.col("run").alias("source"), "target", "cost")
         return trips.join(found, ["source", "target"], "left").select(F.col("trip").alias("run"), "target", "cost")
+    back = spark.sparkContext.broadcast(there.value.flipped())
 
     def solved(batches):
         for pdf in batches:
-            yield pd.DataFrame([(r, t, search.bidirectional(there.value, back.value, s, t)[0]) for r, s, t in zip(pdf["trip"], pdf["source"], pdf["target"], strict=True)], columns=["run", "target", "cost"])
+            one, two = there.value, back.value
+            yield pd.DataFrame([(r, t, search.bidirectional(one, two, s, t, one.goal(s), one.goal(t))[0]) for r, s, t in zip(pdf["trip"].tolist(), pdf["source"].tolist(), pdf["target"].tolist(), strict=True)], columns=["run", "target", "cost"])
 
-    return trips.mapInPandas(solved, "run long, target long, cost long")
+    return trips.repartition("trip").mapInPandas(solved, "run long, target long, cost long")
+
+
+@query(f"WITH RECURSIVE {oracle.G2}, edges AS (SELECT src, dst, weight FROM edges2), depots AS (SELECT o_custkey % 25 AS k, min(o_orderkey) AS node FROM orders GROUP BY 1), trips AS (SELECT (a.k * 100 + b.k)::BIGINT AS trip, a.node AS source, b.node AS target FROM depots a JOIN depots b ON a.k <> b.k), {_WAYS} SELECT trip, dist AS cost FROM trips JOIN d ON d.run = source AND node = target")
+def overlay_distances(spark, sf_dir):
+    """Distances on the tiled order network, tile by tile and over the shared nodes."""
+    edges = search.cut(overlay.tiled_edges(_tiled(spark, sf_dir, 8)[2]))
+    d = fixtures.table(spark, sf_dir, "orders").groupBy((F.col("o_custkey") % 25).alias("k")).agg(F.min("o_orderkey").alias("node"))
+    a, b = d.select(F.col("k").alias("a"), F.col("node").alias("source")), d.select(F.col("k").alias("b"), F.col("node").alias("target"))
+    trips = a.join(F.broadcast(b), F.col("a") != F.col("b")).select((F.col("a") * 100 + F.col("b")).alias("trip"), "source", "target")  # 25 places
+    return overlay.distances(edges, overlay.build(edges), search.cut(trips))
 
 
 @query(_CORNER + "SELECT node, dist AS cum FROM way")
@@ -294,26 +486,64 @@ def path_backtrace(spark, sf_dir):
     return search.backtrace(found, trip.select(F.col("trip").alias("run"), "target")).select("node", "cum")
 
 
+@query(_CORNER + "SELECT 'LINESTRING(' || string_agg(x || ' ' || y, ', ' ORDER BY dist) || ')' AS wkt, round(sum(l), 6) AS length FROM (SELECT node, dist, x, y, sqrt((x - lag(x) OVER o) * (x - lag(x) OVER o) + (y - lag(y) OVER o) * (y - lag(y) OVER o)) AS l FROM way JOIN nodes USING (node) WINDOW o AS (ORDER BY dist))")
+def path_wkt(spark, sf_dir):
+    """The direct route as text, and its length by a grouped aggregate over the parsed text."""
+    g = net(spark, sf_dir)
+    rows = functions.routes_wkt(planner.initial_path(g, fixtures.corner_trip(spark, sf_dir)).select("trip", "path"), g.nodes)
+    points = rows.select("wkt", F.posexplode(functions.parse_linestring(F.col("wkt"))).alias("pos", "p")).select("wkt", "pos", "p.x", "p.y")
+    ordered = points.groupBy("wkt").agg(F.array_sort(F.collect_list(F.struct("pos", "x", "y"))).alias("s")).select("wkt", F.explode("s").alias("p"))
+    return ordered.select("wkt", "p.x", "p.y").groupBy("wkt").agg(functions.polyline_length("x", "y").alias("length")).select("wkt", F.round("length", 6).alias("length"))
+
+
+def _bases(spark, sf_dir, opts):
+    return planner.split_bases(planner.initial_path(net(spark, sf_dir), fixtures.corner_trip(spark, sf_dir)), opts).select("trip", "stop", "node", "cum")
+
+
 @query(_CORNER + "SELECT trip, stop, node, cum FROM bases")
 def bases_greedy(spark, sf_dir):
-    return planner.split_bases(planner.initial_path(net(spark, sf_dir), fixtures.corner_trip(spark, sf_dir)), CORNER).select("trip", "stop", "node", "cum")
+    return _bases(spark, sf_dir, CORNER)
 
 
-@query(_CORNER + f"SELECT w.run AS trip, (row_number() OVER (PARTITION BY w.run ORDER BY max(w.dist)))::INTEGER AS stop, arg_max(w.node, w.dist) AS node, max(w.dist) AS cum FROM way w JOIN total t ON t.trip = w.run WHERE w.dist > 0 GROUP BY w.run, t.cost, ceil(w.dist / {CORNER.step}) HAVING max(w.dist) < t.cost AND t.cost - (ceil(w.dist / {CORNER.step}) - 1) * {CORNER.step} > {CORNER.step}")
+@query(_CORNER + f"SELECT w.trip, (row_number() OVER (PARTITION BY w.trip ORDER BY max(w.dist)))::INTEGER AS stop, arg_max(w.node, w.dist) AS node, max(w.dist) AS cum FROM way w JOIN total t ON t.trip = w.trip WHERE w.dist > 0 GROUP BY w.trip, t.cost, ceil(w.dist / {CORNER.step}) HAVING max(w.dist) < t.cost AND t.cost - (ceil(w.dist / {CORNER.step}) - 1) * {CORNER.step} > {CORNER.step}")
 def bases_multiples(spark, sf_dir):
-    return planner.split_bases(planner.initial_path(net(spark, sf_dir), fixtures.corner_trip(spark, sf_dir)), replace(CORNER, split_rule="multiples")).select("trip", "stop", "node", "cum")
+    return _bases(spark, sf_dir, replace(CORNER, split_rule="multiples"))
 
 
-@query(_CORNER + "SELECT trip, stop, station, node, dist, widen_round FROM cands")
-def candidates_widened(spark, sf_dir):
-    return corner(spark, sf_dir).candidates
+_WIDE, _LATE = replace(CORNER, split_step="capacity"), replace(CORNER, tail_rule="capacity")
 
 
-@query(oracle.plan(oracle.CORNER, 8000, 3, max_widen=0) + "SELECT trip, stop, station, node, dist, widen_round FROM cands")
-def candidates_no_widening(spark, sf_dir):
-    g = net(spark, sf_dir)
-    bases = planner.split_bases(planner.initial_path(g, fixtures.corner_trip(spark, sf_dir)), CORNER)
-    return planner.find_candidates(g, bases, replace(CORNER, max_widen=0))
+@query(_plan_sql(_WIDE) + "SELECT trip, stop, node, cum FROM bases")
+def bases_step_capacity(spark, sf_dir):
+    """Cuts a whole charge apart."""
+    return _bases(spark, sf_dir, _WIDE)
+
+
+@query(_plan_sql(_LATE) + "SELECT trip, stop, node, cum FROM bases")
+def bases_tail_capacity(spark, sf_dir):
+    """No cut once the rest is within a charge."""
+    return _bases(spark, sf_dir, _LATE)
+
+
+def _candidates(name: str, opts: TripOptions, sql: bool = True):
+    """Candidates of the corner trip's bases under some options."""
+
+    def found(spark, sf_dir):
+        g = net(spark, sf_dir)
+        return planner.find_candidates(g, planner.split_bases(planner.initial_path(g, fixtures.corner_trip(spark, sf_dir)), opts), opts)
+
+    found.__name__ = name
+    query(_plan_sql(opts) + _CANDS if sql else None)(found)
+
+
+_candidates("candidates_widened", CORNER)
+_candidates("candidates_n", replace(CORNER, n=10))
+_candidates("candidates_no_widening", replace(CORNER, max_widen=0))
+_candidates("candidates_in", replace(CORNER, direction="in"))
+_candidates("candidates_both", replace(CORNER, direction="both"))
+_candidates("candidates_straight", replace(CORNER, order="straight"))
+_candidates("candidates_plug", replace(CORNER, plugs=("ASIA", "EUROPE")))
+_candidates("candidates_bins", replace(CORNER, order="bins"), sql=False)
 
 
 @query()
@@ -322,26 +552,45 @@ def candidates_slide(spark, sf_dir):
 
 
 @query()
-def candidates_in(spark, sf_dir):
-    return corner(spark, sf_dir, replace(CORNER, direction="in")).candidates
+def candidates_visits(spark, sf_dir):
+    """What the bounded searches and the bins cost at each base of the corner trip."""
+    g = net(spark, sf_dir)
+    found = planner.find_candidates(g, planner.split_bases(planner.initial_path(g, fixtures.corner_trip(spark, sf_dir)), CORNER), CORNER, visits=True)
+    return found.groupBy("trip", "stop").agg(F.count("*").alias("returned"), F.max("scanned").alias("scanned"), F.max("bins_visited").alias("bins_visited"), F.max("settled").alias("settled"))
 
 
-@query()
-def candidates_straight(spark, sf_dir):
-    return corner(spark, sf_dir, replace(CORNER, order="straight")).candidates
+def _legs_of(plan: planner.Plan) -> DataFrame:
+    return plan.legs.select("trip", "layer", "u", "v", "u_node", "v_node", "cost")
 
 
-@query(_CORNER + "SELECT trip, layer, u, v, u_node, v_node, cost FROM legs")
+@query(_CORNER + _LEGS)
 def legs_one_to_many(spark, sf_dir):
-    return corner(spark, sf_dir).legs.select("trip", "layer", "u", "v", "u_node", "v_node", "cost")
+    return _legs_of(corner(spark, sf_dir))
 
 
-@query(_CORNER + "SELECT trip, layer, u, v, u_node, v_node, cost FROM legs")
+@query(_CORNER + _LEGS)
 def legs_pairwise(spark, sf_dir):
-    return corner(spark, sf_dir, replace(CORNER, leg_mode="pairwise")).legs.select("trip", "layer", "u", "v", "u_node", "v_node", "cost")
+    return _legs_of(corner(spark, sf_dir, replace(CORNER, leg_mode="pairwise")))
+
 
+@query(_CORNER + _LEGS)
+def legs_cached(spark, sf_dir):
+    """Legs from the store of an earlier plan, none searched again."""
+    g, trip = net(spark, sf_dir), fixtures.corner_trip(spark, sf_dir)
+    first = planner.plan_trips(g, trip, CORNER)
+    return _legs_of(planner.plan_trips(g, trip, CORNER, cache=search.cut(planner.leg_cache(first.layers, first.legs, CORNER))))
 
-@query(_CORNER + f"SELECT trip, layer, u, v, cost AS weight, cost * {CORNER.capacity + CORNER.penalty} / {CORNER.capacity} AS weight_adj FROM legs")
+
+_SHORT = replace(CORNER, leg_limit="beta")
+
+
+@query(_plan_sql(_SHORT) + _LEGS)
+def legs_restricted(spark, sf_dir):
+    """Legs within the share of the charge that lies between bases."""
+    return _legs_of(corner(spark, sf_dir, _SHORT))
+
+
+@query(_CORNER + "SELECT trip, layer, u, v, cost AS weight, " + f"cost * {CORNER.capacity + CORNER.penalty} / {CORNER.capacity} AS weight_adj FROM legs")
 def process_edges(spark, sf_dir):
     return corner(spark, sf_dir).edges
 
@@ -352,90 +601,235 @@ def process_formula(spark, sf_dir):
     return spark.createDataFrame(rows, "n int, m int, published int, layered int")
 
 
-@query(_CORNER + f"SELECT trip, layer, u, v, cost AS weight, cost * {CORNER.capacity + CORNER.penalty} / {CORNER.capacity} AS weight_adj FROM chain")
-def final_layers(spark, sf_dir):
-    return corner(spark, sf_dir).chain
+def _final(name: str, mode: str):
+    def chain(spark, sf_dir):
+        return corner(spark, sf_dir, replace(CORNER, final=mode)).chain
+
+    chain.__name__ = name
+    query(_CORNER + _CHAIN.format(total=CORNER.capacity + CORNER.penalty, q=CORNER.capacity))(chain)
+
+
+_final("final_group", "group")
+_final("final_layers", "layers")
+_final("final_sssp", "sssp")
+_final("final_udtf", "udtf")
+
+#: What each penalty mode adds to a leg of cost c that ends at v.
+_PENALTIES = {"none": "cost::DOUBLE", "flat": f"(cost + CASE WHEN v >= 0 THEN {CORNER.penalty} ELSE 0 END)::DOUBLE", "proportional": f"cost * {CORNER.capacity + CORNER.penalty} / {CORNER.capacity}"}
+
 
+def _penalty(mode: str):
+    def costs(spark, sf_dir):
+        rows = corner(spark, sf_dir, replace(CORNER, penalty_mode=mode)).solution
+        return rows.select("trip", "leg_index", "leg_cost", F.round("leg_cost_adj", 6).alias("leg_cost_adj"), F.round("cum_cost_adj", 6).alias("cum_cost_adj"))
 
-@query(_CORNER + "SELECT trip, layer AS leg_index, CASE WHEN v >= 0 THEN v END AS station, cost AS leg_cost, (sum(cost) OVER (PARTITION BY trip ORDER BY layer))::BIGINT AS cum_cost FROM chain")
-def plan_legs(spark, sf_dir):
-    return corner(spark, sf_dir).solution.select("trip", "leg_index", "station", "leg_cost", "cum_cost")
+    costs.__name__ = f"cost_{mode}"
+    query(_CORNER + f"SELECT trip, layer AS leg_index, cost AS leg_cost, round({_PENALTIES[mode]}, 6) AS leg_cost_adj, round(sum({_PENALTIES[mode]}) OVER (PARTITION BY trip ORDER BY layer), 6) AS cum_cost_adj FROM chain")(costs)
 
 
-@query(_CORNER + f"SELECT trip, sum(cost)::BIGINT AS cost, round(sum(cost) * {CORNER.capacity + CORNER.penalty} / {CORNER.capacity}, 6) AS cost_adj, string_agg(CASE WHEN v >= 0 THEN v END, ',' ORDER BY layer) AS stations FROM chain GROUP BY trip")
+for _mode in _PENALTIES:
+    _penalty(_mode)
+
+
+def _solution(name: str, opts: TripOptions, doc: str, dense: bool = False):
+    """Legs of the corner trip under some options."""
+
+    def legs(spark, sf_dir):
+        plan = planner.plan_trips(net(spark, sf_dir, dense), fixtures.corner_trip(spark, sf_dir), opts)
+        return plan.solution.select("trip", "leg_index", "station", "leg_cost", "cum_cost")
+
+    legs.__name__, legs.__doc__ = name, doc
+    more = {"stations": "stations2", "extra": f"{oracle.DENSE},\n"} if dense else {}
+    query(_plan_sql(opts, **more) + _SOLUTION)(legs)
+
+
+_solution("plan_legs", CORNER, "One row a leg.")
+_solution("plan_w3", LONG, "The long trip with ten candidates at each stop.")
+_solution("plan_w4", FIVE, "The trip with five candidates and a charge of 40 minutes.")
+_solution("plan_dense", FIVE, "The same with more stations than nodes.", dense=True)
+_solution("plan_direct_m0", replace(CORNER, capacity=200_000), "A capacity for the whole way: one leg, no stop.")
+_solution("plan_split_always", replace(CORNER, direct_if_within=False, n=2), "Cuts also where the whole way is within a charge.")
+_solution("plan_alpha", replace(CORNER, alpha=0.3), "A larger share of the charge around bases.")
+
+
+@query(_CORNER.rstrip() + ",\n" + oracle.paths_of_legs() + " SELECT trip, layer AS leg_index, string_agg(node, ',' ORDER BY dist) AS path FROM walk GROUP BY trip, layer")
+def plan_paths(spark, sf_dir):
+    """The nodes of each leg."""
+    return corner(spark, sf_dir).solution.select("trip", "leg_index", F.array_join("path", ",").alias("path"))
+
+
+@query(_CORNER.rstrip() + ",\n" + oracle.paths_of_legs() + f""" SELECT c.trip, c.cost, c.cost_adj, c.stations, p.path FROM (SELECT trip, sum(cost)::BIGINT AS cost, round(sum(cost) * {CORNER.capacity + CORNER.penalty} / {CORNER.capacity}, 6) AS cost_adj, string_agg(CASE WHEN v >= 0 THEN v END, ',' ORDER BY layer) AS stations FROM chain GROUP BY trip) c
+JOIN (SELECT trip, string_agg(node, ',' ORDER BY layer, dist) AS path FROM walk WHERE layer = 0 OR dist > 0 GROUP BY trip) p USING (trip)""")
 def plan_aggregated(spark, sf_dir):
+    """One row a trip, with the whole path, joints once."""
     rows = planner.aggregated(corner(spark, sf_dir).solution)
-    return rows.select("trip", "cost", F.round("cost_adj", 6).alias("cost_adj"), F.array_join("stations", ",").alias("stations"))
+    return rows.select("trip", "cost", F.round("cost_adj", 6).alias("cost_adj"), F.array_join("stations", ",").alias("stations"), F.array_join("path", ",").alias("path"))
 
 
-@query(_BATCH + "SELECT t.trip, CASE WHEN c.trip IS NOT NULL THEN 'ok' WHEN g.trip IS NOT NULL THEN 'no_leg_chain' WHEN w.trip IS NOT NULL THEN 'no_candidate' ELSE 'no_path' END AS status, c.cost, w.cost AS direct FROM trips t LEFT JOIN total w USING (trip) LEFT JOIN good g USING (trip) LEFT JOIN (SELECT trip, sum(cost)::BIGINT AS cost FROM chain GROUP BY trip) c USING (trip)")
-def plan_batch(spark, sf_dir, trips=fixtures.sample_trips):
-    return measures.trip_report(batch(spark, sf_dir, trips=trips)).select("trip", "status", "cost", "direct")
+@query(_BATCH + oracle.STATUS.format(more=", c.cost, w.cost AS direct"))
+def plan_batch(spark, sf_dir):
+    """All urgent trips."""
+    return measures.trip_report(batch(spark, sf_dir)).select("trip", "status", "cost", "direct")
 
 
-@query(oracle.plan(oracle.BATCH, 8000, 3) + "SELECT t.trip, CASE WHEN c.trip IS NOT NULL THEN 'ok' WHEN g.trip IS NOT NULL THEN 'no_leg_chain' WHEN w.trip IS NOT NULL THEN 'no_candidate' ELSE 'no_path' END AS status FROM trips t LEFT JOIN total w USING (trip) LEFT JOIN good g USING (trip) LEFT JOIN (SELECT DISTINCT trip FROM chain) c USING (trip)")
-def plan_infeasible(spark, sf_dir, trips=fixtures.sample_trips):
-    return batch(spark, sf_dir, replace(BATCH, capacity=8000, n=3), trips).status
+@query(_plan_sql(TIGHT, oracle.BATCH) + oracle.STATUS.format(more=""))
+def plan_infeasible(spark, sf_dir):
+    """All urgent trips with little capacity: which have a plan."""
+    return batch(spark, sf_dir, TIGHT).status
 
 
-_EXACT = f"""{_G1}, {{trips}}, places AS (SELECT node FROM stations UNION SELECT source FROM trips UNION SELECT target FROM trips),
-rp AS (SELECT node AS run, node AS source, {{q}} AS radius FROM places), {oracle.reach('dp', 'rp')},
-arcs AS (SELECT run AS src, node AS dst, dist AS weight FROM dp WHERE node IN (FROM places) AND run <> node AND run IN (SELECT node FROM stations)),
-rs AS (SELECT t.trip, d.node, d.dist FROM trips t JOIN dp d ON d.run = t.source WHERE d.node IN (FROM places)),
-de(run, node, dist) USING KEY (run, node) AS (SELECT trip, node, dist FROM rs UNION
-  SELECT r.run, a.dst, min(r.dist + a.weight) FROM de r JOIN arcs a ON a.src = r.node LEFT JOIN recurring.de o ON o.run = r.run AND o.node = a.dst WHERE o.dist IS NULL OR r.dist + a.weight < o.dist GROUP BY r.run, a.dst)
-SELECT t.trip, d.dist AS cost FROM trips t JOIN de d ON d.run = t.trip AND d.node = t.target"""
+@query(_PAIRS_OF + oracle.STATUS.format(more=", c.cost, w.cost AS direct"))
+def plan_pairs(spark, sf_dir):
+    """Trips between the depots of any two nations."""
+    return measures.trip_report(batch(spark, sf_dir, trips=fixtures.depot_trips)).select("trip", "status", "cost", "direct")
 
 
-@query(_EXACT.format(trips=oracle.BATCH, q=BATCH.capacity))
-def exact_optimum(spark, sf_dir, trips=fixtures.sample_trips):
-    return baselines.exact_optimum(net(spark, sf_dir), trips(spark, sf_dir), BATCH.capacity)
+def _mixed_sql() -> str:
+    parts = []
+    for k, q in enumerate(fixtures.CAPACITIES.values()):
+        trips = f"{oracle.DEPOTS}, trips AS (SELECT (a.nation * 1000 + b.nation)::BIGINT AS trip, a.node AS source, b.node AS target FROM depots a JOIN depots b ON a.nation <> b.nation WHERE (a.nation * 1000 + b.nation) % 5 = {k})"
+        parts.append(f"({_plan_sql(TripOptions(capacity=q, n=3), trips)}{oracle.STATUS.format(more=', c.cost')})")
+    return "\nUNION ALL\n".join(f"SELECT * FROM {p}" for p in parts)
+
+
+@query(_mixed_sql())
+def plan_mixed(spark, sf_dir):
+    """Trips whose vehicles have capacities of their own, planned together."""
+    plan = planner.plan_mixed(net(spark, sf_dir), fixtures.mixed_trips(spark, sf_dir), TripOptions(n=3))
+    return measures.trip_report(plan).select("trip", "status", "cost")
+
+
+@query(oracle.exact(oracle.PAIRS, BATCH.capacity) + "SELECT trip, cost FROM best")
+def exact_optimum(spark, sf_dir):
+    return baselines.exact_optimum(net(spark, sf_dir), fixtures.depot_trips(spark, sf_dir), BATCH.capacity)
 
 
-@query(_BATCH + "SELECT trip, sum(cost)::BIGINT AS cost FROM chain GROUP BY trip")
-def brute_force(spark, sf_dir, trips=fixtures.sample_trips):
+@query(_PAIRS_OF + "SELECT trip, sum(cost)::BIGINT AS cost FROM chain GROUP BY trip")
+def brute_force(spark, sf_dir):
     """All station combinations; the same costs as the process graph gives."""
-    return baselines.enumerate_chains(batch(spark, sf_dir, trips=trips).edges)
+    return baselines.enumerate_chains(batch(spark, sf_dir, trips=fixtures.depot_trips).edges)
 
 
 @query()
 def greedy_trip(spark, sf_dir):
-    return baselines.greedy_trip(net(spark, sf_dir), fixtures.batch_trips(spark, sf_dir), BATCH.capacity)
+    return baselines.greedy_trip(net(spark, sf_dir), fixtures.depot_trips(spark, sf_dir), BATCH.capacity)
 
 
-@query()
+@query(f"SELECT p.trip, p.status, p.cost, p.direct, e.cost AS best, round((p.cost - e.cost) / e.cost, 9) AS gap FROM ({_PAIRS_OF}{oracle.STATUS.format(more=', c.cost, w.cost AS direct')}) p LEFT JOIN ({oracle.exact(oracle.PAIRS, BATCH.capacity)} SELECT trip, cost FROM best) e USING (trip)")
 def gap_report(spark, sf_dir):
+    """Plans between depots against the cheapest chain over all stations."""
     g = net(spark, sf_dir)
-    trips = fixtures.batch_trips(spark, sf_dir)
-    return measures.trip_report(planner.plan_trips(g, trips, BATCH), baselines.exact_optimum(g, trips, BATCH.capacity))
+    trips = search.cut(fixtures.depot_trips(spark, sf_dir))
+    rows = measures.trip_report(planner.plan_trips(g, trips, BATCH), baselines.exact_optimum(g, trips, BATCH.capacity))
+    return rows.select("trip", "status", "cost", "direct", "best", F.round("gap", 9).alias("gap"))
+
+
+@query(_PAIRS_OF + "SELECT trip, c.cost, w.cost AS direct, round((c.cost - w.cost) / w.cost, 9) AS deviation, round(c.cost * 12400 / 10000 / 3600, 9) AS hours FROM total w JOIN (SELECT trip, sum(cost)::BIGINT AS cost FROM chain GROUP BY trip) c USING (trip)")
+def deviation_report(spark, sf_dir):
+    """How much longer plans are than the unconstrained path, and how long they last with charging."""
+    rows = measures.trip_report(batch(spark, sf_dir, trips=fixtures.depot_trips)).where("status = 'ok'")
+    return rows.select("trip", "cost", "direct", F.round("deviation", 9).alias("deviation"), F.round("hours", 9).alias("hours"))
+
 
+@query(_CORNER.rstrip() + ",\n" + oracle.paths_of_legs(""",
+hops AS (SELECT trip, layer, node, lag(node) OVER (PARTITION BY trip, layer ORDER BY dist) AS before FROM walk),
+direct AS (SELECT trip, node, lag(node) OVER (PARTITION BY trip ORDER BY dist) AS before FROM way)""") + " SELECT s.trip, count(*) AS edges, count(d.node) AS shared FROM hops s LEFT JOIN direct d ON d.trip = s.trip AND d.node = s.node AND d.before = s.before WHERE s.before IS NOT NULL GROUP BY s.trip")
+def shared_edges(spark, sf_dir):
+    """How much of the corner trip's route is the unconstrained path."""
+    return measures.shared_share(corner(spark, sf_dir))
 
-@query(_CORNER + "SELECT trip, count(*) AS possible, sum((u = v)::INT)::BIGINT AS self_pairs, (SELECT count(*) FROM layers l WHERE l.trip = a.trip AND id <> -2) AS runs, (SELECT count(*) FROM legs l WHERE l.trip = a.trip) AS kept FROM (SELECT a.trip, a.id AS u, b.id AS v FROM layers a JOIN layers b ON a.trip = b.trip AND b.layer = a.layer + 1) a GROUP BY trip")
-def process_counts(spark, sf_dir):
-    return measures.edge_report(corner(spark, sf_dir)).select("trip", "possible", "self_pairs", "runs", "kept")
+
+@query(_PAIRS_OF + f"SELECT trip, max(cost) AS longest_leg, max(cost) <= {BATCH.capacity} AS within FROM chain GROUP BY trip")
+def capacity_check(spark, sf_dir):
+    return measures.capacity_check(batch(spark, sf_dir, trips=fixtures.depot_trips), BATCH.capacity)
+
+
+@query(_plan_sql(TIGHT, oracle.BATCH) + "SELECT status, count(*) AS trips, round(count(*) / sum(count(*)) OVER (), 9) AS share FROM (" + oracle.STATUS.format(more="") + ") GROUP BY status")
+def feasible_share(spark, sf_dir):
+    return measures.feasible_share(batch(spark, sf_dir, TIGHT)).withColumn("share", F.round("share", 9))
+
+
+_COUNTS = "SELECT trip, count(*) AS possible, sum((u = v)::INT)::BIGINT AS self_pairs, (SELECT count(*) FROM layers l WHERE l.trip = a.trip AND id <> -2) AS runs, (SELECT count(*) FROM legs l WHERE l.trip = a.trip) AS kept FROM (SELECT a.trip, a.id AS u, b.id AS v FROM layers a JOIN layers b ON a.trip = b.trip AND b.layer = a.layer + 1) a GROUP BY trip"
+
+
+def _process_counts(name: str, opts: TripOptions):
+    def counts(spark, sf_dir):
+        return measures.edge_report(corner(spark, sf_dir, opts)).select("trip", "possible", "self_pairs", "runs", "kept")
+
+    counts.__name__ = name
+    query(_plan_sql(opts) + _COUNTS)(counts)
+
+
+_process_counts("process_counts", CORNER)
+_process_counts("process_counts_w3", LONG)
+_process_counts("process_counts_w4", FIVE)
 
 
 @query()
 def settled_stats(spark, sf_dir):
-    """Most nodes that a bounded run holds, against all nodes of the network."""
-    total = fixtures.nodes(spark, sf_dir).count()
-    return measures.edge_report(corner(spark, sf_dir)).select("trip", "max_settled", F.lit(total).alias("nodes"), (F.lit(total) / F.col("max_settled")).alias("ratio"))
+    """Most nodes that a bounded run holds, against all nodes of the network, for three workloads."""
+    total = fixtures.size(spark, sf_dir)[0]
+    rows = measures.stacked({k: measures.edge_report(corner(spark, sf_dir, o)) for k, o in (("corner", CORNER), ("w3", LONG), ("w4", FIVE))}, "workload")
+    return rows.select("workload", "trip", "max_settled", F.lit(total).alias("nodes"), (F.lit(total) / F.col("max_settled")).alias("ratio"))
+
+
+@query(_plan_sql(FIVE) + "SELECT run, count(*) AS settled, true AS equal, (SELECT 16 * count(*) FROM nodes) AS dense_bytes, 200 * count(*) AS sparse_bytes FROM d2 GROUP BY run")
+def dense_vs_sparse(spark, sf_dir):
+    """Runs of the five-candidate trip by maps and by vectors over all nodes: equal distances, bytes of both."""
+    g = net(spark, sf_dir)
+    return measures.dense_and_sparse(g, planner.plan_trips(g, fixtures.corner_trip(spark, sf_dir), FIVE).layers, FIVE.limit)
+
+
+@query()
+def search_settled(spark, sf_dir):
+    """Nodes that the plain, the goal-directed and the two-sided search settle between depots; their costs agree."""
+    return measures.settled_by_search(net(spark, sf_dir), fixtures.depot_trips(spark, sf_dir))
+
+
+@query()
+def leg_mode_runs(spark, sf_dir):
+    """Search runs and settled nodes of pairwise and one-to-many legs."""
+    parts = {}
+    for mode in ("pairwise", "one_to_many"):
+        found = corner(spark, sf_dir, replace(FIVE, leg_mode=mode)).legs
+        parts[mode] = found.groupBy("run").agg(F.max("settled").alias("settled")).agg(F.count("*").alias("runs"), F.sum("settled").alias("settled"))
+    return measures.stacked(parts, "leg_mode")
+
+
+@query()
+def stage_times(spark, sf_dir):
+    """Seconds of each step of the five-candidate trip."""
+    clock = measures.Clock()
+    corner(spark, sf_dir, FIVE, clock)
+    return clock.table(spark)
+
+
+@query()
+def scaling_report(spark, sf_dir):
+    """Time of the legs between depots against the number of parallel tasks, a column for each number."""
+    g = net(spark, sf_dir)
+    plan = planner.plan_trips(g, fixtures.depot_trips(spark, sf_dir), BATCH)
+    runs = search.cut(plan.layers.where("id <> -2").select(F.col("node").alias("run"), F.col("node").alias("source"), F.lit(BATCH.limit).cast("long").alias("radius")).distinct())
+    rows = measures.scaling(spark, lambda k: search.reach(g.edges, runs, net=g.load(), history=False, tasks=k))
+    return rows.groupBy(F.lit("legs").alias("step")).pivot("tasks", [1, 2, 4, 8]).agg(F.round(F.first("seconds"), 3).alias("s"), F.round(F.first("speed_up"), 2).alias("x"))
 
 
 @query()
 def sweep_cube(spark, sf_dir):
-    """Feasible trips and mean cost over capacity, n and penalty."""
-    parts = []
+    """Feasible trips between depots and their mean cost over capacity, n, alpha and penalty."""
+    g, parts = net(spark, sf_dir), []
+    trips = search.cut(fixtures.depot_trips(spark, sf_dir))
     for q in (8000, 10_000):
         for n in (3, 5):
-            done = batch(spark, sf_dir, replace(BATCH, capacity=q, n=n))
-            cost = done.solution.groupBy("trip").agg(F.sum("leg_cost").alias("cost"))
-            for p in (0, 2400):
-                parts.append(cost.select(F.lit(q).alias("capacity"), F.lit(n).alias("n"), F.lit(p).alias("penalty"), (F.col("cost") * (q + p) / q).alias("cost_adj")))
+            for alpha in (0.2, 0.3):
+                done = planner.plan_trips(g, trips, TripOptions(capacity=q, n=n, alpha=alpha))
+                cost = done.solution.groupBy("trip").agg(F.sum("leg_cost").alias("cost"))
+                for p in (0, 2400):
+                    parts.append(cost.select(*[F.lit(v).alias(k) for k, v in (("capacity", q), ("n", n), ("alpha", alpha), ("penalty", p))], (F.col("cost") * (q + p) / q).alias("cost_adj")))
     rows = parts[0]
     for part in parts[1:]:
         rows = rows.unionByName(part)
-    return rows.cube("capacity", "n", "penalty").agg(F.count("*").alias("trips"), F.round(F.avg("cost_adj"), 4).alias("mean_cost_adj"))
+    return rows.cube("capacity", "n", "alpha", "penalty").agg(F.count("*").alias("trips"), F.round(F.avg("cost_adj"), 4).alias("mean_cost_adj"))
 
 
 _EVENTS = "(SELECT event_id, ts, user_id * 613 % (SELECT count(*) FROM customer) AS node, 1 + value / 100 AS slowdown FROM events WHERE event_type = 'view')"
@@ -465,33 +859,83 @@ def request_sessions(spark, sf_dir):
     return traffic.request_sessions(fixtures.table(spark, sf_dir, "events")).withColumn("start", F.col("start").cast("timestamp_ntz"))
 
 
-def _clicks_asof(spark, sf_dir, some: str = "true"):
-    events = fixtures.table(spark, sf_dir, "events").where("event_type = 'click'").where(some)
+@query(f"WITH p AS {_EVENTS}, c AS (SELECT event_id AS id, ts, user_id * 613 % (SELECT count(*) FROM customer) AS node FROM events WHERE event_type = 'click'), "
+       "b AS (SELECT c.id, arg_max(p.slowdown, (p.ts, p.event_id)) AS slowdown FROM c JOIN p ON p.node = c.node AND p.ts <= c.ts GROUP BY c.id) SELECT c.id, c.node, b.slowdown FROM c LEFT JOIN b USING (id)")
+def traffic_asof(spark, sf_dir):
+    """The last slowdown at the place of every click."""
+    events = fixtures.table(spark, sf_dir, "events").where("event_type = 'click'")
     n = fixtures.size(spark, sf_dir)[0]
     return traffic.as_of(events.select(F.col("event_id").alias("id"), F.col("ts").cast("timestamp").alias("ts"), (F.col("user_id") * 613 % n).alias("node")), _probes(spark, sf_dir))
 
 
-@query(f"SELECT c.event_id AS id, c.user_id * 613 % (SELECT count(*) FROM customer) AS node, (SELECT p.slowdown FROM {_EVENTS} p WHERE p.node = c.user_id * 613 % (SELECT count(*) FROM customer) AND p.ts <= c.ts ORDER BY p.ts DESC, p.event_id DESC LIMIT 1) AS slowdown FROM events c WHERE event_type = 'click' AND event_id % 10 = 0")
-def traffic_asof(spark, sf_dir):
-    return _clicks_asof(spark, sf_dir, _TENTH_CLICK)
+def _streamed(spark, stream: DataFrame, mode: str) -> DataFrame:
+    folder = shared_folder(spark)
+    requests.run_now(stream, folder, mode)
+    return spark.read.parquet(f"{folder}/out")
 
 
-@query()
-def traffic_asof_all(spark, sf_dir):
-    return _clicks_asof(spark, sf_dir)
+@query(ORACLES["traffic_windows"])
+def stream_traffic(spark, sf_dir):
+    """Traffic windows of a stream."""
+    rows = traffic.probes(requests.event_stream(spark, sf_dir), fixtures.size(spark, sf_dir)[0])
+    return _streamed(spark, traffic.traffic_windows(rows), "complete").withColumn("start", F.col("start").cast("timestamp_ntz"))
+
+
+#: Station changes in order; a station is open if its last change says so, and its bin's list has the newest first.
+_CHANGES = "ch AS (SELECT event_id, ts, event_id % (SELECT count(*) FROM supplier) AS station, CASE WHEN event_type = 'error' THEN 'close' ELSE 'open' END AS op FROM events WHERE event_type IN ('error', 'signup'))"
+
+
+@query(f"{_G1}, {_GRID}, {_CHANGES}, o AS (SELECT *, lag(op) OVER (PARTITION BY station ORDER BY ts, event_id) AS before FROM ch), "
+       "s AS (SELECT station, arg_max(op, (ts, event_id)) AS op, max((ts, event_id)) FILTER (op = 'open' AND coalesce(before, 'close') = 'close') AS since FROM o GROUP BY station) "
+       "SELECT bin, station AS item, coalesce(lag(station) OVER w, -1) AS prev, coalesce(lead(station) OVER w, -1) AS next FROM s JOIN b USING (station) WHERE op = 'open' WINDOW w AS (PARTITION BY bin ORDER BY since DESC)")
+def stream_bin_lists(spark, sf_dir):
+    """The linked lists of the bins after all openings and closings, kept in the state of a stream."""
+    key = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(key, None)
+    spark.conf.set(key, stations.ROCKS)
+    try:
+        g = net(spark, sf_dir)
+        changes = traffic.station_changes(requests.event_stream(spark, sf_dir), fixtures.table(spark, sf_dir, "supplier").count())
+        lists = stations.bin_lists(stations.with_bins(changes, bins.with_bin(g.stations, g.grid)))
+        folder = shared_folder(spark)
+        requests.run_now(lists, folder, "update")
+        return spark.read.parquet(f"{folder}/out").select("bin", "item", F.coalesce("prev", F.lit(-1)).alias("prev"), F.coalesce("next", F.lit(-1)).alias("next"))
+    finally:
+        spark.conf.unset(key) if before is None else spark.conf.set(key, before)
+
+
+_REQUESTS = "rq AS (SELECT event_id AS trip, ts, event_id % (SELECT count(*) FROM supplier) AS wanted FROM events WHERE event_type = 'click')"
+
+
+@query(f"WITH {_REQUESTS}, {_CHANGES} SELECT trip, station, event_id FROM rq JOIN ch ON station = wanted AND op = 'close' AND ch.ts <= rq.ts AND ch.ts >= rq.ts - INTERVAL 12 HOUR")
+def stream_outages(spark, sf_dir):
+    """Requests for a station that closed up to twelve hours before: two streams joined on an interval."""
+    total = fixtures.table(spark, sf_dir, "supplier").count()
+    events = lambda: requests.event_stream(spark, sf_dir)
+    asked = requests.trip_requests(events(), fixtures.size(spark, sf_dir)[0]).withColumn("station", F.col("trip") % total)
+    near = requests.outages_near(asked, traffic.station_changes(events(), total), "12 hours", "1 day")
+    return _streamed(spark, near, "append").select("trip", "station", "event_id")
+
 
+@query("SELECT count(*) AS requests FROM (SELECT DISTINCT user_id % (SELECT count(*) FROM customer) AS source, event_id * 131 % (SELECT count(*) FROM customer) AS target FROM events WHERE event_type = 'click')")
+def stream_dedupe(spark, sf_dir):
+    """Trip requests of a stream, repeats of the same ends once."""
+    rows = requests.without_repeats(requests.trip_requests(requests.event_stream(spark, sf_dir), fixtures.size(spark, sf_dir)[0]), "60 days")
+    return _streamed(spark, rows, "append").agg(F.count("*").alias("requests"))
 
-def _over_all_trips(f):
-    def whole(spark, sf_dir):
-        return f(spark, sf_dir, fixtures.batch_trips)
 
-    whole.__name__, whole.__doc__ = f"{f.__name__}_all", f.__doc__
-    return whole
+_CLICKS = "trips AS (SELECT event_id AS trip, user_id % n.n AS source, event_id * 131 % n.n AS target FROM events, n WHERE event_type = 'click')"
 
 
-# The SQL of these plans the sample only; the forms named _all take every urgent order.
-for _f in (sssp_multi_source, sssp_bounded, sssp_bounded_disk, sssp_bounded_frontier, sssp_reverse, astar_cost, bidirectional_cost, plan_batch, plan_infeasible, exact_optimum, brute_force):
-    query()(_over_all_trips(_f))
+@query(_plan_sql(BATCH, _CLICKS) + "SELECT trip, sum(cost)::BIGINT AS cost FROM chain GROUP BY trip")
+def stream_plans(spark, sf_dir):
+    """All requests of a stream planned in its micro-batches, kept by an upsert."""
+    folder = shared_folder(spark)
+    save = requests.upsert_parquet(f"{folder}/plans", ["trip"])
+    write = lambda rows, number: save(planner.aggregated(rows).select("trip", "cost"), number)
+    rows = requests.trip_requests(requests.event_stream(spark, sf_dir), fixtures.size(spark, sf_dir)[0])
+    requests.run_now(rows, folder, "append", requests.planned_in_batches(net(spark, sf_dir), BATCH, write))
+    return requests.read_upserted(spark, f"{folder}/plans").select("trip", "cost")
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -10,9 +10,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+_COUNTS: dict[tuple[str, str], int] = {}
+
+
 def size(spark: SparkSession, sf_dir: str, name: str = "customer") -> tuple[int, int, int]:
-    """(nodes, columns, full rows) of the lattice over a table."""
-    n = table(spark, sf_dir, name).count()
+    """(nodes, columns, full rows) of the lattice over a table, which is counted once."""
+    n = _COUNTS.get((sf_dir, name))
+    if n is None:
+        n = _COUNTS[sf_dir, name] = table(spark, sf_dir, name).count()
     w = 1
     while w * w * 2 < 3 * n:
         w += 1
@@ -67,9 +72,26 @@ def batch_trips(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.where("source <> target")
 
 
-def sample_trips(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The few trips of the batch that the oracle SQL plans."""
-    return batch_trips(spark, sf_dir).where("trip < 200")
+def depots(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """nation, node: the first customer of each nation."""
+    return table(spark, sf_dir, "customer").groupBy(F.col("c_nationkey").alias("nation")).agg(F.min("c_custkey").alias("node"))
+
+
+def depot_trips(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """trip, source, target between the depots of any two nations: pairs all over the map."""
+    d = depots(spark, sf_dir)
+    a, b = d.select(F.col("nation").alias("a"), F.col("node").alias("source")), d.select(F.col("nation").alias("b"), F.col("node").alias("target"))
+    return a.join(F.broadcast(b), F.col("a") != F.col("b")).select((F.col("a") * 1000 + F.col("b")).cast("long").alias("trip"), "source", "target")  # nations are few
+
+
+#: Capacity of a vehicle by its order's priority.
+CAPACITIES = {"1-URGENT": 10_000, "2-HIGH": 9_000, "3-MEDIUM": 8_000, "4-NOT SPECIFIED": 12_000, "5-LOW": 15_000}
+
+
+def mixed_trips(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The trips between depots with capacities of their own."""
+    by = F.array(*[F.lit(q) for q in CAPACITIES.values()])
+    return depot_trips(spark, sf_dir).withColumn("capacity", F.get(by, (F.col("trip") % len(CAPACITIES)).cast("int")))
 
 
 def segments(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -88,10 +110,17 @@ def order_nodes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("node"), (F.col("o_orderkey") % w).cast("double").alias("x"), F.floor(F.col("o_orderkey") / w).cast("double").alias("y"))
 
 
+def lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """wkt, road_class, direction, weight: the segments as lines between coordinates."""
+    _, w, _ = size(spark, sf_dir, "orders")
+    at = lambda c: F.concat((F.col(c) % w).cast("string"), F.lit(" "), F.floor(F.col(c) / w).cast("string"))
+    return segments(spark, sf_dir).select(F.concat(F.lit("LINESTRING("), at("a"), F.lit(", "), at("b"), F.lit(")")).alias("wkt"), "road_class", "direction", "weight")
+
+
 def points(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Irregular points: node, x, y."""
     e = F.col("embedding")
     return table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("node"), e[0].cast("double").alias("x"), e[1].cast("double").alias("y"))
 
 
-__all__ = ["batch_trips", "cents", "corner_trip", "edges", "nodes", "order_nodes", "points", "sample_trips", "segments", "size", "stations", "table"]
+__all__ = ["CAPACITIES", "batch_trips", "cents", "corner_trip", "depot_trips", "depots", "edges", "lines", "mixed_trips", "nodes", "order_nodes", "points", "segments", "size", "stations", "table"]

@@ -39,7 +39,7 @@ def test_bidirectional_costs_are_the_same_over_the_broadcast_bound(spark, monkey
     net = line(spark, 9)
     trips = spark.createDataFrame([(0, 0, 9), (1, 5, 5), (2, 4, 0), (3, 0, 77)], "trip long, source long, target long")
     monkeypatch.setattr(fixtures, "edges", lambda *a: net.edges)
-    for name in ("batch_trips", "sample_trips"):
-        monkeypatch.setattr(fixtures, name, lambda *a: trips, raising=False)
+    monkeypatch.setattr(fixtures, "nodes", lambda *a: net.nodes)
+    monkeypatch.setattr(fixtures, "batch_trips", lambda *a: trips)
     monkeypatch.setattr(search, "load", lambda *a, **k: None)
     assert sorted(map(tuple, queries.bidirectional_cost(spark, "").collect())) == [(0, 9, 90), (1, 5, 0), (2, 0, 40), (3, 77, None)]

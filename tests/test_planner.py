@@ -47,7 +47,9 @@ def test_penalty_modes(spark, mode):
     plan = planner.plan_trips(line(spark), trips(spark, (0, 0, 10)), TripOptions(capacity=50, n=2, penalty=25, penalty_mode=mode))
     total = planner.aggregated(plan.solution).first()
     assert total.cost == 100
-    assert total.cost_adj == {"none": 100, "flat": 150, "proportional": 150, "proportional_no_last": total.cost_adj}[mode]
+    # A charge is 25 for 50 of way: on all of it, or not on the last leg, which is longest by way of 102.
+    assert total.cost_adj == {"none": 100, "flat": 150, "proportional": 150, "proportional_no_last": 135}[mode]
+    assert total.stations == [100, 102]
 
 
 def test_strategies_agree(spark):
@@ -89,3 +91,56 @@ def test_validate(spark):
     edges = spark.createDataFrame([(0, 1, 0), (0, 99, 5), (None, 1, 5)], "src long, dst long, weight long")
     nodes = spark.createDataFrame([(0,), (1,)], "node long")
     assert {r.problem for r in network.validate(edges, nodes).collect()} >= {"weight", "unknown dst", "null"}
+
+
+@pytest.mark.parametrize("change", [{}, {"direction": "both", "leg_mode": "pairwise", "split_rule": "multiples"}, {"order": "bins", "plugs": ("a",)}])
+def test_tables_and_kernels_agree(spark, monkeypatch, change):
+    """Above the broadcast bound every step goes over tables and gives the same rows."""
+    opts = TripOptions(**{"capacity": 50, "n": 2, "penalty": 25, **change})
+    asked = trips(spark, (0, 0, 10), (2, 0, 99), (3, 2, 6), (4, 4, 4))
+
+    def run():
+        plan = planner.plan_trips(line(spark), asked, opts)
+        show = lambda df, *c: sorted(map(tuple, df.select(*c).collect()), key=repr)
+        return [show(plan.bases, "trip", "stop", "node", "cum"), show(plan.candidates, "trip", "stop", "station", "node", "dist", "widen_round"), show(plan.legs, "trip", "layer", "u", "v", "cost", "path"), show(plan.solution, "trip", "leg_index", "station", "leg_cost", "path"), show(plan.status, "trip", "status")]
+
+    small = run()
+    monkeypatch.setattr(search, "MAX_BROADCAST_EDGES", 3)
+    assert run() == small
+
+
+@pytest.mark.parametrize("mode", ["layers", "sssp", "udtf"])
+def test_final_path_modes_agree(spark, mode):
+    asked = trips(spark, (0, 0, 10), (1, 10, 0), (3, 2, 6))
+    edges = planner.plan_trips(line(spark), asked, OPTS).edges
+    show = lambda df: sorted(map(tuple, df.select("trip", "layer", "u", "v", "weight", "weight_adj").collect()))
+    assert show(planner.final_path(edges, mode=mode)) == show(planner.final_path(edges))
+
+
+def test_edges_over_the_capacity_and_options_by_trip(spark):
+    net = line(spark)
+    net.edges = net.edges.where("NOT (src = 6 AND dst = 7)").unionByName(spark.createDataFrame([(6, 7, 60)], "src long, dst long, weight long"))
+    assert planner.plan_trips(net, trips(spark, (0, 0, 10)), OPTS).status.first().status == "edge_exceeds_capacity"
+    asked = spark.createDataFrame([(0, 0, 10, 50, 2), (1, 0, 10, 200, None), (2, 0, 10, None, 1)], "trip long, source long, target long, capacity long, n int")
+    plan = planner.plan_mixed(line(spark), asked, OPTS)
+    assert dict(plan.status.collect()) == {0: "ok", 1: "ok", 2: "ok"}
+    assert {r.trip: r.stations for r in planner.aggregated(plan.solution).collect()}[1] == []
+
+
+def test_incompatible_plugs_leave_no_candidate(spark):
+    assert planner.plan_trips(line(spark), trips(spark, (0, 0, 10)), TripOptions(capacity=50, n=2, plugs=("b",))).status.first().status == "no_candidate"
+
+
+def test_legs_of_a_store_are_not_searched(spark, monkeypatch):
+    net, asked = line(spark), trips(spark, (0, 0, 10))
+    first = planner.plan_trips(net, asked, OPTS)
+    store = planner.leg_cache(first.layers, first.legs, OPTS)
+    again = planner.plan_trips(net, asked, OPTS, cache=store)
+    assert again.legs.where("run IS NOT NULL").isEmpty() and again.legs.count() == first.legs.count()
+
+
+def test_costs_scale_with_all_weights(spark):
+    net, small = line(spark), planner.aggregated(planner.plan_trips(line(spark), trips(spark, (0, 0, 10)), OPTS).solution).first()
+    net.edges = net.edges.selectExpr("src", "dst", "weight * 7 AS weight")
+    large = planner.aggregated(planner.plan_trips(net, trips(spark, (0, 0, 10)), TripOptions(capacity=350, n=2, penalty=175)).solution).first()
+    assert (large.cost, large.cost_adj, large.stations) == (7 * small.cost, 7 * small.cost_adj, small.stations)
