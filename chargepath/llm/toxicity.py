@@ -1,17 +1,24 @@
 """Toxicity by a weighted finite-state pattern grammar.
 
-Words are read by five transducers: insult, threat, target, negation and
-reported speech. Insult patterns are word stems with weights (log-odds of the
-stem in toxic against other labelled training documents), so a trie over
-letters accepts them; the other classes are short fixed lists. A clause's
-score starts from its insults and threats, rises with a target close by, and
-falls under negation or reported speech. A logistic curve, fitted on the same
-training rows, turns clause scores into a document score.
+Five transducers read the words of a clause. The insult transducer runs over
+letters: a trie of stems whose states carry weights (log-odds of the stem in
+toxic against other labelled training documents). Threats, targets, negations
+and words of reported speech are accepted as whole words. Three more machines
+run over the classes of words: words since a target, words since a negation,
+and whether speech is reported; they are composed into one product machine,
+whose states are made on first use. The machine of targets runs from the right
+as well, so a match knows the targets on both sides of it. A match weighs what
+its stem or threat weighs, more with a target close by, less under negation or
+reported speech; a clause's score is the sum of its matches. Each word is read
+once from either side, however long a clause is. A logistic curve, fitted on
+the same training rows, turns clause scores into a document score.
 
 The model is fitted on at most ``max_train`` labelled documents, taken by the
 order of a hash of their ids. Null and empty texts get the score of a text
 without matched clauses; texts of any length are read whole; repeated rows get
-equal scores; without any training row all scores are the prior.
+equal scores; without any training row all scores are the prior; an empty table
+gives no rows; of stems of equal claim the shorter, then the first by letters,
+is kept; an output replaces a column of its name.
 """
 
 import math
@@ -25,9 +32,12 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from chargepath.llm.common import boxed, cut, unboxed
+
 # Word classes of the grammar in four languages.
 SEEDS = frozenset("idiot idiots moron morons stupid dumb scum trash loser losers pathetic worthless disgusting clown clowns fool fools imbecile vermin filth garbage bastard bitch idioten dumm dummkopf abschaum arschloch trottel imbecil estupido estúpido idiota basura escoria débile connard salaud ordure crétin".split())
-THREATS = frozenset("kill hurt destroy beat punish töten umbringen schlagen tuer frapper matar golpear".split())
+THREATS = frozenset(
+    "kill kills killing hurt destroy beat punish shoot stab strangle burn attack töten umbringen schlagen erschießen verprügeln vernichten tuer frapper détruire étrangler brûler matar golpear destruir disparar quemar".split())
 TARGETS = frozenset("you your yours u he she him her they them these those du dich dir ihr euch sie tu te toi vous ils elles tú usted ustedes ellos ellas".split())
 NEGATIONS = frozenset("not no never isn't aren't wasn't don't nobody nicht kein keine nie ne pas jamais nunca ni".split())
 REPORTS = frozenset("said says called quoted quote reported claims wrote sagte sagt nannte dit disait appelé dijo llamó".split())
@@ -35,6 +45,92 @@ _WORD = re.compile(r"[^\W\d_]+(?:'[^\W\d_]+)?")
 _CLAUSE = re.compile(r"[.!?;:\n]+")
 
 
+#: Bits of a word's class.
+TARGET, NEGATION, REPORT, THREAT = 1, 2, 4, 8
+#: Words between a match and a target, a threat and its target, a match and a negation before it.
+NEAR_TARGET, THREAT_TARGET, NEAR_NEGATION = 4, 3, 3
+#: What a target, a negation and reported speech make of a match's weight.
+WITH_TARGET, NEGATED, REPORTED = 1.25, 0.6, 0.7
+
+
+class Stems:
+    """The insult transducer: a trie over letters; the weight of a word is the most that a state on its path carries."""
+
+    def __init__(self, stems: dict[str, float]) -> None:
+        self.next: list[dict[str, int]] = [{}]
+        self.weight, self.at_end = [0.0], [0.0]
+        for stem, weight in stems.items():
+            state, whole = 0, stem.endswith("$")
+            for letter in stem.removesuffix("$"):
+                to = self.next[state].get(letter)
+                if to is None:
+                    to = self.next[state][letter] = len(self.next)
+                    self.next.append({})
+                    self.weight.append(0.0)
+                    self.at_end.append(0.0)
+                state = to
+            held = self.at_end if whole else self.weight
+            held[state] = max(held[state], weight)
+
+    def read(self, word: str) -> float:
+        state, best = 0, 0.0
+        for letter in word:
+            to = self.next[state].get(letter)
+            if to is None:
+                return best
+            state, best = to, max(best, self.weight[to])
+        return max(best, self.at_end[state])
+
+
+class Since:
+    """Words since one of a class, up to a most: state 0 right at it."""
+
+    def __init__(self, bit: int, most: int) -> None:
+        self.bit, self.most, self.start = bit, most, most + 1
+
+    def step(self, state: int, kind: int) -> int:
+        return 0 if kind & self.bit else min(state + 1, self.most + 1)
+
+
+class Seen:
+    """Whether one of a class came."""
+
+    def __init__(self, bit: int) -> None:
+        self.bit, self.start = bit, 0
+
+    def step(self, state: int, kind: int) -> int:
+        return 1 if state or kind & self.bit else 0
+
+
+class Product:
+    """Machines run side by side as one; its states and transitions are made on first use."""
+
+    def __init__(self, *machines) -> None:
+        self.machines = machines
+        self.states = [tuple(m.start for m in machines)]
+        self.number = {self.states[0]: 0}
+        self.steps: dict[tuple[int, int], int] = {}
+
+    def step(self, state: int, kind: int) -> int:
+        to = self.steps.get((state, kind))
+        if to is None:
+            key = tuple(m.step(s, kind) for m, s in zip(self.machines, self.states[state], strict=True))
+            to = self.number.get(key)
+            if to is None:
+                to = self.number[key] = len(self.states)
+                self.states.append(key)
+            self.steps[state, kind] = to
+        return to
+
+    def run(self, kinds: list[int]) -> list[int]:
+        """The states before each word and after the last."""
+        out, state = [0], 0
+        for kind in kinds:
+            state = self.step(state, kind)
+            out.append(state)
+        return out
+
+
 @dataclass
 class Grammar:
     """Weights of stems (word prefixes; a stem ending in $ is a whole word) and the curve."""
@@ -43,40 +139,48 @@ class Grammar:
     coef: tuple[float, ...] = (-3.0, 1.0, 0.5)
 
     def __post_init__(self) -> None:
-        self.lengths = sorted({len(s) for s in self.stems if not s.endswith("$")})
-        self.known: dict[str, float] = {}
+        self.insults = Stems(self.stems)
+        self.left = Product(Since(TARGET, NEAR_TARGET), Since(NEGATION, NEAR_NEGATION), Seen(REPORT))
+        self.right = Product(Since(TARGET, NEAR_TARGET))
+        self.known: dict[str, tuple[int, float]] = {}
         short = [w for s in self.stems for w in (s.rstrip("$"),) if len(w) < 4]
         self.heads = {s.rstrip("$")[:4] for s in self.stems} | {w[:4] for w in THREATS} | {w + c for w in short for c in ".,;:!?\"')"}
 
-    def weight(self, word: str) -> float:
-        """The heaviest stem that accepts a lower-case word; 0 if none."""
+    def read(self, word: str) -> tuple[int, float]:
+        """(class, insult weight) of a lower-case word."""
         got = self.known.get(word)
         if got is None:
             if len(self.known) > 500_000:
                 self.known = {}
-            stems = self.stems
-            found = [stems[word[:n]] for n in self.lengths if n <= len(word) and word[:n] in stems]
-            if (whole := stems.get(word + "$")) is not None:
-                found.append(whole)
-            got = self.known[word] = max(found, default=0.0)
+            kind = (word in TARGETS) * TARGET | (word in NEGATIONS) * NEGATION | (word in REPORTS) * REPORT | (word in THREATS) * THREAT
+            got = self.known[word] = kind, self.insults.read(word)
         return got
 
+    def weight(self, word: str) -> float:
+        return self.read(word)[1]
+
     def clause(self, words: list[str]) -> float:
-        """The score of one clause."""
-        total = 0.0
-        for k, w in enumerate(words):
-            value = self.weight(w)
-            if w in THREATS and any(x in TARGETS for x in words[max(0, k - 3) : k + 4]):
-                value = max(value, 1.0)
-            if not value:
+        """The score of one clause: its matches' weights along the product machine."""
+        read = [self.read(w) for w in words]
+        if not any(value or kind & THREAT for kind, value in read):
+            return 0.0
+        kinds = [kind for kind, _ in read]
+        ahead, back, total = self.left.run(kinds), self.right.run(kinds[::-1]), 0.0
+        for k, (kind, value) in enumerate(read):
+            if not value and not kind & THREAT:
                 continue
-            near = words[max(0, k - 4) : k + 5]
-            if any(x in TARGETS for x in near):
-                value *= 1.25
-            if any(x in NEGATIONS for x in words[max(0, k - 3) : k]):
-                value *= 0.6
-            if any(x in REPORTS for x in words[:k]):
-                value *= 0.7
+            # States tell of the words before this one; a target may also be the word itself.
+            since, negation, reported = self.left.states[ahead[k]]
+            (until,) = self.right.states[back[len(words) - 1 - k]]
+            target = -1 if kind & TARGET else min(since, until)
+            if kind & THREAT and target < THREAT_TARGET:
+                value = max(value, 1.0)
+            if target < NEAR_TARGET:
+                value *= WITH_TARGET
+            if negation < NEAR_NEGATION:
+                value *= NEGATED
+            if reported:
+                value *= REPORTED
             total += value
         return total
 
@@ -141,8 +245,6 @@ def fit(rows: list[tuple[str | None, int]], min_docs: int = 4, min_odds: float =
 
 def training_rows(docs: DataFrame, labels: DataFrame, max_train: int) -> list[tuple[str | None, int]]:
     """At most ``max_train`` labelled rows that are not held out."""
-    from chargepath.llm.common import cut
-
     picked = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     picked = cut(picked.orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_train))
     rows = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").select("text", "toxic").distinct()  # bounded by max_train
@@ -163,8 +265,8 @@ def score_toxicity(docs: DataFrame, grammar: Grammar, threshold: float = 0.7) ->
         for texts in batches:
             yield texts.map(own.score, na_action=None).astype("float64")
 
-    out = docs.withColumn("score", scored(F.col("text")))
-    return out.withColumn("predicted", (F.col("score") >= threshold).cast("int"))
+    rows = boxed(docs, text=F.col("text")).select("row", scored("text").alias("score"))
+    return unboxed(rows, score=F.col("score"), predicted=(F.col("score") >= threshold).cast("int"))
 
 
 __all__ = ["Grammar", "fit", "held_out", "score_toxicity", "training_rows"]

@@ -309,3 +309,80 @@ def test_near_duplicate_stage_keeps_one_row_of_each_group(spark):
     docs = spark.createDataFrame([(k, t, "en", "s", len(t or "")) for k, t in rows], SCHEMA)
     got = sorted(((r.doc_id, r.text) for r in corpus_pipeline.near_duplicate_stage(spark, docs, "").collect()), key=repr)
     assert got == sorted([(1, a), (1, b), (2, c), (None, d), (None, None), (4, "")], key=repr)
+
+
+def test_merge_transducer_equals_the_merge_table():
+    """Random merge tables over few letters, every short piece."""
+    import itertools
+
+    rng = random.Random(12)
+    for _ in range(40):
+        tokens_, merges = ["a", "b", "c", "a.", "b.", "c."], []
+        for _ in range(10):
+            pair = rng.choice(tokens_), rng.choice(tokens_)
+            if not pair[0].endswith(".") and pair[0] + pair[1] not in tokens_ and len(pair[0] + pair[1]) < 7:
+                merges.append(pair)
+                tokens_.append(pair[0] + pair[1])
+        machine = tokens.MergeTransducer(merges, tokens_[:6], most=30)
+        for n in range(1, 7):
+            for letters in itertools.product("abc", repeat=n):
+                symbols = [*letters[:-1], letters[-1] + "."]
+                assert machine.count(symbols) == len(machine.merged(tuple(symbols))), (merges, symbols)
+
+
+def test_token_counts_of_nulls_and_long_texts(spark):
+    from tokenizers import Tokenizer
+    import public_tokenizers
+
+    library = Tokenizer.from_file(public_tokenizers.path("word_bpe_49k.json"))
+    rng = random.Random(3)
+    long = ["x" * 300_000, "word é日 <|endoftext|> " * 30_000, "".join(rng.choice("abcdé .") for _ in range(200_000))]
+    data = [None, "", *long, long[2]]
+    rows = make(spark, data).withColumn("row", F.lit(1)).withColumn("n_bytes", F.lit("old"))
+    got = tokens.count_tokens(rows).orderBy("doc_id").collect()
+    assert [r.n_tokens for r in got] == [len(library.encode(t or "", add_special_tokens=False).ids) for t in data]
+    assert [r.n_bytes for r in got] == [len((t or "").encode()) for t in data] and all(r["row"] == 1 for r in got)
+
+
+def naive_clause(g, words):
+    """The grammar by windows of words, without machines."""
+    total = 0.0
+    for k, w in enumerate(words):
+        value = max((v for s, v in g.stems.items() if (w == s[:-1] if s.endswith("$") else w.startswith(s))), default=0.0)
+        threat = w in toxicity.THREATS
+        if not value and not threat:
+            continue
+        if threat and any(x in toxicity.TARGETS for x in words[max(0, k - 3) : k + 4]):
+            value = max(value, 1.0)
+        if any(x in toxicity.TARGETS for x in words[max(0, k - 4) : k + 5]):
+            value *= 1.25
+        if any(x in toxicity.NEGATIONS for x in words[max(0, k - 3) : k]):
+            value *= 0.6
+        if any(x in toxicity.REPORTS for x in words[:k]):
+            value *= 0.7
+        total += value
+    return total
+
+
+def test_composed_machines_equal_the_naive_grammar():
+    g = toxicity.Grammar({"idiot$": 1.0, "mor": 0.5, "moro": 0.8, "scum$": 1.2, "you$": 0.1})
+    rng = random.Random(6)
+    vocabulary = ["idiot", "moron", "more", "scum", "you", "they", "not", "never", "said", "kill", "beat", "the", "day", "a", "idiots", "zzz"]
+    for _ in range(4000):
+        words = rng.choices(vocabulary, weights=[1] * 11 + [6] * 5, k=rng.randint(0, 25))
+        assert abs(g.clause(words) - naive_clause(g, words)) < 1e-9, words
+    start = time.process_time()
+    g.features("idiot " * 400_000)  # one clause without a stop
+    assert time.process_time() - start < 10
+
+
+def test_toxicity_of_nulls_ties_and_empty_tables(spark):
+    rows = make(spark, [None, "", "you are an idiot", "you are an idiot", "a fine day", "idiot " * 50_000]).withColumn("score", F.lit("old"))
+    g = toxicity.fit([(f"the day is fine {k}", 0) for k in range(60)] + [(f"you are such an idiot {k}", 1) for k in range(20)])
+    got = toxicity.score_toxicity(rows, g).orderBy("doc_id").collect()
+    assert got[0].score == got[1].score == got[4].score < 0.3 and got[2].score == got[3].score > 0.7
+    assert [r.predicted for r in got[:5]] == [0, 0, 1, 1, 0] and 0 <= got[5].score <= 1
+    assert toxicity.score_toxicity(rows.where("false"), g).count() == 0
+    labels = spark.createDataFrame([(k, 0, k % 2) for k in range(6)] + [(None, 0, 1), (2, 1, None)], "doc_id long, quality int, toxic int")
+    train = toxicity.training_rows(rows.select("doc_id", "text"), labels, 100)
+    assert 0 < len(train) <= 6 and toxicity.training_rows(rows.select("doc_id", "text"), labels.where("false"), 100) == []
