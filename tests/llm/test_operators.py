@@ -1,5 +1,6 @@
 import collections
 import hashlib
+import pathlib
 import random
 import re
 import time
@@ -233,6 +234,33 @@ def test_licenses(spark):
     assert got[0][0] == "MIT" and got[1][0] == "ISC" and got[2] == (None, "notice:MIT") and got[3] == got[4] == (None, "")
 
 
+def test_standard_licence_files(spark):
+    mit = "MIT License\n\nCopyright (c) 2020 A. Person\n\n" + licenses.KNOWN["MIT"].replace(". ", ".\n\n")
+    bodies = {
+        "MIT": [mit, mit.replace("2020 ", ""), mit.replace("MIT License", "The MIT License (MIT)"), mit.replace("Copyright (c) 2020 A. Person", "© Some Body")],
+        "BSD-3-Clause": ["BSD 3-Clause License\n\nCopyright (c) Some Body\nAll rights reserved.\n\n" + licenses.KNOWN["BSD-3-Clause"]],
+        "Unlicense": [licenses.KNOWN["Unlicense"].replace("non-commercial", "noncommercial")],
+    }
+    folder = pathlib.Path("/usr/share/common-licenses")
+    files = {"GPL-3.0": "GPL-3", "LGPL-2.1": "LGPL-2.1", "Apache-2.0": "Apache-2.0", "MPL-2.0": "MPL-2.0", "CC0-1.0": "CC0-1.0"}
+    for name, file in files.items():
+        if (folder / file).exists():
+            bodies[name] = [(folder / file).read_text(), "\t" + (folder / file).read_text().upper().replace("\n", "\r\n")]
+    want = [(name, text) for name, some in bodies.items() for text in some]
+    got = licenses.scan(make(spark, [t for _, t in want])).orderBy("doc_id").collect()
+    assert [r.license for r in got] == [n for n, _ in want]
+
+
+def test_licence_scan_of_odd_rows(spark):
+    docs = make(spark, [None, "", "MIT License", "licence licence LICENCE", "x\n// SPDX-License-Identifier: MPL-2.0\n" * 3, "é" * 200_000]).withColumns({"digest": F.lit(1), "row": F.lit(2), "known": F.lit(3)})
+    twice = docs.union(docs)
+    got = licenses.scan(twice).orderBy("doc_id").collect()
+    assert len(got) == 12 and all(r["row"] == 2 and r["known"] == 3 and r.license is None for r in got)
+    assert [r.notices for r in got[::2]] == ["", "", "", "", "notice:SPDX:MPL-2.0", ""]
+    canonical = spark.createDataFrame([("licence licence LICENCE",)], "t string").select(licenses.canonical(F.col("t")).alias("c")).first().c
+    assert canonical == "license license license" and licenses.scan(docs.where("false")).count() == 0
+
+
 def test_notices_in_other_spellings(spark):
     lines = ["Licenced under the Apache License, Version 2.0.", "  * LICENCED under CC BY 4.0.", "é Licensed under CC BY 4.0."]
     got = [r.notices for r in licenses.scan(make(spark, [f"text\n{x}\nmore" for x in lines])).orderBy("doc_id").collect()]
