@@ -1,131 +1,222 @@
 """Benchmark decontamination by a prefix-filtered containment join.
 
-Items are cut into windows of ``width`` words. The tokens of a window are
-ordered by rarity over all documents (ties by bytes); a document that contains
-the window must contain its rarest token, so that token alone is the join's
-necessary prefix. A hit of the prefix token at a document position fixes where
-the window would start: positions where it would pass either end of the text
-are dropped (length and position bound), and the rest is verified word by word.
-
-Items are taken in blocks of a fixed number of words, so what goes to the
-executors has a set bound however large the benchmark is; each block is one
-pass over the documents. Null and empty texts have no words and are not
-contaminated; repeated documents are judged as rows of their own; repeated items
-count once for each item_id; a null item_id counts as no item but its windows
-still hit.
+Items are cut into windows of ``width`` words. A window is a set of shingles,
+pairs of neighbouring words (the word itself in a window of one), ordered by
+rarity over all documents (ties by hash). A document that contains the window
+must contain its rarest shingle, so that one alone is the join's necessary
+prefix. Where a document has a prefix shingle, its place in the window fixes
+where the window would start: starts where it would pass either end of the text
+are dropped (length and position bound), the rest is compared by the hash of
+the whole window and then word by word.
+
+Items are taken in blocks whose index is measured in bytes and broadcast, so
+what goes to an executor has a set bound however large the benchmark is; each
+block costs two passes over the documents, one for rarity and one for the join.
+
+Null and empty texts have no words and are not contaminated; very long texts
+are read whole; repeated documents are judged as rows of their own; repeated
+items count once for each item_id; a null item_id counts as no item but its
+windows still hit; an empty benchmark contaminates nothing; an empty documents
+table gives no rows; an output replaces a column of its name.
 """
 
+from dataclasses import dataclass
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from xxhash import xxh3_64_intdigest
 
-from chargepath.llm.common import cut
+from chargepath.llm.common import boxed, cut, mix, unboxed
 
 # A-Z lower-cased; ASCII other than letters and digits parts words; bytes over 7F are kept.
 _TABLE = bytes(b + 32 if 65 <= b <= 90 else b if 48 <= b <= 57 or 97 <= b <= 122 or b > 127 else 32 for b in range(256))
+_STEP = np.uint64(0x9E3779B97F4A7C15)
 
 
 def words(text: str | None) -> list[bytes]:
     return text.encode("utf-8", "surrogatepass").translate(_TABLE).split() if text else []
 
 
-def windows(items: list[tuple[str | None, str]], width: int) -> dict[tuple[bytes, ...], set]:
+def hashes(w: list[bytes]) -> np.ndarray:
+    return np.fromiter(map(xxh3_64_intdigest, w), dtype=np.uint64, count=len(w))
+
+
+def shingles(h: np.ndarray, of_one: bool) -> np.ndarray:
+    """The hash of each pair of neighbours, or of each word alone."""
+    return mix(h ^ _STEP) if of_one else mix(h[:-1] * _STEP + h[1:])
+
+
+def rolled(h: np.ndarray, n: int) -> np.ndarray:
+    """The hash of each window of n words."""
+    out = np.full(max(0, len(h) - n + 1), np.uint64(n))
+    for k in range(n):
+        out = mix(out * _STEP + h[k : len(h) - n + 1 + k])
+    return out
+
+
+@dataclass
+class Index:
+    """Windows in the order of their prefix shingles' hashes."""
+
+    prefix: np.ndarray  # 64 bits
+    offset: np.ndarray  # of the prefix shingle in the window
+    length: np.ndarray  # in words
+    whole: np.ndarray  # hash of the window
+    texts: list[bytes]  # its words, joined by spaces
+    ids: list[tuple[str, ...]]  # of the items that hold it
+
+    @property
+    def nbytes(self) -> int:
+        arrays = sum(a.nbytes for a in (self.prefix, self.offset, self.length, self.whole))
+        return arrays + sum(len(t) + 33 for t in self.texts) + sum(56 + sum(len(i) + 49 for i in ids) for ids in self.ids)
+
+
+def windows(items: list[tuple[str | None, str]], width: int) -> dict[bytes, set]:
     """Window -> the ids of the items that hold it."""
-    out: dict[tuple[bytes, ...], set] = {}
+    out: dict[bytes, set] = {}
     for item_id, text in items:
         w = words(text)
         n = min(width, len(w))
         for k in range(len(w) - n + 1 if n else 0):
-            ids = out.setdefault(tuple(w[k : k + n]), set())
+            ids = out.setdefault(b" ".join(w[k : k + n]), set())
             if item_id is not None:
                 ids.add(item_id)
     return out
 
 
-def _blocks(benchmark: DataFrame, max_words: int):
-    """Lists of (item_id, text), each of at most ``max_words`` words or one item."""
+def vocabulary(found: dict[bytes, set]) -> np.ndarray:
+    """The distinct shingles of windows, ascending."""
+    parts = []
+    for window in found:
+        h = hashes(window.split(b" "))
+        parts.append(shingles(h, len(h) == 1))
+    return np.unique(np.concatenate(parts)) if parts else np.zeros(0, dtype=np.uint64)
+
+
+def index(found: dict[bytes, set], known: np.ndarray, count: np.ndarray) -> Index:
+    """The windows under their rarest shingles; known shingles and how often documents have them."""
+    rows = []
+    for window, ids in found.items():
+        h = hashes(window.split(b" "))
+        s = shingles(h, len(h) == 1)
+        n = count[np.searchsorted(known, s)]
+        at = int(np.lexsort((s, n))[0])
+        rows.append((int(s[at]), at, len(h), int(rolled(h, len(h))[0]), window, tuple(sorted(ids))))
+    rows.sort(key=lambda r: (r[0], r[4]))
+    cols = list(zip(*rows, strict=True)) if rows else [()] * 6
+    return Index(np.array(cols[0], dtype=np.uint64), np.array(cols[1], dtype=np.int32), np.array(cols[2], dtype=np.int32), np.array(cols[3], dtype=np.uint64), list(cols[4]), list(cols[5]))
+
+
+def hits(w: list[bytes], by_prefix: Index) -> tuple[set, np.ndarray | None]:
+    """(item ids, mask) of a document's words."""
+    ids, mask = set(), None
+    if not w or not len(by_prefix.prefix):
+        return ids, mask
+    h, wholes = hashes(w), {}
+    for of_one in (False, True):
+        s = shingles(h, of_one)
+        lo, hi = np.searchsorted(by_prefix.prefix, s, "left"), np.searchsorted(by_prefix.prefix, s, "right")
+        spots = np.flatnonzero(hi > lo)
+        for part in np.array_split(spots, 1 + int((hi - lo)[spots].sum()) // 1_000_000) if len(spots) else ():
+            many = (hi - lo)[part]
+            at = np.repeat(part, many)
+            k = np.repeat(hi[part] - np.cumsum(many), many) + np.arange(many.sum())
+            start, n = at - by_prefix.offset[k], by_prefix.length[k]
+            ok = (start >= 0) & (start + n <= len(w)) & ((n == 1) == of_one)
+            start, n, k = start[ok], n[ok], k[ok]
+            for length in np.unique(n):
+                if length not in wholes:
+                    wholes[length] = rolled(h, int(length))
+                own = n == length
+                for a, window in zip(start[own].tolist(), k[own].tolist(), strict=True) if own.any() else ():
+                    if wholes[length][a] == by_prefix.whole[window] and b" ".join(w[a : a + length]) == by_prefix.texts[window]:
+                        if mask is None:
+                            mask = np.zeros(len(w), dtype=bool)
+                        mask[a : a + length] = True
+                        ids.update(by_prefix.ids[window])
+    return ids, mask
+
+
+def pieces(text: str | None, width: int, most: int) -> list[str]:
+    """A text in pieces of up to ``most`` windows, which together hold each of its windows once."""
+    w = words(text)
+    return [b" ".join(w[k : k + most + width - 1]).decode("utf-8", "surrogatepass") for k in range(0, max(1, len(w) - width + 1), most)] if w else []
+
+
+def _blocks(benchmark: DataFrame, max_bytes: int, width: int):
+    """Windows of some items at a time, whose index is expected to keep to max_bytes; long items come in pieces."""
     block, size = [], 0
     for r in benchmark.select(F.col("item_id").cast("string").alias("i"), F.col("text").alias("t")).distinct().orderBy("i", "t").toLocalIterator():
-        n = len(words(r.t))
-        if block and size + n > max_words:
-            yield block
-            block, size = [], 0
-        block.append((r.i, r.t))
-        size += n
-    yield block
+        for piece in pieces(r.t, width, max(1, max_bytes // 1000)):
+            # Each word starts a window of up to width words.
+            need = len(piece.encode("utf-8", "surrogatepass")) * width + 200 * (piece.count(" ") + 1)
+            if block and size + need > max_bytes:
+                yield windows(block, width)
+                block, size = [], 0
+            block.append((r.i, piece))
+            size += need
+    if block:
+        yield windows(block, width)
 
 
-def rarity(docs: DataFrame, vocabulary: frozenset) -> dict[bytes, int]:
-    """Occurrences over all documents of each word of a bounded vocabulary."""
+def rarity(docs: DataFrame, known) -> np.ndarray:
+    """Occurrences over all documents of each known shingle (a broadcast ascending array)."""
 
     def counted(batches):
-        total: dict[bytes, int] = {}
+        total = np.zeros(len(known.value), dtype=np.int64)
         for pdf in batches:
             for text in pdf["text"]:
-                for w in words(text):
-                    if w in vocabulary:
-                        total[w] = total.get(w, 0) + 1
-        yield pd.DataFrame({"w": list(total), "n": list(total.values())}, columns=["w", "n"]).astype({"n": "int64"})
-
-    rows = docs.select("text").mapInPandas(counted, "w binary, n long").groupBy("w").agg(F.sum("n").alias("n"))
-    return {bytes(r.w): r.n for r in rows.collect()}  # at most one row for each word of the block
-
-
-def index(found: dict[tuple[bytes, ...], set], count: dict[bytes, int]) -> dict[bytes, dict]:
-    """Prefix token -> (length, offset) -> window -> item ids."""
-    out: dict[bytes, dict] = {}
-    for window, ids in found.items():
-        first = min(window, key=lambda w: (count.get(w, 0), w))
-        out.setdefault(first, {}).setdefault((len(window), window.index(first)), {})[window] = ids
+                h = hashes(words(text))
+                for of_one in (False, True):
+                    s = shingles(h, of_one) if len(h) else h
+                    at = np.searchsorted(known.value, s)
+                    at = at[(at < len(total)) & (known.value[np.minimum(at, len(total) - 1)] == s)]
+                    total += np.bincount(at, minlength=len(total))
+        some = np.flatnonzero(total)
+        yield pd.DataFrame({"k": some, "n": total[some]})
+
+    rows = docs.select("text").mapInPandas(counted, "k long, n long").groupBy("k").agg(F.sum("n").alias("n"))
+    out = np.zeros(len(known.value), dtype=np.int64)
+    for r in rows.collect():  # at most one row for each known shingle
+        out[r.k] = r.n
     return out
 
 
-def hits(w: list[bytes], by_prefix: dict[bytes, dict]) -> tuple[int, set, np.ndarray | None]:
-    """(words hit, item ids, mask) of a document's words."""
-    mask, ids = None, set()
-    for at in [k for k, x in enumerate(w) if x in by_prefix]:
-        for (n, offset), some in by_prefix[w[at]].items():
-            lo = at - offset
-            if lo >= 0 and lo + n <= len(w) and (found := some.get(tuple(w[lo : lo + n]))) is not None:
-                if mask is None:
-                    mask = np.zeros(len(w), dtype=bool)
-                mask[lo : lo + n] = True
-                ids |= found
-    return (int(mask.sum()) if mask is not None else 0), ids, mask
-
-
-def contamination(docs: DataFrame, benchmark: DataFrame, width: int = 13, share: float = 0.05, max_words: int = 2_000_000) -> DataFrame:
+def contamination(docs: DataFrame, benchmark: DataFrame, width: int = 13, share: float = 0.05, max_bytes: int = 64 << 20) -> DataFrame:
     """docs -> docs + n_words, n_hit, n_items, items_sha256, contaminated."""
-    kept = docs.columns
-    blocks = _blocks(benchmark, max_words)
-    rows, k = docs.withColumn("_hit", F.array().cast("array<binary>")).withColumn("_ids", F.array().cast("array<string>")), 0
-    for block in blocks:
-        found = windows(block, width)
-        by_prefix = index(found, rarity(docs, frozenset(w for x in found for w in x))) if found else {}
-        if k:
+    context = docs.sparkSession.sparkContext
+    rows = boxed(docs, text=F.col("text")).withColumns({"hit": F.array().cast("array<binary>"), "ids": F.array().cast("array<string>")})
+    done = 0
+    for found in _blocks(benchmark, max_bytes, width):
+        if not found:
+            continue
+        known = context.broadcast(vocabulary(found))
+        count = rarity(docs, known)
+        by_prefix = index(found, known.value, count)
+        if done:
             rows = cut(rows)  # more blocks than one: keep what was found so far
-        rows, k = _pass(rows, by_prefix), k + 1
-    return _summed(rows, kept, share)
+        rows, done = _pass(rows, context.broadcast(by_prefix)), done + 1
+    return _summed(rows, share)
 
 
-def _pass(rows: DataFrame, by_prefix: dict) -> DataFrame:
-    @F.pandas_udf("hit array<binary>, ids array<string>, n long")
+def _pass(rows: DataFrame, by_prefix) -> DataFrame:
+    @F.pandas_udf("hit array<binary>, ids array<string>")
     def probe(texts: pd.Series) -> pd.DataFrame:
         out = []
         for text in texts:
-            w = words(text)
-            _, ids, mask = hits(w, by_prefix)
-            out.append(([np.packbits(mask).tobytes()] if mask is not None else [], sorted(ids), len(w)))
-        return pd.DataFrame(out, columns=["hit", "ids", "n"])
+            ids, mask = hits(words(text), by_prefix.value)
+            out.append(([np.packbits(mask).tobytes()] if mask is not None else [], sorted(ids)))
+        return pd.DataFrame(out, columns=["hit", "ids"])
 
-    out = rows.withColumn("_p", probe(F.col("text")))
-    return out.withColumns({"_hit": F.concat("_hit", "_p.hit"), "_ids": F.array_union("_ids", F.col("_p.ids")), "_n": F.col("_p.n")}).drop("_p")
+    out = rows.withColumn("p", probe(F.col("text")))
+    return out.withColumns({"hit": F.concat("hit", "p.hit"), "ids": F.array_union("ids", F.col("p.ids"))}).drop("p")
 
 
-def _summed(rows: DataFrame, kept: list[str], share: float) -> DataFrame:
-    @F.pandas_udf("long")
-    def united(masks: pd.Series) -> pd.Series:
+def _summed(rows: DataFrame, share: float) -> DataFrame:
+    @F.pandas_udf("n long, hit long")
+    def united(texts: pd.Series, masks: pd.Series) -> pd.DataFrame:
         def one(parts) -> int:
             if parts is None or not len(parts):
                 return 0
@@ -134,14 +225,13 @@ def _summed(rows: DataFrame, kept: list[str], share: float) -> DataFrame:
                 total |= np.frombuffer(p, dtype=np.uint8)
             return int(np.unpackbits(total).sum())
 
-        return masks.map(one).astype("int64")
+        return pd.DataFrame({"n": [len(words(t)) for t in texts], "hit": [one(m) for m in masks]})
 
-    out = rows.withColumn("_n_hit", united(F.col("_hit")))
+    out = rows.withColumn("u", united("text", "hit"))
     limit = round(1 / share)
-    return out.select(
-        *kept, F.col("_n").alias("n_words"), F.col("_n_hit").alias("n_hit"), F.size("_ids").cast("long").alias("n_items"),
-        F.sha2(F.array_join(F.array_sort("_ids"), ","), 256).alias("items_sha256"),
-        ((F.col("_n_hit") > 0) & (limit * F.col("_n_hit") >= F.col("_n"))).alias("contaminated"))
+    n, hit = F.col("u.n"), F.col("u.hit")
+    return unboxed(
+        out, n_words=n, n_hit=hit, n_items=F.size("ids").cast("long"), items_sha256=F.sha2(F.array_join(F.array_sort("ids"), ","), 256), contaminated=(hit > 0) & (limit * hit >= n))
 
 
-__all__ = ["contamination", "hits", "index", "rarity", "windows", "words"]
+__all__ = ["Index", "contamination", "hits", "index", "rarity", "vocabulary", "windows", "words"]

@@ -1,25 +1,38 @@
 """URL filters: explicit rules first, mined association rules for the rest.
 
 Explicit rules fit a host and its subdomains where the path starts with the
-rule's; the longest wins. Their verdicts are the labels from which FP-growth
-mines token combinations of host labels, path words and query names; urls that
-no rule judges take part without a label, so a combination that is common
+rule's; the longest wins. Labels are the rules' verdicts, and "block" for hosts
+that hold a word of a short fixed list; a caller may pass labels of its own.
+FP-growth mines combinations of host words, path words and query names from
+them; urls without a label take part as such, so a combination that is common
 among them implies nothing. Combinations that imply a verdict are kept above a
 support and a confidence, and matched through an inverted index from a token
 to the rules that hold it. Urls without a matching rule are allowed.
 
+Only tokens above the support are mined, and tokens that occur in exactly the
+same urls are one item, so a template of many equal tokens is one item and not
+all its subsets. Of several matching rules the one of most confidence decides,
+then the longer, then "block" after "allow" by letters, then the last by tokens.
+
 A null url, or one without ://, has empty host and path, matches no rule and
-is allowed. Repeated rows are judged as rows. An empty table mines no rule.
+is allowed. Repeated rows are judged as rows. Long urls are read whole. An empty
+table mines no rule and gives no rows; an output replaces a column of its name.
 """
 
+from itertools import combinations
+
 import pandas as pd
 from pyspark.ml.fpm import FPGrowth
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from chargepath.llm.common import boxed, cut, unboxed
+
 #: (host, path, verdict) of the explicit rules.
 RULES = (("net", "/", "block"), ("example.net", "/en/", "allow"), ("example.com", "/de/", "block"), ("org", "/fr/", "allow"))
 VERDICTS = ("block", "allow")
+# Words in a host that label it as blocked.
+BLOCK_WORDS = ("casino", "poker", "betting", "xxx", "porn", "viagra", "pills")
 
 
 def parts(url):
@@ -42,30 +55,46 @@ def explicit(host, path, rules=RULES):
 
 
 def tokens(host, path, url):
-    """Distinct tokens: host labels, path words (digits as one), query names."""
-    labels = F.transform(F.split(host, "\\."), lambda x: F.concat(F.lit("h:"), x))
+    """Distinct tokens: words of the host, path words (digits as one), query names."""
+    labels = F.transform(F.split(host, "[.-]"), lambda x: F.concat(F.lit("h:"), x))
     words = F.transform(F.split(F.regexp_replace(F.lower(path), "[0-9]+", "0"), "[^a-z0-9]+"), lambda x: F.concat(F.lit("p:"), x))
     names = F.transform(F.regexp_extract_all(F.coalesce(url, F.lit("")), F.lit("[?&]([A-Za-z_]+)="), 1), lambda x: F.concat(F.lit("q:"), F.lower(x)))
     return F.array_distinct(F.filter(F.concat(labels, words, names), lambda x: F.length(x) > 2))
 
 
+def items(rows: DataFrame, min_support: float) -> DataFrame:
+    """rows(tokens, verdict) -> items, verdict: frequent tokens, those of the same urls as one, named by the first.
+
+    The frequent tokens are at most the mean number of tokens of a url, divided
+    by the support; they ride along as one map.
+    """
+    keyed = rows.withColumn("id", F.monotonically_increasing_id())
+    keyed = cut(keyed)
+    least = min_support * keyed.count()
+    counts = keyed.select(F.explode("tokens").alias("t"), F.xxhash64("id").cast("decimal(38,0)").alias("h")).groupBy("t").agg(F.count("*").alias("n"), F.sum("h").alias("h")).where(F.col("n") >= least)
+    same = counts.groupBy("n", "h").agg(F.sort_array(F.collect_list("t")).alias("ts")).select(F.explode("ts").alias("t"), F.col("ts")[0].alias("name"))
+    names = same.agg(F.map_from_entries(F.collect_list(F.struct("t", "name"))).alias("names"))
+    mapped = F.transform(F.filter("tokens", lambda t: F.map_contains_key("names", t)), lambda t: F.element_at("names", t))
+    return keyed.crossJoin(F.broadcast(names)).select(F.array_distinct(mapped).alias("items"), "verdict")  # one row
+
+
 def mine(labelled: DataFrame, min_support: float = 0.01, confidence: float = 0.6, max_items: int = 4) -> list[tuple[tuple[str, ...], str, float]]:
-    """labelled(tokens, verdict) -> [(antecedent tokens, verdict, confidence)].
+    """labelled(tokens, verdict) -> [(antecedent tokens, verdict, confidence)], antecedents of max_items tokens at most.
 
-    The number of rules is bounded by the support: of combinations of at most
-    ``max_items`` tokens, each row supports a bounded number, and each kept one
-    needs ``min_support`` of all rows.
+    A rule is dropped if a part of its tokens says the same with no less
+    confidence. Each kept rule has ``min_support`` of all rows, which bounds
+    their number and so what reaches the driver.
     """
-    rows = labelled.select(F.concat(F.col("tokens"), F.array(F.concat(F.lit("="), F.col("verdict")))).alias("items"))
+    rows = items(labelled, min_support).select(F.concat(F.col("items"), F.array(F.concat(F.lit("="), F.col("verdict")))).alias("items"))
     model = FPGrowth(itemsCol="items", minSupport=min_support, minConfidence=confidence).fit(rows)
     found = model.associationRules.where(
-        (F.size("consequent") == 1) & F.col("consequent")[0].isin(*[f"={v}" for v in VERDICTS]) & (F.size("antecedent") <= max_items)
+        (F.size("consequent") == 1) & F.col("consequent")[0].isin(*[f"={v}" for v in VERDICTS]) & (F.size("antecedent") <= max_items) & ~F.exists("antecedent", lambda x: x.startswith("="))
     ).select(F.array_sort("antecedent").alias("antecedent"), F.expr("substring(consequent[0], 2)").alias("verdict"), "confidence")
     best: dict[tuple[str, ...], tuple[str, float]] = {}
-    for r in found.orderBy(F.size("antecedent"), F.col("antecedent")).toLocalIterator():
+    for r in found.orderBy(F.size("antecedent"), F.col("antecedent"), "verdict").toLocalIterator():
         key = tuple(r.antecedent)
-        # A longer rule that says what a shorter one says adds nothing.
-        if not any(set(k) <= set(key) and v == r.verdict and c >= r.confidence for k, (v, c) in best.items()):
+        parts = (best.get(part) for n in range(1, len(key)) for part in combinations(key, n))
+        if not any(p and p[0] == r.verdict and p[1] >= r.confidence for p in parts):
             best[key] = (r.verdict, r.confidence)
     return [(k, v, c) for k, (v, c) in best.items()]
 
@@ -89,18 +118,23 @@ def matcher(rules: list[tuple[tuple[str, ...], str, float]]):
     return match
 
 
-def judge(pages: DataFrame, rules=RULES, min_support: float = 0.01, confidence: float = 0.6) -> DataFrame:
-    """pages -> pages + host, path, rule, verdict, mined (the association rule that decided)."""
-    kept = pages.columns
+def judge(pages: DataFrame, rules=RULES, min_support: float = 0.01, confidence: float = 0.6, labels=None) -> DataFrame:
+    """pages -> pages + host, path, rule, verdict, mined (the association rule that decided).
+
+    ``labels`` is a column over pages of "block", "allow" or null that takes
+    the place of the list of words.
+    """
     host, path = parts(F.col("url"))
-    rows = pages.withColumns({"_host": host, "_path": path})
-    rows = rows.withColumns({"_explicit": explicit(F.col("_host"), F.col("_path"), rules), "_tokens": tokens(F.col("_host"), F.col("_path"), F.col("url"))})
-    labelled = rows.select(F.col("_tokens").alias("tokens"), F.coalesce("_explicit.verdict", F.lit("unlabelled")).alias("verdict"))
+    given = {} if labels is None else {"given": labels}
+    rows = boxed(pages, url=F.col("url"), host=host, path=path, **given)
+    rows = rows.withColumns({"explicit": explicit(F.col("host"), F.col("path"), rules), "tokens": tokens(F.col("host"), F.col("path"), F.col("url"))})
+    word = F.exists(F.split("host", "[.-]"), lambda x: x.isin(*BLOCK_WORDS))
+    weak = F.when(word, "block") if labels is None else F.col("given")
+    labelled = rows.select("tokens", F.coalesce("explicit.verdict", weak, F.lit("unlabelled")).alias("verdict"))
     mined = mine(labelled, min_support, confidence)
-    rows = rows.withColumn("_mined", F.when(F.col("_explicit").isNull(), matcher(mined)(F.col("_tokens"))))
-    return rows.select(
-        *kept, F.col("_host").alias("host"), F.col("_path").alias("path"), F.col("_explicit.rule").alias("rule"),
-        F.coalesce(F.col("_explicit.verdict"), F.col("_mined.verdict"), F.lit("allow")).alias("verdict"), F.col("_mined.mined").alias("mined"))
+    rows = rows.withColumn("found", F.when(F.col("explicit").isNull(), matcher(mined)(F.col("tokens"))))
+    verdict = F.coalesce(F.col("explicit.verdict"), F.col("found.verdict"), F.lit("allow"))
+    return unboxed(rows, host=F.col("host"), path=F.col("path"), rule=F.col("explicit.rule"), verdict=verdict, mined=F.col("found.mined"))
 
 
-__all__ = ["RULES", "explicit", "judge", "matcher", "mine", "parts", "tokens"]
+__all__ = ["BLOCK_WORDS", "RULES", "explicit", "items", "judge", "matcher", "mine", "parts", "tokens"]

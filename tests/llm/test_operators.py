@@ -189,8 +189,8 @@ def test_decontamination(spark):
     item = " ".join(f"word{k}" for k in range(20))
     docs = ["so " + item.upper() + " end", "word0 word1 word2", " ".join(item.split()[:12]), None, "short one here", " ".join(["z"] * 400) + " short  item"]
     bench = spark.createDataFrame([(7, item), (9, "short item"), (None, ""), (10, None)], "item_id long, text string")
-    for block in (2_000_000, 5):
-        got = [(r.n_words, r.n_hit, r.n_items, r.contaminated) for r in decontam.contamination(make(spark, docs), bench, max_words=block).orderBy("doc_id").collect()]
+    for block in (64 << 20, 6000):
+        got = [(r.n_words, r.n_hit, r.n_items, r.contaminated) for r in decontam.contamination(make(spark, docs), bench, max_bytes=block).orderBy("doc_id").collect()]
         assert got == [(22, 20, 1, True), (3, 0, 0, False), (12, 0, 0, False), (0, 0, 0, False), (3, 0, 0, False), (402, 2, 1, False)]
 
 
@@ -414,3 +414,86 @@ def test_toxicity_of_nulls_ties_and_empty_tables(spark):
     labels = spark.createDataFrame([(k, 0, k % 2) for k in range(6)] + [(None, 0, 1), (2, 1, None)], "doc_id long, quality int, toxic int")
     train = toxicity.training_rows(rows.select("doc_id", "text"), labels, 100)
     assert 0 < len(train) <= 6 and toxicity.training_rows(rows.select("doc_id", "text"), labels.where("false"), 100) == []
+
+
+def test_mix_of_equal_rows_conflicting_ids_and_clashing_names(spark, monkeypatch):
+    rows = [(7, "w " * 10, "en", "a", 0)] * 301 + [(7, "v " * 10, "en", "a", 0), (None, "u " * 9, "en", None, 0), (None, None, None, None, None), (8, "", "en", "b", 0)] + [(k, "x y z", "en", "b", 0) for k in range(10, 60)]
+    docs = spark.createDataFrame(rows, SCHEMA).withColumns({"size": F.lit("old"), "nth": F.lit(1), "edge": F.lit(2)})
+    runs = []
+    for parts, ranges, most in ((1, 20_000, 200_000), (7, 5, 0)):
+        got = mixing.mix_sources(docs.repartition(parts), mixing.word_count(F.col("text")), range_rows=ranges, max_broadcast=most).collect()
+        assert len(got) == len(rows) and all(0 <= r.taken <= 2 * r["size"] and r.nth == 1 and r.edge == 2 for r in got)
+        for name in ("a", "b", None):
+            own = [r for r in got if r.source == name]
+            assert own[0].source_size == sum(r["size"] for r in own) and abs(sum(r.taken for r in own) - own[0].target) <= 1
+        runs.append(sorted((repr(r.doc_id), r.text or "", r.taken) for r in got))
+    again = mixing.mix_sources(docs.repartition(3), mixing.word_count(F.col("text"))).collect()
+    assert sorted((repr(r.doc_id), r.text or "", r.taken) for r in again) == runs[0]
+
+
+def test_url_mining_is_bounded_by_equal_tokens(spark):
+    template = "http://spam.example.org/" + "/".join(f"t{chr(97 + k)}x" for k in range(24)) + "/{}"
+    rows = [(k, template.format("page")) for k in range(60)] + [(100 + k, f"http://casino.host{k}.example.org/page/{k}") for k in range(40)] + [(200 + k, f"http://a{k}.example.net/x/casino/{k}") for k in range(40)]
+    rows += [(300, None), (301, ""), (302, "http://" + "q" * 100_000 + ".org/fr/x"), (303, "http://plain.example.org/y")]
+    pages = spark.createDataFrame(rows, "page_id long, url string").withColumns({"host": F.lit("old"), "row": F.lit(1)})
+    got = {r.page_id: r for r in urls.judge(pages).collect()}  # 2^24 item sets without the merging of equal tokens
+    assert len(got) == len(rows) and all(r["row"] == 1 for r in got.values())
+    assert {got[100 + k].verdict for k in range(40)} == {"block"} and {got[100 + k]["rule"] for k in range(40)} == {None}
+    assert got[0].verdict == "allow" and got[303].verdict == "allow" and got[300].verdict == "allow" and got[302]["rule"] == "org/fr/"
+    given = urls.judge(pages.select("page_id", "url"), labels=F.when(F.col("url").contains("spam."), "block")).collect()
+    assert {r.verdict for r in given if r.page_id < 60} == {"block"}
+
+
+def test_url_rules_equal_brute_force(spark):
+    rng = random.Random(10)
+    hosts = ["example.net", "x.example.net", "EXAMPLE.com", "a.b.org", "org", "net", "badnet", "example.com.", ""]
+    odd = ["".join((rng.choice(["http://", "https://", "://", "", "a://b://"]), rng.choice(hosts), rng.choice(["", "/", "/en/", "/de/x", "/fr/", "/fr", "/EN/"]), rng.choice(["", "?q=/de/", "#/en/", "é"]))) for _ in range(400)]
+    pages = spark.createDataFrame(list(enumerate(odd)), "page_id long, url string")
+    got = {r.page_id: r for r in urls.judge(pages).collect()}
+    for k, u in enumerate(odd):
+        rest = u.split("://", 1)[1] if "://" in u else ""
+        host = re.match("[^/?#]*", rest)[0]
+        path = re.match("[^?#]*", rest[len(host) :])[0]
+        host = host.translate(str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"))
+        fits = [(h + p, v) for h, p, v in urls.RULES if (host == h or host.endswith("." + h)) and path.startswith(p)]
+        rule, verdict = max(fits, key=lambda f: len(f[0]), default=(None, None))
+        r = got[k]
+        assert (r.host, r.path, r["rule"]) == (host, path, rule), u
+        assert r.verdict == (verdict or ("allow" if r.mined is None else r.verdict)) and r.verdict in urls.VERDICTS
+
+
+def test_decontamination_equals_brute_force(spark):
+    rng = random.Random(21)
+    vocabulary = ["".join(rng.choice("abé1") for _ in range(rng.randint(1, 3))) for _ in range(25)]
+    phrase = lambda n: "".join(rng.choice(vocabulary) + rng.choice([" ", "  ", ", ", "-", ".\n"]) for _ in range(n))
+    items = [(k % 9, phrase(rng.choice([0, 1, 2, 5, 13, 20, 40]))) for k in range(25)] + [(None, phrase(14)), (3, None)]
+    docs = [None, "", *(phrase(rng.randint(0, 60)) for _ in range(120))]
+    docs += [f"{phrase(5)}{items[rng.randrange(25)][1].upper()} {phrase(rng.randint(0, 300))}" for _ in range(80)] + [phrase(13) * 4000]
+    plain = re.compile("[^\x00-\x2f\x3a-\x60\x7b-\x7f]+")
+    cut_up = lambda t: plain.findall((t or "").translate(str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")))
+    wins = {}
+    for i, t in items:
+        w = cut_up(t)
+        n = min(13, len(w))
+        for k in range(len(w) - n + 1 if n else 0):
+            wins.setdefault(tuple(w[k : k + n]), set()).update(() if i is None else (str(i),))
+    want = []
+    for t in docs:
+        w = cut_up(t)
+        hit, ids = set(), set()
+        for n in {len(x) for x in wins}:
+            for k in range(len(w) - n + 1):
+                if (found := wins.get(tuple(w[k : k + n]))) is not None:
+                    hit.update(range(k, k + n))
+                    ids |= found
+        want.append((len(w), len(hit), len(ids), hashlib.sha256(",".join(sorted(ids)).encode()).hexdigest(), bool(hit) and 20 * len(hit) >= len(w)))
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    table = make(spark, docs).withColumns({"n_words": F.lit("old"), "hit": F.lit(1), "row": F.lit(2)})
+    for size in (64 << 20, 30_000):  # one block, and many
+        got = decontam.contamination(table, bench, max_bytes=size).orderBy("doc_id").collect()
+        assert [(r.n_words, r.n_hit, r.n_items, r.items_sha256, r.contaminated) for r in got] == want
+        assert all(r.hit == 1 and r["row"] == 2 for r in got)
+    for found in decontam._blocks(bench, 30_000, 13):
+        known = decontam.vocabulary(found)
+        assert decontam.index(found, known, np.zeros(len(known))).nbytes < 60_000
+    assert decontam.contamination(table, bench.where("false")).where("contaminated OR n_hit > 0").isEmpty()
