@@ -53,8 +53,8 @@ NEAR_LONG, NEAR = 144, 50  # at similarity 0.8 they differ in 96 and 24 on avera
 BLOCK, GROUP_SHINGLES, GROUP_MEMBERS = 512, 1_000_000, 512
 #: Near pairs that a block holds before it lets them go.
 HELD_PAIRS = 1 << 17
-#: Words of confirmed texts that are held at a time.
-CONFIRM_WORDS = 2_000_000
+#: Words of confirmed texts that are held at a time, some 200 bytes each.
+CONFIRM_WORDS = 150_000
 
 
 def _salts(n: int) -> np.ndarray:

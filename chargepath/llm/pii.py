@@ -38,7 +38,7 @@ PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 SECRET = re.compile(
     r"""(?i:\b(?:api[_-]?key|access[_-]?key|secret(?:[_-]?key)?|token|password|passwd|pwd)["']?[ \t]{0,8}[=:][ \t]{0,8}["']?)([A-Za-z0-9+/_=.-]{16,})"""
     r"""|\b(AKIA[0-9A-Z]{16}|gh[pousr]_[A-Za-z0-9]{36})\b""")
-_HAS_SECRET = re.compile(r"(?i)[=:]|AKIA|gh[pousr]_")
+_SECRET_WORDS = ("key", "secret", "token", "passw", "pwd", "akia", "gh")
 _HAS_IP = re.compile(r"[0-9]\.[0-9]")
 _HAS_CARD = re.compile(r"[0-9](?:[\x20-]?[0-9]){11}")
 _LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
@@ -54,14 +54,25 @@ _GLYPHS |= dict.fromkeys("​‌‍⁠﻿­", "")
 _ODD = re.compile("[" + "".join(map(re.escape, _GLYPHS)) + "]")
 # Spelled digits, and words and signs that stand for at and dot.
 _DIGITS = {"zero": "0", "oh": "0", "one": "1", "two": "2", "three": "3", "four": "4", "five": "5", "six": "6", "seven": "7", "eight": "8", "nine": "9"}
+#: What a text with spelled numbers holds at least one of.
+_SPELLED = (*(f"{w}{c}" for w in _DIGITS for c in " .,-"), "dot")
 _AT_WORDS, _DOT_WORDS = frozenset(("at", "arroba")), frozenset(("dot", "punkt", "point", "punto"))
 #: Token classes: one letter each.
 _WORD, _NUMBER, _DIGIT, _AT, _DOT, _PLUS, _SPACE, _OPEN, _CLOSE, _SIGN_AT, _STOP, _HYPHEN, _COMMA, _OTHER = "WNDAPUSBCMFHKO"
 _SIGN_CLASS = {"@": _SIGN_AT, ".": _STOP, "-": _HYPHEN, ",": _COMMA, **dict.fromkeys("[({<", _OPEN), **dict.fromkeys("])}>", _CLOSE)}
 _TOKEN = re.compile(r"[A-Za-z]+|[0-9]+|\s+|.", re.S)
 _LABEL = frozenset((_WORD, _NUMBER, _DIGIT, _AT, _DOT, _PLUS))
-_DIGIT_RUN = re.compile(r"(?i)(?<![A-Za-z])(?:zero|oh|one|two|three|four|five|six|seven|eight|nine)[ .,-]+(?:zero|oh|one|two|three|four|five|six|seven|eight|nine|dot|[0-9])|[0-9]\s{0,8}dot\s{0,8}[0-9a-z]")
-_MARKS = re.compile(r"(?i)[\[({<]\s{0,8}(?:at|@|arroba|dot|punkt|point|punto|\.)\s{0,8}[\])}>]|\s(?:dot|punkt|punto)\s|\s(?:at|arroba)\s{1,8}[a-z0-9-]{1,63}\.[a-z0-9]|\s@|@\s")
+_DIGIT_RUN = re.compile(r"(?<![a-z])(?:zero|oh|one|two|three|four|five|six|seven|eight|nine)[ .,-]+(?:zero|oh|one|two|three|four|five|six|seven|eight|nine|dot|[0-9])|[0-9]\s{0,8}dot\s{0,8}[0-9a-z]")
+_BRACKETED = re.compile(r"[\[({<]\s{0,8}(?:at|@|arroba|dot|punkt|point|punto|\.)\s{0,8}[\])}>]")
+_SPOKEN = re.compile(r"(?:at|arroba)\s{1,8}[a-z0-9-]{1,63}(?:\.[a-z0-9]|\s{1,8}(?:dot|punkt|point|punto)\s)")
+_SPACED = re.compile(r"\s@|@\s")
+
+
+def _marked(low: str) -> bool:
+    """Whether a lower-cased text may hold a disguised at or dot; each look at the text is one fast scan."""
+    if any(c in low for c in "[({<") and _BRACKETED.search(low):
+        return True
+    return bool(("@" in low and _SPACED.search(low)) or _SPOKEN.search(low) or any(f"{s}{w}{t}" in low for w in ("dot", "punkt", "punto") for s in " \n\t" for t in " \n\t"))
 
 
 def luhn(digits: str) -> bool:
@@ -103,8 +114,9 @@ def detect(text: str) -> list[tuple[str, int, int]]:
     return sorted(out, key=lambda s: (s[1], _ORDER[s[0]]))
 
 
-def secrets(text: str) -> list[tuple[str, int, int]]:
-    return [("secret", *m.span(m.lastindex)) for m in SECRET.finditer(text)] if _HAS_SECRET.search(text) else []
+def secrets(text: str, low: str) -> list[tuple[str, int, int]]:
+    """Secrets of a text, whose lower-cased form tells whether to look."""
+    return [("secret", *m.span(m.lastindex)) for m in SECRET.finditer(text)] if any(w in low for w in _SECRET_WORDS) else []
 
 
 class Rewriter:
@@ -265,16 +277,17 @@ def deobfuscate(text: str) -> Rewriter | None:
     out = Rewriter(text)
     if not text.isascii():
         out.apply([(*m.span(), _GLYPHS[m[0]]) for m in _ODD.finditer(text)])
-    if _MARKS.search(out.text):
+    if _marked(out.text.lower()):
         out.apply(signs(out.text))
-    if _DIGIT_RUN.search(out.text):
+    low = out.text.lower()
+    if any(w in low for w in _SPELLED) and _DIGIT_RUN.search(low):
         out.apply(digits(out.text))
     return out if out.starts is not None else None
 
 
 def spans(text: str) -> tuple[list[tuple[str, int, int]], list[tuple[str, int, int]]]:
     """(base spans, all spans) of a text in source code points."""
-    base, more = detect(text), secrets(text)
+    base, more = detect(text), secrets(text, text.lower())
     out = deobfuscate(text)
     if out is not None:
         known = {k: [s for s in base if s[0] == k] for k in KINDS}
