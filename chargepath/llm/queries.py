@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from chargepath.llm import decontam, licenses, mixing, neardup, pii, quality, substrings, tokens, toxicity, urls
+from chargepath.llm import decontam, licenses, mixing, neardup, oracle, pii, quality, substrings, tokens, toxicity, urls
 from chargepath.llm.common import table
 
 
@@ -19,7 +19,8 @@ def op2_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return quality.judge(table(spark, sf_dir, "documents"), ["doc_id"])
+    judged = quality.judge(table(spark, sf_dir, "documents"), ["doc_id"])
+    return judged.withColumns({c: F.round(c, 6) for c in ("class_distance", "common_distance")})
 
 
 def op4_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -55,4 +56,4 @@ def op10_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {f.__name__: f for f in (op1_url_rules, op2_pii, op3_quality, op4_mix, op5_tokens, op6_toxicity, op7_near_duplicates, op8_decontamination, op9_licenses, op10_substrings)}
-ORACLES = {"op9_licenses": licenses.scan_sql()}
+ORACLES = {"op3_quality": oracle.QUALITY, "op7_near_duplicates": oracle.NEAR_DUPLICATES, "op8_decontamination": oracle.DECONTAMINATION, "op9_licenses": licenses.scan_sql(), "op10_substrings": oracle.SUBSTRINGS}
