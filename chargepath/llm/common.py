@@ -16,7 +16,6 @@ from xxhash import xxh3_64_intdigest
 SPACE = "[\\x20\\x09-\\x0D]"
 #: ASCII upper case to lower case, all other bytes as they are.
 LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
-_BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -87,33 +86,34 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-class Powers:
-    """Powers of the hash base and of its inverse, grown on demand."""
+class Rolling:
+    """A polynomial hash of byte strings: powers of an odd base modulo 2^64, grown on demand, and a number for each byte."""
 
-    def __init__(self) -> None:
+    def __init__(self, base: int, numbers: np.ndarray) -> None:
+        self.base, self.numbers = base, numbers
         self.up = self.down = np.ones(1, dtype=np.uint64)
 
     def need(self, n: int) -> None:
         if len(self.up) < n:
-            inverse = np.uint64(pow(int(_BASE), -1, 1 << 64))
-            self.up = np.cumprod(np.r_[np.uint64(1), np.full(n, _BASE, dtype=np.uint64)], dtype=np.uint64)
+            inverse = np.uint64(pow(self.base, -1, 1 << 64))
+            self.up = np.cumprod(np.r_[np.uint64(1), np.full(n, np.uint64(self.base))], dtype=np.uint64)
             self.down = np.cumprod(np.r_[np.uint64(1), np.full(n, inverse, dtype=np.uint64)], dtype=np.uint64)
 
+    def prefixes(self, data: np.ndarray) -> np.ndarray:
+        """Running hash: entry i covers the first i bytes."""
+        self.need(len(data) + 1)
+        out = np.zeros(len(data) + 1, dtype=np.uint64)
+        np.cumsum(self.numbers[data] * self.up[: len(data)], out=out[1:])
+        return out
 
-POWERS = Powers()
+    def spans(self, prefix: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+        """Hashes of byte spans that do not depend on where the spans lie."""
+        return mix((prefix[ends] - prefix[starts]) * self.down[starts])
 
 
-def prefix_hash(data: np.ndarray) -> np.ndarray:
-    """Running polynomial hash: entry i covers the first i bytes."""
-    POWERS.need(len(data) + 1)
-    out = np.zeros(len(data) + 1, dtype=np.uint64)
-    np.cumsum((data.astype(np.uint64) + np.uint64(1)) * POWERS.up[: len(data)], out=out[1:])
-    return out
-
-
-def span_hash(prefix: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """Hashes of byte spans that do not depend on where the spans lie."""
-    return mix((prefix[ends] - prefix[starts]) * POWERS.down[starts])
+#: Two hashes that share nothing but their length.
+FIRST = Rolling(0x9E3779B97F4A7C15, np.arange(1, 257, dtype=np.uint64))
+SECOND = Rolling(0xD1342543DE82EF95, mix(np.arange(1, 257, dtype=np.uint64) * np.uint64(0x2545F4914F6CDD1D)))
 
 
 def word_hashes(data: bytes) -> np.ndarray:

@@ -11,8 +11,12 @@ length - v + 1 bytes at the cover's positions.
    is dropped. Suffixes that see only untied samples cannot repeat.
 2. The suffixes left are dealt into buckets in turn, and each bucket is
    sorted by itself: the sort key is the hash of the suffix's first ``length``
-   bytes, so ties are exactly the repeats.
-3. Bytes covered by tied suffixes are removed.
+   bytes.
+3. Suffixes that tie are dealt and sorted once more by a second hash of the
+   same bytes that shares nothing with the first; those that tie again repeat.
+   One hash of 64 bits would call some 10^8 strings of 100 TB repeats that are
+   none; two of them, none.
+4. Bytes covered by tied suffixes are removed.
 
 Text moves in packed batches of bounded size. A batch sends a bucket each of
 its values once, with a flag for what it holds twice, and gets bit masks back;
@@ -21,8 +25,9 @@ document, and no group is gathered anywhere. Texts with equal bytes are folded
 before any of this: all but one take no part, and all of them are removed
 whole.
 
-Hashes have 64 bits. Null and empty texts have no bytes; texts under ``length``
-bytes can't repeat; repeated rows are copies of each other.
+Null and empty texts have no bytes; texts under ``length``
+bytes can't repeat; repeated rows are copies of each other; an empty table gives no rows. A document
+is the work of one task, whose memory is some 60 bytes for each byte of it.
 """
 
 import hashlib
@@ -35,7 +40,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from chargepath.llm.common import cut, encoded, prefix_hash, release, span_hash
+from chargepath.llm.common import FIRST, SECOND, cut, encoded, release
 
 #: A perfect difference cover: each difference but 0 modulo 133 comes up once.
 PERIOD = 133
@@ -89,13 +94,7 @@ class Batch:
         self.sizes = np.frombuffer(sizes, dtype=np.int64)
         self.ends = np.cumsum(self.sizes)
         self.starts = self.ends - self.sizes
-        self._prefix = None
-
-    @property
-    def prefix(self) -> np.ndarray:
-        if self._prefix is None:
-            self._prefix = prefix_hash(self.data)
-        return self._prefix
+        self._prefix: dict = {}
 
     def samples(self, use: np.ndarray, length: int, period: int, cover: tuple[int, ...]) -> np.ndarray:
         """Positions of cover samples in the documents marked in use, ascending."""
@@ -107,8 +106,10 @@ class Batch:
                 out.append(s + at[at <= e - s - window])
         return np.concatenate(out) if out else np.zeros(0, dtype=np.int64)
 
-    def hashes(self, at: np.ndarray, length: int) -> np.ndarray:
-        return span_hash(self.prefix, at, at + length)
+    def hashes(self, at: np.ndarray, length: int, by=FIRST) -> np.ndarray:
+        if by not in self._prefix:
+            self._prefix = {by: by.prefixes(self.data)}  # one of them is held at a time
+        return by.spans(self._prefix[by], at, at + length)
 
     def suffixes(self, tied: np.ndarray, length: int, period: int) -> np.ndarray:
         """Positions whose window of length bytes holds a tied sample, ascending."""
@@ -252,7 +253,7 @@ def remove_repeats(docs: DataFrame, key: list[str], length: int = 200, period: i
     # Bytes of text by four times their packed size, so buckets follow the input.
     volume = 4 * (table.agg(F.sum(F.length("blob"))).first()[0] or 0)
     sample_buckets = 8 + int(volume * len(cover) / period * 8 / (bucket_mb << 20))
-    suffix_buckets = 8 + int(volume * 2 / (bucket_mb << 20))
+    suffix_buckets = sure_buckets = 8 + int(volume * 2 / (bucket_mb << 20))
 
     def sample(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in batches:
@@ -274,11 +275,22 @@ def remove_repeats(docs: DataFrame, key: list[str], length: int = 200, period: i
                 b, at, _ = suffixes(r)
                 yield _sent([(k, r.batch, own, twice) for k, own, twice in _dealt(b.hashes(at, length), suffix_buckets)])
 
+    def tied(r) -> tuple[Batch, np.ndarray, np.ndarray]:
+        """A batch, its suffixes that tie by the first hash, and which of its documents have copies."""
+        b, at, copied = suffixes(r)
+        return b, at[_tied(b.hashes(at, length), r.ties, suffix_buckets)], copied
+
+    def confirm(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in batches:
+            for r in pdf.itertuples():
+                b, at, _ = tied(r)
+                yield _sent([(k, r.batch, own, twice) for k, own, twice in _dealt(b.hashes(at, length, SECOND), sure_buckets)])
+
     def cleared(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in batches:
             for r in pdf.itertuples():
-                b, at, copied = suffixes(r)
-                hit = at[_tied(b.hashes(at, length), r.ties, suffix_buckets)]
+                b, at, copied = tied(r)
+                hit = at[_tied(b.hashes(at, length, SECOND), r.sure, sure_buckets)]
                 change = np.zeros(len(b.data) + 1, dtype=np.int32)
                 np.add.at(change, hit, 1)
                 np.add.at(change, hit + length, -1)
@@ -295,8 +307,10 @@ def remove_repeats(docs: DataFrame, key: list[str], length: int = 200, period: i
     ranks = _settled(_ties(table.select(*part).mapInPandas(sample, _SENT))).withColumnRenamed("masks", "ranks")
     table = table.join(ranks, "batch", "left")
     ties = _settled(_ties(table.select(*part, "ranks").mapInPandas(suffix, _SENT))).withColumnRenamed("masks", "ties")
+    table = table.join(ties, "batch", "left")
+    sure = _settled(_ties(table.where("ties IS NOT NULL").select(*part, "ranks", "ties").mapInPandas(confirm, _SENT))).withColumnRenamed("masks", "sure")
     rows = f"row struct<{', '.join(f'`{n}`: {kinds[n]}' for n in names)}>, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary"
-    out = table.join(ties, "batch", "left").mapInPandas(cleared, rows)
+    out = table.join(sure, "batch", "left").mapInPandas(cleared, rows)
     return out.select(*[F.col(f"row.`{n}`").alias(n) for n in names], "n_bytes", "n_removed", "n_spans", "kept_sha256", *["kept"] * with_text)
 
 
