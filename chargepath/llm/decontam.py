@@ -20,7 +20,9 @@ windows still hit; an empty benchmark contaminates nothing; an empty documents
 table gives no rows; an output replaces a column of its name.
 """
 
+from collections.abc import Iterator
 from dataclasses import dataclass
+from itertools import chain
 
 import numpy as np
 import pandas as pd
@@ -56,6 +58,52 @@ def rolled(h: np.ndarray, n: int) -> np.ndarray:
     return out
 
 
+class Sieve:
+    """A bitmap that tells at once of most hashes that they are not among the known ones."""
+
+    def __init__(self, known: np.ndarray) -> None:
+        self.known = known
+        bits = min(26, max(10, int(64 * len(known)).bit_length()))
+        self.shift = np.uint64(64 - bits)
+        self.table = np.zeros(1 << bits, dtype=bool)
+        self.table[known >> self.shift] = True
+
+    def places(self, s: np.ndarray) -> np.ndarray:
+        """Where s holds a known hash."""
+        at = np.flatnonzero(self.table[s >> self.shift])
+        if not len(at):
+            return at
+        k = np.minimum(np.searchsorted(self.known, s[at]), len(self.known) - 1)
+        return at[self.known[k] == s[at]]
+
+
+class Batch:
+    """The words of many texts end to end, and their hashes."""
+
+    def __init__(self, texts) -> None:
+        self.words = [words(t) for t in texts]
+        self.sizes = np.array([len(w) for w in self.words], dtype=np.int64)
+        self.ends = np.cumsum(self.sizes)
+        self.h = hashes(list(chain.from_iterable(self.words)))
+
+    @classmethod
+    def parts(cls, texts: pd.Series, most: int = 256) -> Iterator["Batch"]:
+        """A series in batches of a few texts, so that few words are held at a time."""
+        for k in range(0, len(texts), most):
+            yield cls(texts.iloc[k : k + most])
+
+    def shingles(self, of_one: bool) -> np.ndarray:
+        """Of the whole batch; a pair across two texts is 0."""
+        s = shingles(self.h, of_one) if len(self.h) else self.h
+        if not of_one and len(s):
+            last = self.ends[:-1] - 1
+            s[last[(last >= 0) & (last < len(s))]] = 0
+        return s
+
+    def own(self, k: int) -> np.ndarray:
+        return self.h[self.ends[k] - self.sizes[k] : self.ends[k]]
+
+
 @dataclass
 class Index:
     """Windows in the order of their prefix shingles' hashes."""
@@ -67,6 +115,11 @@ class Index:
     texts: list[bytes]  # its words, joined by spaces
     ids: list[tuple[str, ...]]  # of the items that hold it
 
+    @property
+    def kinds(self) -> list[bool]:
+        """Which shingles there are: pairs (False), words alone (True)."""
+        return [one for one in (False, True) if ((self.length == 1) == one).any()]
+
     @property
     def nbytes(self) -> int:
         arrays = sum(a.nbytes for a in (self.prefix, self.offset, self.length, self.whole))
@@ -109,13 +162,13 @@ def index(found: dict[bytes, set], known: np.ndarray, count: np.ndarray) -> Inde
     return Index(np.array(cols[0], dtype=np.uint64), np.array(cols[1], dtype=np.int32), np.array(cols[2], dtype=np.int32), np.array(cols[3], dtype=np.uint64), list(cols[4]), list(cols[5]))
 
 
-def hits(w: list[bytes], by_prefix: Index) -> tuple[set, np.ndarray | None]:
-    """(item ids, mask) of a document's words."""
+def hits(w: list[bytes], by_prefix: Index, h: np.ndarray | None = None) -> tuple[set, np.ndarray | None]:
+    """(item ids, mask) of a document's words, whose hashes may be given."""
     ids, mask = set(), None
     if not w or not len(by_prefix.prefix):
         return ids, mask
-    h, wholes = hashes(w), {}
-    for of_one in (False, True):
+    h, wholes = hashes(w) if h is None else h, {}
+    for of_one in by_prefix.kinds:
         s = shingles(h, of_one)
         lo, hi = np.searchsorted(by_prefix.prefix, s, "left"), np.searchsorted(by_prefix.prefix, s, "right")
         spots = np.flatnonzero(hi > lo)
@@ -161,19 +214,17 @@ def _blocks(benchmark: DataFrame, max_bytes: int, width: int):
         yield windows(block, width)
 
 
-def rarity(docs: DataFrame, known) -> np.ndarray:
+def rarity(docs: DataFrame, known, kinds: list[bool]) -> np.ndarray:
     """Occurrences over all documents of each known shingle (a broadcast ascending array)."""
 
     def counted(batches):
+        sieve = Sieve(known.value)
         total = np.zeros(len(known.value), dtype=np.int64)
         for pdf in batches:
-            for text in pdf["text"]:
-                h = hashes(words(text))
-                for of_one in (False, True):
-                    s = shingles(h, of_one) if len(h) else h
-                    at = np.searchsorted(known.value, s)
-                    at = at[(at < len(total)) & (known.value[np.minimum(at, len(total) - 1)] == s)]
-                    total += np.bincount(at, minlength=len(total))
+            for own in Batch.parts(pdf["text"]):
+                for of_one in kinds:
+                    s = own.shingles(of_one)
+                    total += np.bincount(np.searchsorted(known.value, s[sieve.places(s)]), minlength=len(total))
         some = np.flatnonzero(total)
         yield pd.DataFrame({"k": some, "n": total[some]})
 
@@ -187,36 +238,54 @@ def rarity(docs: DataFrame, known) -> np.ndarray:
 def contamination(docs: DataFrame, benchmark: DataFrame, width: int = 13, share: float = 0.05, max_bytes: int = 64 << 20) -> DataFrame:
     """docs -> docs + n_words, n_hit, n_items, items_sha256, contaminated."""
     context = docs.sparkSession.sparkContext
-    rows = boxed(docs, text=F.col("text")).withColumns({"hit": F.array().cast("array<binary>"), "ids": F.array().cast("array<string>")})
+    rows = boxed(docs, text=F.col("text")).withColumns({"hit": F.array().cast("array<binary>"), "ids": F.array().cast("array<string>"), "n": F.lit(None).cast("long")})
     done = 0
     for found in _blocks(benchmark, max_bytes, width):
         if not found:
             continue
         known = context.broadcast(vocabulary(found))
-        count = rarity(docs, known)
+        sizes = {w.count(b" ") == 0 for w in found}
+        count = rarity(docs, known, sorted(sizes))
         by_prefix = index(found, known.value, count)
         if done:
             rows = cut(rows)  # more blocks than one: keep what was found so far
         rows, done = _pass(rows, context.broadcast(by_prefix)), done + 1
+    if not done:
+        rows = rows.withColumn("n", _sizes(F.col("text")))
     return _summed(rows, share)
 
 
+def _sizes(text):
+    @F.pandas_udf("long")
+    def size(texts: pd.Series) -> pd.Series:
+        return pd.Series([len(words(t)) for t in texts], dtype="int64")
+
+    return size(text)
+
+
 def _pass(rows: DataFrame, by_prefix) -> DataFrame:
-    @F.pandas_udf("hit array<binary>, ids array<string>")
-    def probe(texts: pd.Series) -> pd.DataFrame:
-        out = []
-        for text in texts:
-            ids, mask = hits(words(text), by_prefix.value)
-            out.append(([np.packbits(mask).tobytes()] if mask is not None else [], sorted(ids)))
-        return pd.DataFrame(out, columns=["hit", "ids"])
+    @F.pandas_udf("hit array<binary>, ids array<string>, n long")
+    def probe(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
+        own, sieve = by_prefix.value, Sieve(np.unique(by_prefix.value.prefix))
+        for texts in batches:
+            out = []
+            for batch in Batch.parts(texts):
+                first = len(out)
+                out += [([], [], n) for n in batch.sizes.tolist()]
+                spots = [sieve.places(batch.shingles(of_one)) for of_one in own.kinds]
+                for k in np.unique(np.searchsorted(batch.ends, np.concatenate(spots), side="right")).tolist():
+                    ids, mask = hits(batch.words[k], own, batch.own(k))
+                    if mask is not None:
+                        out[first + k] = [np.packbits(mask).tobytes()], sorted(ids), len(mask)
+            yield pd.DataFrame(out, columns=["hit", "ids", "n"])
 
     out = rows.withColumn("p", probe(F.col("text")))
-    return out.withColumns({"hit": F.concat("hit", "p.hit"), "ids": F.array_union("ids", F.col("p.ids"))}).drop("p")
+    return out.withColumns({"hit": F.concat("hit", "p.hit"), "ids": F.array_union("ids", F.col("p.ids")), "n": F.col("p.n")}).drop("p")
 
 
 def _summed(rows: DataFrame, share: float) -> DataFrame:
-    @F.pandas_udf("n long, hit long")
-    def united(texts: pd.Series, masks: pd.Series) -> pd.DataFrame:
+    @F.pandas_udf("long")
+    def united(masks: pd.Series) -> pd.Series:
         def one(parts) -> int:
             if parts is None or not len(parts):
                 return 0
@@ -225,11 +294,11 @@ def _summed(rows: DataFrame, share: float) -> DataFrame:
                 total |= np.frombuffer(p, dtype=np.uint8)
             return int(np.unpackbits(total).sum())
 
-        return pd.DataFrame({"n": [len(words(t)) for t in texts], "hit": [one(m) for m in masks]})
+        return masks.map(one).astype("int64")
 
-    out = rows.withColumn("u", united("text", "hit"))
+    out = rows.withColumn("u", united("hit"))
     limit = round(1 / share)
-    n, hit = F.col("u.n"), F.col("u.hit")
+    n, hit = F.col("n"), F.col("u")
     return unboxed(
         out, n_words=n, n_hit=hit, n_items=F.size("ids").cast("long"), items_sha256=F.sha2(F.array_join(F.array_sort("ids"), ","), 256), contaminated=(hit > 0) & (limit * hit >= n))
 
