@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import gc
-import tempfile
 import time
 
 import numpy as np
@@ -12,6 +11,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from xxhash import xxh3_64_intdigest
 
+from chargepath.operators.search import cut, cut_size
+
 #: Java and RE2 class of the white space that parts words.
 SPACE = "[\\x20\\x09-\\x0D]"
 #: ASCII upper case to lower case, all other bytes as they are.
@@ -22,33 +23,6 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """The same rows, written to the shared checkpoint folder, with no lineage.
-
-    The folder is the session's ``spark.checkpoint.dir``; only where that is
-    unset on one machine (tests) is a temporary folder taken.
-    """
-    spark = df.sparkSession
-    context = spark.sparkContext
-    if context._jsc.sc().getCheckpointDir().isEmpty():
-        folder = spark.conf.get("spark.checkpoint.dir", None)
-        if folder is None and not context.master.startswith("local"):
-            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
-        context.setCheckpointDir(folder or tempfile.mkdtemp(prefix="chargepath-"))
-    return df.checkpoint(eager=True)
-
-
-def cut_size(df: DataFrame) -> DataFrame:
-    """Like ``cut``, but Spark's estimate of the size is dropped too.
-
-    A checkpoint keeps the estimate of its plan, which every join multiplies:
-    in a loop of joins the number itself outgrows the driver.
-    """
-    spark, kept = df.sparkSession, cut(df)
-    rows = kept._jdf.toJavaRDD()
-    return DataFrame(spark._jsparkSession.createDataFrame(rows, kept._jdf.schema()), spark)
-
-
 def release(spark: SparkSession) -> None:
     """Let Spark delete shuffle files of finished jobs that nothing refers to.
 
@@ -143,3 +117,6 @@ def worker_cache() -> dict:
 
 
 _CACHE: dict = {}
+
+
+__all__ = ["FIRST", "LOWER", "SECOND", "SPACE", "Rolling", "boxed", "cut", "cut_size", "encoded", "mix", "release", "shingle_set", "table", "unboxed", "word_hashes", "worker_cache"]

@@ -497,3 +497,41 @@ def test_decontamination_equals_brute_force(spark):
         known = decontam.vocabulary(found)
         assert decontam.index(found, known, np.zeros(len(known))).nbytes < 60_000
     assert decontam.contamination(table, bench.where("false")).where("contaminated OR n_hit > 0").isEmpty()
+
+
+#: Names that operators use inside or return.
+CLASHING = ("row", "n", "p", "u", "hit", "ids", "score", "predicted", "size", "source_size", "target", "taken", "range", "digest", "other", "n_words", "n_bytes", "n_tokens", "over_limit", "kept", "spans",
+            "base_spans", "masked", "pii", "license", "notices", "known", "host", "path", "rule", "verdict", "mined", "found", "tokens", "explicit", "_w", "_x", "_n", "_lang", "_failed", "component_id", "cls", "sig", "batch", "blob")
+
+
+@pytest.mark.parametrize("name", ["urls", "pii", "quality", "mixing", "tokens", "toxicity", "neardup", "decontam", "licenses", "substrings"])
+def test_clashing_columns_nulls_repeats_and_empty_tables(spark, name):
+    rng = random.Random(17)
+    prose = lambda n: " ".join(rng.choice(["the", "of", "idiot", "you", "alpha", "beta", "x1", "at", "10.0.0.1"]) for _ in range(n))
+    texts = [prose(rng.randint(40, 150)) for _ in range(12)] + [None, "", "one", prose(3000)]
+    rows = [(k, t, "en", "s", 1, f"http://h{k}.example.org/{k}") for k, t in enumerate(texts)] + [(None, texts[0], None, None, None, None), (5, texts[5], "en", "s", 1, None), (5, texts[5], "en", "s", 1, None)]
+    docs = spark.createDataFrame(rows, SCHEMA + ", url string")
+    bench = spark.createDataFrame([(1, texts[1][:200]), (None, None)], "item_id long, text string")
+    grammar = toxicity.fit([(f"the day is fine {k}", 0) for k in range(60)] + [(f"you are such an idiot {k}", 1) for k in range(20)])
+    act, outputs = {
+        "urls": (lambda d: urls.judge(d), ("host", "path", "rule", "verdict", "mined")),
+        "pii": (lambda d: pii.find_pii(d, mask=True), ("base_spans", "spans", "masked")),
+        "quality": (lambda d: quality.judge(d, d.columns), ("n_words", "word_chars", "n_repeat_words", "base_failed", "kept")),
+        "mixing": (lambda d: mixing.mix_sources(d, mixing.word_count(F.col("text"))), ("size", "source_size", "target")),
+        "tokens": (lambda d: tokens.count_tokens(d), ("n_bytes", "n_tokens", "over_limit")),
+        "toxicity": (lambda d: toxicity.score_toxicity(d, grammar), ("score", "predicted")),
+        "neardup": (lambda d: neardup.link(d), ("n_shingles", "component_id", "kept")),
+        "decontam": (lambda d: decontam.contamination(d, bench), ("n_words", "n_hit", "n_items", "items_sha256", "contaminated")),
+        "licenses": (lambda d: licenses.scan(d), ("digest", "license", "notices")),
+        "substrings": (lambda d: substrings.remove_repeats(d, ["doc_id"]), ("n_bytes", "n_removed", "n_spans", "kept_sha256")),
+    }[name]
+    crowded = docs.withColumns({c: F.lit(f"old {c}") for c in CLASHING})
+    show = lambda d: sorted((tuple(r) for r in act(d).select("doc_id", *outputs).collect()), key=repr)
+    plain = show(docs)
+    assert len(plain) == len(rows) and show(crowded) == plain
+    if name not in ("neardup", "substrings"):
+        kept = act(crowded).columns
+        assert len(kept) == len({c.lower() for c in kept}) and set(docs.columns) <= set(kept)
+    assert act(crowded.where("false")).count() == 0
+    none = docs.select(*[F.lit(None).cast(t).alias(c) for c, t in docs.dtypes])
+    assert len(show(none)) == len(rows)
