@@ -117,3 +117,23 @@ ways AS (SELECT t.trip, d.dist AS cost FROM trips t JOIN dp d ON d.run = t.sourc
   SELECT t.trip, e.dist + d.dist FROM trips t JOIN de e ON e.run = t.trip JOIN dp d ON d.run = e.node AND d.node = t.target),
 best AS (SELECT trip, min(cost) AS cost FROM ways GROUP BY trip)
 """
+
+
+def greedy(trips: str, capacity: int) -> str:
+    """Always on to the reachable station nearest to the target, while that comes nearer: trip, cost, stops."""
+    return f"""WITH RECURSIVE {G1}, {trips}, {REVERSED},
+rp AS (SELECT node AS run, node AS source, {capacity} AS radius FROM (SELECT node FROM stations UNION SELECT source FROM trips)), {reach('dp', 'rp')},
+rt AS (SELECT DISTINCT target AS run, target AS source, NULL AS radius FROM trips), {reach('dt', 'rt', 'rev')},
+sites AS (SELECT node, min(station) AS station FROM stations GROUP BY node),
+hops AS (SELECT run AS at, d.node AS to_node, dist, station FROM dp d JOIN sites s ON s.node = d.node),
+g AS (SELECT t.trip, t.target, t.source AS at, 0::BIGINT AS cost, 0 AS stops, d.dist AS rest FROM trips t JOIN dt d ON d.run = t.target AND d.node = t.source
+  UNION ALL SELECT trip, target, m.n, m.c, stops + 1, m.a FROM (SELECT g.trip, g.target, g.stops, min({{'a': d.dist, 's': h.station, 'n': h.to_node, 'c': g.cost + h.dist}}) AS m
+    FROM g JOIN hops h ON h.at = g.at JOIN dt d ON d.run = g.target AND d.node = h.to_node WHERE g.rest > {capacity} AND d.dist < g.rest GROUP BY g.trip, g.target, g.stops))
+SELECT trip, cost + rest AS cost, stops FROM g WHERE rest <= {capacity}"""
+
+
+def sweep(settings: list[TripOptions], penalties: tuple[int, ...]) -> str:
+    """Plans between depots under several settings, summed up by a cube."""
+    parts = [f"SELECT {o.capacity} AS capacity, {o.n} AS n, {o.alpha}::DOUBLE AS alpha, cost FROM ({plan(PAIRS, o)} SELECT trip, sum(cost)::BIGINT AS cost FROM chain GROUP BY trip)" for o in settings]
+    return f"""SELECT capacity, n, alpha, penalty, count(*) AS trips, round(avg(cost * (capacity + penalty) / capacity), 4) AS mean_cost_adj
+FROM ({' UNION ALL '.join(parts)}), (SELECT unnest({list(penalties)}) AS penalty) GROUP BY CUBE (capacity, n, alpha, penalty)"""

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import uuid
 from dataclasses import replace
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -710,7 +711,7 @@ def brute_force(spark, sf_dir):
     return baselines.enumerate_chains(batch(spark, sf_dir, trips=fixtures.depot_trips).edges)
 
 
-@query()
+@query(oracle.greedy(oracle.PAIRS, BATCH.capacity))
 def greedy_trip(spark, sf_dir):
     return baselines.greedy_trip(net(spark, sf_dir), fixtures.depot_trips(spark, sf_dir), BATCH.capacity)
 
@@ -814,21 +815,19 @@ def scaling_report(spark, sf_dir):
     return rows.groupBy(F.lit("legs").alias("step")).pivot("tasks", [1, 2, 4, 8]).agg(F.round(F.first("seconds"), 3).alias("s"), F.round(F.first("speed_up"), 2).alias("x"))
 
 
-@query()
+_SETTINGS = [TripOptions(capacity=q, n=n, alpha=alpha) for q in (8000, 10_000) for n in (3, 5) for alpha in (0.2, 0.3)]
+_PENALTY_SWEEP = (0, 2400)
+
+
+@query(oracle.sweep(_SETTINGS, _PENALTY_SWEEP))
 def sweep_cube(spark, sf_dir):
     """Feasible trips between depots and their mean cost over capacity, n, alpha and penalty."""
-    g, parts = net(spark, sf_dir), []
-    trips = search.cut(fixtures.depot_trips(spark, sf_dir))
-    for q in (8000, 10_000):
-        for n in (3, 5):
-            for alpha in (0.2, 0.3):
-                done = planner.plan_trips(g, trips, TripOptions(capacity=q, n=n, alpha=alpha))
-                cost = done.solution.groupBy("trip").agg(F.sum("leg_cost").alias("cost"))
-                for p in (0, 2400):
-                    parts.append(cost.select(*[F.lit(v).alias(k) for k, v in (("capacity", q), ("n", n), ("alpha", alpha), ("penalty", p))], (F.col("cost") * (q + p) / q).alias("cost_adj")))
-    rows = parts[0]
-    for part in parts[1:]:
-        rows = rows.unionByName(part)
+    g, trips = net(spark, sf_dir), search.cut(fixtures.depot_trips(spark, sf_dir))
+    parts = []
+    for o in _SETTINGS:
+        cost = planner.plan_trips(g, trips, o).solution.groupBy("trip").agg(F.sum("leg_cost").alias("cost"))
+        parts.append(cost.select(F.lit(o.capacity).alias("capacity"), F.lit(o.n).alias("n"), F.lit(o.alpha).alias("alpha"), "cost", F.explode(F.array(*map(F.lit, _PENALTY_SWEEP))).alias("penalty")))
+    rows = reduce(DataFrame.unionByName, parts).withColumn("cost_adj", F.col("cost") * (F.col("capacity") + F.col("penalty")) / F.col("capacity"))
     return rows.cube("capacity", "n", "alpha", "penalty").agg(F.count("*").alias("trips"), F.round(F.avg("cost_adj"), 4).alias("mean_cost_adj"))
 
 

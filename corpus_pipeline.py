@@ -19,13 +19,20 @@ COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the quality rules keep; the rows ride along, so no text is joined back."""
+    """Documents that the quality rules keep; the rows ride along, so no text is joined back.
+
+    Null and short texts go; equal rows share a verdict; a missing language is one of its own; long texts are read whole.
+    """
     judged = quality.judge(docs, docs.columns)
     return judged.where("kept").select(*docs.columns)
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies: shingles of five words, similarity 0.8 or more."""
+    """One document of each group of near copies: shingles of five words, similarity 0.8 or more.
+
+    The least id of a group stays, rows without one last, ties by text; of equal rows one stays; texts without words are
+    in no group and stay.
+    """
     odd = docs.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1 OR doc_id IS NULL")
     if odd.isEmpty():
         return _kept_rows(docs, "doc_id")
@@ -41,19 +48,19 @@ def _kept_rows(docs: DataFrame, key: str) -> DataFrame:
 
 
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that benchmark passages do not contaminate."""
+    """Documents that benchmark passages do not contaminate; those without words stay, and all do if the benchmark is empty."""
     judged = decontam.contamination(docs, table(spark, sf_dir, "benchmark"))
     return judged.where(~F.col("contaminated")).select(*docs.columns)
 
 
 def pii_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """All documents, personal data replaced by <EMAIL>, <IP>, <CARD> or <PHONE>."""
+    """All documents, personal data replaced by <EMAIL>, <IP>, <CARD>, <PHONE> or <SECRET>; null texts stay null."""
     found = pii.find_pii(docs, mask=True)
     return found.withColumns({"text": F.col("masked"), "n_chars": F.length("masked").cast(docs.schema["n_chars"].dataType)}).select(*docs.columns)
 
 
 def mix_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents of the mix, with the words that it takes of each (repeats counted)."""
+    """Documents of the mix, with the words that it takes of each (repeats counted); those without words are never taken."""
     mixed = mixing.mix_sources(docs, mixing.word_count(F.col("text")))
     return mixed.where("taken > 0")
 
