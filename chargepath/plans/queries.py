@@ -313,7 +313,10 @@ def bins_disk_cover(spark, sf_dir):
     return bins.around(bins.with_bin(disk.join(g.nodes, "node"), g.grid).select("bin").distinct(), g.grid, 1).select("near").distinct()
 
 
-@query()
+@query(f"{_G1}, q AS (SELECT least(floor(x / w * 64), 63)::BIGINT AS i, least(floor(y / (h + 1) * 64), 63)::BIGINT AS j FROM stations, n), "
+       "d AS (SELECT list_aggregate(list_transform(range(5, -1, -1), lambda k: (((i >> k::INTEGER) & 1) + 2 * ((j >> k::INTEGER) & 1))::VARCHAR), 'string_agg', '') AS quad FROM q), "
+       "c AS (SELECT substr(quad, 1, k) AS leaf, count(*) AS items FROM d, (SELECT unnest(range(1, 7)) AS k) GROUP BY 1) "
+       "SELECT c.leaf, c.items FROM c LEFT JOIN c p ON p.leaf = substr(c.leaf, 1, length(c.leaf) - 1) WHERE (c.items <= 8 OR length(c.leaf) = 6) AND coalesce(p.items, 9) > 8")
 def quadtree_leaves(spark, sf_dir):
     g = net(spark, sf_dir)
     return bins.quad_tree(g.stations, 6, (0.0, 0.0, g.grid.xmax, g.grid.ymax), 8)
@@ -545,6 +548,16 @@ _candidates("candidates_both", replace(CORNER, direction="both"))
 _candidates("candidates_straight", replace(CORNER, order="straight"))
 _candidates("candidates_plug", replace(CORNER, plugs=("ASIA", "EUROPE")))
 _candidates("candidates_bins", replace(CORNER, order="bins"), sql=False)
+#: Bins of the disk of each round around each base, one ring more, and the stations in them.
+_SEEN = f""",
+cells AS (SELECT DISTINCT b.trip, b.stop, k, floor(c.x / 4)::BIGINT AS i, floor(c.y / 4)::BIGINT AS j FROM bases b JOIN d1 d ON d.run = b.node JOIN radii r ON d.dist <= r.radius JOIN nodes c ON c.node = d.node),
+wide AS (SELECT DISTINCT trip, stop, k, i + a AS i, j + b AS j FROM cells, n, (SELECT unnest([-1, 0, 1]) AS a), (SELECT unnest([-1, 0, 1]) AS b) WHERE i + a BETWEEN 0 AND w // 4 AND j + b BETWEEN 0 AND (h + 1) // 4),
+held AS (SELECT station, node, floor(x / 4)::BIGINT AS i, floor(y / 4)::BIGINT AS j, floor(y / 4)::BIGINT * (w // 4 + 1) + floor(x / 4)::BIGINT AS bin FROM stations, n),
+seen AS (SELECT trip, stop, k, station, node, bin, count(*) OVER (PARTITION BY trip, stop, k) AS have, row_number() OVER (PARTITION BY trip, stop, k ORDER BY bin, station) AS rk FROM wide JOIN held USING (i, j))"""
+ORACLES["candidates_bins"] = _CORNER.rstrip() + _SEEN + f""",
+round AS (SELECT trip, stop, min(k) AS k FROM seen WHERE have >= CASE WHEN k < {CORNER.max_widen} THEN {CORNER.n} ELSE 1 END GROUP BY trip, stop)
+SELECT s.trip, s.stop, s.station, s.node, d.dist, s.k::INTEGER AS widen_round FROM seen s JOIN round USING (trip, stop, k) JOIN radii r ON r.k = s.k JOIN bases b ON b.trip = s.trip AND b.stop = s.stop
+LEFT JOIN d1 d ON d.run = b.node AND d.node = s.node AND d.dist <= r.radius WHERE rk <= {CORNER.n}"""
 
 
 @query()
@@ -552,7 +565,11 @@ def candidates_slide(spark, sf_dir):
     return corner(spark, sf_dir, replace(CORNER, max_widen=0, mitigation="slide")).candidates
 
 
-@query()
+@query(_CORNER.rstrip() + _SEEN + """,
+s AS (SELECT p.trip, p.stop, count(*) AS settled FROM picked p JOIN radii r ON r.k <= p.k JOIN bases b ON b.trip = p.trip AND b.stop = p.stop JOIN d1 d ON d.run = b.node AND d.dist <= r.radius GROUP BY ALL),
+v AS (SELECT p.trip, p.stop, count(*) AS bins_visited FROM picked p JOIN wide w ON w.trip = p.trip AND w.stop = p.stop AND w.k <= p.k GROUP BY ALL),
+c AS (SELECT p.trip, p.stop, count(*) AS scanned FROM picked p JOIN seen x ON x.trip = p.trip AND x.stop = p.stop AND x.k <= p.k GROUP BY ALL)
+SELECT trip, stop, (SELECT count(*) FROM cands q WHERE q.trip = s.trip AND q.stop = s.stop) AS returned, scanned, bins_visited, settled FROM s JOIN v USING (trip, stop) JOIN c USING (trip, stop)""")
 def candidates_visits(spark, sf_dir):
     """What the bounded searches and the bins cost at each base of the corner trip."""
     g = net(spark, sf_dir)
