@@ -76,7 +76,7 @@ def dense_and_sparse(net: Net, places: DataFrame, radius: int) -> DataFrame:
                 out.append((node, found.settled, same, DENSE_BYTES * n, SPARSE_BYTES * found.settled))
             yield pd.DataFrame(out, columns=["run", "settled", "equal", "dense_bytes", "sparse_bytes"])
 
-    return places.select("node").distinct().repartition("node").mapInPandas(solved, "run long, settled long, equal boolean, dense_bytes long, sparse_bytes long")
+    return search.spread(places.select("node").distinct(), "node").mapInPandas(solved, "run long, settled long, equal boolean, dense_bytes long, sparse_bytes long")
 
 
 def settled_by_search(net: Net, trips: DataFrame) -> DataFrame:
@@ -95,7 +95,7 @@ def settled_by_search(net: Net, trips: DataFrame) -> DataFrame:
                 out.append((trip, plain.dist.get(t), goal.dist.get(t), cost, plain.settled, goal.settled, both))
             yield pd.DataFrame(out, columns=["trip", "cost", "cost_goal", "cost_two", "plain", "goal", "two"]).astype({"cost": "Int64", "cost_goal": "Int64", "cost_two": "Int64"})
 
-    return trips.repartition("trip").mapInPandas(solved, "trip long, cost long, cost_goal long, cost_two long, plain long, goal long, two long")
+    return search.spread(trips, "trip").mapInPandas(solved, "trip long, cost long, cost_goal long, cost_two long, plain long, goal long, two long")
 
 
 class Clock:

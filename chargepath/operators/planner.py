@@ -83,7 +83,7 @@ def initial_path(net: Net, trips: DataFrame) -> DataFrame:
                     out.append((trip, found.dist[t], path, [found.dist[v] for v in path], found.settled))
             yield pd.DataFrame(out, columns=["trip", "cost", "path", "cum", "settled"])
 
-    return trips.select("trip", "source", "target").repartition("trip").mapInPandas(solved, "trip long, cost long, path array<long>, cum array<long>, settled long")
+    return search.spread(trips.select("trip", "source", "target"), "trip").mapInPandas(solved, "trip long, cost long, path array<long>, cum array<long>, settled long")
 
 
 def _initial_path_tables(net: Net, trips: DataFrame) -> DataFrame:
@@ -211,7 +211,7 @@ def find_candidates(net: Net, bases: DataFrame, opts: TripOptions, visits: bool
             yield pd.DataFrame(out, columns=["trip", "stop", "station", "node", "dist", "widen_round", "settled", "bins_visited", "scanned"]).astype({"dist": "Int64"})
 
     # Bases at one node share their search.
-    rows = bases.select("trip", "stop", "node").repartition("node").mapInPandas(gathered, f"{_CANDIDATES}, {_VISITS}")
+    rows = search.spread(bases.select("trip", "stop", "node"), "node").mapInPandas(gathered, f"{_CANDIDATES}, {_VISITS}")
     return rows if visits else rows.drop("settled", "bins_visited", "scanned")
 
 

@@ -211,6 +211,16 @@ def trace(pred: dict, end: int) -> list[int]:
     return out[::-1]
 
 
+def spread(runs: DataFrame, by: str, tasks: int | None = None) -> DataFrame:
+    """runs dealt over ``tasks`` tasks, as many as the cluster asks for if not given.
+
+    A run is a few bytes and much work, so the number is named: sized by bytes,
+    all runs would go to one task.
+    """
+    spark = runs.sparkSession
+    return runs.repartition(tasks or max(spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions"))), by)
+
+
 def load(edges: DataFrame, nodes: DataFrame | None = None, max_edges: int | None = None):
     """A broadcast Network of edges, or None if there are more than max_edges: they are counted first."""
     most = MAX_BROADCAST_EDGES if max_edges is None else max_edges
@@ -257,7 +267,7 @@ def paths(edges: DataFrame, runs: DataFrame, nodes: DataFrame | None = None, net
             for run, source, targets, radius in zip(pdf["run"], pdf["source"], pdf["targets"], pdf["radius"], strict=True):
                 yield _path_rows(net.value, run, source, radius, targets)
 
-    return own.repartition("run").mapInPandas(solved, _PATHS)
+    return spread(own, "run").mapInPandas(solved, _PATHS)
 
 
 def _path_rows(net: Network, run, source, radius, targets) -> pd.DataFrame:
@@ -304,7 +314,7 @@ def reach(edges: DataFrame, runs: DataFrame, strategy: str = "auto", nodes: Data
             for run, source, radius in zip(pdf["run"], pdf["source"], pdf["radius"], strict=True):
                 yield rows(net.value, run, source, radius, None)
 
-    return own.repartition(*([tasks] if tasks else []), "run").mapInPandas(solved, schema)
+    return spread(own, "run", tasks).mapInPandas(solved, schema)
 
 
 def _by_disk(edges: DataFrame, runs: DataFrame, nodes: DataFrame, solve, schema: str, cells: int = 32) -> DataFrame:

@@ -464,7 +464,7 @@ def bidirectional_cost(spark, sf_dir):
             one, two = there.value, back.value
             yield pd.DataFrame([(r, t, search.bidirectional(one, two, s, t, one.goal(s), one.goal(t))[0]) for r, s, t in zip(pdf["trip"].tolist(), pdf["source"].tolist(), pdf["target"].tolist(), strict=True)], columns=["run", "target", "cost"])
 
-    return trips.repartition("trip").mapInPandas(solved, "run long, target long, cost long")
+    return search.spread(trips, "trip").mapInPandas(solved, "run long, target long, cost long")
 
 
 @query(f"WITH RECURSIVE {oracle.G2}, edges AS (SELECT src, dst, weight FROM edges2), depots AS (SELECT o_custkey % 25 AS k, min(o_orderkey) AS node FROM orders GROUP BY 1), trips AS (SELECT (a.k * 100 + b.k)::BIGINT AS trip, a.node AS source, b.node AS target FROM depots a JOIN depots b ON a.k <> b.k), {_WAYS} SELECT trip, dist AS cost FROM trips JOIN d ON d.run = source AND node = target")
