@@ -41,7 +41,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from chargepath.llm.common import LOWER, cut, cut_size, encoded, mix, shingle_set
+from chargepath.llm.common import LOWER, cut, cut_size, encoded, mix, release, shingle_set
 
 SYMBOLS, CHUNKS, ERRORS = 32, 8, 1
 #: Pairs up to this distance always share a key; those up to the second are compared whatever the longer signature says.
@@ -433,6 +433,7 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
         more = cut(_verify(rest, texts, width, percent))
         edges = edges.union(more)
         labels = components(edges.select(F.col("lead").alias("u"), F.col("id").alias("v")), named.select("id"))
+    release(docs.sparkSession)  # shuffle files of the rounds behind
     # Keys that still hold several components: compare across them.
     members = keys.select("key", "id", "nth", (F.col("id") == F.col("lead")).alias("first")).join(labels.join(named.select("id", "n"), "id"), "id")
     mixed = members.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("many"), F.sum("n").alias("all_n")).where("lo <> hi")
