@@ -111,8 +111,11 @@ def test_texts_of_lines(spark):
 
 
 def test_sql_surface_and_requests(spark):
-    row = queries.sql_functions(spark, SMALL).first()
-    assert (row.line, row.adjusted, row.budget, row.cells) == (5.0, 150.0, 1020, 16)
+    rows = {r.node: r for r in queries.sql_functions(spark, SMALL).collect()}
+    assert set(rows) == set(range(150)) and {(k % 4, r.cells) for k, r in rows.items()} == {(0, 1), (1, 8), (2, 16), (3, 24)}
+    assert (rows[63].line, rows[63].bin, rows[8].budget, rows[9].budget) == (5.0, 4, 9 * (9 * 2 + 2), 5)
+    costs = {r.dst: r.weight for r in queries.net_edges(spark, SMALL).collect()}
+    assert all(r.adjusted == costs[k] * 1.24 or abs(r.adjusted - costs[k] * 1.24) < 1e-9 for k, r in rows.items())
     net = queries.net(spark, SMALL)
     legs = request.handle(net, '{"source": 0, "target": 149, "capacity": 5000, "n": 3}').collect()
     whole = request.handle(net, '{"source": 0, "target": 149, "capacity": 5000, "n": 3, "aggregate_output": true}').first()

@@ -57,3 +57,14 @@ def test_runs_of_a_cell_share_their_edges(spark):
     got = set(map(tuple, search._by_disk(edges, own, nodes, solve, search._REACH).collect()))
     assert got == set(map(tuple, search.reach(edges, runs, "broadcast").collect()))
     assert shipped.value < 6 * edges.count()
+
+
+def test_formulas_and_rings_read_their_tables(spark):
+    for f, name in ((queries.process_formula, "lineitem"), (queries.ring_layers, "customer"), (queries.sql_functions, "customer")):
+        assert any(p.endswith(f"{name}.parquet") for p in f(spark, SMALL).inputFiles()), name
+    formulas = queries.process_formula(spark, SMALL).collect()
+    assert sum(r.lines for r in formulas) == 6000
+    assert all(r.published == r.n * (r.n * r.m + 2) and r.layered == sum(a * b for a, b in zip([1, *[r.n] * r.m], [*[r.n] * r.m, 1])) for r in formulas)
+    places = [(n % 15 // 4, n // 15 // 4) for n in range(150)]
+    want = {k: sum(max(abs(i - a), abs(j - b)) == k for a, b in places for i in range(4) for j in range(3)) for k in (1, 2, 3)}
+    assert dict(map(tuple, queries.ring_layers(spark, SMALL).collect())) == want
