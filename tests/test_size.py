@@ -8,7 +8,7 @@ from chargepath.operators import bins, search
 from chargepath.plans import queries
 from chargepath.sources import fixtures
 
-SMALL = "/root/testdata/sf0.001"
+SMALL, LESS_SMALL = "/root/testdata/sf0.001", "/root/testdata/sf0.01"
 
 
 def test_networks_reach_the_driver_packed(spark, monkeypatch):
@@ -59,6 +59,31 @@ def test_runs_of_a_cell_share_their_edges(spark):
     assert shipped.value < 6 * edges.count()
 
 
+def test_edges_reach_their_cells_packed(spark):
+    """What is written for other tasks is rows of many edges: each edge used to be written five times on its own."""
+    edges, nodes = fixtures.edges(spark, LESS_SMALL), fixtures.nodes(spark, LESS_SMALL)
+    runs = spark.createDataFrame([(7, 7, 2000), (8, 1499, 900)], "run long, source long, radius long")
+    stages, none = spark.sparkContext._jsc.sc().statusStore(), spark.sparkContext._gateway.new_array(spark.sparkContext._jvm.double, 0)
+
+    def written():
+        spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty(30_000)
+        own = stages.stageList(None, False, False, none, None)
+        return sum(own.apply(k).shuffleWriteRecords() for k in range(own.size()))
+
+    before = written()
+    got = set(map(tuple, search.reach(edges, runs, "disk", nodes).collect()))
+    after = written()
+    assert after - before < nodes.count() + edges.count() / 4
+    assert got == set(map(tuple, search.reach(edges, runs, "broadcast").collect()))
+
+
+def test_packed_columns_come_back():
+    first, second, third = np.array([-5, 3, 1 << 40]), np.array([1, -(1 << 50), 7]), np.array([0.5, -1e300, 3.0])
+    rows = [d for _, d in sorted(search._groups(np.array([2, 1, 1]), first, second, third))]
+    assert [v.tolist() for v in search.unpack(rows, "lld")] == [[3, 1 << 40, -5], [-(1 << 50), 7, 1], [-1e300, 3.0, 0.5]]
+    assert [len(v) for v in search.unpack([], "ld")] == [0, 0]
+
+
 def test_formulas_and_rings_read_their_tables(spark):
     for f, name in ((queries.process_formula, "lineitem"), (queries.ring_layers, "customer"), (queries.sql_functions, "customer")):
         assert any(p.endswith(f"{name}.parquet") for p in f(spark, SMALL).inputFiles()), name
