@@ -35,6 +35,28 @@ def release(spark: SparkSession) -> None:
         spark.sparkContext._jvm.System.gc()
 
 
+def cut_clean(df: DataFrame) -> DataFrame:
+    """``cut``, with the shuffle files behind df deleted at once: after it nothing reads them.
+
+    ``release`` leaves that to collectors of garbage, which a busy machine may
+    run too late or not at all. df must not be used again.
+    """
+    context = df.sparkSession.sparkContext._jsc.sc()
+    kept = cut(df)
+    if context.cleaner().isDefined():
+        for k in shuffles(df._jdf.queryExecution().executedPlan()):
+            context.cleaner().get().doCleanupShuffle(k, True)
+    return kept
+
+
+def shuffles(plan) -> list[int]:
+    """Numbers of the shuffles that an executed plan made itself; those of cached tables are not its own."""
+    if plan.nodeName() == "AdaptiveSparkPlan":
+        return list(plan.context().shuffleIds())
+    below = plan.children()
+    return [*([plan.shuffleId()] if plan.nodeName() == "Exchange" else []), *(k for i in range(below.size()) for k in shuffles(below.apply(i)))]
+
+
 def boxed(df: DataFrame, **columns) -> DataFrame:
     """Each row as a struct named ``row``, beside the given columns: no name of df can clash with theirs."""
     return df.select(F.struct(*[F.col(f"`{c}`") for c in df.columns]).alias("row"), *[c.alias(name) for name, c in columns.items()])
@@ -119,4 +141,4 @@ def worker_cache() -> dict:
 _CACHE: dict = {}
 
 
-__all__ = ["FIRST", "LOWER", "SECOND", "SPACE", "Rolling", "boxed", "cut", "cut_size", "encoded", "mix", "release", "shingle_set", "table", "unboxed", "word_hashes", "worker_cache"]
+__all__ = ["FIRST", "LOWER", "SECOND", "SPACE", "Rolling", "boxed", "cut", "cut_clean", "cut_size", "encoded", "mix", "release", "shingle_set", "shuffles", "table", "unboxed", "word_hashes", "worker_cache"]

@@ -40,7 +40,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from chargepath.llm.common import FIRST, SECOND, cut, encoded, release
+from chargepath.llm.common import FIRST, SECOND, cut_clean, encoded
 
 #: A perfect difference cover: each difference but 0 modulo 133 comes up once.
 PERIOD = 133
@@ -226,6 +226,21 @@ def _pack(docs: DataFrame, names: list[str], batch_bytes: int) -> DataFrame:
     return docs.select(F.struct(*names).alias("_row"), F.col("text").alias("_text")).mapInPandas(packed, schema)
 
 
+def _placed(table: DataFrame) -> DataFrame:
+    """The packed rows dealt and sorted by batch once and kept so: joins by batch move only what comes back.
+
+    Spark notes how a checkpoint is dealt only if the plan behind it is not adaptive.
+    A task that runs again must pack the same rows in the same order.
+    """
+    conf = table.sparkSession.conf
+    adaptive = conf.get("spark.sql.adaptive.enabled")
+    conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        return cut_clean(table.repartition(int(conf.get("spark.sql.shuffle.partitions")), "batch").sortWithinPartitions("batch"))
+    finally:
+        conf.set("spark.sql.adaptive.enabled", adaptive)
+
+
 def _firsts(table: DataFrame) -> DataFrame:
     """batch -> its rows that are the first of their text, each with whether there is a copy."""
 
@@ -248,8 +263,11 @@ def remove_repeats(docs: DataFrame, key: list[str], length: int = 200, period: i
     cover, window = difference_cover(period), length - period + 1
     if window < 1:
         raise ValueError("the cover's period must not pass the length")
-    table = cut(_pack(docs, names, batch_mb << 20))
-    table = table.join(cut(_firsts(table)), "batch", "left")
+    if docs._jdf.queryExecution().executedPlan().nodeName() == "AdaptiveSparkPlan":
+        # Rows out of a shuffle or a cache may come in another order when read again.
+        docs = cut_clean(docs.select(*dict.fromkeys([*names, "text"])))
+    table = _placed(_pack(docs, names, batch_mb << 20))
+    table = table.join(cut_clean(_firsts(table)), "batch", "left")
     # Bytes of text by four times their packed size, so buckets follow the input.
     volume = 4 * (table.agg(F.sum(F.length("blob"))).first()[0] or 0)
     sample_buckets = 8 + int(volume * len(cover) / period * 8 / (bucket_mb << 20))
@@ -304,19 +322,11 @@ def remove_repeats(docs: DataFrame, key: list[str], length: int = 200, period: i
                 yield pd.DataFrame(out, columns=["row", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"])
 
     part = ("batch", "blob", "sizes", "firsts")
-    ranks = _settled(_ties(table.select(*part).mapInPandas(sample, _SENT))).withColumnRenamed("masks", "ranks")
+    ranks = cut_clean(_by_batch(_ties(table.select(*part).mapInPandas(sample, _SENT)))).withColumnRenamed("masks", "ranks")
     table = table.join(ranks, "batch", "left")
-    ties = _settled(_ties(table.select(*part, "ranks").mapInPandas(suffix, _SENT))).withColumnRenamed("masks", "ties")
+    ties = cut_clean(_by_batch(_ties(table.select(*part, "ranks").mapInPandas(suffix, _SENT)))).withColumnRenamed("masks", "ties")
     table = table.join(ties, "batch", "left")
-    sure = _settled(_ties(table.where("ties IS NOT NULL").select(*part, "ranks", "ties").mapInPandas(confirm, _SENT))).withColumnRenamed("masks", "sure")
+    sure = cut_clean(_by_batch(_ties(table.where("ties IS NOT NULL").select(*part, "ranks", "ties").mapInPandas(confirm, _SENT)))).withColumnRenamed("masks", "sure")
     rows = f"row struct<{', '.join(f'`{n}`: {kinds[n]}' for n in names)}>, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary"
     out = table.join(sure, "batch", "left").mapInPandas(cleared, rows)
     return out.select(*[F.col(f"row.`{n}`").alias(n) for n in names], "n_bytes", "n_removed", "n_spans", "kept_sha256", *["kept"] * with_text)
-
-
-def _settled(ties: DataFrame) -> DataFrame:
-    """The masks by batch, cut; the shuffle files behind them are let go."""
-    out = cut(_by_batch(ties))
-    del ties
-    release(out.sparkSession)
-    return out

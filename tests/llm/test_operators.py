@@ -78,6 +78,26 @@ def test_substrings_equal_brute_force(spark, texts):
         want[k] = (len(d), sum(gone), len(re.findall(b"\1+", bytes(gone))), hashlib.sha256(kept).hexdigest())
     got = substrings.remove_repeats(make(spark, texts), ["doc_id"]).collect()
     assert {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in got} == want
+    dealt = substrings.remove_repeats(make(spark, texts).repartition(3, "doc_id"), ["doc_id"]).collect()
+    assert sorted(dealt) == sorted(got)
+
+
+def test_substrings_hold_no_shuffle_files_of_earlier_steps(spark, monkeypatch):
+    """Not even if no garbage is collected meanwhile; and the last step moves masks, not texts."""
+    manager = spark.sparkContext._jsc.sc().env().blockManager().diskBlockManager()
+
+    def dealt():
+        files = manager.getAllFiles()
+        return {f.getName(): f.length() for f in (files.apply(k) for k in range(files.size())) if f.getName().startswith("shuffle_")}
+
+    monkeypatch.setattr(substrings, "release", lambda _: None, raising=False)
+    rng = random.Random(9)
+    texts = [f"{k} " + rng.randbytes(1500).hex() for k in range(600)]
+    docs, before = make(spark, [*texts, *(f"x{t[:500]}" for t in texts)]), dealt()
+    out = substrings.remove_repeats(docs, ["doc_id"], batch_mb=1)
+    assert not dealt().keys() - before.keys()
+    assert sum(r.n_removed > 0 for r in out.collect()) == 1200
+    assert sum(n for f, n in dealt().items() if f not in before) < 300_000
 
 
 @pytest.mark.parametrize("period", [7, 13, 31, 57, 133, 20])
