@@ -4,7 +4,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from chargepath.operators import bins, search
+from chargepath.operators import bins, planner, search
 from chargepath.plans import queries
 from chargepath.sources import fixtures
 
@@ -93,3 +93,26 @@ def test_formulas_and_rings_read_their_tables(spark):
     places = [(n % 15 // 4, n // 15 // 4) for n in range(150)]
     want = {k: sum(max(abs(i - a), abs(j - b)) == k for a, b in places for i in range(4) for j in range(3)) for k in (1, 2, 3)}
     assert dict(map(tuple, queries.ring_layers(spark, SMALL).collect())) == want
+
+
+def test_layers_of_a_long_trip_keep_small_plans(spark, monkeypatch):
+    """What a layer costs the driver does not grow with the layers before it; trips may end at different ones."""
+    rng, rows = np.random.default_rng(3), []
+    for trip, last in ((0, 21), (1, 1), (2, 0), (3, 9)):
+        places = [[planner.SOURCE], *[list(range(10, 13)) for _ in range(last)], [planner.TARGET]]
+        rows += [(trip, k, u, v, int(rng.integers(1, 4)), 0.0) for k in range(last + 1) for u in places[k] for v in places[k + 1] if u != v]
+    rows += [(4, k, k - 1, k, 1, 0.0) for k in range(5)]  # never arrives
+    edges = spark.createDataFrame(rows, "trip long, layer int, u long, v long, weight long, weight_adj double")
+    plans, cut = [], search.cut
+
+    def seen(df):
+        plans.append(len(df._jdf.queryExecution().logical().toString()))
+        return cut(df)
+
+    monkeypatch.setattr(search, "cut", seen)
+    monkeypatch.setattr(planner, "cut", seen)
+    got = planner.final_path(edges, mode="layers")
+    few, plans[:] = max(plans), []
+    assert sorted(map(tuple, got.select("trip", "layer", "u", "v").collect())) == sorted(map(tuple, planner.final_path(edges).select("trip", "layer", "u", "v").collect()))
+    planner.final_path(edges.where("layer < 10"), mode="layers")
+    assert few <= 1.1 * max(plans)
